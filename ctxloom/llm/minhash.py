@@ -81,13 +81,13 @@ def bag_signatures(row: np.ndarray, key: np.ndarray, count: np.ndarray, rows: in
         clock = np.zeros(len(alive))
         n = 0
         while len(alive):
-            draw = K.mix(seed[alive] + np.uint64(3 * n + 1) * K.GOLD)
+            draw = K.mix(seed[alive] + K.stride(3 * n + 1))
             u = _uniform(draw)
             room = limit[p_row[alive]] - clock
             go = u >= np.exp(-room * length[alive])  # arrives in time
             alive, clock, u = alive[go], clock[go], u[go]
             clock = clock - np.log(u) / length[alive]
-            extra = K.mix(seed[alive] + np.uint64(3 * n + 2) * K.GOLD)
+            extra = K.mix(seed[alive] + K.stride(3 * n + 2))
             step = below[alive] + _uniform(K.mix(extra)) * length[alive]
             counts = step < p_weight[alive]
             np.minimum.at(times, (p_row[alive][counts], (extra[counts] % np.uint64(registers)).astype(np.int64)), clock[counts])

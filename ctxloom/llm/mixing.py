@@ -12,7 +12,8 @@ the gradient and the Hessian, k + k^2 numbers whatever the data.
 
 Rates become copies: every document gets floor(r); the rest of a source's target goes, one more copy each, to its
 documents in the order of a hash of doc_id, until the words are spent. Hash order is cut into BUCKETS slices that are
-summed first, so no task has to order a whole source.
+summed first, so no task has to order a whole source. Then each source changes the one document whose size comes nearest
+to the words still missing or spent too many.
 
 Null and empty texts have size 0: they spend no words. A null source is a source of its own, last in order. Repeated rows
 are separate documents. An empty table gives an empty result. Other input columns are not read.
@@ -106,8 +107,8 @@ def hash_order(doc_id: Column) -> Column:
 def mix(sizes: DataFrame, rates: DataFrame) -> DataFrame:
     """Adds copies to rows (doc_id, source, size): floor(rate), and one more for those in hash order that the target still pays.
 
-    A document gets its extra copy if at least half of it fits into what is left, so a source's words miss its target by
-    half a document at most.
+    A document gets its extra copy if all of it fits into what is left, so a source's words miss its target by less than
+    a document; one document a source, the best, then gains or loses its extra copy if that comes nearer.
     """
     rows = sizes.withColumn("place", hash_order(F.col("doc_id"))).withColumn("bucket", F.expr(f"int(place div {2**52 // BUCKETS})"))
     per_bucket = rows.groupBy("source", "bucket").agg(F.sum("size").alias("bucket_size"))
@@ -121,8 +122,19 @@ def mix(sizes: DataFrame, rates: DataFrame) -> DataFrame:
     inside = Window.partitionBy("source", "bucket").orderBy("place", "doc_id", "size").rowsBetween(Window.unboundedPreceding, -1)
     rows = rows.withColumn("inside", F.coalesce(F.sum("size").over(inside), F.lit(0)))
     joined = rows.join(cut, rows["source"].eqNullSafe(cut["s"]) & (rows["bucket"] == cut["b"]))
-    extra = (F.col("ahead") + F.col("inside") + F.col("size") / 2 <= F.col("rest")).cast("int")
-    return joined.select("doc_id", "source", "size", "source_size", "target", (F.col("whole") + extra).cast("int").alias("copies"))
+    extra = (F.col("ahead") + F.col("inside") + F.col("size") <= F.col("rest")).cast("int")
+    chosen = materialise(joined.select("doc_id", rows["source"], "size", "source_size", "target", "place", "whole", "rest", extra.alias("extra")), "rounded")
+    missing = chosen.groupBy("source").agg((F.max("rest") - F.sum(F.col("size") * F.col("extra"))).alias("missing")).withColumnRenamed("source", "s")
+    # what flipping a document's extra copy would leave
+    after = F.col("missing") - F.col("size") * (1 - 2 * F.col("extra"))
+    best = (
+        chosen.join(missing, chosen["source"].eqNullSafe(missing["s"])).where(F.abs(after) < F.abs("missing"))
+        .groupBy("s").agg(F.min(F.struct(F.round(F.abs(after), 6).alias("left"), "place", "doc_id", "size")).alias("flip")).select("s", "flip.*")
+        .select("s", F.col("place").alias("p"), F.col("doc_id").alias("i"), F.col("size").alias("z"))
+    )
+    same = chosen["source"].eqNullSafe(best["s"]) & (chosen["place"] == best["p"]) & chosen["doc_id"].eqNullSafe(best["i"]) & (chosen["size"] == best["z"])
+    final = F.when(F.col("s").isNotNull() | F.col("p").isNotNull(), 1 - F.col("extra")).otherwise(F.col("extra"))
+    return chosen.join(best, same, "left").select("doc_id", "source", "size", "source_size", "target", (F.col("whole") + final).cast("int").alias("copies"))
 
 
 def sized(docs: DataFrame) -> DataFrame:
@@ -155,12 +167,16 @@ f AS (SELECT *, (sum(source_size) OVER () * 1.5
 l AS (SELECT level FROM f WHERE level * weight <= source_size * 2.0 ORDER BY source_size / weight, nth LIMIT 1),
 t AS (SELECT source, source_size, round(least(source_size * 2.0, coalesce((SELECT level FROM l), 'inf'::DOUBLE) * weight), 6) AS target FROM f),
 r AS (SELECT *, CASE WHEN source_size > 0 THEN floor(round(target / source_size, 9)) ELSE 0 END AS whole FROM t),
-c AS (SELECT d.doc_id, d.size, r.source_size, r.target, r.whole, round(r.target - r.whole * r.source_size, 6) AS rest,
+c AS (SELECT d.doc_id, d.source, d.size, d.place, r.source_size, r.target, r.whole, round(r.target - r.whole * r.source_size, 6) AS rest,
         coalesce(sum(d.size) OVER (PARTITION BY d.source ORDER BY place, d.doc_id, d.size ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS ahead
-      FROM d JOIN r ON d.source IS NOT DISTINCT FROM r.source)
-SELECT doc_id, size, source_size, target,
-       (size * (whole + CASE WHEN ahead + size / 2.0 <= rest THEN 1 ELSE 0 END))::BIGINT AS taken
-FROM c
+      FROM d JOIN r ON d.source IS NOT DISTINCT FROM r.source),
+e AS (SELECT *, CASE WHEN ahead + size <= rest THEN 1 ELSE 0 END AS extra FROM c),
+m AS (SELECT *, rest - sum(size * extra) OVER (PARTITION BY source) AS missing FROM e),
+b AS (SELECT source, doc_id FROM m WHERE abs(missing - size * (1 - 2 * extra)) < abs(missing)
+      QUALIFY row_number() OVER (PARTITION BY source ORDER BY round(abs(missing - size * (1 - 2 * extra)), 6), place, doc_id, size) = 1)
+SELECT e.doc_id, e.size, e.source_size, e.target,
+       (e.size * (e.whole + CASE WHEN b.doc_id IS NULL THEN e.extra ELSE 1 - e.extra END))::BIGINT AS taken
+FROM e LEFT JOIN b ON e.doc_id = b.doc_id
 """
 
 QUERIES = {"op6_entropy_mixing": op6_entropy_mixing}

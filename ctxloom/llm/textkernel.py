@@ -32,6 +32,11 @@ def mix(x: np.ndarray) -> np.ndarray:
     return x
 
 
+def stride(n: int) -> np.uint64:
+    """The n-th step of the counter."""
+    return np.uint64(n * int(GOLD) & 0xFFFFFFFFFFFFFFFF)
+
+
 _BYTE = mix(np.arange(256, dtype=np.uint64) * np.uint64(7919))
 _PLACE = mix(np.arange(1 << 16, dtype=np.uint64) + np.uint64(1 << 32)) | np.uint64(1)
 

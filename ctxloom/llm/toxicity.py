@@ -7,7 +7,8 @@ class prior p (the share of toxic rows among labelled training rows) the risk of
 
 with logistic loss. Where the bracket falls below zero, the step goes up its gradient instead, which stops the scorer from
 fitting the positives hidden among the unlabelled. Features are the words a text has (hashed, present or not), kept if
-enough positives have them more often than the unlabelled do; training is full-batch in numpy on the driver.
+the positives have them clearly more often than the unlabelled (a z-score and a ratio) and in
+more than a few texts; training is full-batch in numpy on the driver.
 
 Labels are learned from a sample of at most POSITIVES toxic and UNLABELLED other rows (documented bounds); all texts are
 scored whole. Null and empty texts have no features: their score is that of the bias alone. If there is no toxic training
@@ -27,7 +28,7 @@ from ctxloom.llm import labelled as L
 from ctxloom.llm import textkernel as K
 from ctxloom.session import load
 
-SLOTS = 1 << 20
+SLOTS = 1 << 32
 POSITIVES, UNLABELLED = 3000, 6000
 FOLDS, HELD_OUT = 5, 0
 STEPS = 400
@@ -61,19 +62,24 @@ def _sigmoid(x: np.ndarray) -> np.ndarray:
     return 1 / (1 + np.exp(-np.clip(x, -30, 30)))
 
 
-def fit(marks: np.ndarray, index: np.ndarray, starts: np.ndarray, prior: float, steps: int = STEPS, rate: float = 0.05, decay: float = 1e-4, least: int = 5, lift: float = 2.0) -> LinearScorer:
+def fit(marks: np.ndarray, index: np.ndarray, starts: np.ndarray, prior: float, steps: int = STEPS, rate: float = 0.05, decay: float = 1e-4, evidence: float = 4.5, lift: float = 10.0, spread: float = 0.012) -> LinearScorer:
     """marks: 1 for positives, 0 for unlabelled rows."""
     pos = marks == 1
     n_pos, n_unl = int(pos.sum()), int((~pos).sum())
     if not n_pos or not n_unl:
         return LinearScorer(np.zeros(0, np.int64), np.zeros(0), -30.0)
-    row = L.np.repeat(np.arange(len(marks)), np.diff(starts))
-    in_pos = np.bincount(index[pos[row]], minlength=SLOTS)
-    in_unl = np.bincount(index[~pos[row]], minlength=SLOTS)
-    keep = (in_pos >= min(least, max(1, n_pos // 10))) & (in_pos / n_pos > lift * in_unl / n_unl)
-    slots = np.flatnonzero(keep)
+    row = np.repeat(np.arange(len(marks)), np.diff(starts))
+    seen, index = np.unique(index, return_inverse=True)
+    in_pos = np.bincount(index[pos[row]], minlength=len(seen))
+    in_unl = np.bincount(index[~pos[row]], minlength=len(seen))
+    a, b = in_pos / n_pos, in_unl / n_unl
+    clean = np.maximum(b - prior * a, 0) / (1 - prior)  # how often texts that are not toxic have the word
+    both = (in_pos + in_unl) / (n_pos + n_unl)
+    z = (a - b) / np.sqrt(np.maximum(both * (1 - both), 1e-12) * (1 / n_pos + 1 / n_unl))
+    keep = (in_pos >= max(5, spread * n_pos)) & (z > evidence) & (a > lift * clean)
+    slots = seen[keep]
     used = keep[index]
-    row, col = row[used], np.searchsorted(slots, index[used])
+    row, col = row[used], (np.cumsum(keep) - 1)[index[used]]
     w, b = np.zeros(len(slots)), np.log(prior / (1 - prior))
     moment, square = np.zeros(len(slots) + 1), np.zeros(len(slots) + 1)
     for t in range(1, steps + 1):
