@@ -5,6 +5,7 @@ from __future__ import annotations
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import types as T
 
 #: Used only where the session names no checkpoint folder (tests, laptops).
 LOCAL_CHECKPOINTS = "/tmp/checkpoints/ctxloom"
@@ -50,3 +51,8 @@ def materialise(df: DataFrame, name: str = "step") -> DataFrame:
 
 def load(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{table}.parquet")
+
+
+def schema_with(base: T.StructType, ddl: str) -> T.StructType:
+    """A schema with more fields, given as DDL."""
+    return T.StructType([*base.fields, *T.StructType.fromDDL(ddl).fields])
