@@ -91,9 +91,8 @@ class Position:
 
 def _running(f: Flat, step: np.ndarray) -> np.ndarray:
     """Sum of ``step`` over the symbols of the sequence before each symbol."""
-    total = np.concatenate([[0], np.cumsum(step)])[:-1]
-    first = total[np.minimum(f.starts[:-1], max(len(total) - 1, 0))] if len(total) else total
-    return total - np.repeat(first, f.size)
+    total = np.concatenate([[0], np.cumsum(step)])
+    return total[:-1] - np.repeat(total[f.starts[:-1]], f.size)
 
 
 @dataclass(frozen=True)
