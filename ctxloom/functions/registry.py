@@ -6,9 +6,10 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def entropy_of(n: pd.Series) -> float:
     """Grouped aggregate: Shannon entropy of a column of weights."""
     w = n.to_numpy(float)
@@ -16,7 +17,7 @@ def entropy_of(n: pd.Series) -> float:
     return float(-(w / w.sum() * np.log2(w / w.sum())).sum()) if len(w) else 0.0
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def read_bits(syms: pd.Series, bits: pd.Series) -> pd.Series:
     """Bits of a read under an order-0 table given as an array of bits by symbol."""
     return pd.Series([float(np.asarray(b)[np.asarray(s, int)].sum()) for s, b in zip(syms, bits)])
