@@ -1,4 +1,5 @@
 import random
+import time
 
 from pyspark.sql import functions as F
 
@@ -47,7 +48,11 @@ def test_tables_have_versions(spark, tmp_path):
 def feed(spark, sf, tmp_path, files=4):
     events = spark.read.parquet(f"{sf}/events.parquet").orderBy("ts")
     folder = str(tmp_path / "feed")
-    events.repartitionByRange(files, "ts").sortWithinPartitions("ts").write.parquet(folder)
+    cuts = events.select(F.unix_micros(F.col("ts").cast("timestamp")).alias("t")).approxQuantile("t", [i / files for i in range(1, files)], 0.001)
+    part = sum((F.unix_micros(F.col("ts").cast("timestamp")) >= int(c)).cast("int") for c in cuts)
+    for i in range(files):  # one file after another: the stream takes them by age
+        events.where(part == i).coalesce(1).write.mode("append").parquet(folder)
+        time.sleep(0.05)
     return events, live.event_source(spark, folder, events.schema, delay="3650 days")
 
 
@@ -60,13 +65,11 @@ def test_live_counts_equal_batch(spark, sf, tmp_path):
 
 
 def test_late_rows_are_dropped(spark, tmp_path):
-    schema = "ts timestamp, event_id long"
     folder = str(tmp_path / "late")
-    for i, days in enumerate((["2024-01-01", "2024-01-10"], ["2024-01-02"], ["2024-01-09"])):
+    # a watermark counts against late rows from the batch after the next on
+    for i, days in enumerate((["2024-01-01", "2024-01-10"], ["2024-01-10"], ["2024-01-02"], ["2024-01-09"])):
         spark.createDataFrame([(d, n + 10 * i) for n, d in enumerate(days)], "d string, event_id long").selectExpr("timestamp(d) AS ts", "event_id").coalesce(1).write.mode("append").parquet(folder)
-        import time
-
-        time.sleep(1.1)
+        time.sleep(0.05)
     stream = live.event_source(spark, folder, spark.read.parquet(folder).schema, delay="3 days")
     live.run_once(live.live_counts(stream, F.lit(0), F.lit(0)), "late_counts", "update", str(tmp_path / "c"))
     days = {str(r.span.start)[:10] for r in spark.table("late_counts").collect()}
