@@ -39,6 +39,7 @@ SIMILARITY = 0.8
 BANDS, ROWS = 26, 5
 BLOCK_UNITS = 2_000_000  # shingle occurrences on one side of a block pair
 BLOCK_DOCS = 1024
+FILTER_BITS = 1 << 24
 
 
 def shingles(texts: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray, int]:
@@ -170,8 +171,8 @@ def _link(left: list[np.ndarray], right: list[np.ndarray] | None, similarity: fl
     links = []
     for i in range(len(left) if right else 1, len(docs)):
         at = np.searchsorted(distinct, docs[i])
-        at = at[at < len(distinct)]
-        at = at[np.isin(distinct[at], docs[i], assume_unique=True)]
+        inside = at < len(distinct)
+        at = at[inside][distinct[at[inside]] == docs[i][inside]]
         if not len(at):
             continue
         length = ends[at] - start[at]
@@ -203,6 +204,16 @@ def sign(docs: DataFrame) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long").alias("id"), "text").mapInArrow(_sign, SIGNED)
 
 
+def _likely(rows: DataFrame, wanted: DataFrame) -> DataFrame:
+    """Rows whose id may be in ``wanted`` (id). A bitmap of the wanted ids' hashes goes first, so that few others are shuffled:
+    FILTER_BITS / 64 rows at most, whatever the data. A few other rows remain for the exact join that follows; a semi-join
+    here would be moved below the bitmap by the optimiser."""
+    place = F.pmod(F.xxhash64("id"), F.lit(FILTER_BITS))
+    words = wanted.select(place.alias("p")).groupBy(F.expr("p div 64").alias("word")).agg(F.expr("bit_or(shiftleft(1L, cast(p % 64 as int)))").alias("bits"))
+    likely = rows.withColumn("p", place).withColumn("word", F.expr("p div 64")).join(F.broadcast(words), "word").where("(shiftright(bits, cast(p % 64 as int)) & 1) = 1")
+    return likely.select(*rows.columns)
+
+
 def near_duplicates(docs: DataFrame, similarity: float = SIMILARITY) -> DataFrame:
     """doc_id, class_id (least id among equal multisets), group_id (least id among all that links connect), keep."""
     signed = materialise(sign(docs), "signed")
@@ -224,7 +235,7 @@ def near_duplicates(docs: DataFrame, similarity: float = SIMILARITY) -> DataFram
         F.explode(F.transform(F.sequence(F.lit(0), F.col("parts") - 1), lambda j: F.struct(F.least("block", j).alias("lo"), F.greatest("block", j).alias("hi")))).alias("pair"),
     ).select("id", "band", "bucket", "pair.lo", "pair.hi", (F.col("block") != F.col("pair.lo")).cast("int").alias("side"))
     spread = materialise(spread, "members")
-    texts = docs.select(F.col("doc_id").cast("long").alias("id"), "text").join(spread.select("id").distinct(), "id", "left_semi").dropDuplicates(["id"])
+    texts = _likely(docs.select(F.col("doc_id").cast("long").alias("id"), "text"), spread.select("id").distinct()).dropDuplicates(["id"])
     met = spread.join(texts, "id")
     links = met.groupBy("band", "bucket", "lo", "hi").applyInPandas(_verify(similarity), "a long, b long")
     roots = components(links)
