@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ctxloom.session import load
+from ctxloom.session import load, schema_with
 
 UNKNOWN = "application/octet-stream"
 # Magic bytes of each format and the offset of the magic in the file.
@@ -70,14 +70,14 @@ def _png(d: bytes, at: int) -> tuple[str, int] | None:
 
 def _jpeg(d: bytes, at: int) -> tuple[str, int] | None:
     i = at + 2
-    while i + 4 <= len(d) and d[i] == 0xFF:
+    while i + 2 <= len(d) and d[i] == 0xFF:
         mark = d[i + 1]
         if mark == 0xD9:
             return "image/jpeg", i + 2 - at
         if mark in (0x01, *range(0xD0, 0xD8)):
             i += 2
             continue
-        size = struct.unpack_from(">H", d, i + 2)[0]
+        size = struct.unpack_from(">H", d, i + 2)[0] if i + 4 <= len(d) else 0
         if size < 2:
             return None
         i += 2 + size
@@ -243,7 +243,7 @@ def true_type(data: bytes | None, found: list[Found]) -> str:
 
 def inspect(rows: DataFrame, data: str = "data", declared: str = "declared") -> DataFrame:
     """Adds to each blob: media_type (what it is), corrected (differs from the declared type), and media (kind, start, length of all found)."""
-    schema = rows.schema.add("media_type", "string").add("corrected", "boolean").add("media", "array<struct<kind:string,start:long,length:long>>")
+    schema = schema_with(rows.schema, "media_type string, corrected boolean, media array<struct<kind:string,start:long,length:long>>")
 
     def kernel(batches):
         for batch in batches:
