@@ -76,6 +76,29 @@ def ema_cov(rows: DataFrame, key: str, order: str, vector: str, eta: float) -> D
     return rows.select(key, order, vector).groupBy(key).applyInPandas(kernel, f"{key} {kind}, n long, cov array<array<double>>")
 
 
+def power_scale(values: Column, eta: float, kappa: float = 1.0) -> Column:
+    """Moving scale of the density exp(-|x / s|^kappa) around 0 after the array: s^kappa = kappa * average of |x|^kappa."""
+    return F.pow(kappa * ema(F.transform(values, lambda x: F.pow(F.abs(x), F.lit(kappa))), eta), F.lit(1.0 / kappa))
+
+
+def adaptive_regression(rows: DataFrame, key: str, order: str, x: str, y: str, eta: float, ridge: float = 1e-6) -> DataFrame:
+    """key, n, weights, mse: least squares from moving moments of (x, y), each row predicted before it is used. ``x`` is an array."""
+    kind = rows.schema[key].dataType.simpleString()
+
+    def kernel(name: tuple, pdf: pd.DataFrame) -> pd.DataFrame:
+        pdf = pdf.sort_values(order)
+        X, Y = np.array(pdf[x].tolist(), float), pdf[y].to_numpy(float)
+        xx, xy, w, error = ridge * np.eye(X.shape[1]), np.zeros(X.shape[1]), np.zeros(X.shape[1]), 0.0
+        for a, b in zip(X, Y):
+            error += (b - a @ w) ** 2
+            xx = eta * xx + (1 - eta) * (np.outer(a, a) + ridge * np.eye(len(a)))
+            xy = eta * xy + (1 - eta) * a * b
+            w = np.linalg.solve(xx, xy)
+        return pd.DataFrame({key: [name[0]], "n": [len(Y)], "weights": [w.tolist()], "mse": [error / max(len(Y), 1)]})
+
+    return rows.select(key, order, x, y).groupBy(key).applyInPandas(kernel, f"{key} {kind}, n long, weights array<double>, mse double")
+
+
 def _frequencies(codes: np.ndarray, m: int, eta: float) -> np.ndarray:
     """Averaged frequency of each symbol just before it is coded, starting uniform, without a loop over symbols.
 

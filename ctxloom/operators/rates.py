@@ -104,5 +104,11 @@ def purity(assignment: DataFrame, label: str) -> DataFrame:
     return top.agg(F.round(F.sum("top") / F.sum("n"), 6).alias("purity"))
 
 
+def chance(assignment: DataFrame, label: str) -> DataFrame:
+    """Purity that shuffled labels would give on average in large clusters: the largest label's share."""
+    per = assignment.groupBy(label).agg(F.count("*").alias("n"))
+    return per.agg(F.round(F.max("n") / F.sum("n"), 6).alias("chance"))
+
+
 def contingency(assignment: DataFrame, label: str) -> DataFrame:
     return assignment.groupBy("cluster", F.col(label).alias("label")).agg(F.count("*").alias("reads"))

@@ -230,5 +230,12 @@ ORACLES: dict[str, str] = {
     "quality_by_rate": f"WITH {doc_bits()} SELECT quality, count(*) AS docs, round(sum(bits) / sum(n), 6) AS bpv FROM db JOIN labels USING (doc_id) GROUP BY quality",
     "event_props_rate": f"WITH c AS (SELECT (props::JSON ->> 'k')::BIGINT % 8 AS ctx, {EV} AS sym, count(*) AS n FROM events GROUP BY ALL), cnt AS (SELECT * FROM c) {RATE}",
     "star_revenue_top": "SELECT c_mktsegment, l_returnflag, l_linestatus, count(*) AS n FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey GROUP BY ALL",
+    "context_overlap": f"""WITH {SYM4}, {before(3, 4)}, a AS (SELECT DISTINCT ctx FROM win WHERE k % 2 = 0), b AS (SELECT DISTINCT ctx FROM win WHERE k % 2 = 1)
+      SELECT 'both' AS kind, count(*) AS n FROM a JOIN b USING (ctx) UNION ALL SELECT 'even only', count(*) FROM a WHERE ctx NOT IN (SELECT ctx FROM b) UNION ALL SELECT 'odd only', count(*) FROM b WHERE ctx NOT IN (SELECT ctx FROM a)""",
+    "pivot_types_by_hour": "SELECT hour(ts)::INT AS hour, " + ", ".join(f"count(*) FILTER (event_type = '{x}') AS {x}" for x in EVENT_TYPES) + " FROM events GROUP BY 1",
+    "bits_percentiles": f"WITH {doc_bits()} SELECT lang, " + ", ".join(f"round(quantile_cont(bits / n, {p}), 6) AS p{int(p * 100)}" for p in (0.1, 0.5, 0.9)) + " FROM db WHERE n > 0 GROUP BY lang",
+    "session_lengths": """WITH g AS (SELECT user_id, ts, event_id, epoch_us(ts) - epoch_us(lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id)) AS gap FROM events),
+      m AS (SELECT user_id, sum((coalesce(gap, 1152921504606846976) > 2592000000000)::INT) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS session FROM g),
+      c AS (SELECT user_id, session, count(*) AS events FROM m GROUP BY ALL) SELECT events, count(*) AS sessions FROM c GROUP BY events""",
     "added_counts_class4": f"WITH {SYM4}, {before(1, 4)} SELECT ctx, s AS sym, count(*) AS n FROM win WHERE k % 2 = 0 GROUP BY ALL",
 }

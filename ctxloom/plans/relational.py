@@ -393,6 +393,35 @@ def star_revenue_top(s: SparkSession, d: str) -> DataFrame:
     return j.groupBy("c_mktsegment", "l_returnflag", "l_linestatus").agg(F.count("*").alias("n"))
 
 
+def context_overlap(s: SparkSession, d: str) -> DataFrame:
+    """kind, n: order-2 contexts that both folds show, and those only one does (set operations)."""
+    split = T.class4(s, d)
+    counted = C.count_windows(split.with_df(split.df.withColumn("fold", (F.col("doc_id") % 2).cast("int"))), Previous(3), ("fold",))
+    a, b = (counted.where(f"fold = {k}").select("ctx") for k in (0, 1))
+    size = lambda df, kind: df.agg(F.count("*").alias("n")).select(F.lit(kind).alias("kind"), "n")
+    return size(a.intersect(b), "both").unionByName(size(a.subtract(b), "even only")).unionByName(size(b.subtract(a), "odd only"))
+
+
+def pivot_types_by_hour(s: SparkSession, d: str) -> DataFrame:
+    """hour and a column of counts for each event type."""
+    rows = load(s, d, "events").groupBy(F.hour("ts").alias("hour")).pivot("event_type", list(S.EVENT_TYPES)).count()
+    return rows.fillna(0)
+
+
+def bits_percentiles(s: SparkSession, d: str) -> DataFrame:
+    """lang, p10, p50, p90 of bits per value over documents (exact percentiles)."""
+    rows = _read_bits(s, d).where("n > 0").withColumn("bpv", F.col("bits") / F.col("n"))
+    return rows.groupBy("lang").agg(*[F.round(F.percentile("bpv", p), 6).alias(f"p{int(p * 100)}") for p in (0.1, 0.5, 0.9)])
+
+
+def session_lengths(s: SparkSession, d: str) -> DataFrame:
+    """sessions, events: runs of a user's events with gaps of at most 30 days (gaps and islands), by number of events."""
+    w = Window.partitionBy("user_id").orderBy("ts", "event_id")
+    rows = load(s, d, "events").select("user_id", "ts", "event_id", (F.unix_micros(F.col("ts").cast("timestamp")) - F.unix_micros(F.lag("ts").over(w).cast("timestamp"))).alias("gap"))
+    marked = rows.withColumn("session", F.sum((F.coalesce(F.col("gap"), F.lit(1 << 60)) > 30 * 86_400_000_000).cast("int")).over(w))
+    return marked.groupBy("user_id", "session").agg(F.count("*").alias("events")).groupBy("events").agg(F.count("*").alias("sessions"))
+
+
 def added_counts_class4(s: SparkSession, d: str) -> DataFrame:
     """ctx, sym, n: folds counted apart, added, and one fold subtracted again."""
     stream = T.class4(s, d)
@@ -410,6 +439,6 @@ RELATIONAL = {
         greedy_tree_class4, bins_ev5_k3, binned_rate_class4, applied_bins_ev5, pack_pair_counts, pack_gain, grouped_pairs_rate, chain_state_rate_class4, nested_pair_rate_fixed,
         counter_machine_rate, read_costs_fixed_models, kmeans_3_rounds, header_cost, order_bits, menu_greedy, menu_best_pair, ema_events, ema_location_scale, ema_eta_grid,
         cdf_shift_events, adaptive_order0_ev5, adaptive_order1_ev5, half_life_table, rle_runs_role, rle_runs_class4, rle_rate_class4, cube_bits, rollup_bits, topk_reads,
-        unseen_contexts_anti, hourly_rate, asof_model, block_of_events, quality_by_rate, event_props_rate, star_revenue_top, added_counts_class4,
+        unseen_contexts_anti, hourly_rate, asof_model, block_of_events, quality_by_rate, event_props_rate, star_revenue_top, context_overlap, pivot_types_by_hour, bits_percentiles, session_lengths, added_counts_class4,
     )
 }

@@ -143,14 +143,14 @@ def w7_soft_machine(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def clusters(spark: SparkSession, stream: Stream, spec, sizes: tuple[int, ...], label: str, alpha: float = 0.1) -> DataFrame:
-    """k, reads, model_bpv, header_flat, header_entropy, total_bpv, purity by label, iterations."""
+    """k, reads, model_bpv, header_flat, header_entropy, total_bpv, purity by label, chance (what shuffled labels give), rounds."""
     out = None
     for k in sizes:
         found = K.cluster_models(stream, spec, k, init="spread", alpha=alpha, max_iter=8, tol=1e-3)
         done = materialise(found.assign(stream).join(stream.df.select(*stream.ids, label), list(stream.ids), "left"), "assigned")
         row = (
-            R.total_bpv(done, k).crossJoin(R.header_bpv(done, k)).crossJoin(R.purity(done, label)).crossJoin(done.agg(F.count("*").alias("reads")))
-            .select(F.lit(k).alias("k"), "reads", "model_bpv", "flat_bpv", "entropy_bpv", "total_bpv", "purity", F.lit(len(found.history)).alias("rounds"))
+            R.total_bpv(done, k).crossJoin(R.header_bpv(done, k)).crossJoin(R.purity(done, label)).crossJoin(R.chance(done, label)).crossJoin(done.agg(F.count("*").alias("reads")))
+            .select(F.lit(k).alias("k"), "reads", "model_bpv", "flat_bpv", "entropy_bpv", "total_bpv", "purity", "chance", F.lit(len(found.history)).alias("rounds"))
         )
         out = row if out is None else out.unionByName(row)
     return out
@@ -285,6 +285,18 @@ def w15_consensus(spark: SparkSession, sf_dir: str) -> DataFrame:
     return coded.unionByName(alone).unionByName(one)
 
 
+def w15_reference(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """method, n, bpv: benchmark passages coded against themselves with one symbol in 50 changed, beside order 0: a reference
+    that is near, and one that is another passage."""
+    refs = Stream(load(spark, sf_dir, "benchmark"), "text", 42, "text", ("item_id",)).frame().select("item_id", "syms")
+    refs = materialise(refs, "references")
+    changed = refs.select("item_id", F.transform("syms", lambda x, i: F.when((i + F.col("item_id")) % 50 == 0, (x + 7) % 42).otherwise(x).cast("int")).alias("syms"))
+    other = refs.select((F.col("item_id") + 1).alias("item_id"), "syms")
+    out = R.rate(C.count_windows(array_stream(changed, "syms", 42), Previous(0))).select(F.lit("order 0").alias("method"), "n", "bpv")
+    out = out.unionByName(X.diff_rate(changed, refs, "item_id", 42).select(F.lit("own reference").alias("method"), "n", "bpv"))
+    return out.unionByName(X.diff_rate(changed, other, "item_id", 42).select(F.lit("other reference").alias("method"), "n", "bpv"))
+
+
 def w16_read_order(spark: SparkSession, sf_dir: str) -> DataFrame:
     """reads, order_bits, bits_per_read: what a free order of reads is worth."""
     n = load(spark, sf_dir, "documents").agg(F.sum(F.floor(F.length("text") / 101))).first()[0] or 0
@@ -366,6 +378,6 @@ WORKLOADS = {
     for f in (
         flagship, w1_binning_text42, w1_loss_curve, w2_binning_class4_order3, w3_position_bins, w3_position_previous, w4_nestings, w4_order8, w5_packed_windows, w6_counters,
         w7_soft_machine, w8_clusters_text42, w9_clusters_class4, w9_position_clusters, cluster_histogram, selector_context, w10_half_lives, w11_adaptive_orders,
-        w12_sparse_updates, cdf_path, w13_library, soft_switching, w14_joint_gain, w15_consensus, w16_read_order, w17_null_controls, w18_round_trip, baseline_codes, two_level_bins, integer_loss,
+        w12_sparse_updates, cdf_path, w13_library, soft_switching, w14_joint_gain, w15_consensus, w15_reference, w16_read_order, w17_null_controls, w18_round_trip, baseline_codes, two_level_bins, integer_loss,
     )
 }

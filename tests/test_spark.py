@@ -259,3 +259,14 @@ def test_scan_reads_only_what_it_needs(spark, sf):
     plan = C.count_windows(T.class4(spark, sf).where("lang = 'en'"), X.Previous(1))._jdf.queryExecution().toString()
     scan = [x for x in plan.splitlines() if "ReadSchema" in x][-1]
     assert "n_chars" not in scan.split("ReadSchema")[1] and "lang" in scan.split("PushedFilters")[1]
+
+
+def test_moving_scale_and_regression(spark):
+    r = np.random.default_rng(12)
+    v = r.laplace(0, 3, 4000)
+    x = spark.createDataFrame([(v.tolist(),)], "v array<double>")
+    assert 2.2 < x.select(A.power_scale(F.col("v"), 0.999, 1.0).alias("s")).first().s < 3.8
+    X = r.normal(size=(200, 2))
+    rows_ = [(0, i, a.tolist(), float(a @ [2.0, -1.0])) for i, a in enumerate(X)]
+    got = A.adaptive_regression(spark.createDataFrame(rows_, "k int, o int, x array<double>, y double"), "k", "o", "x", "y", 0.95).first()
+    assert got.n == 200 and np.allclose(got.weights, [2, -1], atol=0.01)
