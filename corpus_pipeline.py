@@ -15,8 +15,9 @@ from ctxloom.session import load, materialise
 
 
 def _kept(docs: DataFrame, decisions: DataFrame) -> DataFrame:
-    """Documents with a row in ``decisions`` (doc_id)."""
-    return docs.join(decisions.select("doc_id").distinct(), "doc_id", "left_semi").select(*docs.columns)
+    """Documents with a row in ``decisions`` (doc_id). Rows that share a doc_id stay or go together; a null one is an id, too."""
+    ids = decisions.select(F.col("doc_id").alias("kept_id"))
+    return docs.join(ids, docs["doc_id"].eqNullSafe(ids["kept_id"]), "left_semi").select(*docs.columns)
 
 
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -38,9 +39,10 @@ def one_of_each(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def mixture(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents as often as the mix takes them: never, once or twice."""
-    copies = mixing.mix_documents(docs).where("copies > 0").select("doc_id", "copies")
+    copies = mixing.mix_documents(docs).groupBy(F.col("doc_id").alias("mixed_id")).agg(F.max("copies").alias("mixed_copies")).where("mixed_copies > 0")
     columns = [docs[c] for c in docs.columns]
-    return docs.join(copies, "doc_id").select(*columns, F.explode(F.sequence(F.lit(1), F.col("copies"))).alias("copy")).drop("copy")
+    taken = docs.join(copies, docs["doc_id"].eqNullSafe(copies["mixed_id"])).select(*columns, F.sequence(F.lit(1), F.col("mixed_copies")).alias("mixed_copies"))
+    return taken.select(*docs.columns, F.explode("mixed_copies").alias("mixed_copy")).drop("mixed_copy")
 
 
 def tokens(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

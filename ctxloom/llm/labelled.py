@@ -9,7 +9,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ctxloom.llm.minhash import _slices
+from ctxloom.llm.textkernel import slices
 
 
 def fold(doc_id: Column, folds: int) -> Column:
@@ -33,7 +33,7 @@ def collect_features(rows: DataFrame, features: Featuriser, mark: str) -> tuple[
     """marks, feature indices and row starts of a bounded sample (doc_id, text, mark): indices are made on the executors."""
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in _slices(batches):
+        for batch in slices(batches):
             row, index, n = features(batch.column(1))
             ends = np.searchsorted(row, np.arange(n + 1))
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), pa.array([index[a:b].astype(np.uint32).tobytes() for a, b in zip(ends[:-1], ends[1:])], pa.binary())], names=["id", "mark", "f"])
@@ -56,7 +56,7 @@ def score_with(docs: DataFrame, features: Featuriser, score: Callable[[np.ndarra
     """Scores every whole text in one narrow pass; ``score`` turns (row, index, rows) into scores from 0 to 1."""
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in _slices(batches):
+        for batch in slices(batches):
             s = score(*features(batch.column(1)))
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), pa.array(s, pa.float64()), pa.array((s >= threshold).astype(np.int32))], names=["doc_id", "held_out", "score", "predicted"])
 

@@ -19,12 +19,12 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ctxloom.llm import labelled as L
 from ctxloom.llm import textkernel as K
-from ctxloom.llm.minhash import _slices
+from ctxloom.llm.textkernel import slices
 from ctxloom.session import load
 
 SLOTS = 1 << 20
@@ -39,24 +39,20 @@ _LETTER[97:123] = np.arange(97, 123)
 _LETTER[128:] = np.arange(128, 256)
 
 
-def grams(texts: pa.Array) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
-    """(first row, row of each window, 4-gram) over runs of rows."""
+def grams(texts: pa.Array) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """(row of each window, 4-gram), piece by piece."""
     data, offsets = K.flat_bytes(K.lower(texts))
-    rows = len(offsets) - 1
-    for r0 in range(0, rows, 128):
-        r1 = min(r0 + 128, rows)
-        part = _LETTER[data[offsets[r0] : offsets[r1]]]
-        if len(part) < 4:
-            continue
-        row = np.repeat(np.arange(r0, r1), np.diff(offsets[r0 : r1 + 1]))
-        keep = np.ones(len(part), bool)
-        keep[1:] = (part[1:] != 32) | (part[:-1] != 32) | (row[1:] != row[:-1])
-        part, row = part[keep].astype(np.uint32), row[keep]
-        if len(part) < 4:
-            continue
-        gram = part[:-3] | part[1:-2] << np.uint32(8) | part[2:-1] << np.uint32(16) | part[3:] << np.uint32(24)
-        inside = row[:-3] == row[3:]
-        yield r0, row[:-3][inside], gram[inside]
+    letters = _LETTER[data]
+    keep = np.ones(len(letters), bool)
+    keep[1:] = (letters[1:] != 32) | (letters[:-1] != 32)
+    keep[offsets[:-1][np.diff(offsets) > 0]] = True
+    letters, offsets = letters[keep], np.concatenate([[0], np.cumsum(keep)])[offsets]
+    for a, b, row in K.chunks(offsets, 3):
+        part = letters[a:b].astype(np.uint32)
+        if len(part) > 3:
+            inside = row[:-3] == row[3:]
+            gram = part[:-3] | part[1:-2] << np.uint32(8) | part[2:-1] << np.uint32(16) | part[3:] << np.uint32(24)
+            yield row[:-3][inside], gram[inside]
 
 
 def _slots(gram: np.ndarray) -> list[np.ndarray]:
@@ -97,8 +93,10 @@ class LanguageFilters:
         """Share of each row's windows per language without false positives, and the rows' windows."""
         rows = len(texts)
         hits, seen = np.zeros((rows, len(self.languages))), np.zeros(rows, np.int64)
-        for r0, row, gram in grams(texts):
-            n = min(128, rows - r0)
+        for row, gram in grams(texts):
+            if not len(row):
+                continue
+            r0, n = int(row[0]), int(row[-1] - row[0]) + 1
             seen[r0 : r0 + n] += np.bincount(row - r0, minlength=n)
             mask = self.languages_of(gram)
             for i in range(len(self.languages)):
@@ -127,10 +125,10 @@ def train(docs: DataFrame) -> LanguageFilters:
     sample = L.thinned(known, {name: PER_LANGUAGE for name in most}, F.col("lang")).select("lang", "text")
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in _slices(batches):
+        for batch in slices(batches):
             langs = np.array(batch.column(0).to_pylist(), object)
             out: dict[str, list] = {}
-            for _, row, gram in grams(batch.column(1)):
+            for row, gram in grams(batch.column(1)):
                 for name in set(langs[np.unique(row)]):
                     out.setdefault(name, []).append(gram[langs[row] == name])
             for name, parts in out.items():
@@ -140,7 +138,7 @@ def train(docs: DataFrame) -> LanguageFilters:
     counts = sample.mapInArrow(kernel, "lang string, gram long, n long").groupBy("lang", "gram").agg(F.sum("n").alias("n"))
     # the most frequent GRAMS of each language: at most LANGUAGES * GRAMS rows reach the driver
     floor = F.lit(3)
-    got = counts.where(F.col("n") >= floor).withColumn("rank", F.row_number().over(_by_count())).where(F.col("rank") <= GRAMS).select("lang", "gram", "n").toArrow()
+    got = counts.where(F.col("n") >= floor).withColumn("rank", F.row_number().over(Window.partitionBy("lang").orderBy(F.desc("n"), "gram"))).where(F.col("rank") <= GRAMS).select("lang", "gram", "n").toArrow()
     langs, gram, n = np.array(got.column("lang").to_pylist(), object), got.column("gram").to_numpy().astype(np.uint32), got.column("n").to_numpy().astype(float)
     per = {}
     for name in sorted(set(langs)):
@@ -150,12 +148,6 @@ def train(docs: DataFrame) -> LanguageFilters:
     return LanguageFilters.build(per)
 
 
-def _by_count():
-    from pyspark.sql import Window
-
-    return Window.partitionBy("lang").orderBy(F.desc("n"), "gram")
-
-
 RESULT = "doc_id long, held_out boolean, lang_pred string, score double"
 
 
@@ -164,7 +156,7 @@ def identify(docs: DataFrame, filters: LanguageFilters) -> DataFrame:
     sent = docs.sparkSession.sparkContext.broadcast(filters)
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in _slices(batches):
+        for batch in slices(batches):
             names, score = sent.value.predict(batch.column(1))
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), pa.array(names, pa.string()), pa.array(score, pa.float64())], names=["doc_id", "held_out", "lang_pred", "score"])
 

@@ -14,7 +14,7 @@ one block becomes pairs of blocks. Only the links that connect a block's documen
 turn into millions of pairs. A missed pair needs all bands to differ: under 4e-5 at similarity 0.8.
 
 Null and empty texts are one class (no words). Texts under five words are alike only if they are equal after trimming.
-Repeated rows are copies. An empty table gives an empty result. Clashing columns of the input do not matter: only the id
+Repeated rows are copies with one id; they stay or go together. Rows without an id are copies of others or stay. An empty table gives an empty result. Clashing columns of the input do not matter: only the id
 and the text are read.
 """
 
@@ -26,12 +26,12 @@ from collections.abc import Iterator
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ctxloom.llm import textkernel as K
 from ctxloom.llm.components import components
+from ctxloom.llm.textkernel import slices
 from ctxloom.session import load, materialise
 
 SHINGLE = 5
@@ -109,19 +109,8 @@ def band_keys(times: np.ndarray, bands: int = BANDS, per_band: int = ROWS) -> np
 SIGNED = "id long, class_key string, units long, bands array<long>"
 
 
-def _slices(batches: Iterator[pa.RecordBatch], most: int = 8 << 20) -> Iterator[pa.RecordBatch]:
-    """Batches cut so that each holds a few MB of text, or one row."""
-    for batch in batches:
-        sizes = np.cumsum(pc.fill_null(pc.binary_length(batch.column(1)), 0).to_numpy(zero_copy_only=False) + 64)
-        a = 0
-        while a < len(sizes):
-            b = max(a + 1, int(np.searchsorted(sizes, (sizes[a - 1] if a else 0) + most)))
-            yield batch.slice(a, b - a)
-            a = b
-
-
 def _sign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch in _slices(batches):
+    for batch in slices(batches):
         texts = batch.column(1)
         row, key, count, rows = shingles(texts)
         units = np.bincount(row, count, rows).astype(np.int64)
@@ -219,7 +208,7 @@ def near_duplicates(docs: DataFrame, similarity: float = SIMILARITY) -> DataFram
     signed = materialise(sign(docs), "signed")
     classes = signed.groupBy("class_key").agg(F.min("id").alias("class_id"), F.first("units").alias("units"), F.first("bands").alias("bands"))
     classes = materialise(classes, "classes")
-    placed = classes.where(F.size("bands") > 0).select(F.col("class_id").alias("id"), "units", F.posexplode("bands").alias("band", "bucket"))
+    placed = classes.where((F.size("bands") > 0) & F.col("class_id").isNotNull()).select(F.col("class_id").alias("id"), "units", F.posexplode("bands").alias("band", "bucket"))
     mark = F.xxhash64("id")
     buckets = placed.groupBy("band", "bucket").agg(
         F.count("*").alias("n"), F.sum("units").alias("load"), F.max("units").alias("longest"), F.min("id").alias("first"), F.bit_xor(mark).alias("x"), F.sum(mark.cast("decimal(38,0)")).alias("y")
@@ -240,7 +229,7 @@ def near_duplicates(docs: DataFrame, similarity: float = SIMILARITY) -> DataFram
     links = met.groupBy("band", "bucket", "lo", "hi").applyInPandas(_verify(similarity), "a long, b long")
     roots = components(links)
     of_class = classes.select("class_key", "class_id").join(roots, F.col("class_id") == F.col("node"), "left").select("class_key", "class_id", F.coalesce("root", "class_id").alias("group_id"))
-    return signed.select("id", "class_key").join(of_class, "class_key").select(F.col("id").alias("doc_id"), "class_id", "group_id", (F.col("id") == F.col("group_id")).alias("keep"))
+    return signed.select("id", "class_key").join(of_class, "class_key").select(F.col("id").alias("doc_id"), "class_id", "group_id", F.col("id").eqNullSafe(F.col("group_id")).alias("keep"))
 
 
 def op5_bagminhash(spark: SparkSession, sf_dir: str) -> DataFrame:

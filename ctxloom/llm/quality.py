@@ -36,21 +36,20 @@ def features(texts: pa.Array) -> tuple[np.ndarray, np.ndarray, int]:
     data, offsets = K.flat_bytes(texts)
     rows = len(offsets) - 1
     keys: list[np.ndarray] = []
-    for r0 in range(0, rows, 256):  # few rows at a time: the arrays below are several times the text
-        a, b = offsets[r0], offsets[min(r0 + 256, rows)]
-        part, at = data[a:b], offsets[r0 : min(r0 + 256, rows) + 1] - a
-        if len(part) < 3:
-            continue
-        row = np.repeat(np.arange(r0, r0 + len(at) - 1), np.diff(at))
-        gram = part[:-2].astype(np.int64) | part[1:-1].astype(np.int64) << 8 | part[2:].astype(np.int64) << 16
-        keys.append(_distinct(row[:-2], gram, row[:-2] == row[2:]))
-        shape = _SHAPE[part].astype(np.int64)
-        change = np.ones(len(part), bool)  # runs of one class count as one
-        change[1:] = (shape[1:] != shape[:-1]) | (row[1:] != row[:-1])
-        run, run_row = shape[change], row[change]
-        if len(run) >= 5:
+    for a, b, row in K.chunks(offsets, 2):
+        part = data[a:b].astype(np.int64)
+        if len(part) > 2:
+            keys.append(_distinct(row[:-2], part[:-2] | part[1:-1] << 8 | part[2:] << 16, row[:-2] == row[2:]))
+    shape = _SHAPE[data]
+    change = np.ones(len(data), bool)  # runs of one class count as one
+    change[1:] = shape[1:] != shape[:-1]
+    change[offsets[:-1][np.diff(offsets) > 0]] = True
+    runs = shape[change]
+    for a, b, row in K.chunks(np.concatenate([[0], np.cumsum(change)])[offsets], 4):
+        run = runs[a:b].astype(np.int64)
+        if len(run) > 4:
             code = sum(run[i : len(run) - 4 + i] << (3 * i) for i in range(5))
-            keys.append(_distinct(run_row[:-4], code | 1 << 25, run_row[:-4] == run_row[4:]))
+            keys.append(_distinct(row[:-4], code | 1 << 25, row[:-4] == row[4:]))
     w = K.words(texts)
     owner = K.owners(w.starts)
     for lag in (1, 2):

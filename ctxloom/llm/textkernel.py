@@ -7,6 +7,7 @@ Null texts count as empty. Long texts are hashed in pieces of a few MB that end
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from typing import NamedTuple
 
 import numpy as np
@@ -58,6 +59,17 @@ def flat_bytes(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return data, offsets - offsets[0]
 
 
+def slices(batches: Iterator[pa.RecordBatch], most: int = 8 << 20) -> Iterator[pa.RecordBatch]:
+    """Batches cut so that each holds a few MB of text, or one row."""
+    for batch in batches:
+        sizes = np.cumsum(pc.fill_null(pc.binary_length(batch.column(1)), 0).to_numpy(zero_copy_only=False) + 64)
+        a = 0
+        while a < len(sizes):
+            b = max(a + 1, int(np.searchsorted(sizes, (sizes[a - 1] if a else 0) + most)))
+            yield batch.slice(a, b - a)
+            a = b
+
+
 def lower(texts: pa.Array) -> pa.Array:
     return pc.utf8_lower(texts.cast(pa.large_string()))
 
@@ -102,6 +114,17 @@ def owners(starts: np.ndarray) -> np.ndarray:
     return np.repeat(np.arange(len(starts) - 1), np.diff(starts))
 
 
+def chunks(offsets: np.ndarray, overlap: int, most: int = 1 << 20):
+    """(a, b, row of each element of a:b) over flat rows: pieces of at most ``most`` elements that overlap, whatever the rows' lengths."""
+    n = int(offsets[-1])
+    for a in range(0, n, most):
+        b = min(a + most + overlap, n)
+        first = int(np.searchsorted(offsets, a, "right")) - 1
+        last = int(np.searchsorted(offsets, b, "left"))
+        inside = np.clip(offsets[first : last + 1], a, b)
+        yield a, b, np.repeat(np.arange(first, last), np.diff(inside))
+
+
 def windows(w: Words, k: int) -> Words:
     """Hashes of all k neighbouring words that lie in one document."""
     n = len(w.hashes) - k + 1

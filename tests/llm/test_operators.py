@@ -65,6 +65,17 @@ def test_words(piece, monkeypatch):
     assert sliced.hashes.tolist() == w.hashes[w.starts[3] : w.starts[5]].tolist()
 
 
+@pytest.mark.parametrize("most", [7, 1 << 20])
+def test_chunks_cover_all_windows(most):
+    offsets = np.array([0, 3, 3, 20, 21, 40])
+    seen = []
+    for a, b, row in textkernel.chunks(offsets, 2, most):
+        assert len(row) == b - a
+        inside = row[:-2] == row[2:]
+        seen += [(int(r), a + int(i)) for i, r in zip(np.flatnonzero(inside), row[:-2][inside])]
+    assert seen == [(r, i) for r in range(5) for i in range(offsets[r], offsets[r + 1] - 2)]
+
+
 # sharding
 
 
@@ -304,8 +315,8 @@ def test_near_duplicates(spark, sf, block, monkeypatch):
 
 
 def test_near_duplicates_of_odd_rows(odd, none):
-    got = minhash.near_duplicates(odd.where("doc_id is not null")).toPandas()
-    assert len(got) == 11 and got[got.doc_id == 2].group_id.tolist() == [1] and minhash.near_duplicates(none).count() == 0
+    got = minhash.near_duplicates(odd).toPandas()
+    assert len(got) == 12 and got.keep.notna().all() and got[got.doc_id == 2].group_id.tolist() == [1] and minhash.near_duplicates(none).count() == 0
 
 
 def test_components(spark):
