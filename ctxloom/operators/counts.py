@@ -30,6 +30,8 @@ def count_windows(stream: Stream, spec: Context, by: tuple[str, ...] = ()) -> Da
     m, flat = stream.m, stream.flat
     by = tuple(c for c in by if c != stream.payload)
     groups = [stream.df.schema[c] for c in by]
+    if spec.size(m) * m >= 1 << 62:
+        raise ValueError("context codes would not fit 64 bits; bin the contexts or lower the order")
     dense = spec.size(m) * m <= DENSE_CELLS and not by
     schema = schema_with(T.StructType(groups), "ctx long, sym int, n long")
 

@@ -33,27 +33,28 @@ class _Splits(DataSourceReader):
 
 
 class FastqReader(_Splits):
+    @staticmethod
+    def first_record(f, begin: int) -> int | None:
+        """Place of the first record that starts at or after ``begin``: a line with @ two lines before one with +."""
+        if not begin:
+            return 0
+        f.seek(begin - 1)
+        f.readline()
+        window: list[tuple[int, bytes]] = []
+        while True:
+            at = f.tell()
+            line = f.readline()
+            if not line:
+                return None
+            window = [*window[-2:], (at, line[:1])]
+            if [mark for _, mark in window][::2] == [b"@", b"+"] and window[1][1] not in (b"@", b"+"):
+                return window[0][0]
+
     def read(self, part: Range) -> Iterator[tuple]:
         with open(part.path, "rb") as f:
-            begin = part.begin
-            if begin:  # to the next record: a line starting with @ two lines before one starting with +
-                f.seek(begin - 1)
-                f.readline()
-                begin = f.tell()
-                lines = []
-                while True:
-                    at = f.tell()
-                    line = f.readline()
-                    if not line:
-                        break
-                    lines.append((at, line))
-                    if len(lines) >= 3 and lines[-3][1][:1] == b"@" and lines[-1][1][:1] == b"+" and lines[-2][1][:1] not in (b"@", b"+"):
-                        begin = lines[-3][0]
-                        break
-                else:
-                    return
-                if not line:
-                    return
+            begin = self.first_record(f, part.begin)
+            if begin is None:
+                return
             f.seek(begin)
             while f.tell() < part.end:
                 head, bases, plus, quality = (f.readline().rstrip(b"\r\n").decode() for _ in range(4))
