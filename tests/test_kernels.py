@@ -188,6 +188,14 @@ def test_adaptive_on_switching_and_stationary_sources():
     assert len(dense) == len(sparse) == 6000 and len(trail) == 6 and sparse.min() >= 1
 
 
+def test_written_out_loop_is_the_general_one():
+    r = np.random.default_rng(6)
+    x, c = r.integers(0, 4, 3000), r.integers(0, 9, 3000)
+    fast, _ = A.scan_cdfs(x, c, 4, 5)
+    slow, _ = A.scan_cdfs(x, c, 4, 5, trace=10)
+    assert (fast == slow).all()
+
+
 def test_coder_round_trip_and_size():
     r = np.random.default_rng(3)
     p = np.array([0.7, 0.2, 0.05, 0.05])
