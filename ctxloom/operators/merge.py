@@ -18,7 +18,7 @@ from pyspark.sql import functions as F
 
 from ctxloom.operators import counts as C
 
-MAX_CONTEXTS = 4096
+MAX_CONTEXTS = 8192
 
 
 def g(n: np.ndarray) -> np.ndarray:
