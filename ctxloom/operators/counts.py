@@ -62,6 +62,33 @@ def count_windows(stream: Stream, spec: Context, by: tuple[str, ...] = ()) -> Da
     return partial.groupBy(*by, "ctx", "sym").agg(F.sum("n").alias("n"))
 
 
+def count_many(stream: Stream, specs: list[Context]) -> DataFrame:
+    """(spec, ctx, sym, n) of several contexts from one scan; ``spec`` is the place in the list."""
+    m, flat = stream.m, stream.flat
+    if max(x.size(m) for x in specs) * m >= 1 << 62:
+        raise ValueError("context codes would not fit 64 bits; bin the contexts or lower the order")
+
+    def batch_of(spec: int, key: np.ndarray, n: np.ndarray) -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays([pa.array(np.full(len(key), spec, np.int32)), pa.array(key // m), pa.array((key % m).astype(np.int32)), pa.array(n.astype(np.int64))], names=["spec", "ctx", "sym", "n"])
+
+    def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        totals = {i: np.zeros(x.size(m) * m, np.int64) for i, x in enumerate(specs) if x.size(m) * m <= DENSE_CELLS}
+        for batch in pieces(batches):
+            f = flat(batch.column(0))
+            for i, x in enumerate(specs):
+                ctx, valid = x.codes(f, m)
+                key = (ctx * m + f.codes)[valid]
+                if i in totals:
+                    totals[i] += np.bincount(key, minlength=len(totals[i]))
+                else:
+                    yield batch_of(i, *np.unique(key, return_counts=True))
+        for i, total in totals.items():
+            key = np.flatnonzero(total)
+            yield batch_of(i, key, total[key])
+
+    return stream.select().mapInArrow(kernel, "spec int, ctx long, sym int, n long").groupBy("spec", "ctx", "sym").agg(F.sum("n").alias("n"))
+
+
 def smooth(counts: DataFrame, eps: float, contexts: int, m: int, observed: bool = False) -> DataFrame:
     """Adds ``eps`` to every cell of the joint table: of all contexts, or of the observed ones. n becomes a double."""
     spark = counts.sparkSession

@@ -138,31 +138,32 @@ class Chain:
         return [1 << max(0, (n - 1).bit_length()) for n in self.sizes] if pow2 else list(self.sizes)
 
 
-def bin_chain(stream: Stream, sizes: list[int], mode: str = "levels") -> Chain:
+def lag_tables(stream: Stream, depth: int) -> list[np.ndarray]:
+    """(m, m) counts of (value at distance j, symbol) for j = 1 .. depth, from one scan."""
+    out = [np.zeros((stream.m, stream.m), np.int64) for _ in range(depth)]
+    for r in C.count_many(stream, [Lag(j) for j in range(1, depth + 1)]).toLocalIterator():
+        out[r.spec][r.ctx, r.sym] = r.n
+    return out
+
+
+def bin_chain(stream: Stream, sizes: list[int], mode: str = "levels", lags: list[np.ndarray] | None = None) -> Chain:
     """Level 1 bins the previous value; level j bins level j - 1's bins by how the value at distance j predicts.
 
-    ``one_tree`` cuts a single tree at all sizes instead: cuts of one tree are nested.
+    ``one_tree`` cuts a single tree at all sizes instead: cuts of one tree are nested. ``lags`` may hold the counts already.
     """
     m = stream.m
+    lags = lags or lag_tables(stream, 1 if mode == "one_tree" else len(sizes))
     if mode == "one_tree":
-        codes, table = C.matrix(C.count_windows(stream, Lag(1)), m)
-        full = np.zeros((m, m), np.int64)
-        full[codes] = table
-        tree = M.tree_of(np.arange(m), full)
-        cuts = M.cut_many(tree, [M.MaxBins(s) for s in sizes])
-        reduce = [np.array([int(b[a == i][0]) if (a == i).any() else 0 for i in range(int(a.max()) + 1)]) for a, b in zip(cuts, cuts[1:])]
+        cuts = M.cut_many(M.tree_of(np.arange(m), lags[0]), [M.MaxBins(s) for s in sizes])
+        reduce = [np.array([int(b[a == i][0]) for i in range(int(a.max()) + 1)]) for a, b in zip(cuts, cuts[1:])]
         return Chain(m, cuts[0], reduce, [int(c.max()) + 1 for c in cuts])
     chain: Chain | None = None
-    for lag, size in enumerate(sizes, 1):
-        codes, table = C.matrix(C.count_windows(stream, Lag(lag)), m)
-        full = np.zeros((m, m), np.int64)
-        full[codes] = table
+    for size, table in zip(sizes, lags):
         if chain is not None:
-            own = chain.level_table(chain.depth - 1)
             summed = np.zeros((chain.sizes[-1], m), np.int64)
-            np.add.at(summed, own, full)
-            full = summed
-        bins = M.cut(M.tree_of(np.arange(len(full)), full), M.MaxBins(size)) if size < len(full) else np.arange(len(full))
+            np.add.at(summed, chain.level_table(chain.depth - 1), table)
+            table = summed
+        bins = M.cut(M.tree_of(np.arange(len(table)), table), M.MaxBins(size)) if size < len(table) else np.arange(len(table))
         n = int(bins.max()) + 1
         chain = Chain(m, bins, [], [n]) if chain is None else Chain(m, chain.first, [*chain.reduce, bins], [*chain.sizes, n])
     return chain

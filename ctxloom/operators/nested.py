@@ -14,7 +14,8 @@ from pyspark.sql import functions as F
 
 from ctxloom.operators import counts as C
 from ctxloom.operators import merge as M
-from ctxloom.operators.contexts import Binned, DelayedBin, Previous, Product
+from ctxloom.operators import rates as R
+from ctxloom.operators.contexts import Binned, DelayedBin, From, Previous, Product
 from ctxloom.operators.stream import Flat, Stream
 
 
@@ -54,14 +55,10 @@ def nest_symmetric(stream: Stream, levels: list[int]) -> Nesting:
 def nest_asymmetric(stream: Stream, near_bins: int, far_bins: int) -> Nesting:
     """A separate, stronger reduction for the pair further away: chosen by how that pair predicts the symbol."""
     near, _, _ = bin_context(stream, Previous(2), near_bins)
-    far, _, _ = bin_context(stream, DelayedBin(_plain_pair(stream.m), 2), far_bins)
+    far, _, _ = bin_context(stream, DelayedBin(Previous(2), 2), far_bins)
     return Nesting(Product((near, far)), near.bins * far.bins, 2, "asymmetric")
 
 
-def _plain_pair(m: int):
-    return Previous(2)
-
-
 def far_from_near(stream: Stream, near_bins: int, shift: int) -> Nesting:
     """One table: the far bin is the near one without its low ``shift`` bits. Bins of the near pair are merged by how the far
     pair predicts, and numbered so that the shift gives those groups."""
@@ -127,12 +124,7 @@ def nest_with(stream: Stream, a, b, bins: int) -> Nesting:
 
 
 def compare_nestings(stream: Stream, nestings: list[Nesting], start: int) -> DataFrame:
-    """kind, states, lookups, bpv of each nesting over the same windows (those from place ``start`` on)."""
-    from ctxloom.operators import rates as R
-    from ctxloom.operators.contexts import From
-
-    out = None
-    for x in nestings:
-        row = R.rate(C.count_windows(stream, From(x.spec, start))).select(F.lit(x.kind).alias("kind"), F.lit(x.states).alias("states"), F.lit(x.lookups).alias("lookups"), "n", "bpv")
-        out = row if out is None else out.unionByName(row)
-    return out
+    """kind, states, lookups, bpv of each nesting over the same windows (those from place ``start`` on), in one scan."""
+    rated = R.rate(C.count_many(stream, [From(x.spec, start) for x in nestings]), "spec")
+    names = stream.df.sparkSession.createDataFrame([(i, x.kind, x.states, x.lookups) for i, x in enumerate(nestings)], "spec int, kind string, states int, lookups int")
+    return names.join(rated, "spec").select("kind", "states", "lookups", "n", "bpv")

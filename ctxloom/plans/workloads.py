@@ -106,13 +106,13 @@ def w4_order8(spark: SparkSession, sf_dir: str) -> DataFrame:
 def w5_packed_windows(spark: SparkSession, sf_dir: str) -> DataFrame:
     """machine, states, n, bpv: chained bins packed in one table, against the same bins computed apart."""
     stream = T.text42(spark, sf_dir)
-    rows = None
-    for name, sizes, mode in (("16-4-2-2", [16, 4, 2, 2], "levels"), ("16-4-2-2 one tree", [16, 4, 2, 2], "one_tree"), ("8-8-4", [8, 8, 4], "levels"), ("2^8", [2] * 8, "levels")):
-        chain = H.bin_chain(stream, sizes, mode)
-        table = H.chain_transition(chain)
-        row = R.rate(H.count_states(stream, table, 0, chain.depth)).select(F.lit(name).alias("machine"), F.lit(len(table)).alias("states"), "n", "bpv")
-        rows = row if rows is None else rows.unionByName(row)
-    return rows
+    lags = H.lag_tables(stream, 8)
+    plans = (("16-4-2-2", [16, 4, 2, 2], "levels"), ("16-4-2-2 one tree", [16, 4, 2, 2], "one_tree"), ("8-8-4", [8, 8, 4], "levels"), ("2^8", [2] * 8, "levels"))
+    chains = [H.bin_chain(stream, sizes, mode, lags) for _, sizes, mode in plans]
+    machines = [H.machine(H.chain_transition(c), 0, c.depth) for c in chains]
+    rated = R.rate(C.count_many(stream, machines), "spec")
+    names = rows_of(spark, "spec int, machine string, states int", [(i, p[0], len(x.table)) for i, (p, x) in enumerate(zip(plans, machines))])
+    return names.join(rated, "spec").select("machine", "states", "n", "bpv")
 
 
 def w6_counters(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -191,11 +191,12 @@ def selector_context(spark: SparkSession, sf_dir: str) -> DataFrame:
     return one.unionByName(large).unionByName(four)
 
 
-def blocks_of(spark: SparkSession, sf_dir: str, group: int = 1) -> tuple[DataFrame, int, int]:
+def blocks_of(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, int, int]:
     stream = T.class4(spark, sf_dir)
     total = stream.df.agg(F.sum(F.length("text"))).first()[0] or 0
     block = next(b for least, b in BLOCKS if total >= least)
-    return A.long_blocks(stream, block), stream.m, block
+    # a partition per block: the scans are sequential inside a block and independent across blocks
+    return A.long_blocks(stream, block).repartitionByRange(max(1, total // block), "block_no"), stream.m, block
 
 
 def w10_half_lives(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -204,14 +205,14 @@ def w10_half_lives(spark: SparkSession, sf_dir: str) -> DataFrame:
     from ctxloom.functions.symbols import group_symbols
 
     pairs = blocks.select("block_no", group_symbols(F.col("syms"), 2, m).alias("syms"))
-    found = A.fit_eta(pairs.repartition("block_no"), m * m)
+    found = A.fit_eta(pairs, m * m)
     return found.select("block_no", "n", *[F.round(c, 6).alias(c) for c in ("eta", "half_life", "bpv")])
 
 
 def w11_adaptive_orders(spark: SparkSession, sf_dir: str) -> DataFrame:
     """ord, n, adaptive, static bpv for orders 0 to 8 at shift 8."""
     blocks, m, _ = blocks_of(spark, sf_dir)
-    return A.adaptive_vs_static(blocks.repartition("block_no"), m, list(range(9)), 8)
+    return A.adaptive_vs_static(blocks, m, list(range(9)), 8)
 
 
 def w12_sparse_updates(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -229,7 +230,7 @@ def w12_sparse_updates(spark: SparkSession, sf_dir: str) -> DataFrame:
 def cdf_path(spark: SparkSession, sf_dir: str) -> DataFrame:
     """block_no, at, ctx, cdf: order-1 functions along the sequence, every 1000 symbols."""
     blocks, m, _ = blocks_of(spark, sf_dir)
-    return A.cdf_trace(blocks.repartition("block_no"), m, 1, 8, 1000)
+    return A.cdf_trace(blocks, m, 1, 8, 1000)
 
 
 def w13_library(spark: SparkSession, sf_dir: str) -> DataFrame:
