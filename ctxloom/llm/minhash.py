@@ -37,7 +37,7 @@ from ctxloom.session import load, materialise
 SHINGLE = 5
 SIMILARITY = 0.8
 BANDS, ROWS = 26, 5
-BLOCK_UNITS = 2_000_000  # shingle occurrences on one side of a block pair
+BLOCK_UNITS = 1_000_000  # shingle occurrences on one side of a block pair
 BLOCK_DOCS = 1024
 FILTER_BITS = 1 << 24
 
