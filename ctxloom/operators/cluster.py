@@ -296,6 +296,12 @@ def train_library(stream: Stream, spec: Context, n: int = 20, **options) -> Clus
     return cluster_models(stream, spec, n, **options)
 
 
+def _same_file(left: DataFrame, right: DataFrame, file: str) -> DataFrame:
+    """Inner join on the file key, where null is a file, too."""
+    named = right.withColumnRenamed(file, "_file")
+    return left.join(named, left[file].eqNullSafe(named["_file"])).drop("_file")
+
+
 def choose_menu(costs: DataFrame, file: str, k: int, size: int = 4, method: str = "greedy") -> DataFrame:
     """file, menu array<int>, bits: the models with least total bits when each read takes its best of them.
 
@@ -310,8 +316,8 @@ def choose_menu(costs: DataFrame, file: str, k: int, size: int = 4, method: str
             per = rows.groupBy(file).agg(*sums)
             ranked = F.array_min(F.array(*[F.struct(F.round(f"s{j}", 6).alias("bits"), F.lit(j).alias("pick")) for j in range(k)]))
             pick = per.select(file, ranked.alias("r")).select(file, F.col("r.pick").alias("pick"), F.col("r.bits").alias("total"))
-            menus = pick.select(file, F.array("pick").alias("menu"), "total") if menus is None else menus.drop("total").join(pick, file).select(file, F.array_append("menu", F.col("pick")).alias("menu"), "total")
-            rows = rows.join(pick.select(file, "pick"), file).select(file, "bits", F.least("best", F.get("bits", F.col("pick"))).alias("best"))
+            menus = pick.select(file, F.array("pick").alias("menu"), "total") if menus is None else _same_file(menus.drop("total"), pick, file).select(file, F.array_append("menu", F.col("pick")).alias("menu"), "total")
+            rows = _same_file(rows, pick.select(file, "pick"), file).select(file, "bits", F.least("best", F.get("bits", F.col("pick"))).alias("best"))
         return menus.select(file, F.array_sort("menu").alias("menu"), F.col("total").alias("bits"))
     from itertools import combinations
 
@@ -338,7 +344,7 @@ def choose_menu(costs: DataFrame, file: str, k: int, size: int = 4, method: str
 
 def menu_costs(costs: DataFrame, menus: DataFrame, file: str) -> DataFrame:
     """Each read's cost under its file's menu, and its choice (place in the menu)."""
-    joined = costs.join(menus.select(file, "menu"), file)
+    joined = _same_file(costs, menus.select(file, "menu"), file)
     ranked = F.transform("menu", lambda j, i: F.struct(F.round(F.get(F.col("bits"), j), 9).alias("bits"), i.alias("choice")))
     return joined.withColumn("_b", F.array_min(ranked)).withColumn("choice", F.col("_b.choice")).withColumn("bits", F.col("_b.bits")).drop("_b", "menu")
 

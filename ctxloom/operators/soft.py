@@ -50,8 +50,10 @@ def batch_gradient(f: Flat, T: np.ndarray, d: np.ndarray, start: np.ndarray) ->
     for t in range(longest - 1, -1, -1):
         live, x = lives[t], symbols[t]
         here = P[t, :live]
-        np.add.at(gT, x, here[:, :, None] * back[:live, None, :])
-        np.add.at(gd, x, here)
+        for s in np.unique(x):
+            own = x == s
+            gT[s] += here[own].T @ back[:live][own]
+            gd[s] += here[own].sum(axis=0)
         back[:live] = d[x] + np.einsum("nst,nt->ns", T[x], back[:live])
     return objective, gT, gd, mixed
 

@@ -1,8 +1,11 @@
 """Queries must do the whole job: every document, every symbol, every value."""
 
-import pytest
-
+from ctxloom.operators import cluster as K
 from ctxloom.operators import coder as Z
+from ctxloom.operators import counts as C
+from ctxloom.operators import rates as R
+from ctxloom.operators.contexts import Previous
+from ctxloom.plans import streams as T
 from ctxloom.plans import workloads as W
 
 DOCS = "doc_id long, text string, lang string, source string, n_chars long"
@@ -24,3 +27,26 @@ def test_round_trip_codes_every_symbol(spark, tmp_path, monkeypatch):
     decode = Z.decode
     monkeypatch.setattr(Z, "decode", lambda *a: decode(*a).where("read_no < 2"))  # a decoder that loses a tail
     assert W.w18_round_trip(spark, sf).first().wrong == 1
+
+
+def test_soft_machine_reads_the_whole_stream(spark, tmp_path):
+    sf = folder(spark, tmp_path, [(i, ("aeiou " if i % 2 else "bcd 1 ") * 5 * (1 + i), "en") for i in range(8)], ("conversations", "events"))
+    got = W.w7_soft_machine(spark, sf).where("stream = 'class4'").first()
+    assert got.order0_bpv == R.rate(C.count_windows(T.class4(spark, sf), Previous(0))).first().bpv
+
+
+def test_menus_keep_files_without_a_name(spark):
+    costs = spark.createDataFrame([(None, [3.0, 1.0], 2), (None, [4.0, 2.0], 2), ("a", [1.0, 5.0], 2)], "f string, bits array<double>, n int")
+    for method in ("greedy", "exhaustive"):
+        for size in (1, 2):
+            menus = K.choose_menu(costs, "f", 2, size, method)
+            assert {r.f: r.bits for r in menus.collect()} == {None: 3.0, "a": 1.0}
+            assert K.menu_costs(costs, menus, "f").agg({"bits": "sum"}).first()[0] == 4.0
+
+
+def test_library_is_trained_on_every_read(spark, tmp_path, monkeypatch):
+    sf = folder(spark, tmp_path, [(i, "some words, and 1 more. " * 9, None if i % 2 else "en") for i in range(20)])
+    trained = []
+    train = K.train_library
+    monkeypatch.setattr(K, "train_library", lambda *a, **o: trained.append(o.get("sample", 1.0)) or train(*a, **o))
+    assert {r.reads for r in W.w13_library(spark, sf).collect()} == {20 * 2} and trained == [1.0]
