@@ -167,8 +167,8 @@ def fit_eta(blocks: DataFrame, m: int, grid: list[float] | None = None) -> DataF
     return blocks.select(F.col("block_no").cast("long"), "syms").mapInArrow(kernel, "block_no long, n long, eta double, half_life double, bpv double")
 
 
-def long_blocks(stream: Stream, block: int, order: str = "doc_id", bucket: int = 4096) -> DataFrame:
-    """block_no, syms: the rows' sequences end to end in order of an integer column, cut into blocks (a short last one is dropped).
+def long_blocks(stream: Stream, block: int, order: str = "doc_id", bucket: int = 4096, tail: str = "drop") -> DataFrame:
+    """block_no, syms: the rows' sequences end to end in order of an integer column, cut into blocks (a short last one is dropped or kept).
 
     Offsets come from sums per bucket of the order column and a running sum inside each bucket, so no task orders all rows.
     Only a block's own symbols meet in one task.
@@ -186,7 +186,7 @@ def long_blocks(stream: Stream, block: int, order: str = "doc_id", bucket: int =
     end = F.least(F.size("syms").cast("long"), (F.col("block_no") + 1) * block - F.col("start"))
     cut = split.select("block_no", (F.col("start") + begin).alias("at"), F.slice("syms", (begin + 1).cast("int"), (end - begin).cast("int")).alias("syms"))
     whole = cut.groupBy("block_no").agg(F.flatten(F.transform(F.array_sort(F.collect_list(F.struct("at", "syms"))), lambda x: x["syms"])).alias("syms"))
-    return whole.where(F.size("syms") == block)
+    return whole if tail == "keep" else whole.where(F.size("syms") == block)
 
 
 def step_target(m: int, symbol: int, bits: int = CDF_BITS) -> list[int]:

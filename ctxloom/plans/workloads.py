@@ -24,8 +24,8 @@ from ctxloom.operators.stream import Stream, array_stream
 from ctxloom.plans import streams as T
 from ctxloom.session import load, materialise
 
-#: Characters of a block of the concatenated sequence: the full length from about 10 M characters on, shorter below.
-BLOCKS = ((10_000_000, 1_000_000), (1_000_000, 100_000), (0, 10_000))
+#: Symbols of a block of the concatenated sequence, whatever its length; the last block is shorter.
+BLOCK = 1_000_000
 
 
 def rows_of(spark: SparkSession, schema: str, rows: list[tuple]) -> DataFrame:
@@ -192,17 +192,16 @@ def selector_context(spark: SparkSession, sf_dir: str) -> DataFrame:
     return one.unionByName(large).unionByName(four)
 
 
-def blocks_of(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, int, int]:
+def blocks_of(spark: SparkSession, sf_dir: str, block: int) -> tuple[DataFrame, int]:
     stream = T.class4(spark, sf_dir)
     total = stream.df.agg(F.sum(F.length("text"))).first()[0] or 0
-    block = next(b for least, b in BLOCKS if total >= least)
     # a partition per block: the scans are sequential inside a block and independent across blocks
-    return A.long_blocks(stream, block).repartitionByRange(max(1, total // block), "block_no"), stream.m, block
+    return A.long_blocks(stream, block, tail="keep").repartitionByRange(max(1, -(-total // block)), "block_no"), stream.m
 
 
-def w10_half_lives(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """block_no, n, eta, half_life, bpv per pair of neighbouring symbols, of the best forgetting rate in each block."""
-    blocks, m, _ = blocks_of(spark, sf_dir)
+def w10_half_lives(spark: SparkSession, sf_dir: str, block: int = BLOCK) -> DataFrame:
+    """block_no, n, eta, half_life, bpv per pair of neighbouring symbols, of the best forgetting rate in each block. An odd last symbol has no pair."""
+    blocks, m = blocks_of(spark, sf_dir, block)
     from ctxloom.functions.symbols import group_symbols
 
     pairs = blocks.select("block_no", group_symbols(F.col("syms"), 2, m).alias("syms"))
@@ -210,15 +209,15 @@ def w10_half_lives(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("block_no", "n", *[F.round(c, 6).alias(c) for c in ("eta", "half_life", "bpv")])
 
 
-def w11_adaptive_orders(spark: SparkSession, sf_dir: str) -> DataFrame:
+def w11_adaptive_orders(spark: SparkSession, sf_dir: str, block: int = BLOCK) -> DataFrame:
     """ord, n, adaptive, static bpv for orders 0 to 8 at shift 8."""
-    blocks, m, _ = blocks_of(spark, sf_dir)
+    blocks, m = blocks_of(spark, sf_dir, block)
     return A.adaptive_vs_static(blocks, m, list(range(9)), 8)
 
 
-def w12_sparse_updates(spark: SparkSession, sf_dir: str) -> DataFrame:
+def w12_sparse_updates(spark: SparkSession, sf_dir: str, block: int = BLOCK) -> DataFrame:
     """every, rate, n, bpv of order-1 adaptive functions that shift every u symbols."""
-    blocks, m, _ = blocks_of(spark, sf_dir)
+    blocks, m = blocks_of(spark, sf_dir, block)
     stream = array_stream(materialise(blocks, "blocks"), "syms", m, ("block_no",))
     out = None
     for every, rate in ((1, 8), (10, 5), (100, 2)):
@@ -228,9 +227,9 @@ def w12_sparse_updates(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out
 
 
-def cdf_path(spark: SparkSession, sf_dir: str) -> DataFrame:
+def cdf_path(spark: SparkSession, sf_dir: str, block: int = BLOCK) -> DataFrame:
     """block_no, at, ctx, cdf: order-1 functions along the sequence, every 1000 symbols."""
-    blocks, m, _ = blocks_of(spark, sf_dir)
+    blocks, m = blocks_of(spark, sf_dir, block)
     return A.cdf_trace(blocks, m, 1, 8, 1000)
 
 

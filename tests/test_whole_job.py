@@ -50,3 +50,10 @@ def test_library_is_trained_on_every_read(spark, tmp_path, monkeypatch):
     train = K.train_library
     monkeypatch.setattr(K, "train_library", lambda *a, **o: trained.append(o.get("sample", 1.0)) or train(*a, **o))
     assert {r.reads for r in W.w13_library(spark, sf).collect()} == {20 * 2} and trained == [1.0]
+
+
+def test_blocks_are_of_one_length_and_hold_every_symbol(spark, tmp_path):
+    sf = folder(spark, tmp_path, [(i, "ab c1." * (1 + i), "en") for i in range(20)])  # 1,260 symbols
+    assert [(r.block_no, len(r.syms)) for r in W.blocks_of(spark, sf, 500)[0].orderBy("block_no").collect()] == [(0, 500), (1, 500), (2, 260)]
+    assert W.w11_adaptive_orders(spark, sf).where("ord = 0").first().n == 1260
+    assert [(r.block_no, r.n) for r in W.w10_half_lives(spark, sf).collect()] == [(0, 630)]
