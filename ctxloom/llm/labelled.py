@@ -20,9 +20,10 @@ def fold(doc_id: Column, folds: int) -> Column:
 def thinned(rows: DataFrame, most: dict, by: Column) -> DataFrame:
     """About ``most[v]`` rows of each value v of ``by``, chosen by a hash of doc_id; all rows where there are fewer."""
     counts = {r.v: r.n for r in rows.groupBy(by.alias("v")).agg(F.count("*").alias("n")).collect()}
-    share = F.lit(0.0)
+    share = F.when(F.lit(False), F.lit(0.0))  # one flat CASE, however many values
     for value, n in counts.items():
-        share = F.when(by.eqNullSafe(F.lit(value)), F.lit(min(1.0, most.get(value, 0) / n))).otherwise(share)
+        share = share.when(by.eqNullSafe(F.lit(value)), F.lit(min(1.0, most.get(value, 0) / n)))
+    share = share.otherwise(F.lit(0.0))
     return rows.where(F.pmod(F.xxhash64(F.col("doc_id"), F.lit(11)), F.lit(1 << 30)) < share * float(1 << 30))
 
 

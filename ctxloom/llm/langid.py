@@ -1,13 +1,13 @@
 """Language identification by bit-sliced Bloom filters of byte 4-grams.
 
-One Bloom filter per language, stored side by side: slot s of the table holds a mask with a bit per language, so reading an
-n-gram's slots and joining the masks by AND returns all languages whose filter has it. A language's filter holds the 4-grams
+One Bloom filter per language, stored side by side: slot s of the table holds a mask with a bit per language (a 64-bit word
+for every 64 languages), so reading an n-gram's slots and joining the masks by AND returns all languages whose filter has it. A language's filter holds the 4-grams
 that make up at least LEAST of its training windows and at least SHARE of the largest such share among the languages. A
 text's hits per language are the popcount of that bit over its n-grams; the filter's false-positive rate (its fill to the
 power of the number of hashes) is taken out, and the language with most corrected hits wins (ties: first in order).
 
-The filters learn from about PER_LANGUAGE documents of each of up to 64 languages (documented bounds, the most frequent
-languages first); all texts are scored whole. Windows lie within one text, over lower-cased letters with all else as one
+The filters learn from about PER_LANGUAGE documents of each language (a documented bound); every lang value with a 4-gram in
+its training rows has a filter. All texts are scored whole. Windows lie within one text, over lower-cased letters with all else as one
 space. A text without letters, or null, is ``und`` with score 0. With no training rows all texts are ``und``. An empty table
 gives an empty result. Only doc_id, text and, for learning, lang are read.
 """
@@ -30,7 +30,7 @@ from ctxloom.session import load
 SLOTS = 1 << 20
 HASHES = 2
 PER_LANGUAGE = 1500
-LANGUAGES = 64
+WORD = 64  # languages of one mask word
 GRAMS = 1 << 16  # kept per language, the most frequent
 LEAST, SHARE = 2e-6, 0.25
 FOLDS, HELD_OUT = 3, 1
@@ -63,7 +63,7 @@ def _slots(gram: np.ndarray) -> list[np.ndarray]:
 @dataclass
 class LanguageFilters:
     languages: list[str]
-    masks: np.ndarray  # uint64 per slot
+    masks: np.ndarray  # uint64, slots x words
     false_rate: np.ndarray  # per language
 
     @staticmethod
@@ -71,20 +71,23 @@ class LanguageFilters:
         """From each language's 4-grams and their shares of its windows."""
         names = sorted(per_language)
         every = np.unique(np.concatenate([per_language[n][0] for n in names])) if names else np.zeros(0, np.uint32)
-        share = np.zeros((len(names), len(every)))
+        top = np.zeros(len(every))
+        for gram, share in per_language.values():
+            at = np.searchsorted(every, gram)
+            top[at] = np.maximum(top[at], share)
+        masks = np.zeros((SLOTS, -(-len(names) // WORD)), np.uint64)
+        fill = np.zeros(len(names))
         for i, n in enumerate(names):
-            share[i, np.searchsorted(every, per_language[n][0])] = per_language[n][1]
-        member = (share >= LEAST) & (share >= SHARE * share.max(axis=0, initial=0))
-        masks = np.zeros(SLOTS, np.uint64)
-        slots = _slots(every)
-        for i in range(len(names)):
-            for s in slots:
-                masks[s[member[i]]] |= np.uint64(1 << i)
-        fill = np.array([np.count_nonzero(masks & np.uint64(1 << i)) for i in range(len(names))]) / SLOTS
+            gram, share = per_language[n]
+            word, bit = masks[:, i // WORD], np.uint64(1 << i % WORD)
+            for s in _slots(gram[(share >= LEAST) & (share >= SHARE * top[np.searchsorted(every, gram)])]):
+                word[s] |= bit
+            fill[i] = np.count_nonzero(word & bit) / SLOTS
         return LanguageFilters(names, masks, fill**HASHES)
 
     def languages_of(self, gram: np.ndarray) -> np.ndarray:
-        a = np.full(len(gram), ~np.uint64(0))
+        """A row of mask words per 4-gram."""
+        a = np.full((len(gram), self.masks.shape[1]), ~np.uint64(0))
         for s in _slots(gram):
             a &= self.masks[s]
         return a
@@ -100,7 +103,7 @@ class LanguageFilters:
             seen[r0 : r0 + n] += np.bincount(row - r0, minlength=n)
             mask = self.languages_of(gram)
             for i in range(len(self.languages)):
-                hits[r0 : r0 + n, i] += np.bincount(row - r0, (mask >> np.uint64(i)) & np.uint64(1), n)
+                hits[r0 : r0 + n, i] += np.bincount(row - r0, (mask[:, i // WORD] >> np.uint64(i % WORD)) & np.uint64(1), n)
         rate = hits / np.maximum(seen, 1)[:, None]
         return np.clip((rate - self.false_rate) / (1 - self.false_rate), 0, 1), seen
 
@@ -121,8 +124,8 @@ class LanguageFilters:
 
 def train(docs: DataFrame) -> LanguageFilters:
     known = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull()).where(L.fold(F.col("doc_id"), FOLDS) != HELD_OUT).select("doc_id", "lang", "text")
-    most = [r.lang for r in known.groupBy("lang").count().orderBy(F.desc("count"), "lang").limit(LANGUAGES).collect()]
-    sample = L.thinned(known, {name: PER_LANGUAGE for name in most}, F.col("lang")).select("lang", "text")
+    names = [r.lang for r in known.select("lang").distinct().collect()]
+    sample = L.thinned(known, dict.fromkeys(names, PER_LANGUAGE), F.col("lang")).select("lang", "text")
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in slices(batches):
@@ -136,15 +139,20 @@ def train(docs: DataFrame) -> LanguageFilters:
                 yield pa.RecordBatch.from_arrays([pa.array([name] * len(key), pa.string()), pa.array(key.astype(np.int64)), pa.array(n.astype(np.int64))], names=["lang", "gram", "n"])
 
     counts = sample.mapInArrow(kernel, "lang string, gram long, n long").groupBy("lang", "gram").agg(F.sum("n").alias("n"))
-    # the most frequent GRAMS of each language: at most LANGUAGES * GRAMS rows reach the driver
-    floor = F.lit(3)
-    got = counts.where(F.col("n") >= floor).withColumn("rank", F.row_number().over(Window.partitionBy("lang").orderBy(F.desc("n"), "gram"))).where(F.col("rank") <= GRAMS).select("lang", "gram", "n").toArrow()
-    langs, gram, n = np.array(got.column("lang").to_pylist(), object), got.column("gram").to_numpy().astype(np.uint32), got.column("n").to_numpy().astype(float)
+    # the most frequent GRAMS of each language: at most that many rows a language reach the driver. A language whose 4-grams are all rare keeps them
+    own = Window.partitionBy("lang")
+    ranked = counts.withColumn("rank", F.row_number().over(own.orderBy(F.desc("n"), "gram"))).where(F.col("rank") <= GRAMS).withColumn("top", F.max("n").over(own))
+    got = ranked.where(F.col("n") >= F.least(F.lit(3), "top")).select("lang", "gram", "n").toArrow()
+    langs = got.column("lang").combine_chunks().dictionary_encode()
+    langs = langs.combine_chunks() if isinstance(langs, pa.ChunkedArray) else langs
+    gram, n = got.column("gram").to_numpy().astype(np.uint32), got.column("n").to_numpy().astype(float)
+    code = langs.indices.to_numpy(zero_copy_only=False)
+    order = np.lexsort((gram, code))
+    starts = np.searchsorted(code[order], np.arange(len(langs.dictionary) + 1))
     per = {}
-    for name in sorted(set(langs)):
-        own = langs == name
-        order = np.argsort(gram[own])
-        per[name] = (gram[own][order], (n[own] / n[own].sum())[order])
+    for name, a, b in zip(langs.dictionary.to_pylist(), starts[:-1], starts[1:]):
+        at = order[a:b]
+        per[name] = (gram[at], n[at] / n[at].sum())
     return LanguageFilters.build(per)
 
 
@@ -152,7 +160,7 @@ RESULT = "doc_id long, held_out boolean, lang_pred string, score double"
 
 
 def identify(docs: DataFrame, filters: LanguageFilters) -> DataFrame:
-    """Predicts every whole text in one narrow pass. The filters are SLOTS * 8 bytes whatever the data."""
+    """Predicts every whole text in one narrow pass. The filters are SLOTS * 8 bytes for every 64 languages."""
     sent = docs.sparkSession.sparkContext.broadcast(filters)
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
