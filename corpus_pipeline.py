@@ -21,9 +21,9 @@ def _kept(docs: DataFrame, decisions: DataFrame) -> DataFrame:
 
 
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents in a language that the filters know; those without letters go."""
+    """Documents in a language that the filters know: some filter has at least langid.KNOWN of the text's 4-grams. Those without letters go."""
     found = langid.identify(docs, langid.train(docs))
-    return _kept(docs, found.where("lang_pred <> 'und'"))
+    return _kept(docs, found.where(f"lang_pred <> 'und' and share >= {langid.KNOWN}"))
 
 
 def good_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

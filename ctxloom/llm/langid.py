@@ -34,6 +34,8 @@ WORD = 64  # languages of one mask word
 GRAMS = 1 << 16  # kept per language, the most frequent
 LEAST, SHARE = 2e-6, 0.25
 FOLDS, HELD_OUT = 3, 1
+#: Least corrected share of a text's windows in its best language for the text to count as known.
+KNOWN = 0.2
 _LETTER = np.full(256, 32, np.uint8)
 _LETTER[97:123] = np.arange(97, 123)
 _LETTER[128:] = np.arange(128, 256)
@@ -107,7 +109,8 @@ class LanguageFilters:
         rate = hits / np.maximum(seen, 1)[:, None]
         return np.clip((rate - self.false_rate) / (1 - self.false_rate), 0, 1), seen
 
-    def predict(self, texts: pa.Array) -> tuple[list[str], np.ndarray]:
+    def predict(self, texts: pa.Array) -> tuple[list[str], np.ndarray, np.ndarray]:
+        """Language, score and the best language's corrected share of the windows."""
         share, _ = self.corrected(texts)
         data, offsets = K.flat_bytes(K.lower(texts))
         ascii_letter = np.concatenate([[0], np.cumsum((data >= 97) & (data <= 122))])
@@ -115,11 +118,11 @@ class LanguageFilters:
         for i in np.flatnonzero(~lettered):
             lettered[i] = any(c.isalpha() for c in texts[int(i)].as_py() or "")
         if not self.languages:
-            return ["und"] * len(texts), np.zeros(len(texts))
+            return ["und"] * len(texts), np.zeros(len(texts)), np.zeros(len(texts))
         best = share.argmax(axis=1)
         total = share.sum(axis=1)
         score = np.where(lettered & (total > 0), share[np.arange(len(share)), best] / np.maximum(total, 1e-12), 0)
-        return [self.languages[b] if ok else "und" for b, ok in zip(best, lettered)], np.round(score, 9)
+        return [self.languages[b] if ok else "und" for b, ok in zip(best, lettered)], np.round(score, 9), np.where(lettered, share.max(axis=1), 0)
 
 
 def train(docs: DataFrame) -> LanguageFilters:
@@ -157,6 +160,7 @@ def train(docs: DataFrame) -> LanguageFilters:
 
 
 RESULT = "doc_id long, held_out boolean, lang_pred string, score double"
+_SHARED = RESULT + ", share double"
 
 
 def identify(docs: DataFrame, filters: LanguageFilters) -> DataFrame:
@@ -165,15 +169,15 @@ def identify(docs: DataFrame, filters: LanguageFilters) -> DataFrame:
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in slices(batches):
-            names, score = sent.value.predict(batch.column(1))
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), pa.array(names, pa.string()), pa.array(score, pa.float64())], names=["doc_id", "held_out", "lang_pred", "score"])
+            names, score, share = sent.value.predict(batch.column(1))
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), pa.array(names, pa.string()), pa.array(score, pa.float64()), pa.array(share, pa.float64())], names=["doc_id", "held_out", "lang_pred", "score", "share"])
 
-    return docs.select(F.col("doc_id").cast("long"), "text", (L.fold(F.col("doc_id"), FOLDS) == HELD_OUT).alias("held_out")).mapInArrow(kernel, RESULT)
+    return docs.select(F.col("doc_id").cast("long"), "text", (L.fold(F.col("doc_id"), FOLDS) == HELD_OUT).alias("held_out")).mapInArrow(kernel, _SHARED)
 
 
 def op10_bloom_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = load(spark, sf_dir, "documents")
-    return identify(docs, train(docs))
+    return identify(docs, train(docs)).drop("share")
 
 
 QUERIES = {"op10_bloom_language": op10_bloom_language}

@@ -4,7 +4,9 @@ import string
 
 import numpy as np
 
+import corpus_pipeline
 from ctxloom.llm import langid
+from ctxloom.session import load
 
 DOCS = "doc_id long, text string, lang string, source string, n_chars long"
 
@@ -21,3 +23,11 @@ def test_every_language_has_a_filter(spark):
     assert filters.languages == [*sorted(words), "once"] and filters.masks.shape[1] == 2
     got = {x.doc_id: x.lang_pred for x in langid.identify(docs, filters).collect()}
     assert all(got[i] == lang for i, _, lang, _, _ in rows)
+
+
+def test_texts_that_no_filter_knows_go(spark, sf):
+    docs = load(spark, sf, "documents")
+    clean = docs.where("lang is not null and length(text) > 200")
+    strange = spark.createDataFrame([(-1, "съешь же ещё этих мягких французских булок " * 9, None, "s", 0), (-2, "zqxj vkqz xwqj " * 9, None, "s", 0)], docs.schema)
+    ids = lambda df: {r.doc_id for r in df.select("doc_id").collect()}
+    assert ids(corpus_pipeline.language(spark, clean.unionByName(strange), sf)) == ids(clean)
