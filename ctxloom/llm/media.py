@@ -4,8 +4,8 @@ An Aho-Corasick automaton finds all magic byte strings of a blob in one pass. Ev
 validator, which reads the structure (chunk lengths, checksums, end marks) and returns the exact length or refuses. The
 blob's type is the valid format at offset 0 that spans it; other valid hits are embedded media, which can be carved out.
 
-Null blobs have type ``null``, empty ones ``empty``; unknown ones ``application/octet-stream``. Overlapping hits keep the
-outermost. Equal blobs give equal results.
+Null blobs have type ``null``, empty ones ``empty``; unknown ones ``application/octet-stream``. Media inside media are
+listed with their parent, the smallest that holds them. Equal blobs give equal results.
 """
 
 from __future__ import annotations
@@ -47,6 +47,7 @@ class Found(NamedTuple):
     kind: str
     start: int
     length: int
+    parent: int = -1  # place of the smallest medium around it in the list
 
 
 def _u32(data: bytes, at: int, order: str = "<") -> int:
@@ -135,16 +136,70 @@ def _riff(d: bytes, at: int) -> tuple[str, int] | None:
     return kind, 8 + size
 
 
+def _crc_table(bits: int, polynomial: int) -> list[int]:
+    top, mask, out = 1 << (bits - 1), (1 << bits) - 1, []
+    for x in range(256):
+        c = x << (bits - 8)
+        for _ in range(8):
+            c = (c << 1 ^ polynomial if c & top else c << 1) & mask
+        out.append(c)
+    return out
+
+
+_CRC8, _CRC16 = _crc_table(8, 0x07), _crc_table(16, 0x8005)
+
+
+def _flac_frame(d: bytes, at: int) -> tuple[int, int] | None:
+    """Length of a frame header with a right checksum, and the frame's samples."""
+    if at + 6 > len(d) or d[at] != 0xFF or d[at + 1] & 0xFE != 0xF8 or d[at + 3] & 1:
+        return None
+    block, rate, lead = d[at + 2] >> 4, d[at + 2] & 15, d[at + 4]
+    ones = 8 - (lead ^ 0xFF).bit_length()
+    if not block or rate == 15 or d[at + 3] >> 4 > 10 or ones in (1, 8):
+        return None
+    i = at + 4 + max(1, ones)
+    extra = {6: 1, 7: 2}.get(block, 0)
+    size = int.from_bytes(d[i : i + extra], "big") + 1 if extra else 192 if block == 1 else 576 << (block - 2) if block < 6 else 256 << (block - 8)
+    i += extra + {12: 1, 13: 2, 14: 2}.get(rate, 0)
+    crc = 0
+    for x in d[at : i + 1]:
+        crc = _CRC8[crc ^ x]
+    return (i + 1 - at, size) if i < len(d) and not crc else None
+
+
 def _flac(d: bytes, at: int) -> tuple[str, int] | None:
-    i = at + 4
-    while i + 4 <= len(d):
+    """Frames are walked by header and frame checksums until the samples that the stream names are there.
+
+    A frame ends where its checksum is right and a frame header follows; the last one at the first right checksum.
+    """
+    i, last = at + 4, False
+    while not last:
+        if i + 4 > len(d):
+            return None
         head, size = d[i], int.from_bytes(d[i + 1 : i + 4], "big")
         if i == at + 4 and (head & 0x7F or size != 34):
             return None
-        i += 4 + size
-        if head & 0x80:
-            return ("audio/flac", len(d) - at) if i <= len(d) else None
-    return None
+        i, last = i + 4 + size, bool(head & 0x80)
+    if i > len(d):
+        return None
+    least = int.from_bytes(d[at + 12 : at + 15], "big")
+    total, seen = int.from_bytes(d[at + 21 : at + 26], "big") & (1 << 36) - 1, 0
+    while (not total or seen < total) and (frame := _flac_frame(d, i)):
+        head, samples = frame
+        crc, first, end = 0, 0, 0
+        final = total and seen + samples >= total
+        for j in range(i, len(d)):
+            crc = (crc << 8 & 0xFFFF) ^ _CRC16[crc >> 8 ^ d[j]]
+            if not crc and j + 1 - i >= max(head + 3, least):
+                first = first or j + 1
+                if final or _flac_frame(d, j + 1):
+                    end = j + 1
+                    break
+        end = end or (first if not total else 0)
+        if not end:
+            return None
+        i, seen = end, seen + samples
+    return ("audio/flac", i - at) if seen >= total else None
 
 
 def _ogg(d: bytes, at: int) -> tuple[str, int] | None:
@@ -223,15 +278,19 @@ def automaton() -> ahocorasick.Automaton:
 
 def sniff(data: bytes | None) -> list[Found]:
     """All valid media in a blob, outermost first, in order of their start."""
-    found: list[Found] = []
-    end = 0
+    hits = set()
     for last, (kind, size, offset) in automaton().iter((data or b"").decode("latin-1")):
         at = last + 1 - size - offset
-        if at < end or at < 0:
-            continue  # inside what was already recognised
-        if good := VALIDATE[kind](data, at):
-            found.append(Found(good[0], at, good[1]))
-            end = at + good[1]
+        if at >= 0 and (good := VALIDATE[kind](data, at)):
+            hits.add((at, -good[1], good[0]))
+    found: list[Found] = []
+    around: list[int] = []  # media that the place is in, outermost first
+    for at, size, kind in sorted(hits):
+        while around and found[around[-1]].start + found[around[-1]].length <= at:
+            around.pop()
+        parent = next((p for p in reversed(around) if at - size <= found[p].start + found[p].length), -1)
+        found.append(Found(kind, at, -size, parent))
+        around.append(len(found) - 1)
     return found
 
 
@@ -242,15 +301,15 @@ def true_type(data: bytes | None, found: list[Found]) -> str:
 
 
 def inspect(rows: DataFrame, data: str = "data", declared: str = "declared") -> DataFrame:
-    """Adds to each blob: media_type (what it is), corrected (differs from the declared type), and media (kind, start, length of all found)."""
-    schema = schema_with(rows.schema, "media_type string, corrected boolean, media array<struct<kind:string,start:long,length:long>>")
+    """Adds to each blob: media_type (what it is), corrected (differs from the declared type), and media (kind, start, length and parent of all found)."""
+    schema = schema_with(rows.schema, "media_type string, corrected boolean, media array<struct<kind:string,start:long,length:long,parent:int>>")
 
     def kernel(batches):
         for batch in batches:
             blobs, said = batch.column(data), batch.column(declared).to_pylist()
             hits = [sniff(b.as_py()) for b in blobs]
             kinds = [true_type(b.as_py(), h) for b, h in zip(blobs, hits)]
-            media = pa.array([[h._asdict() for h in hs] for hs in hits], pa.list_(pa.struct([("kind", pa.string()), ("start", pa.int64()), ("length", pa.int64())])))
+            media = pa.array([[h._asdict() for h in hs] for hs in hits], pa.list_(pa.struct([("kind", pa.string()), ("start", pa.int64()), ("length", pa.int64()), ("parent", pa.int32())])))
             yield pa.RecordBatch.from_arrays(
                 [*batch.columns, pa.array(kinds), pa.array([k != s for k, s in zip(kinds, said)]), media], names=[*batch.schema.names, "media_type", "corrected", "media"]
             )
