@@ -24,6 +24,11 @@ def page101(spark: SparkSession, sf_dir: str, kind: str = "text") -> Stream:
     return text_stream(pages, "head", kind, ("page_id",))
 
 
+def page_reads(spark: SparkSession, sf_dir: str, kind: str = "text") -> Stream:
+    """Whole pages in reads of 101 characters, the last one shorter."""
+    return text_stream(load(spark, sf_dir, "pages"), "html", kind, ("page_id",)).cut(101, "keep")
+
+
 def emb16(spark: SparkSession, sf_dir: str) -> Stream:
     rows = load(spark, sf_dir, "embeddings").select("vec_id", "label", F.transform("embedding", lambda x: F.floor((x.cast("double") + 1) * 16).cast("int")).alias("syms"))
     return array_stream(rows, "syms", 33, ("vec_id",))

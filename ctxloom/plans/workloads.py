@@ -61,26 +61,43 @@ def w2_binning_class4_order3(spark: SparkSession, sf_dir: str) -> DataFrame:
     return binning(spark, T.class4(spark, sf_dir), Previous(3))
 
 
+def page_streams(spark: SparkSession, sf_dir: str) -> dict[str, Stream]:
+    """All reads of the whole pages, tails too; and, beside them, the first reads of the pages that have 101 characters."""
+    return {"all": T.page_reads(spark, sf_dir), "first read only": T.page101(spark, sf_dir)}
+
+
 def w3_position_bins(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """bin, first, last, members, runs of the positions' bins: runs = 1 where a bin is a range."""
-    stream = T.page101(spark, sf_dir)
-    codes, table = C.matrix(C.count_windows(stream, Position(1, 101)), stream.m)
-    bins = M.cut(M.tree_of(codes, table), M.MaxLoss(0.01))
-    return M.bin_ranges(M.bin_frame(spark, codes, bins))
+    """reads, and bin, first, last, members, runs of the positions' bins: runs = 1 where a bin is a range."""
+    out = None
+    for reads, stream in page_streams(spark, sf_dir).items():
+        codes, table = C.matrix(C.count_windows(stream, Position(1, 101)), stream.m)
+        bins = M.cut(M.tree_of(codes, table), M.MaxLoss(0.01))
+        row = M.bin_ranges(M.bin_frame(spark, codes, bins)).select(F.lit(reads).alias("reads"), "*")
+        out = row if out is None else out.unionByName(row)
+    return out
 
 
 def w3_position_previous(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """context, contexts, training, held_out on pages: none, position, previous value, both, both binned, hand-made."""
-    stream = T.page101(spark, sf_dir)
+    """reads, context, contexts, training, held_out on pages: none, position, previous value, both, both binned, hand-made."""
     fold = F.col("page_id") % 2
     both = Product((Position(1, 101), Previous(1)))
-    codes, table = C.matrix(C.count_windows(stream, both), stream.m)
-    cut = M.cut(M.tree_of(codes, table), M.MaxBins(64))
-    binned = Binned(both, M.dense_table(codes, cut, both.size(stream.m)), 64)
-    specs = {"none": From(Previous(0), 1), "position": From(Position(1, 101), 1), "previous": Previous(1), "both": both, "both binned": binned, "handmade": handmade(42)}
     out = None
-    for name, spec in specs.items():
-        row = R.overfit(stream, spec, fold, 0.1).withColumn("context", F.lit(name)).withColumn("contexts", F.lit(spec.size(stream.m)))
+    for reads, stream in page_streams(spark, sf_dir).items():
+        codes, table = C.matrix(C.count_windows(stream, both), stream.m)
+        cut = M.cut(M.tree_of(codes, table), M.MaxBins(64))
+        binned = Binned(both, M.dense_table(codes, cut, both.size(stream.m)), 64)
+        specs = {"none": From(Previous(0), 1), "position": From(Position(1, 101), 1), "previous": Previous(1), "both": both, "both binned": binned, "handmade": handmade(42)}
+        for name, spec in specs.items():
+            row = R.overfit(stream, spec, fold, 0.1).select(F.lit(reads).alias("reads"), "*", F.lit(name).alias("context"), F.lit(spec.size(stream.m)).alias("contexts"))
+            out = row if out is None else out.unionByName(row)
+    return out
+
+
+def position_rates_pages(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """context, n, contexts, bpv over whole pages: what the SQL-checked page101 queries give for first reads only."""
+    out = None
+    for name, spec in (("position", Position(1, 101)), ("position, previous", Product((Position(1, 101), Previous(1)))), ("coarse position", Position(10, 8))):
+        row = R.rate(C.count_windows(T.page_reads(spark, sf_dir), spec)).select(F.lit(name).alias("context"), "n", "contexts", "bpv")
         out = row if out is None else out.unionByName(row)
     return out
 
@@ -271,11 +288,14 @@ def w14_joint_gain(spark: SparkSession, sf_dir: str) -> DataFrame:
 def w15_consensus(spark: SparkSession, sf_dir: str) -> DataFrame:
     """n, flag_bpv, replacement_bpv, bpv: near-copies coded against their group's consensus, beside independent coding.
 
-    Groups are documents with the same first 40 characters; offsets are positional.
+    Groups are the near-duplicate groups over whole texts that hold different texts; offsets are positional.
     """
+    from ctxloom.llm import minhash
+
     docs = load(spark, sf_dir, "documents")
-    keyed = docs.withColumn("g", F.substring("text", 1, 40))
-    keys = keyed.groupBy("g").agg(F.count("*").alias("c"), F.countDistinct("text").alias("d")).where("c > 1 and d > 1").select("g")
+    groups = materialise(minhash.near_duplicates(docs).select(F.col("doc_id").alias("copy_id"), F.col("group_id").alias("g")).distinct(), "copies")
+    keyed = docs.join(groups, docs["doc_id"].eqNullSafe(groups["copy_id"])).select("g", "text")
+    keys = keyed.groupBy("g").agg(F.countDistinct("text").alias("d")).where("d > 1").select("g")
     near = keyed.join(keys, "g", "left_semi")
     stream = Stream(near, "text", 42, "text", ("g",))
     frame = materialise(stream.frame(), "near")
@@ -381,7 +401,7 @@ def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
 WORKLOADS = {
     f.__name__: f
     for f in (
-        flagship, w1_binning_text42, w1_loss_curve, w2_binning_class4_order3, w3_position_bins, w3_position_previous, w4_nestings, w4_order8, w5_packed_windows, w6_counters,
+        flagship, w1_binning_text42, w1_loss_curve, w2_binning_class4_order3, w3_position_bins, w3_position_previous, position_rates_pages, w4_nestings, w4_order8, w5_packed_windows, w6_counters,
         w7_soft_machine, w8_clusters_text42, w9_clusters_class4, w9_position_clusters, cluster_histogram, selector_context, w10_half_lives, w11_adaptive_orders,
         w12_sparse_updates, cdf_path, w13_library, soft_switching, w14_joint_gain, w15_consensus, w15_reference, w16_read_order, w17_null_controls, w18_round_trip, baseline_codes, two_level_bins, integer_loss,
     )

@@ -57,3 +57,19 @@ def test_blocks_are_of_one_length_and_hold_every_symbol(spark, tmp_path):
     assert [(r.block_no, len(r.syms)) for r in W.blocks_of(spark, sf, 500)[0].orderBy("block_no").collect()] == [(0, 500), (1, 500), (2, 260)]
     assert W.w11_adaptive_orders(spark, sf).where("ord = 0").first().n == 1260
     assert [(r.block_no, r.n) for r in W.w10_half_lives(spark, sf).collect()] == [(0, 630)]
+
+
+def test_pages_are_read_to_their_end(spark, tmp_path):
+    spark.createDataFrame([(i, "u", "<p>some page.</p> " * (4 + i)) for i in range(9)], "page_id long, url string, html string").write.parquet(f"{tmp_path}/pages.parquet")
+    whole = sum(18 * (4 + i) for i in range(9))
+    got = {r.context: r.n for r in W.position_rates_pages(spark, str(tmp_path)).collect()}
+    assert got["position"] == got["coarse position"] == whole
+    assert {r.reads for r in W.w3_position_bins(spark, str(tmp_path)).collect()} == {"all", "first read only"}
+
+
+def test_consensus_groups_are_near_copies(spark, tmp_path):
+    words = [f"word{chr(97 + i // 26)}{chr(97 + i % 26)}" for i in range(300)]
+    text, opening = " ".join(words[:150]), "the same long opening line of many documents. "
+    other = [opening + " ".join(words[a : a + 60]) for a in (160, 230)]
+    sf = folder(spark, tmp_path, [(1, text, "en"), (2, "Another" + text, "en"), (3, other[0], "en"), (4, other[1], "en")])
+    assert {r.method: r.n for r in W.w15_consensus(spark, sf).collect()}["consensus"] == 2 * len(text) + 7
