@@ -1,7 +1,7 @@
 """Document fingerprints by signed votes of weighted term hashes, and search within a Hamming radius.
 
 Terms are pairs of neighbouring words; texts under SHORT words add their character 3-grams, so short texts have terms too.
-A term's weight is its number of occurrences. Each bit of a 128-bit fingerprint is the sign of the summed votes.
+A term's weight is its number of occurrences; that of 3-grams falls in proportion to 0 as the text nears SHORT words. Each bit of a 128-bit fingerprint is the sign of the summed votes.
 
 Search: with radius r the fingerprint is cut into r + EXTRA blocks; two fingerprints within r bits agree in at least EXTRA
 blocks, so one table per choice of EXTRA blocks, keyed by those blocks (the permuted table's prefix), meets every pair.
@@ -60,10 +60,11 @@ def fingerprints(texts: list[str]) -> np.ndarray:
     w = K.words(pa.array(texts, pa.string()))
     pairs = K.windows(w, 2)
     votes = _votes(pairs.hashes, pairs.starts)
-    short = np.flatnonzero(np.diff(w.starts) < SHORT)
+    size = np.diff(w.starts)
+    short = np.flatnonzero(size < SHORT)
     if len(short):
         grams = [np.array([xxhash.xxh64_intdigest(t[i : i + 3]) for i in range(max(len(t) - 2, 1 if t else 0))], np.uint64) for t in (texts[i].lower() for i in short)]
-        votes[short] += _votes(np.concatenate(grams), np.concatenate([[0], np.cumsum([len(g) for g in grams])]))
+        votes[short] = SHORT * votes[short] + (SHORT - size[short])[:, None] * _votes(np.concatenate(grams), np.concatenate([[0], np.cumsum([len(g) for g in grams])]))
     return np.packbits(votes > 0, axis=1)
 
 

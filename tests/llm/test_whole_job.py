@@ -5,7 +5,7 @@ import string
 import numpy as np
 
 import corpus_pipeline
-from ctxloom.llm import langid
+from ctxloom.llm import langid, simhash
 from ctxloom.session import load
 
 DOCS = "doc_id long, text string, lang string, source string, n_chars long"
@@ -31,3 +31,10 @@ def test_texts_that_no_filter_knows_go(spark, sf):
     strange = spark.createDataFrame([(-1, "съешь же ещё этих мягких французских булок " * 9, None, "s", 0), (-2, "zqxj vkqz xwqj " * 9, None, "s", 0)], docs.schema)
     ids = lambda df: {r.doc_id for r in df.select("doc_id").collect()}
     assert ids(corpus_pipeline.language(spark, clean.unionByName(strange), sf)) == ids(clean)
+
+
+def test_near_copies_across_the_bound_of_short_texts():
+    r = np.random.default_rng(3)
+    texts = [" ".join("".join(r.choice(list(string.ascii_lowercase), 6)) for _ in range(32)) for _ in range(50)]
+    prints = simhash.fingerprints([*texts, *(t.rsplit(" ", 1)[0] for t in texts)])
+    assert simhash.likeness(prints[:50], prints[50:]).mean() > 0.85
