@@ -10,6 +10,10 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ctxloom.llm.textkernel import slices
+from ctxloom.session import materialise
+
+#: Most features of a training sample that reach the driver; rows beyond it, in order of a hash of doc_id, are left out of the sample.
+SAMPLE_FEATURES = 12_000_000
 
 
 def fold(doc_id: Column, folds: int) -> Column:
@@ -27,6 +31,21 @@ def thinned(rows: DataFrame, most: dict, by: Column) -> DataFrame:
     return rows.where(F.pmod(F.xxhash64(F.col("doc_id"), F.lit(11)), F.lit(1 << 30)) < share * float(1 << 30))
 
 
+def one_label(labels: DataFrame, column: str, pick: Callable[[str], Column]) -> DataFrame:
+    """doc_id, mark: a label a document. Rows without a doc_id or a label do not count; ``pick`` settles several labels of one id."""
+    return labels.where(F.col(column).isNotNull() & F.col("doc_id").isNotNull()).groupBy("doc_id").agg(pick(column).cast("int").alias("mark"))
+
+
+def sampled_texts(docs: DataFrame, chosen: DataFrame) -> DataFrame:
+    """doc_id, text, mark of the chosen ids (doc_id, mark). An id with several texts counts once, with its least one.
+
+    The chosen ids are written first: the planner then knows how small they are and sends them to the texts, or, if they
+    should be many, sorts and merges."""
+    chosen = materialise(chosen, "chosen")
+    met = docs.select("doc_id", "text").join(chosen, "doc_id")
+    return met.groupBy("doc_id", "mark").agg(F.min(F.coalesce("text", F.lit(""))).alias("text")).select("doc_id", "text", "mark")
+
+
 Featuriser = Callable[[pa.Array], tuple[np.ndarray, np.ndarray, int]]
 
 
@@ -39,7 +58,15 @@ def collect_features(rows: DataFrame, features: Featuriser, mark: str) -> tuple[
             ends = np.searchsorted(row, np.arange(n + 1))
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), pa.array([index[a:b].astype(np.uint32).tobytes() for a, b in zip(ends[:-1], ends[1:])], pa.binary())], names=["id", "mark", "f"])
 
-    got = rows.select(F.col("doc_id").cast("long"), "text", F.col(mark).cast("int").alias("mark")).mapInArrow(kernel, "id long, mark int, f binary").orderBy("id").toArrow()
+    made = rows.select(F.col("doc_id").cast("long"), "text", F.col(mark).cast("int").alias("mark")).mapInArrow(kernel, "id long, mark int, f binary")
+    made = materialise(made, "features")
+    sizes = made.select("id", (F.length("f") / 4).cast("long").alias("n"), F.xxhash64("id", F.lit(13)).alias("h")).toArrow()
+    order = np.lexsort((sizes.column("id").to_numpy(), sizes.column("h").to_numpy()))
+    within = np.cumsum(sizes.column("n").to_numpy()[order]) <= SAMPLE_FEATURES
+    if not within.all():
+        last = int(sizes.column("h").to_numpy()[order][within.sum() - 1]) if within.any() else -(1 << 63)
+        made = made.where(F.xxhash64("id", F.lit(13)) <= last)
+    got = made.orderBy("id").toArrow()
     lists = [np.frombuffer(x.as_py(), np.uint32).astype(np.int64) for x in got.column("f")]
     marks = got.column("mark").to_numpy()
     return marks, np.concatenate(lists) if lists else np.zeros(0, np.int64), np.concatenate([[0], np.cumsum([len(x) for x in lists], dtype=np.int64)]).astype(np.int64)
@@ -50,6 +77,18 @@ def row_sums(values: np.ndarray, starts: np.ndarray) -> np.ndarray:
     return total[starts[1:]] - total[starts[:-1]]
 
 
+def keep_rows(docs: DataFrame, accept: Callable[[pa.Array], np.ndarray]) -> DataFrame:
+    """The documents whose text is accepted, each decided by its own text, with all their columns: one narrow pass, no shuffle."""
+    columns = docs.columns
+    place = columns.index("text")
+
+    def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in slices(batches, column=place):
+            yield batch.filter(pa.array(accept(batch.column(place)), pa.bool_()))
+
+    return docs.mapInArrow(kernel, docs.schema)
+
+
 SCORED = "doc_id long, held_out boolean, score double, predicted int"
 
 

@@ -9,7 +9,9 @@ power of the number of hashes) is taken out, and the language with most correcte
 The filters learn from about PER_LANGUAGE documents of each language (a documented bound); every lang value with a 4-gram in
 its training rows has a filter. All texts are scored whole. Windows lie within one text, over lower-cased letters with all else as one
 space. A text without letters, or null, is ``und`` with score 0. With no training rows all texts are ``und``. An empty table
-gives an empty result. Only doc_id, text and, for learning, lang are read.
+gives an empty result. Only doc_id, text and, for learning, lang are read; other columns, whatever their names, are not.
+Repeated rows are learned from as often as they occur, and every row is predicted by its own text; a null doc_id is an id
+like the others.
 """
 
 from __future__ import annotations
@@ -175,6 +177,17 @@ def identify(docs: DataFrame, filters: LanguageFilters) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long"), "text", (L.fold(F.col("doc_id"), FOLDS) == HELD_OUT).alias("held_out")).mapInArrow(kernel, _SHARED)
 
 
+def known_language(docs: DataFrame, filters: LanguageFilters) -> DataFrame:
+    """The documents in a language that the filters know (at least KNOWN of the windows), with all their columns, in place."""
+    sent = docs.sparkSession.sparkContext.broadcast(filters)
+
+    def accept(texts: pa.Array) -> np.ndarray:
+        names, _, share = sent.value.predict(texts)
+        return (np.array(names, object) != "und") & (share >= KNOWN)
+
+    return L.keep_rows(docs, accept)
+
+
 def op10_bloom_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = load(spark, sf_dir, "documents")
     return identify(docs, train(docs)).drop("share")

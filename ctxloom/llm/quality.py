@@ -2,13 +2,15 @@
 
 The n-grams are byte 3-grams of the text as it stands, pairs of neighbouring word shapes, and how often a word or a pair of
 words repeats its predecessor (in powers of two). Each indicator is scaled by the log ratio of its smoothed frequencies in the two
-classes; the hinge-loss model is fitted by dual coordinate descent. The weight vector is drawn towards its mean
-magnitude (interpolation), which keeps the naive Bayes signs.
+classes; the hinge-loss model is fitted by dual coordinate descent. The weights of the scaled indicators are then drawn towards
+their mean magnitude (interpolation): at the mean itself every indicator would count by its log ratio alone, as in naive Bayes.
 
 Labels are learned from a sample of at most PER_CLASS rows of each class (a documented bound); all texts are scored whole.
 The score is a logistic curve of the margin with 0.7 at margin 0. Null and empty texts have no n-grams: their score is that of the
 bias. With one class only, every score is 0.7 for it, else 0. An empty table gives an empty result. Only doc_id, text
-and the labels are read.
+and the labels are read; other columns, whatever their names, are not. A document with several labels is good only if all
+of them say so; labels without a doc_id are skipped. A doc_id that occurs several times counts once in the sample, with its
+least text; every row is scored by its own, so equal texts have equal scores.
 """
 
 from __future__ import annotations
@@ -72,32 +74,47 @@ def _distinct(row: np.ndarray, gram: np.ndarray, inside: np.ndarray) -> np.ndarr
     return np.unique(row[inside] << 32 | gram[inside])
 
 
-def fit(marks: np.ndarray, index: np.ndarray, starts: np.ndarray, cost: float = 0.1, passes: int = 20, least: int = 3, blend: float = 0.9) -> tuple[np.ndarray, float]:
-    """Weights per slot (log-count ratio folded in) and bias."""
-    y = np.where(marks == 1, 1.0, -1.0)
-    row = np.repeat(np.arange(len(y)), np.diff(starts))
-    good = np.bincount(index[y[row] > 0], minlength=SLOTS)
-    bad = np.bincount(index[y[row] < 0], minlength=SLOTS)
+def log_ratios(marks: np.ndarray, index: np.ndarray, starts: np.ndarray, least: int) -> np.ndarray:
+    """Log of the smoothed share of each slot among the good rows over that among the bad; 0 for slots of few rows."""
+    counts = np.bincount(np.repeat(marks, np.diff(starts)) * SLOTS + index, minlength=2 * SLOTS)
+    bad, good = counts[:SLOTS], counts[SLOTS:]
     ratio = np.log((good + 1) / (good.sum() + SLOTS)) - np.log((bad + 1) / (bad.sum() + SLOTS))
     ratio[good + bad < least] = 0
-    value = ratio[index]
-    scale = np.sqrt(np.maximum(L.row_sums(value**2, starts), 1e-12))  # rows of unit length
-    value = value / scale[row]
+    return ratio
+
+
+def descend(y: np.ndarray, index: np.ndarray, value: np.ndarray, starts: np.ndarray, most: np.ndarray, passes: int) -> tuple[np.ndarray, float, np.ndarray]:
+    """Weights, bias and dual variables (0 .. ``most`` each) of the hinge-loss model over sparse rows of unit length or none."""
     w, bias, alpha = np.zeros(SLOTS), 0.0, np.zeros(len(y))
-    class_cost = np.where(y > 0, cost * len(y) / (2 * max((y > 0).sum(), 1)), cost * len(y) / (2 * max((y < 0).sum(), 1))) * 10
     shuffle = np.random.default_rng(7)
     for _ in range(passes):
         for i in shuffle.permutation(len(y)):
             f, v = index[starts[i] : starts[i + 1]], value[starts[i] : starts[i + 1]]
             slope = y[i] * (w[f] @ v + bias) - 1
-            new = min(max(alpha[i] - slope / 2.0, 0.0), class_cost[i])  # a row's squared norm with the bias is 2
+            new = min(max(alpha[i] - slope / 2.0, 0.0), most[i])  # a row's squared norm with the bias is 2
             if new != alpha[i]:
                 w[f] += (new - alpha[i]) * y[i] * v
                 bias += (new - alpha[i]) * y[i]
                 alpha[i] = new
-    mean = np.abs(w).sum() / max(np.count_nonzero(w), 1)
-    w = np.where(ratio != 0, (1 - blend) * mean * np.sign(w) + blend * w, 0)
-    return (w * ratio).astype(np.float32), float(bias)
+    return w, bias, alpha
+
+
+def interpolate(w: np.ndarray, used: np.ndarray, blend: float) -> np.ndarray:
+    """``blend`` of the weights and 1 - ``blend`` of their mean magnitude over the used slots; unused slots stay 0."""
+    mean = np.abs(w[used]).sum() / max(int(used.sum()), 1)
+    return np.where(used, (1 - blend) * mean + blend * w, 0)
+
+
+def fit(marks: np.ndarray, index: np.ndarray, starts: np.ndarray, cost: float = 0.1, passes: int = 20, least: int = 3, blend: float = 0.9) -> tuple[np.ndarray, float, np.ndarray]:
+    """Weights per slot (log ratio folded in), bias, and the log ratios."""
+    y = np.where(marks == 1, 1.0, -1.0)
+    ratio = log_ratios(marks, index, starts, least)
+    value = ratio[index]
+    scale = np.sqrt(np.maximum(L.row_sums(value**2, starts), 1e-12))  # rows of unit length
+    value = value / np.repeat(scale, np.diff(starts))
+    most = 10 * cost * len(y) / 2 / np.where(y > 0, max((y > 0).sum(), 1), max((y < 0).sum(), 1))
+    w, bias, _ = descend(y, index, value, starts, most, passes)
+    return (interpolate(w, ratio != 0, blend) * ratio).astype(np.float32), float(bias), ratio.astype(np.float32)
 
 
 class Scorer:
@@ -121,25 +138,24 @@ class Constant:
 
 
 def train(docs: DataFrame, labels: DataFrame) -> Scorer | Constant:
-    known = labels.where(F.col("quality").isNotNull()).select("doc_id", F.col("quality").alias("mark")).dropDuplicates(["doc_id"]).where(L.fold(F.col("doc_id"), FOLDS) != HELD_OUT)
+    known = L.one_label(labels, "quality", F.min).where(L.fold(F.col("doc_id"), FOLDS) != HELD_OUT)
     known = known.join(docs.select("doc_id").distinct(), "doc_id", "left_semi")
     chosen = L.thinned(known, {1: PER_CLASS, 0: PER_CLASS}, F.col("mark"))
-    sample = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id")  # 2 * PER_CLASS rows
-    marks, index, starts = L.collect_features(sample, features, "mark")
+    marks, index, starts = L.collect_features(L.sampled_texts(docs, chosen), features, "mark")
     if len(set(marks.tolist())) < 2:
         return Constant(0.7 if len(marks) and marks[0] == 1 else 0.0)
-    weights, bias = fit(marks, index, starts)
-    good = np.bincount(np.repeat(marks, np.diff(starts)) * SLOTS + index, minlength=2 * SLOTS)
-    bad, good = good[:SLOTS], good[SLOTS:]
-    ratio = np.log((good + 1) / (good.sum() + SLOTS)) - np.log((bad + 1) / (bad.sum() + SLOTS))
-    ratio[good + bad < 3] = 0
-    return Scorer(weights, bias, ratio.astype(np.float32))
+    return Scorer(*fit(marks, index, starts))
 
 
 def score(docs: DataFrame, model: Scorer | Constant) -> DataFrame:
     return L.score_with(docs, features, model.score, THRESHOLD, FOLDS, HELD_OUT)
 
 
+def good(docs: DataFrame, model: Scorer | Constant) -> DataFrame:
+    """The documents that score at least THRESHOLD, with all their columns, in place."""
+    return L.keep_rows(docs, lambda texts: model.score(*features(texts)) >= THRESHOLD)
+
+
 def op9_nbsvm_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = load(spark, sf_dir, "documents")
     return score(docs, train(docs, load(spark, sf_dir, "labels")))

@@ -12,7 +12,9 @@ more than a few texts; training is full-batch in numpy on the driver.
 
 Labels are learned from a sample of at most POSITIVES toxic and UNLABELLED other rows (documented bounds); all texts are
 scored whole. Null and empty texts have no features: their score is that of the bias alone. If there is no toxic training
-row, every score is 0. An empty table gives an empty result. Only doc_id, text and the labels are read.
+row, every score is 0. An empty table gives an empty result. Only doc_id, text and the labels are read; other columns,
+whatever their names, are not. A document with several labels is toxic if one of them says so; labels without a doc_id
+are skipped. A doc_id that occurs several times counts once in the sample, with its least text; every row is scored by its own.
 """
 
 from __future__ import annotations
@@ -62,6 +64,20 @@ def _sigmoid(x: np.ndarray) -> np.ndarray:
     return 1 / (1 + np.exp(-np.clip(x, -30, 30)))
 
 
+def risk(g: np.ndarray, pos: np.ndarray, prior: float) -> tuple[float, np.ndarray, bool]:
+    """The risk of margins g, the direction that training follows (one slope a row), and whether the bracket fell below zero.
+
+    With the bracket above zero the direction is the risk's gradient; below zero it is the bracket's gradient, turned round."""
+    n_pos, n_unl = int(pos.sum()), int((~pos).sum())
+    p = _sigmoid(g)
+    bracket = np.logaddexp(0, g[~pos]).mean() - prior * np.logaddexp(0, g[pos]).mean()
+    value = prior * np.logaddexp(0, -g[pos]).mean() + max(bracket, 0.0)
+    slope = np.where(pos, -prior * p / n_pos, p / n_unl)
+    if bracket < 0:
+        return float(value), -slope, True
+    return float(value), slope + np.where(pos, -prior * (1 - p) / n_pos, 0), False
+
+
 def fit(marks: np.ndarray, index: np.ndarray, starts: np.ndarray, prior: float, steps: int = STEPS, rate: float = 0.05, decay: float = 1e-4, evidence: float = 4.5, lift: float = 10.0, spread: float = 0.012) -> LinearScorer:
     """marks: 1 for positives, 0 for unlabelled rows."""
     pos = marks == 1
@@ -83,15 +99,7 @@ def fit(marks: np.ndarray, index: np.ndarray, starts: np.ndarray, prior: float,
     w, b = np.zeros(len(slots)), np.log(prior / (1 - prior))
     moment, square = np.zeros(len(slots) + 1), np.zeros(len(slots) + 1)
     for t in range(1, steps + 1):
-        g = b + np.bincount(row, w[col], len(marks))
-        p = _sigmoid(g)
-        bracket = np.logaddexp(0, g[~pos]).mean() - prior * np.logaddexp(0, g[pos]).mean()
-        slope = np.zeros(len(marks))  # d risk / d g
-        negative = np.where(pos, -prior * p / n_pos, p / n_unl)
-        if bracket >= 0:
-            slope = negative + np.where(pos, -prior * (1 - p) / n_pos, 0)
-        else:
-            slope = -negative
+        _, slope, _ = risk(b + np.bincount(row, w[col], len(marks)), pos, prior)
         grad = np.append(np.bincount(col, slope[row], len(slots)) + decay * w, slope.sum())
         moment = 0.9 * moment + 0.1 * grad
         square = 0.999 * square + 0.001 * grad**2
@@ -101,14 +109,14 @@ def fit(marks: np.ndarray, index: np.ndarray, starts: np.ndarray, prior: float,
 
 
 def train(docs: DataFrame, labels: DataFrame) -> LinearScorer:
-    known = labels.where(F.col("toxic").isNotNull()).select("doc_id", "toxic").dropDuplicates(["doc_id"]).where(L.fold(F.col("doc_id"), FOLDS) != HELD_OUT)
-    n, toxic = known.agg(F.count("*"), F.sum("toxic")).first()
+    known = L.one_label(labels, "toxic", F.max).where(L.fold(F.col("doc_id"), FOLDS) != HELD_OUT)
+    n, toxic = known.agg(F.count("*"), F.sum("mark")).first()
     if not n or not toxic:
         return LinearScorer(np.zeros(0, np.int64), np.zeros(0), -30.0)
-    rows = docs.select("doc_id").where(L.fold(F.col("doc_id"), FOLDS) != HELD_OUT).join(known, "doc_id", "left").select("doc_id", F.coalesce(F.col("toxic"), F.lit(0)).alias("mark"))
+    ids = docs.select("doc_id").where(F.col("doc_id").isNotNull() & (L.fold(F.col("doc_id"), FOLDS) != HELD_OUT)).distinct()
+    rows = ids.join(known, "doc_id", "left").select("doc_id", F.coalesce(F.col("mark"), F.lit(0)).alias("mark"))
     chosen = L.thinned(rows, {1: POSITIVES, 0: UNLABELLED}, F.col("mark"))
-    sample = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id")  # POSITIVES + UNLABELLED rows
-    return fit(*L.collect_features(sample, features, "mark"), prior=min(max(toxic / n, 1e-3), 0.9))
+    return fit(*L.collect_features(L.sampled_texts(docs, chosen), features, "mark"), prior=min(max(toxic / n, 1e-3), 0.9))
 
 
 def op8_nnpu_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
