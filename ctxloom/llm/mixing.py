@@ -12,11 +12,13 @@ the gradient and the Hessian, k + k^2 numbers whatever the data.
 
 Rates become copies: every document gets floor(r); the rest of a source's target goes, one more copy each, to its
 documents in the order of a hash of doc_id, until the words are spent. Hash order is cut into BUCKETS slices that are
-summed first, so no task has to order a whole source. Then each source changes the one document whose size comes nearest
-to the words still missing or spent too many.
+summed first; only the one slice of a source in which the words run out is put in order. Then each source changes the
+one document whose size comes nearest to the words still missing or spent too many. What comes out is a rule a source
+(:func:`rules`): copies follow from a document's own id and size and its source's rule, so documents are mixed in place.
 
-Null and empty texts have size 0: they spend no words. A null source is a source of its own, last in order. Repeated rows
-are separate documents. An empty table gives an empty result. Other input columns are not read.
+Null and empty texts have size 0: they spend no words and get no extra copy. A null source is a source of its own, last
+in order. Repeated rows are separate documents with the same number of copies: rows that tie in the order all have the
+extra copy or none. An empty table gives an empty result. Only doc_id, text and source are read; other columns pass.
 """
 
 from __future__ import annotations
@@ -104,37 +106,57 @@ def hash_order(doc_id: Column) -> Column:
     return F.conv(F.substring(F.md5(F.coalesce(doc_id.cast("string"), F.lit("")).cast("binary")), 1, 13), 16, 10).cast("long")
 
 
-def mix(sizes: DataFrame, rates: DataFrame) -> DataFrame:
-    """Adds copies to rows (doc_id, source, size): floor(rate), and one more for those in hash order that the target still pays.
+def _keyed(rows: DataFrame) -> DataFrame:
+    """Adds key, the place in the source's order with its ties, and bucket, the slice of the order."""
+    place = hash_order(F.col("doc_id"))
+    return rows.withColumn("key", F.struct(place.alias("place"), F.col("doc_id").alias("id"), F.col("size").alias("words"))).withColumn("bucket", F.expr(f"int(key.place div {2**52 // BUCKETS})"))
 
-    A document gets its extra copy if all of it fits into what is left, so a source's words miss its target by less than
-    a document; one document a source, the best, then gains or loses its extra copy if that comes nearer.
+
+def _extra() -> Column:
+    """1 if the rule's words still paid for one more copy of the document."""
+    paid = (F.col("bucket") < F.col("cut_bucket")) | ((F.col("bucket") == F.col("cut_bucket")) & F.col("cut_key").isNotNull() & (F.col("key") <= F.col("cut_key")))
+    return ((F.col("size") > 0) & paid).cast("int")
+
+
+def _with_rule(rows: DataFrame, table: DataFrame) -> DataFrame:
+    """Rows with their source's rule. A row a source: the planner sends it out if it is small, or sorts and merges."""
+    named = table.withColumnRenamed("source", "_source")
+    return rows.join(named, rows["source"].eqNullSafe(named["_source"])).drop("_source")
+
+
+def rules(sizes: DataFrame, rates: DataFrame) -> DataFrame:
+    """source, source_size, target, whole, cut_bucket, cut_key, flip_key per source.
+
+    A document gets ``whole`` copies, and one more up to ``cut_key`` in its source's order, as far as all of it fits into
+    what the target still pays: a source's words then miss the target by less than a document. The document at
+    ``flip_key`` gains or loses its extra copy, where that comes nearer (ties: the first in order).
     """
-    rows = sizes.withColumn("place", hash_order(F.col("doc_id"))).withColumn("bucket", F.expr(f"int(place div {2**52 // BUCKETS})"))
-    per_bucket = rows.groupBy("source", "bucket").agg(F.sum("size").alias("bucket_size"))
+    rows = _keyed(sizes)
+    per = rates.withColumn("rate", F.round("rate", 9)).select("source", "source_size", "target", F.floor("rate").alias("whole"), F.round(F.col("target") - F.floor("rate") * F.col("source_size"), 6).alias("rest"))
     before = Window.partitionBy("source").orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)
-    rest = F.round(F.col("target") - F.floor("rate") * F.col("source_size"), 6)
-    cut = (
-        per_bucket.withColumn("ahead", F.coalesce(F.sum("bucket_size").over(before), F.lit(0)))
-        .join(rates.withColumn("rate", F.round("rate", 9)), per_bucket["source"].eqNullSafe(rates["source"]))
-        .select(per_bucket["source"].alias("s"), F.col("bucket").alias("b"), "ahead", "source_size", "target", F.floor("rate").alias("whole"), rest.alias("rest"))
-    )
-    inside = Window.partitionBy("source", "bucket").orderBy("place", "doc_id", "size").rowsBetween(Window.unboundedPreceding, -1)
-    rows = rows.withColumn("inside", F.coalesce(F.sum("size").over(inside), F.lit(0)))
-    joined = rows.join(cut, rows["source"].eqNullSafe(cut["s"]) & (rows["bucket"] == cut["b"]))
-    extra = (F.col("ahead") + F.col("inside") + F.col("size") <= F.col("rest")).cast("int")
-    chosen = materialise(joined.select("doc_id", rows["source"], "size", "source_size", "target", "place", "whole", "rest", extra.alias("extra")), "rounded")
-    missing = chosen.groupBy("source").agg((F.max("rest") - F.sum(F.col("size") * F.col("extra"))).alias("missing")).withColumnRenamed("source", "s")
-    # what flipping a document's extra copy would leave
+    summed = rows.groupBy("source", "bucket").agg(F.sum("size").alias("bucket_size")).withColumn("ahead", F.coalesce(F.sum("bucket_size").over(before), F.lit(0)))
+    over = F.min(F.when(F.col("ahead") + F.col("bucket_size") > F.col("rest"), F.struct("bucket", "ahead")))
+    table = _with_rule(summed, per).groupBy("source", "source_size", "target", "whole", "rest").agg(over.alias("o"))
+    table = materialise(table.select("source", "source_size", "target", "whole", "rest", F.coalesce("o.bucket", F.lit(BUCKETS)).alias("cut_bucket"), F.col("o.ahead").alias("ahead")), "rules")
+    order = Window.partitionBy("source").orderBy("key").rangeBetween(Window.unboundedPreceding, Window.currentRow)
+    last = _with_rule(rows, table).where("bucket = cut_bucket").withColumn("spent", F.col("ahead") + F.sum("size").over(order)).where("spent <= rest").groupBy("source").agg(F.max("key").alias("cut_key"))
+    table = table.join(last.withColumnRenamed("source", "_source"), F.col("source").eqNullSafe(F.col("_source")), "left").drop("_source")
+    table = materialise(table, "rules")
+    marked = _with_rule(rows, table).withColumn("extra", _extra())
+    missing = marked.groupBy("source").agg((F.max("rest") - F.sum(F.col("size") * F.col("extra"))).alias("missing"))
     after = F.col("missing") - F.col("size") * (1 - 2 * F.col("extra"))
-    best = (
-        chosen.join(missing, chosen["source"].eqNullSafe(missing["s"])).where(F.abs(after) < F.abs("missing"))
-        .groupBy("s").agg(F.min(F.struct(F.round(F.abs(after), 6).alias("left"), "place", "doc_id", "size")).alias("flip")).select("s", "flip.*")
-        .select("s", F.col("place").alias("p"), F.col("doc_id").alias("i"), F.col("size").alias("z"))
-    )
-    same = chosen["source"].eqNullSafe(best["s"]) & (chosen["place"] == best["p"]) & chosen["doc_id"].eqNullSafe(best["i"]) & (chosen["size"] == best["z"])
-    final = F.when(F.col("s").isNotNull() | F.col("p").isNotNull(), 1 - F.col("extra")).otherwise(F.col("extra"))
-    return chosen.join(best, same, "left").select("doc_id", "source", "size", "source_size", "target", (F.col("whole") + final).cast("int").alias("copies"))
+    flip = F.min(F.struct(F.round(F.abs(after), 6).alias("left"), "key")).alias("flip")
+    best = _with_rule(marked, materialise(missing, "rules")).where(F.abs(after) < F.abs("missing")).groupBy("source").agg(flip).select(F.col("source").alias("_source"), F.col("flip.key").alias("flip_key"))
+    return materialise(table.join(best, F.col("source").eqNullSafe(F.col("_source")), "left").drop("_source", "rest", "ahead"), "rules")
+
+
+def mix(rows: DataFrame, table: DataFrame) -> DataFrame:
+    """Adds source_size, target and copies to rows with doc_id, source and size, by the sources' rules."""
+    kept = [c for c in rows.columns if c not in ("source_size", "target", "copies")]
+    marked = _with_rule(_keyed(rows.select(*kept)), table)
+    flipped = F.coalesce(F.col("key") == F.col("flip_key"), F.lit(False))
+    extra = F.when(flipped, 1 - _extra()).otherwise(_extra())
+    return marked.withColumn("copies", (F.col("whole") + extra).cast("int")).select(*kept, "source_size", "target", "copies")
 
 
 def sized(docs: DataFrame) -> DataFrame:
@@ -144,7 +166,17 @@ def sized(docs: DataFrame) -> DataFrame:
 def mix_documents(docs: DataFrame) -> DataFrame:
     """doc_id, source, size, source_size, target, copies for all documents."""
     sizes = sized(docs)
-    return mix(sizes, source_rates(source_targets(sizes)))
+    return mix(sizes, rules(sizes, source_rates(source_targets(sizes))))
+
+
+def repeated(docs: DataFrame) -> DataFrame:
+    """The documents themselves, each as often as the mix takes it: never, once or twice. Texts stay where they are."""
+    sizes = sized(docs)
+    table = rules(sizes, source_rates(source_targets(sizes)))
+    names = {c: f"_own_{i}" for i, c in enumerate(docs.columns)}
+    rows = docs.select("doc_id", "source", word_count(F.col("text")).alias("size"), *[F.col(c).alias(n) for c, n in names.items()])
+    taken = mix(rows, table).where("copies > 0")
+    return taken.select(*[F.col(n).alias(c) for c, n in names.items()], F.explode(F.sequence(F.lit(1), F.col("copies"))).alias("_copy")).drop("_copy")
 
 
 def op6_entropy_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
