@@ -9,13 +9,17 @@ similarity. Points later than the time by which all registers are filled are nev
 still empty is run again for longer.
 
 Exact copies become one class first. Class representatives meet in bands of registers; every bucket of a band is then
-searched exactly, in blocks of bounded size, by counting common shingle occurrences. Nothing is capped: a bucket too large for
-one block becomes pairs of blocks. Only the links that connect a block's documents leave it, so a group of thousands does not
-turn into millions of pairs. A missed pair needs all bands to differ: under 4e-5 at similarity 0.8.
+searched exactly, in blocks of bounded size, by counting common shingle occurrences. Nothing is capped. A bucket too large for
+one block is cut into blocks that all share a few leaders: a group of copies, however large, then is connected through its
+leaders at a cost in proportion to its size. Members that are still apart from the bucket's largest connected part are
+compared with all others, in pairs of blocks, so no link between parts is lost. Only the links that connect a block's
+documents leave it, so a group of thousands does not turn into millions of pairs. A missed pair needs all bands to differ:
+under 4e-5 at similarity 0.8.
 
 Null and empty texts are one class (no words). Texts under five words are alike only if they are equal after trimming.
-Repeated rows are copies with one id; they stay or go together. Rows without an id are copies of others or stay. An empty table gives an empty result. Clashing columns of the input do not matter: only the id
-and the text are read.
+Repeated rows are copies with one id; rows of one id, whatever their texts, stay or go together: their classes are one
+group. Rows without an id are copies of others or stay. An empty table gives an empty result. Clashing columns of the
+input do not matter: only the id and the text are read.
 """
 
 from __future__ import annotations
@@ -26,7 +30,7 @@ from collections.abc import Iterator
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ctxloom.llm import textkernel as K
@@ -38,7 +42,8 @@ SHINGLE = 5
 SIMILARITY = 0.8
 BANDS, ROWS = 26, 5
 BLOCK_UNITS = 1_000_000  # shingle occurrences on one side of a block pair
-BLOCK_DOCS = 1024
+BLOCK_DOCS = 512
+LEADERS = 24  # about so many members of a bucket of several blocks are in all of them
 FILTER_BITS = 1 << 24
 
 
@@ -106,7 +111,7 @@ def band_keys(times: np.ndarray, bands: int = BANDS, per_band: int = ROWS) -> np
     return h.view(np.int64)
 
 
-SIGNED = "id long, class_key string, units long, bands array<long>"
+SIGNED = "id long, h long, class_key string, units long, bands array<long>"
 
 
 def _sign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -126,8 +131,8 @@ def _sign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bands = band_keys(bag_signatures(place[row[pick]], key[pick], count[pick], int(able.sum())))
         lists = np.where(able, BANDS, 0)
         yield pa.RecordBatch.from_arrays(
-            [batch.column(0), pa.array(keys, pa.string()), pa.array(units), pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(lists)]), pa.int32()), pa.array(bands.ravel()))],
-            names=["id", "class_key", "units", "bands"],
+            [batch.column(0), batch.column(2), pa.array(keys, pa.string()), pa.array(units), pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(lists)]), pa.int32()), pa.array(bands.ravel()))],
+            names=["id", "h", "class_key", "units", "bands"],
         )
 
 
@@ -179,59 +184,112 @@ def _link(left: list[np.ndarray], right: list[np.ndarray] | None, similarity: fl
 
 def _verify(similarity: float):
     def kernel(pdf: pd.DataFrame) -> pd.DataFrame:
-        pdf = pdf.drop_duplicates(["side", "id"])
-        sets = dict(zip(pdf["id"], occurrence_sets(pa.array(pdf["text"], pa.string()))))
-        left, right = (sorted(pdf.loc[pdf.side == s, "id"]) for s in (0, 1))
-        ids = left + right
-        found = _link([sets[i] for i in left], [sets[i] for i in right] if len(right) else None, similarity) if len(left) else []
+        pdf = pdf.drop_duplicates(["side", "id", "h"]).sort_values(["side", "id", "h"])
+        sets = occurrence_sets(pa.array(pdf["text"], pa.string()))
+        n, ids = int((pdf["side"] == 0).sum()), pdf["id"].to_numpy()
+        found = _link(sets[:n], sets[n:] if len(sets) > n else None, similarity) if n else []
         return pd.DataFrame({"a": [ids[i] for i, _ in found], "b": [ids[j] for _, j in found]}, dtype="int64")
 
     return kernel
 
 
+def _texts(docs: DataFrame) -> DataFrame:
+    """id, text, and h, which tells texts of one id apart."""
+    return docs.select(F.col("doc_id").cast("long").alias("id"), "text", F.xxhash64("text").alias("h"))
+
+
 def sign(docs: DataFrame) -> DataFrame:
-    return docs.select(F.col("doc_id").cast("long").alias("id"), "text").mapInArrow(_sign, SIGNED)
+    return _texts(docs).mapInArrow(_sign, SIGNED)
+
+
+def _marked(rows: DataFrame, id_: Column, wanted: DataFrame) -> DataFrame:
+    """Adds __mark: false only for ids that are not in ``wanted`` (id). The wanted ids' hashes are a bitmap of at most
+    FILTER_BITS / 64 rows, whatever the data."""
+    place = lambda c: F.pmod(F.xxhash64(c), F.lit(FILTER_BITS))
+    words = wanted.select(place(F.col("id")).alias("p")).groupBy(F.expr("p div 64").alias("__word")).agg(F.expr("bit_or(shiftleft(1L, cast(p % 64 as int)))").alias("__bits"))
+    met = rows.withColumn("__place", place(id_)).withColumn("__word", F.expr("__place div 64")).join(F.broadcast(words), "__word", "left")
+    return met.withColumn("__mark", F.expr("coalesce((shiftright(__bits, cast(__place % 64 as int)) & 1) = 1, false)")).drop("__place", "__word", "__bits")
 
 
 def _likely(rows: DataFrame, wanted: DataFrame) -> DataFrame:
-    """Rows whose id may be in ``wanted`` (id). A bitmap of the wanted ids' hashes goes first, so that few others are shuffled:
-    FILTER_BITS / 64 rows at most, whatever the data. A few other rows remain for the exact join that follows; a semi-join
-    here would be moved below the bitmap by the optimiser."""
-    place = F.pmod(F.xxhash64("id"), F.lit(FILTER_BITS))
-    words = wanted.select(place.alias("p")).groupBy(F.expr("p div 64").alias("word")).agg(F.expr("bit_or(shiftleft(1L, cast(p % 64 as int)))").alias("bits"))
-    likely = rows.withColumn("p", place).withColumn("word", F.expr("p div 64")).join(F.broadcast(words), "word").where("(shiftright(bits, cast(p % 64 as int)) & 1) = 1")
-    return likely.select(*rows.columns)
+    """Rows whose id may be in ``wanted`` (id), by the bitmap, so that few others are shuffled for the exact join that
+    follows; a semi-join here would be moved below the bitmap by the optimiser."""
+    return _marked(rows, F.col("id"), wanted).where("__mark").select(*rows.columns)
+
+
+def _links(docs: DataFrame, spread: DataFrame, similarity: float) -> DataFrame:
+    """(a, b) that connect the documents of each block or pair of blocks; ``spread`` has the block's key, side, id and h."""
+    texts = _likely(_texts(docs), spread.select("id").distinct()).dropDuplicates(["id", "h"])
+    return spread.join(texts, ["id", "h"]).groupBy("kind", "band", "bucket", "lo", "hi").applyInPandas(_verify(similarity), "a long, b long")
+
+
+def _blocks(n: Column, load_: Column) -> Column:
+    return F.greatest(F.lit(1), F.ceil(n / BLOCK_DOCS), F.ceil(load_ / BLOCK_UNITS)).cast("int")
+
+
+def _apart(members: DataFrame, roots: DataFrame) -> DataFrame:
+    """Members of buckets of several blocks that are not in the bucket's largest connected part, with the pairs of blocks in
+    which they meet each other (kind 1) and that part (kind 2)."""
+    rooted = members.where("parts > 1").join(roots, F.col("id") == F.col("node"), "left").select("id", "h", "units", "band", "bucket", "block", "parts", F.coalesce("root", "id").alias("root"))
+    per = rooted.groupBy("band", "bucket", "root").agg(F.count("*").alias("n"), F.sum("units").alias("load"))
+    most = per.groupBy("band", "bucket").agg(F.max(F.struct("n", "root")).alias("top"), F.sum("n").alias("n"), F.sum("load").alias("load"))
+    top = per.join(most.select("band", "bucket", F.col("top.root").alias("main"), F.col("n").alias("all_n"), F.col("load").alias("all_load")), ["band", "bucket"]).where("root = main")
+    open_ = top.where("n < all_n").select("band", "bucket", "main", _blocks(F.col("all_n") - F.col("n"), F.col("all_load") - F.col("load")).alias("rest_parts"))
+    met = materialise(rooted.join(open_, ["band", "bucket"]).withColumn("rest", F.col("root") != F.col("main")), "apart")
+    own = F.pmod(F.xxhash64("id", F.lit(7)), F.col("rest_parts")).cast("int")
+    up_to = lambda n: F.sequence(F.lit(0), n - 1)
+    key = lambda kind, lo, hi, side: F.struct(F.lit(kind).alias("kind"), lo.alias("lo"), hi.alias("hi"), side.alias("side"))
+    each = F.transform(up_to(F.col("rest_parts")), lambda j: key(1, F.least("own", j), F.greatest("own", j), (F.col("own") != F.least("own", j)).cast("int")))
+    against = F.transform(up_to(F.col("parts")), lambda j: key(2, F.col("own"), j, F.lit(0)))
+    main = F.transform(up_to(F.col("rest_parts")), lambda j: key(2, j, F.col("block"), F.lit(1)))
+    pairs = F.when(F.col("rest"), F.concat(each, against)).otherwise(main)
+    return met.withColumn("own", own).select("id", "h", "band", "bucket", F.explode(pairs).alias("p")).select("id", "h", "band", "bucket", "p.*")
 
 
 def near_duplicates(docs: DataFrame, similarity: float = SIMILARITY) -> DataFrame:
     """doc_id, class_id (least id among equal multisets), group_id (least id among all that links connect), keep."""
     signed = materialise(sign(docs), "signed")
-    classes = signed.groupBy("class_key").agg(F.min("id").alias("class_id"), F.first("units").alias("units"), F.first("bands").alias("bands"))
-    classes = materialise(classes, "classes")
-    placed = classes.where((F.size("bands") > 0) & F.col("class_id").isNotNull()).select(F.col("class_id").alias("id"), "units", F.posexplode("bands").alias("band", "bucket"))
-    mark = F.xxhash64("id")
+    first = F.min(F.when(F.col("id").isNotNull(), F.struct("id", "h")))
+    classes = signed.groupBy("class_key").agg(first.alias("f"), F.first("units").alias("units"), F.first("bands").alias("bands"))
+    classes = materialise(classes.select("class_key", F.col("f.id").alias("class_id"), F.col("f.h").alias("h"), "units", "bands"), "classes")
+    placed = classes.where((F.size("bands") > 0) & F.col("class_id").isNotNull()).select(F.col("class_id").alias("id"), "h", "units", F.posexplode("bands").alias("band", "bucket"))
+    mark = F.xxhash64("id", "h")
     buckets = placed.groupBy("band", "bucket").agg(
-        F.count("*").alias("n"), F.sum("units").alias("load"), F.max("units").alias("longest"), F.min("id").alias("first"), F.bit_xor(mark).alias("x"), F.sum(mark.cast("decimal(38,0)")).alias("y")
+        F.count("*").alias("n"), F.sum("units").alias("load"), F.min("id").alias("first"), F.bit_xor(mark).alias("x"), F.sum(mark.cast("decimal(38,0)")).alias("y")
     ).where("n > 1")
     # buckets of the same members are searched once
-    groups = buckets.groupBy("n", "x", "y", "first").agg(F.min(F.struct("band", "bucket", "load", "longest")).alias("s")).select("n", "s.*")
-    slack = F.lit(BLOCK_UNITS)
-    parts = F.greatest(F.lit(1), F.ceil(F.col("n") / BLOCK_DOCS), F.ceil(F.col("load") / slack)).cast("int")
-    groups = groups.select("band", "bucket", parts.alias("parts"))
-    members = placed.join(groups, ["band", "bucket"]).withColumn("block", F.pmod(F.xxhash64("id", F.lit(5)), F.col("parts")).cast("int"))
-    spread = members.select(
-        "id", "band", "bucket", "block",
-        F.explode(F.transform(F.sequence(F.lit(0), F.col("parts") - 1), lambda j: F.struct(F.least("block", j).alias("lo"), F.greatest("block", j).alias("hi")))).alias("pair"),
-    ).select("id", "band", "bucket", "pair.lo", "pair.hi", (F.col("block") != F.col("pair.lo")).cast("int").alias("side"))
-    spread = materialise(spread, "members")
-    texts = _likely(docs.select(F.col("doc_id").cast("long").alias("id"), "text"), spread.select("id").distinct()).dropDuplicates(["id"])
-    met = spread.join(texts, "id")
-    links = met.groupBy("band", "bucket", "lo", "hi").applyInPandas(_verify(similarity), "a long, b long")
+    groups = buckets.groupBy("n", "x", "y", "first").agg(F.min(F.struct("band", "bucket", "load")).alias("s")).select("n", "s.*")
+    groups = groups.select("band", "bucket", _blocks(F.col("n"), F.col("load")).alias("parts"))
+    members = materialise(placed.join(groups, ["band", "bucket"]).withColumn("block", F.pmod(F.xxhash64("id", F.lit(5)), F.col("parts")).cast("int")), "members")
+    leads = (F.col("parts") > 1) & (F.pmod(F.xxhash64("id", F.lit(3)), F.col("parts").cast("long") * BLOCK_DOCS) < LEADERS)
+    places = F.when(leads, F.sequence(F.lit(0), F.col("parts") - 1)).otherwise(F.array("block"))
+    spread = members.select("id", "h", "band", "bucket", F.explode(places).alias("lo"))
+    spread = spread.select("id", "h", F.lit(0).alias("kind"), "band", "bucket", "lo", F.col("lo").alias("hi"), F.lit(0).alias("side"))
+    links = materialise(_links(docs, spread, similarity), "links")
     roots = components(links)
+    if not members.where("parts > 1").isEmpty():
+        roots = materialise(roots, "roots")
+        apart = materialise(_apart(members, roots), "apart")
+        if not apart.isEmpty():
+            more = _links(docs, apart, similarity)
+            roots = components(roots.select(F.col("node").alias("a"), F.col("root").alias("b")).unionByName(more))
     of_class = classes.select("class_key", "class_id").join(roots, F.col("class_id") == F.col("node"), "left").select("class_key", "class_id", F.coalesce("root", "class_id").alias("group_id"))
     return signed.select("id", "class_key").join(of_class, "class_key").select(F.col("id").alias("doc_id"), "class_id", "group_id", F.col("id").eqNullSafe(F.col("group_id")).alias("keep"))
 
 
+def without_copies(docs: DataFrame, similarity: float = SIMILARITY) -> DataFrame:
+    """The documents of every group's least id, with all their columns. Rows of one id, and rows without one, stay or go together.
+
+    Most documents stay, so texts are not shuffled to find out: a bitmap of the ids that go (FILTER_BITS bits) lets all
+    others pass where they are, and only the few it marks are compared with the ids that go by an exact join."""
+    gone = materialise(near_duplicates(docs, similarity).groupBy(F.col("doc_id").alias("gone_id")).agg(F.max("keep").alias("k")).where("not k").select("gone_id"), "gone")
+    marked = _marked(docs, F.col("doc_id").cast("long"), gone.select(F.col("gone_id").alias("id")))
+    passed = marked.where("not __mark").select(*docs.columns)
+    suspects = marked.where("__mark")
+    kept = suspects.join(gone, F.col("doc_id").eqNullSafe(F.col("gone_id")), "left_anti").select(*docs.columns)
+    return passed.unionByName(kept)
+
+
 def op5_bagminhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_duplicates(load(spark, sf_dir, "documents"))
 
