@@ -298,9 +298,10 @@ def test_signatures_estimate_weighted_jaccard():
     assert abs((sig[0] == sig[1]).mean() - true) < 4 * math.sqrt(true * (1 - true) / 4096) and np.isfinite(sig).all()
 
 
-@pytest.mark.parametrize("block", [1024, 8])
-def test_near_duplicates(spark, sf, block, monkeypatch):
+@pytest.mark.parametrize("block, leaders", [(1024, 24), (8, 3), (8, 0), (2, 1)])
+def test_near_duplicates(spark, sf, block, leaders, monkeypatch):
     monkeypatch.setattr(minhash, "BLOCK_DOCS", block)
+    monkeypatch.setattr(minhash, "LEADERS", leaders)
     r = random.Random(2)
     docs = {x.doc_id: x.text for x in load(spark, sf, "documents").where("doc_id < 60").collect()}
     base = " ".join(f"w{r.randint(0, 5000)}" for _ in range(200))
@@ -319,6 +320,25 @@ def test_near_duplicates_of_odd_rows(odd, none):
     assert len(got) == 12 and got.keep.notna().all() and got[got.doc_id == 2].group_id.tolist() == [1] and minhash.near_duplicates(none).count() == 0
 
 
+def test_one_id_with_several_texts(spark):
+    a, b = " ".join(f"a{i}" for i in range(40)), " ".join(f"b{i}" for i in range(40))
+    rows = [(1, a), (2, b), (5, a), (5, b), (7, " ".join(f"c{i}" for i in range(40))), (None, a), (None, "d e f g h i j")]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    for docs in (df, df.repartition(5)):
+        got = [(r.doc_id, r.class_id, r.group_id, r.keep) for r in minhash.near_duplicates(docs).collect()]
+        assert sorted(got, key=str) == sorted([(1, 1, 1, True), (2, 2, 2, True), (5, 1, 1, False), (5, 2, 2, False), (7, 7, 7, True), (None, 1, 1, False), (None, None, None, True)], key=str)
+        kept = minhash.without_copies(docs)
+        assert kept.columns == docs.columns and sorted(str(r.doc_id) for r in kept.collect()) == ["1", "2", "7", "None", "None"]
+
+
+def test_kept_rows_are_those_marked(spark, sf, odd, none):
+    docs = load(spark, "/root/testdata/sf0.01", "documents")
+    want = {r.doc_id for r in minhash.near_duplicates(docs).where("keep").collect()}
+    got = minhash.without_copies(docs)
+    assert got.columns == docs.columns and sorted(r.doc_id for r in got.collect()) == sorted(want)
+    assert minhash.without_copies(odd).columns == odd.columns and minhash.without_copies(none).count() == 0
+
+
 def test_components(spark):
     r = random.Random(4)
     edges = [(i, i + 1) for i in range(0, 200) if i % 17] + [(r.randint(300, 400), r.randint(300, 400)) for _ in range(60)]
@@ -354,6 +374,14 @@ def test_mix(spark, sf, odd, none):
     again = mixing.op6_entropy_mixing(spark, sf).toPandas()
     assert got.sort_values("doc_id").taken.tolist() == again.sort_values("doc_id").taken.tolist()
     assert mixing.mix_documents(odd).count() == 12 and mixing.mix_documents(none).count() == 0
+    assert mixing.mix_documents(odd).agg(F.max("copies")).first()[0] <= 2
+    for table in (odd, none, load(spark, sf, "documents")):
+        copies = {}
+        for x in mixing.mix_documents(table).collect():
+            copies[x.doc_id] = copies.get(x.doc_id, 0) + x.copies
+        rows = mixing.repeated(table)
+        counted = {x.doc_id: x["count"] for x in rows.groupBy("doc_id").count().collect()}
+        assert rows.schema == table.schema and counted == {k: v for k, v in copies.items() if v}
     plan = mixing.mix_documents(odd)._jdf.queryExecution().toString()
     assert "Python" not in plan and "Arrow" not in plan
 
@@ -424,6 +452,72 @@ def test_risk_stays_non_negative():
     assert ((score >= 0.5) == truth).mean() > 0.95
 
 
+def test_risk_and_its_gradient():
+    r = np.random.default_rng(7)
+    pos, prior, h = np.arange(30) < 10, 0.4, 1e-6
+    for g, below in ((r.normal(0, 1, 30), False), (np.where(pos, 4.0, -6.0) + r.normal(0, 0.2, 30), True)):
+        value, slope, clipped = toxicity.risk(g, pos, prior)
+        loss = lambda x: np.log1p(np.exp(-x))
+        bracket = lambda x: loss(-x[~pos]).mean() - prior * loss(-x[pos]).mean()
+        assert clipped == below == (bracket(g) < 0)
+        assert value == pytest.approx(prior * loss(g[pos]).mean() + max(0, bracket(g))) and value >= 0
+        follow = (lambda x: -bracket(x)) if below else (lambda x: toxicity.risk(x, pos, prior)[0])
+        by_differences = [(follow(g + h * e) - follow(g - h * e)) / (2 * h) for e in np.eye(30)]
+        assert np.allclose(slope, by_differences, atol=1e-7)
+
+
+def test_samples_count_an_id_once(spark):
+    docs = spark.createDataFrame([(i % 30, f"w{i % 3} x{i} y") for i in range(300)] + [(None, "n")], "doc_id long, text string")
+    labels = spark.createDataFrame([(i, i % 2) for i in range(30)] * 3 + [(4, 1), (None, 1), (5, None)], "doc_id long, toxic int")
+    known = labelled.one_label(labels, "toxic", F.max)
+    assert {r.doc_id: r.mark for r in known.collect()} == {i: 1 if i == 4 else i % 2 for i in range(30)}
+    got = sorted(labelled.sampled_texts(docs, known).collect())
+    assert [r.doc_id for r in got] == list(range(30)) and all(r.text == min(f"w{i % 3} x{i} y" for i in range(r.doc_id, 300, 30)) for r in got)
+    everything = labelled.collect_features(labelled.sampled_texts(docs, known), toxicity.features, "mark")
+    assert len(everything[0]) == 30 and everything[2][-1] == 90
+
+
+def test_samples_have_bounded_features(spark, monkeypatch):
+    monkeypatch.setattr(labelled, "SAMPLE_FEATURES", 25)
+    docs = spark.createDataFrame([(i, f"w{i} x y", 0) for i in range(30)], "doc_id long, text string, mark int")
+    marks, index, starts = labelled.collect_features(docs, toxicity.features, "mark")
+    assert len(marks) == 8 and len(index) == starts[-1] == 24
+
+
+def test_dual_descent_closes_the_gap():
+    r = np.random.default_rng(9)
+    n = 200
+    rows = [np.unique(r.integers(0, 50, 12)) for _ in range(n)]
+    starts, index = np.concatenate([[0], np.cumsum([len(x) for x in rows])]), np.concatenate(rows)
+    value = r.normal(0, 1, len(index))
+    value /= np.repeat(np.sqrt(labelled.row_sums(value**2, starts)), np.diff(starts))
+    y = np.where(r.random(n) < 0.5, 1.0, -1.0)
+    most = np.where(y > 0, 0.5, 2.0)
+    w, bias, alpha = quality.descend(y, index, value, starts, most, 300)
+    dense = np.zeros((n, quality.SLOTS))
+    dense[np.repeat(np.arange(n), np.diff(starts)), index] = value
+    assert np.allclose(w, (alpha * y) @ dense) and bias == pytest.approx(float(alpha @ y)) and (alpha >= 0).all() and (alpha <= most).all()
+    norm = (w @ w + bias**2) / 2
+    primal, dual = norm + (most * np.maximum(0, 1 - y * (dense @ w + bias))).sum(), alpha.sum() - norm
+    assert dual <= primal and primal - dual < 1e-3 * primal
+
+
+def test_interpolation_goes_to_naive_bayes():
+    r = np.random.default_rng(10)
+    marks, index, starts = np.arange(300) % 2, r.integers(0, 40, 3000), np.arange(0, 3001, 10)
+    index = np.where((np.repeat(marks, 10) == 1) & (r.random(3000) < 0.2), 41, index)
+    counts = {s: [sum(int(index[i] == s and marks[i // 10] == k) for i in range(3000)) for k in (0, 1)] for s in range(42)}
+    ratio = quality.log_ratios(marks, index, starts, 3)
+    total = [sum(c[k] for c in counts.values()) + quality.SLOTS for k in (0, 1)]
+    for s, (bad, good) in counts.items():
+        assert ratio[s] == pytest.approx(math.log((good + 1) / total[1]) - math.log((bad + 1) / total[0]) if bad + good >= 3 else 0)
+    only = quality.fit(marks, index, starts, blend=0.0)[0]
+    assert (np.sign(only) == np.sign(ratio)).all()  # all weight on the mean: each indicator by its log ratio
+    w = r.normal(0, 1, quality.SLOTS)
+    mixed, used = quality.interpolate(w, ratio != 0, 0.75), ratio != 0
+    assert np.allclose(mixed[used], 0.25 * np.abs(w[used]).mean() + 0.75 * w[used]) and not mixed[~used].any()
+
+
 def test_quality(spark, odd, none):
     sf = "/root/testdata/sf0.01"
     got = quality.op9_nbsvm_quality(spark, sf)
@@ -447,6 +541,43 @@ def test_language(spark, odd, none):
     assert {r.lang_pred for r in langid.identify(odd, langid.train(none)).collect()} == {"und"} and langid.identify(none, filters).count() == 0
 
 
+def test_popcounts_by_sets():
+    r = np.random.default_rng(11)
+    names = [f"l{i:02d}" for i in range(70)]
+    alphabet = "abcdefgh"
+    texts = ["".join(r.choice(list(alphabet + " "), 60)) for _ in range(40)] + ["", None, "Ab, c"]
+    per = {n: (g := np.unique(r.integers(0, 2**32, 300).astype(np.uint32)), np.full(len(g), 1e-3)) for n in names}
+    for i, n in enumerate(names):  # some of the texts' own 4-grams, too
+        own = np.unique(np.concatenate([g for _, g in langid.grams(pa.array(texts[i % 40 : i % 40 + 3]))]))
+        g = np.unique(np.concatenate([per[n][0], own]))
+        per[n] = (g, np.full(len(g), 1e-3))
+    f = langid.LanguageFilters.build(per)
+    got, seen = f.corrected(pa.array(texts, pa.string()))
+    bits = {n: set() for n in names}
+    slots_of = lambda g: tuple(int(s[0]) for s in langid._slots(np.array([g], np.uint32)))
+    for n in names:
+        for g in per[n][0]:
+            bits[n] |= {int(s[0]) for s in langid._slots(np.array([g], np.uint32))}
+    for i, t in enumerate(texts):
+        clean = re.sub(r"[^a-z]+", " ", (t or "").lower())
+        grams = [int.from_bytes(clean[j : j + 4].encode(), "little") for j in range(len(clean) - 3)]
+        assert seen[i] == len(grams)
+        for k, n in enumerate(names):
+            hits = sum(all(s in bits[n] for s in slots_of(g)) for g in grams)
+            false = (len(bits[n]) / langid.SLOTS) ** langid.HASHES
+            assert got[i, k] == pytest.approx(max(0.0, (hits / max(len(grams), 1) - false) / (1 - false)), abs=1e-12)
+
+
+def test_kernels_pass_all_columns(spark, odd, none):
+    filters = langid.train(load(spark, "/root/testdata/sf0.001", "documents"))
+    marks = {(r.doc_id, r.lang_pred != "und" and r.share >= langid.KNOWN) for r in langid.identify(odd, filters).collect()}
+    got = langid.known_language(odd, filters)
+    assert got.schema == odd.schema and {(r.doc_id, r.text) for r in got.collect()} == {(r.doc_id, r.text) for r in odd.collect() if (r.doc_id, True) in marks}
+    assert {1, 2} <= {r.doc_id for r in got.collect()} and langid.known_language(none, filters).count() == 0
+    good = quality.good(odd, quality.Constant(0.7))
+    assert good.schema == odd.schema and good.count() == 12 and quality.good(odd, quality.Constant(0.0)).count() == 0
+
+
 def test_bloom_filters_hold_every_member():
     r = np.random.default_rng(8)
     a, b = (np.unique(r.integers(0, 2**32, 3000).astype(np.uint32)) for _ in range(2))
