@@ -170,16 +170,17 @@ def fit_eta(blocks: DataFrame, m: int, grid: list[float] | None = None) -> DataF
 def long_blocks(stream: Stream, block: int, order: str = "doc_id", bucket: int = 4096, tail: str = "drop") -> DataFrame:
     """block_no, syms: the rows' sequences end to end in order of an integer column, cut into blocks (a short last one is dropped or kept).
 
-    Offsets come from sums per bucket of the order column and a running sum inside each bucket, so no task orders all rows.
-    Only a block's own symbols meet in one task.
+    Offsets come from sums per bucket of the order column and a running sum inside each bucket, so no task orders all rows,
+    and rows carry their symbols along: rows of one order value follow each other by their symbols, rows without one
+    come first. Only a block's own symbols meet in one task.
     """
     frame = stream.frame().select(F.col(order).cast("long").alias("o"), "read_no", "syms")
-    sizes = frame.select("o", "read_no", F.size("syms").cast("long").alias("n"), F.expr(f"o div {bucket}").alias("b"))
+    frame = frame.withColumn("n", F.size("syms").cast("long")).withColumn("b", F.expr(f"o div {bucket}")).where("n > 0")
     before = Window.orderBy("b").rowsBetween(Window.unboundedPreceding, -1)
-    base = sizes.groupBy("b").agg(F.sum("n").alias("n")).select("b", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("base"))
-    inside = Window.partitionBy("b").orderBy("o", "read_no").rowsBetween(Window.unboundedPreceding, -1)
-    offsets = sizes.withColumn("inside", F.coalesce(F.sum("n").over(inside), F.lit(0))).join(base, "b").select("o", "read_no", (F.col("base") + F.col("inside")).alias("start"))
-    rows = frame.join(offsets, ["o", "read_no"]).where(F.size("syms") > 0)
+    base = frame.groupBy("b").agg(F.sum("n").alias("n")).select(F.col("b").alias("base_b"), F.coalesce(F.sum("n").over(before), F.lit(0)).alias("base"))
+    inside = Window.partitionBy("b").orderBy("o", "read_no", F.xxhash64("syms")).rowsBetween(Window.unboundedPreceding, -1)
+    placed = frame.withColumn("inside", F.coalesce(F.sum("n").over(inside), F.lit(0))).join(base, F.col("b").eqNullSafe(F.col("base_b")))
+    rows = placed.select("syms", (F.col("base") + F.col("inside")).alias("start"))
     first, last = F.expr(f"start div {block}"), F.expr(f"(start + size(syms) - 1) div {block}")
     split = rows.withColumn("block_no", F.explode(F.sequence(first, last)))
     begin = F.greatest(F.lit(0), F.col("block_no") * block - F.col("start"))
@@ -278,6 +279,68 @@ def scan_cdfs(codes: np.ndarray, ctx: np.ndarray, m: int, rate: int, every: int
     return np.array(gaps, np.int64), trail
 
 
+def _run_lanes(sym: np.ndarray, begin: np.ndarray, length: np.ndarray, state: np.ndarray, targets: np.ndarray, rate: int, note: np.ndarray) -> tuple[np.ndarray, np.ndarray, list[np.ndarray]]:
+    """Runs stretches of ``sym`` (begin, length) side by side from their states: gaps of each stretch end to end, states at the
+    places ``note``, and last states. Stretches come longest first."""
+    starts = np.concatenate([[0], np.cumsum(length)])
+    gaps = np.empty(int(starts[-1]), np.int32)
+    noted = state.copy()
+    rows = np.arange(len(begin))
+    ends = np.searchsorted(-length, -np.arange(int(length[0]) if len(length) else 0), "left")  # how many are still running
+    notes: dict[int, np.ndarray] = {int(t): np.flatnonzero(note == t) for t in np.unique(note[note > 0])}
+    for t, live in enumerate(ends.tolist()):
+        if t in notes:
+            noted[notes[t]] = state[notes[t]]
+        x = sym[begin[:live] + t]
+        now, on = state[:live], rows[:live]
+        gaps[starts[:live] + t] = now[on, x + 1] - now[on, x]
+        now += (targets[x] - now) >> rate
+    return noted, state, [gaps[a:b] for a, b in zip(starts[:-1], starts[1:])]
+
+
+def lane_gaps(codes: np.ndarray, ctx: np.ndarray, m: int, rate: int, bits: int = CDF_BITS, piece: int = 4096, halo: int = 6144) -> np.ndarray:
+    """What :func:`scan_cdfs` gives for updates at every symbol, for all contexts at once.
+
+    Contexts never interact, so each one's symbols are a stretch of their own, and all stretches advance side by side. Long
+    ones are cut into pieces that begin ``halo`` symbols early: shifts bring functions from any start together. A piece whose
+    function at its true begin is not the one its predecessor ended with is run again from that, so the result is exact.
+    """
+    if not len(codes):
+        return np.zeros(0, np.int64)
+    order = np.argsort(ctx, kind="stable")
+    sym, ctx = codes[order].astype(np.int32), ctx[order]
+    first = np.flatnonzero(np.concatenate([[True], ctx[1:] != ctx[:-1]]))
+    size = np.diff(np.append(first, len(sym)))
+    pieces_of = np.maximum(1, -(-size // piece))
+    owner = np.repeat(np.arange(len(first)), pieces_of)
+    nth = np.arange(len(owner)) - np.repeat(np.cumsum(pieces_of) - pieces_of, pieces_of)
+    true_begin = nth * piece
+    lead = np.minimum(true_begin, halo)
+    length = np.minimum(size[owner] - true_begin, piece) + lead
+    begin = first[owner] + true_begin - lead
+    targets = np.array([step_target(m, s, bits) for s in range(m)], np.int32)
+    uniform = np.array(uniform_cdf(m, bits), np.int32)
+    by_length = np.argsort(-length, kind="stable")
+    state = np.tile(uniform, (len(owner), 1))
+    noted, last, parts = _run_lanes(sym, begin[by_length], length[by_length], state, targets, rate, lead[by_length])
+    back = np.empty(len(owner), np.int64)
+    back[by_length] = np.arange(len(owner))
+    noted, last = noted[back], last[back]
+    out = np.empty(len(sym), np.int64)
+    for i in range(len(owner)):
+        at = begin[i] + lead[i]
+        if nth[i] and (noted[i] != last[i - 1]).any():
+            n = np.array([length[i] - lead[i]])
+            _, again, found = _run_lanes(sym, np.array([at]), n, last[i - 1 : i].copy(), targets, rate, np.zeros(1, np.int64))
+            last[i], gaps = again[0], found[0]
+        else:
+            gaps = parts[back[i]][lead[i] :]
+        out[at : at + len(gaps)] = gaps
+    result = np.empty(len(sym), np.int64)
+    result[order] = out
+    return result
+
+
 def adaptive_context_bits(stream: Stream, spec: Context, rate: int, every: int = 1) -> DataFrame:
     """ids, read_no, bits, n: every sequence coded by itself with adaptive functions per context, starting uniform."""
     m, flat, ids = stream.m, stream.flat, list(stream.ids)
@@ -287,11 +350,16 @@ def adaptive_context_bits(stream: Stream, spec: Context, rate: int, every: int =
         for batch in pieces(batches):
             f = flat(batch.column(0))
             ctx, valid = spec.codes(f, m)
-            bits, n = [], []
-            for a, b in zip(f.starts[:-1], f.starts[1:]):
-                use = valid[a:b]
-                gaps, _ = scan_cdfs(f.codes[a:b][use], ctx[a:b][use], m, rate, every)
-                bits.append(float(CDF_BITS * len(gaps) - np.log2(gaps).sum())), n.append(int(use.sum()))
+            if every == 1:  # the sequences' contexts side by side
+                owner, span = f.owner()[valid], int(ctx.max(initial=0)) + 1
+                cost = CDF_BITS - np.log2(lane_gaps(f.codes[valid], owner * span + ctx[valid], m, rate))
+                bits, n = np.bincount(owner, cost, len(f.row)), np.bincount(owner, minlength=len(f.row))
+            else:
+                bits, n = [], []
+                for a, b in zip(f.starts[:-1], f.starts[1:]):
+                    use = valid[a:b]
+                    gaps, _ = scan_cdfs(f.codes[a:b][use], ctx[a:b][use], m, rate, every)
+                    bits.append(float(CDF_BITS * len(gaps) - np.log2(gaps).sum())), n.append(int(use.sum()))
             cols = [batch.column(c).take(pa.array(f.row)) for c in ids]
             yield pa.RecordBatch.from_arrays([*cols, pa.array(f.nth, pa.int32()), pa.array(bits, pa.float64()), pa.array(n, pa.int64())], names=schema.names)
 
@@ -309,14 +377,17 @@ def adaptive_vs_static(blocks: DataFrame, m: int, orders: list[int], rate: int =
             for i in range(batch.num_rows):
                 codes = batch.column(1)[i].values.to_numpy().astype(np.int64)
                 f = Flat(codes, np.array([0, len(codes)]), np.zeros(1, np.int64), np.zeros(1, np.int64))
-                for l in orders:  # noqa: E741
-                    ctx, valid = Previous(l).codes(f, m)
-                    ctx, sym = ctx[valid], codes[valid]
-                    gaps, _ = scan_cdfs(sym, ctx, m, rate)
-                    key, n = np.unique(ctx * m + sym, return_counts=True)
-                    bits = np.zeros(len(key))
-                    bits[:1] = CDF_BITS * len(gaps) - np.log2(gaps).sum()
-                    yield pa.RecordBatch.from_arrays([pa.array([l] * len(key), pa.int32()), pa.array(key // m), pa.array(key % m, pa.int32()), pa.array(n.astype(np.int64)), pa.array(bits)], names=["ord", "ctx", "sym", "n", "bits"])
+                for some in (orders[j : j + 3] for j in range(0, len(orders), 3)):  # a few orders side by side
+                    ctxs = [c[v] for c, v in (Previous(l).codes(f, m) for l in some)]
+                    syms = [codes[len(codes) - len(c) :] for c in ctxs]
+                    offset = np.concatenate([[0], np.cumsum([m**l for l in some])])
+                    gaps = lane_gaps(np.concatenate(syms), np.concatenate([c + o for c, o in zip(ctxs, offset)]), m, rate)
+                    ends = np.cumsum([0] + [len(c) for c in ctxs])
+                    for l, ctx, sym, a, b in zip(some, ctxs, syms, ends[:-1], ends[1:]):  # noqa: E741
+                        key, n = np.unique(ctx * m + sym, return_counts=True)
+                        bits = np.zeros(len(key))
+                        bits[:1] = CDF_BITS * (b - a) - np.log2(gaps[a:b]).sum()
+                        yield pa.RecordBatch.from_arrays([pa.array([l] * len(key), pa.int32()), pa.array(key // m), pa.array(key % m, pa.int32()), pa.array(n.astype(np.int64)), pa.array(bits)], names=["ord", "ctx", "sym", "n", "bits"])
 
     cells = blocks.select("block_no", "syms").mapInArrow(kernel, "ord int, ctx long, sym int, n long, bits double")
     per = cells.groupBy("ord", "ctx", "sym").agg(F.sum("n").alias("n"), F.sum("bits").alias("bits"))

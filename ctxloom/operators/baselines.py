@@ -93,7 +93,7 @@ def runs(rows: DataFrame, key: str, order: list[str], sym: Column) -> DataFrame:
 
 def run_lengths(stream: Stream) -> DataFrame:
     """sym, length, n: how many runs of each kind the stream has, counted inside partitions first."""
-    flat = stream.flat
+    m, flat = stream.m, stream.flat
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in pieces(batches):
@@ -104,8 +104,8 @@ def run_lengths(stream: Stream) -> DataFrame:
             new[1:] = f.codes[1:] != f.codes[:-1]
             new[f.starts[:-1][f.size > 0]] = True
             at = np.flatnonzero(new)
-            pair, n = np.unique(np.stack([f.codes[at], np.diff(np.append(at, len(f.codes)))]), axis=1, return_counts=True)
-            yield pa.RecordBatch.from_arrays([pa.array(pair[0], pa.int32()), pa.array(pair[1]), pa.array(n)], names=["sym", "length", "n"])
+            pair, n = np.unique(np.diff(np.append(at, len(f.codes))) * m + f.codes[at], return_counts=True)
+            yield pa.RecordBatch.from_arrays([pa.array(pair % m, pa.int32()), pa.array(pair // m), pa.array(n)], names=["sym", "length", "n"])
 
     return stream.select().mapInArrow(kernel, "sym int, length long, n long").groupBy("sym", "length").agg(F.sum("n").alias("n"))
 

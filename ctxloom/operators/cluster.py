@@ -7,7 +7,6 @@ same with joins, for models too large to send out and for comparison with SQL.
 
 from __future__ import annotations
 
-import zlib
 from collections.abc import Iterator
 from dataclasses import dataclass, field
 
@@ -17,6 +16,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from ctxloom.operators import rates as R
 from ctxloom.operators.contexts import Context
 from ctxloom.operators.counts import BROADCAST_CELLS
 from ctxloom.operators.stream import Flat, Stream, pieces
@@ -119,61 +119,81 @@ def model_bits(tables: np.ndarray, alpha: float) -> np.ndarray:
     return np.log2(full.sum(axis=-1, keepdims=True)) - np.log2(full)
 
 
-def _mark(values: tuple, nth: int, seed: int) -> int:
-    return zlib.crc32(repr((*values, nth, seed)).encode())
+def _read_numbers(stream: Stream) -> DataFrame:
+    """ids, read_no of every read that has symbols: by lengths alone, without reading symbols."""
+    size = F.coalesce(F.length(stream.payload) if stream.kind != "array" else F.size(stream.payload), F.lit(0))
+    if stream.read_length:
+        reads = F.ceil(size / stream.read_length) if stream.tail == "keep" else F.floor(size / stream.read_length)
+    else:
+        reads = (size > 0).cast("int")
+    rows = stream.df.select(*stream.ids, F.greatest(reads, F.lit(0)).cast("int").alias("reads")).where("reads > 0")
+    return rows.select(*stream.ids, F.explode(F.sequence(F.lit(0), F.col("reads") - 1)).alias("read_no"))
 
 
 def pick_reads(stream: Stream, spec: Context, k: int, how: str = "random", seed: int = 0) -> np.ndarray:
-    """(k, contexts, m) counts of k reads: those with the least hash of id and seed, or the first by id.
+    """(k, contexts, m) counts of k reads: those with the least digest of ids, number and seed, or the first by id.
 
-    Every partition offers its best k; k rows reach the driver.
+    Every partition offers its best k; k reads reach the driver. Reads of one name count once, with their greatest symbols.
     """
     m, flat, ids = stream.m, stream.flat, list(stream.ids)
+    names = _read_numbers(stream)
+    order = [*ids, "read_no"] if how == "first" else [R.draw([*ids, "read_no"], seed), *ids, "read_no"]
+    picked = names.orderBy(*order).limit(2 * k).collect()
+    if len(set(picked)) < k <= len(picked):  # repeated names fill the first places
+        picked = names.distinct().orderBy(*order).limit(k).collect()
+    seen: dict[tuple, int] = {}
+    for r in picked:
+        if len(seen) < k:
+            seen.setdefault(tuple(r), len(seen))
+    wanted = {}
+    for key, place in seen.items():
+        wanted.setdefault(key[:-1], []).append((key[-1], place))
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        best: list[tuple] = []
         for batch in pieces(batches):
-            f = flat(batch.column(0))
-            keys = list(zip(*[batch.column(c).to_pylist() for c in ids])) or [()] * batch.num_rows
-            for s in np.flatnonzero(f.size > 0):
-                key = keys[f.row[s]]
-                order = (0, *key, int(f.nth[s])) if how == "first" else (_mark(key, int(f.nth[s]), seed), *key, int(f.nth[s]))
-                best.append((order, f.codes[f.starts[s] : f.starts[s + 1]]))
-            best = sorted(best, key=lambda x: x[0])[:k]
-        if best:
-            yield pa.RecordBatch.from_arrays([pa.array([repr(o) for o, _ in best]), pa.array([c.tolist() for _, c in best], pa.list_(pa.int32()))], names=["o", "syms"])
-
-    import ast
-
-    rows = sorted(((ast.literal_eval(r.o), r.syms) for r in stream.select(*ids).mapInArrow(kernel, "o string, syms array<int>").toLocalIterator()), key=lambda x: x[0])[:k]
+            keys = list(zip(*[batch.column(i + 1).to_pylist() for i in range(len(ids))])) or [()] * batch.num_rows
+            own = [i for i, key in enumerate(keys) if key in wanted]
+            if not own:
+                continue
+            f = flat(batch.column(0).take(pa.array(own)))
+            at = {(int(r), int(n)): s for s, (r, n) in enumerate(zip(f.row, f.nth))}
+            for r, i in enumerate(own):
+                for n, place in wanted[keys[i]]:
+                    if (r, n) in at:
+                        s = at[r, n]
+                        yield pa.RecordBatch.from_arrays([pa.array([place], pa.int32()), pa.array([f.codes[f.starts[s] : f.starts[s + 1]].tolist()], pa.list_(pa.int32()))], names=["place", "syms"])
+
+    rows = stream.select(*ids).mapInArrow(kernel, "place int, syms array<int>").groupBy("place").agg(F.max("syms").alias("syms")).orderBy("place").collect()
     out = np.zeros((len(rows), spec.size(m), m))
-    for i, (_, syms) in enumerate(rows):
-        f = Flat(np.array(syms, np.int64), np.array([0, len(syms)]), np.zeros(1, np.int64), np.zeros(1, np.int64))
+    for i, r in enumerate(rows):
+        f = Flat(np.array(r.syms, np.int64), np.array([0, len(r.syms)]), np.zeros(1, np.int64), np.zeros(1, np.int64))
         cell, _ = _cells(f, spec, m)
         out[i] = np.bincount(cell, minlength=spec.size(m) * m).reshape(-1, m)
     return out
 
 
 def worst_read(stream: Stream, spec: Context, bits: np.ndarray) -> np.ndarray:
-    """Counts of the read that costs most bits a value under its best model (ties: least id)."""
+    """Counts of the read that costs most bits a value under its best model (ties: the greatest symbols)."""
     m, flat, ids = stream.m, stream.flat, list(stream.ids)
+    if bits.size > BROADCAST_CELLS:
+        raise ValueError("these models are too large to send out")
     sent = stream.df.sparkSession.sparkContext.broadcast(bits.reshape(len(bits), -1))
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        top = None
+        top: tuple = ()
         for batch in pieces(batches):
             f = flat(batch.column(0))
             cell, owner = _cells(f, spec, m)
             n = np.bincount(owner, minlength=len(f.row))
-            cost = np.where(n > 0, _costs(cell, owner, sent.value, len(f.row)).min(axis=1) / np.maximum(n, 1), -1)
-            if len(cost):
-                s = int(cost.argmax())
-                if top is None or cost[s] > top[0]:
-                    top = (round(float(cost[s]), 9), f.codes[f.starts[s] : f.starts[s + 1]].tolist())
+            cost = np.round(np.where(n > 0, _costs(cell, owner, sent.value, len(f.row)).min(axis=1) / np.maximum(n, 1), -1), 9)
+            if len(cost) and (not top or cost.max() >= top[0]):
+                tied = [f.codes[f.starts[s] : f.starts[s + 1]].tolist() for s in np.flatnonzero(cost == cost.max())]
+                top = max(top, (float(cost.max()), max(tied))) if top else (float(cost.max()), max(tied))
         if top:
             yield pa.RecordBatch.from_arrays([pa.array([top[0]]), pa.array([top[1]], pa.list_(pa.int32()))], names=["c", "syms"])
 
     row = stream.select(*ids).mapInArrow(kernel, "c double, syms array<int>").agg(F.max(F.struct("c", "syms")).alias("t")).first()["t"]
+    sent.unpersist()
     syms = np.array(row["syms"] if row else [], np.int64)
     cell, _ = _cells(Flat(syms, np.array([0, len(syms)]), np.zeros(1, np.int64), np.zeros(1, np.int64)), spec, m)
     return np.bincount(cell, minlength=spec.size(m) * m).reshape(-1, m).astype(float)
@@ -209,6 +229,7 @@ def assign_and_pool(stream: Stream, spec: Context, bits: np.ndarray, update: str
         )
 
     got = stream.select().mapInArrow(kernel, "cell long, v double, r double").groupBy("cell").agg(F.sum("v").alias("v"), F.sum("r").alias("r")).toArrow()
+    sent.unpersist()
     cell, v, r = (got.column(c).to_numpy() for c in ("cell", "v", "r"))
     pool = np.zeros(k * span)
     pool[cell[cell >= 0]] = v[cell >= 0]
@@ -231,8 +252,7 @@ def cluster_models(
         return min(runs, key=lambda c: c.history[-1])
     train = stream
     if sample < 1:
-        key = F.pmod(F.xxhash64(*stream.ids, F.lit(seed)), F.lit(1 << 20))
-        train = stream.where(key < int(sample * (1 << 20)))
+        train = stream.where(R.draw(list(stream.ids), seed) < sample)
     if isinstance(init, np.ndarray):
         tables = init
     elif init == "spread":

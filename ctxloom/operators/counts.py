@@ -21,10 +21,25 @@ from ctxloom.operators.stream import Stream, pieces
 from ctxloom.session import schema_with
 
 DENSE_CELLS = 1 << 22
+#: Largest count table that is brought to the driver.
+MATRIX_CELLS = 1 << 24
 #: Largest model that is sent to all executors.
 BROADCAST_CELLS = 1 << 26
 
 
+def _counted_pairs(group: np.ndarray, key: np.ndarray, span: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Distinct (group, key below ``span``) with their counts: as one packed number where that fits."""
+    if (int(group.max(initial=0)) + 1) * span < 1 << 62:
+        packed, n = np.unique(group * span + key, return_counts=True)
+        return packed // span, packed % span, n
+    order = np.lexsort((key, group))
+    group, key = group[order], key[order]
+    new = np.ones(len(key), bool)
+    new[1:] = (group[1:] != group[:-1]) | (key[1:] != key[:-1])
+    at = np.flatnonzero(new)
+    return group[at], key[at], np.diff(np.append(at, len(key)))
+
+
 def count_windows(stream: Stream, spec: Context, by: tuple[str, ...] = ()) -> DataFrame:
     """(by..., ctx, sym, n) over all windows of the stream; ``by`` are columns of its rows."""
     m, flat = stream.m, stream.flat
@@ -52,8 +67,8 @@ def count_windows(stream: Stream, spec: Context, by: tuple[str, ...] = ()) -> Da
                 frame = batch.select(list(by)).to_pandas()
                 number = frame.groupby(list(by), dropna=False, sort=False).ngroup().to_numpy()
                 first = pd.Series(np.arange(len(number))).groupby(number).first()
-                pairs, n = np.unique(np.stack([number[f.row][f.owner()][valid], key]), axis=1, return_counts=True) if by and len(key) else (np.zeros((2, 0), np.int64), np.zeros(0, np.int64))
-                yield batch_of(pairs[1], n, [batch.column(c).take(pa.array(first.loc[pairs[0]].to_numpy())) for c in by])
+                group, key, n = _counted_pairs(number[f.row][f.owner()][valid], key, spec.size(m) * m)
+                yield batch_of(key, n, [batch.column(c).take(pa.array(first.loc[group].to_numpy())) for c in by])
         if dense and total.any():
             key = np.flatnonzero(total)
             yield batch_of(key, total[key], [])
@@ -125,9 +140,12 @@ def marginal(counts: DataFrame, keep: int) -> DataFrame:
     return counts.groupBy((F.col("ctx") % F.lit(keep)).alias("ctx"), "sym").agg(F.sum("n").alias("n"))
 
 
-def matrix(counts: DataFrame, m: int) -> tuple[np.ndarray, np.ndarray]:
-    """Context codes (sorted) and their rows of counts. For tables that fit the driver."""
-    got = counts.select("ctx", "sym", "n").toArrow()
+def matrix(counts: DataFrame, m: int, most: int = MATRIX_CELLS) -> tuple[np.ndarray, np.ndarray]:
+    """Context codes (sorted) and their rows of counts. At most ``most`` cells come to the driver; larger tables are refused
+    before they are collected in full."""
+    got = counts.select("ctx", "sym", "n").limit(most + 1).toArrow()
+    if got.num_rows > most:
+        raise ValueError(f"more than {most} cells: bin the contexts in stages or per group first")
     ctx, sym, n = (got.column(c).to_numpy() for c in ("ctx", "sym", "n"))
     codes, at = np.unique(ctx, return_inverse=True)
     out = np.zeros((len(codes), m), n.dtype if n.dtype.kind == "f" else np.int64)

@@ -6,11 +6,13 @@ from chained bins of a window of previous values, from counters, from products o
 
 from __future__ import annotations
 
+import functools
 from dataclasses import dataclass
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ctxloom.operators import counts as C
@@ -20,17 +22,89 @@ from ctxloom.operators.contexts import Lag, Product
 from ctxloom.operators.stream import Flat, Stream, pieces
 
 
+#: Longer sequences are cut into pieces of so many symbols that run side by side.
+PIECE = 2048
+#: Machines of at most so many states are run from all of them where they never forget where they began.
+MAP_STATES = 64
+
+
+@functools.lru_cache(maxsize=64)
+def _memory(data: bytes, states: int, most: int) -> int | None:
+    table = np.frombuffer(data, np.int64).reshape(states, -1)
+    apart = ~np.eye(states, dtype=bool)  # pairs of states that some word of this length keeps apart
+    for depth in range(most + 1):
+        if not apart.any():
+            return depth
+        a, b = np.nonzero(apart)
+        now = np.zeros_like(apart)
+        for x in range(table.shape[1]):
+            now[table[a, x], table[b, x]] = True
+        np.fill_diagonal(now, False)
+        if (now == apart).all():
+            return None
+        apart = now
+    return None
+
+
+def memory(table: np.ndarray, most: int = 256) -> int | None:
+    """After how many symbols the state no longer depends on where the machine began; None if it may always do (counters)."""
+    table = np.ascontiguousarray(table, np.int64)
+    return _memory(table.tobytes(), len(table), most) if len(table) <= 2048 else None
+
+
+def _in_step(codes: np.ndarray, begin: np.ndarray, size: np.ndarray, state: np.ndarray, table: np.ndarray, out: np.ndarray | None, lead: np.ndarray | None = None) -> np.ndarray:
+    """Runs stretches side by side, place by place, the longest first. States are written to ``out`` from place ``lead`` on;
+    the states after the last symbols are returned. ``state`` is one start a stretch, or one row of starts a stretch."""
+    order = np.argsort(-size, kind="stable")
+    size, begin, state = size[order], begin[order], state[order].copy()
+    lead = np.zeros(len(order), np.int64) if lead is None else lead[order]
+    ends = np.searchsorted(-size, -np.arange(int(size[0]) if len(size) else 0), "left")
+    first = int(lead.max(initial=0))
+    for t, live in enumerate(ends.tolist()):
+        at = begin[:live] + t
+        if out is not None:
+            if t < first:
+                shown = lead[:live] <= t
+                out[at[shown]] = state[:live][shown]
+            else:
+                out[at] = state[:live]
+        x = codes[at]
+        state[:live] = table[state[:live], x] if state.ndim == 1 else table[state[:live], x[:, None]]
+    back = np.empty_like(state)
+    back[order] = state
+    return back
+
+
 def run_machine(f: Flat, table: np.ndarray, start: int = 0) -> np.ndarray:
-    """State under which each symbol is coded. All sequences advance together, place by place, the longest first."""
-    order = np.argsort(-f.size, kind="stable")
-    size, begin = f.size[order], f.starts[:-1][order]
+    """State under which each symbol is coded. All sequences advance together, place by place.
+
+    Long sequences are cut into pieces, so that the longest one does not set the pace: of a machine that forgets after d
+    symbols a piece begins d symbols early; of another with few states all pieces are mapped from every state first, and
+    the maps, composed in order, tell where each piece begins.
+    """
+    table = np.ascontiguousarray(table, np.int64)
     out = np.zeros(len(f.codes), np.int64)
-    state = np.full(len(order), start, np.int64)
-    for t in range(int(size[0]) if len(size) else 0):
-        live = int(np.searchsorted(-size, -t, "left"))
-        at = begin[:live] + t
-        out[at] = state[:live]
-        state[:live] = table[state[:live], f.codes[at]]
+    size, begin = f.size, f.starts[:-1]
+    if int(size.max(initial=0)) <= 2 * PIECE:
+        _in_step(f.codes, begin, size, np.full(len(size), start, np.int64), table, out)
+        return out
+    halo = memory(table)
+    if halo is None and len(table) > MAP_STATES:
+        _in_step(f.codes, begin, size, np.full(len(size), start, np.int64), table, out)
+        return out
+    n = np.maximum(1, -(-size // PIECE))
+    owner = np.repeat(np.arange(len(size)), n)
+    nth = np.arange(len(owner)) - np.repeat(np.cumsum(n) - n, n)
+    at, length = begin[owner] + nth * PIECE, np.minimum(size[owner] - nth * PIECE, PIECE)
+    if halo is not None:
+        lead = np.minimum(nth * PIECE, halo)
+        _in_step(f.codes, at - lead, length + lead, np.full(len(owner), start, np.int64), table, out, lead)
+        return out
+    maps = _in_step(f.codes, at, length, np.tile(np.arange(len(table)), (len(owner), 1)), table, None)
+    starts = np.full(len(owner), start, np.int64)
+    for i in np.flatnonzero(nth > 0):
+        starts[i] = maps[i - 1, starts[i - 1]]
+    _in_step(f.codes, at, length, starts, table, out)
     return out
 
 
@@ -68,27 +142,69 @@ def count_states(stream: Stream, table: np.ndarray, start: int = 0, skip: int =
     return C.count_windows(stream, Product((spec, extra)) if extra is not None else spec)
 
 
-def compose_maps(maps: list[np.ndarray]) -> list[np.ndarray]:
-    """Running compositions of chunk maps S -> S: entry i maps a start state to the state before chunk i."""
-    out = [np.arange(len(maps[0]))] if maps else []
-    for x in maps[:-1]:
-        out.append(x[out[-1]])
-    return out
-
-
-def chunk_map(codes: np.ndarray, table: np.ndarray) -> np.ndarray:
-    """Where every start state ends after a chunk: chunks of one long sequence are scanned apart, composed, then rerun."""
-    state = np.arange(len(table))
-    for x in codes:
-        state = table[state, x]
-    return state
+def run_chunks(chunks: DataFrame, seq: str, chunk_no: str, syms: str, table: np.ndarray, start: int = 0) -> DataFrame:
+    """seq, chunk_no, syms, states for long sequences that lie in several rows, chunk after chunk. Null keys are keys.
 
+    A machine that forgets gets the end of the chunk before as a halo: only those few symbols move, by one window per
+    sequence. For another machine each chunk's map of all states goes to its sequence's group, which composes them in order
+    and returns a start a chunk; chunks then run from their true starts. Chunks shorter than the halo use maps, too.
+    """
+    table = np.ascontiguousarray(table, np.int64)
+    rows = chunks.select(F.col(seq).alias("seq"), F.col(chunk_no).cast("long").alias("chunk_no"), F.col(syms).alias("syms"))
+    halo, order = memory(table), Window.partitionBy("seq").orderBy("chunk_no")
+    if halo is not None:
+        # as many earlier chunks' ends as a window of ``halo`` symbols may need: one, where chunks are at least that long
+        shortest = rows.withColumn("last", F.lead("chunk_no").over(order).isNull()).where("not last").agg(F.min(F.size("syms"))).first()[0]
+        if shortest is None or shortest >= halo:
+            tail = F.slice("syms", F.greatest(F.lit(1), F.size("syms") - halo + 1), F.lit(max(halo, 1))) if halo else F.array().cast("array<int>")
+            rows = rows.withColumn("lead", F.coalesce(F.lag(tail).over(order), F.array().cast("array<int>"))).withColumn("start", F.lit(start))
+            return _run_rows(rows, table)
+    if len(table) > C.BROADCAST_CELLS >> 12:
+        raise ValueError("too many states to map every chunk from all of them")
+    kind = rows.schema["seq"].dataType.simpleString()
+
+    def to_maps(batches):
+        for batch in batches:
+            f = Stream(None, "syms", table.shape[1]).flat(batch.column(2))
+            maps = _in_step(f.codes, f.starts[:-1], f.size, np.tile(np.arange(len(table)), (len(f.size), 1)), table, None)
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.ListArray.from_arrays(pa.array(np.arange(0, maps.size + 1, len(table)), pa.int32()), pa.array(maps.ravel().astype(np.int32)))], names=["seq", "chunk_no", "map"])
+
+    def compose(pdf: pd.DataFrame) -> pd.DataFrame:
+        pdf = pdf.sort_values("chunk_no")
+        state, starts = start, []
+        for one in pdf["map"]:
+            starts.append(state)
+            state = int(one[state])
+        return pd.DataFrame({"seq": pdf["seq"], "chunk_no": pdf["chunk_no"], "start": starts})
+
+    begins = rows.mapInArrow(to_maps, f"seq {kind}, chunk_no long, map array<int>").groupBy("seq").applyInPandas(compose, f"seq {kind}, chunk_no long, start int")
+    begins = begins.select(F.col("seq").alias("_seq"), F.col("chunk_no").alias("_no"), "start")
+    met = rows.join(begins, rows["seq"].eqNullSafe(F.col("_seq")) & rows["chunk_no"].eqNullSafe(F.col("_no")))
+    return _run_rows(met.select("seq", "chunk_no", "syms", F.array().cast("array<int>").alias("lead"), "start"), table)
+
+
+def _run_rows(rows: DataFrame, table: np.ndarray) -> DataFrame:
+    kind = rows.schema["seq"].dataType.simpleString()
 
-def run_long(chunks: list[np.ndarray], table: np.ndarray, start: int = 0) -> list[np.ndarray]:
-    """States of consecutive chunks by two passes (maps, then true starts)."""
-    begins = compose_maps([chunk_map(c, table) for c in chunks])
-    one = lambda c: Flat(c, np.array([0, len(c)]), np.zeros(1, np.int64), np.zeros(1, np.int64))
-    return [run_machine(one(c), table, int(b[start])) for c, b in zip(chunks, begins)]
+    def kernel(batches):
+        for batch in batches:
+            read = Stream(None, "syms", table.shape[1]).flat
+            f, g = read(batch.column(2)), read(batch.column(3))
+            warm = _in_step(g.codes, g.starts[:-1], g.size, batch.column(4).to_numpy().astype(np.int64), table, None)
+            out = np.zeros(len(f.codes), np.int64)
+            _in_step(f.codes, f.starts[:-1], f.size, warm, table, out)
+            states = pa.ListArray.from_arrays(pa.array(f.starts, pa.int32()), pa.array(out.astype(np.int32)))
+            syms = pa.ListArray.from_arrays(pa.array(f.starts, pa.int32()), pa.array(f.codes.astype(np.int32)))
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), syms, states], names=["seq", "chunk_no", "syms", "states"])
+
+    return rows.select("seq", "chunk_no", "syms", "lead", "start").mapInArrow(kernel, f"seq {kind}, chunk_no long, syms array<int>, states array<int>")
+
+
+def rate_states(run: DataFrame, skip: int = 0, head: str = "chunk_no = 0") -> DataFrame:
+    """n, contexts, bpv of symbols under the states of :func:`run_chunks`; the first ``skip`` places of the head chunks do not count."""
+    cells = run.select(F.expr(head).alias("head"), F.posexplode(F.arrays_zip(F.col("states").alias("ctx"), F.col("syms").alias("sym"))).alias("at", "c"))
+    cells = cells.where((F.col("at") >= skip) | ~F.col("head"))
+    return R.rate(cells.groupBy(F.col("c.ctx").cast("long").alias("ctx"), F.col("c.sym").alias("sym")).agg(F.count("*").alias("n")))
 
 
 def counter_transition(m: int, cap: int) -> np.ndarray:

@@ -104,10 +104,27 @@ def purity(assignment: DataFrame, label: str) -> DataFrame:
     return top.agg(F.round(F.sum("top") / F.sum("n"), 6).alias("purity"))
 
 
-def chance(assignment: DataFrame, label: str) -> DataFrame:
-    """Purity that shuffled labels would give on average in large clusters: the largest label's share."""
-    per = assignment.groupBy(label).agg(F.count("*").alias("n"))
-    return per.agg(F.round(F.max("n") / F.sum("n"), 6).alias("chance"))
+def draw(keys: list[str], seed: int = 0) -> Column:
+    """A number from 0 to 1 by a digest of the key columns: the same in every run and in other engines."""
+    text = F.concat_ws("|", *[F.coalesce(F.col(k).cast("string"), F.lit("")) for k in keys], F.lit(str(seed)))
+    return F.conv(F.substring(F.md5(text.cast("binary")), 1, 12), 16, 10).cast("double") / F.lit(float(1 << 48))
+
+
+def shuffled(assignment: DataFrame, label: str, keys: list[str], seed: int = 0) -> DataFrame:
+    """The assignment with every label drawn anew from the labels' shares, by a digest of the row's keys: what is left of a
+    label's agreement with the clusters if it says nothing. One row a label is joined, no order of all rows is needed."""
+    order = Window.orderBy(F.col("_l").asc_nulls_first())
+    per = assignment.groupBy(F.col(label).alias("_l")).agg(F.count("*").alias("_n"))
+    ranges = per.select("_l", (F.sum("_n").over(order) - F.col("_n")).alias("_a"), F.sum("_n").over(order).alias("_b"), F.sum("_n").over(Window.partitionBy()).alias("_t"))
+    steps = ranges.agg(F.array_sort(F.collect_list(F.struct("_b", "_l"))).alias("_steps"), F.max("_t").alias("_t"))
+    place = F.floor(draw(keys, seed) * F.col("_t"))
+    drawn = F.filter("_steps", lambda x: x["_b"] > place)[0]["_l"]
+    return assignment.crossJoin(steps).withColumn(label, drawn).drop("_steps", "_t")
+
+
+def chance(assignment: DataFrame, label: str, keys: list[str], seed: int = 0) -> DataFrame:
+    """Purity of the same clusters under labels that were drawn anew."""
+    return purity(shuffled(assignment, label, keys, seed), label).withColumnRenamed("purity", "chance")
 
 
 def contingency(assignment: DataFrame, label: str) -> DataFrame:

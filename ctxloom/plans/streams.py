@@ -73,5 +73,6 @@ def role3(spark: SparkSession, sf_dir: str) -> Stream:
     return ordered_arrays(load(spark, sf_dir, "conversations"), "conv_id", ["turn"], S.encode_category(F.col("role"), S.ROLES), 3)
 
 
-def reads(spark: SparkSession, sf_dir: str, kind: str = "text", length: int = 101) -> Stream:
-    return (text42 if kind == "text" else class4)(spark, sf_dir).cut(length)
+def reads(spark: SparkSession, sf_dir: str, kind: str = "text", length: int = 101, tail: str = "keep") -> Stream:
+    """Documents in reads of a fixed length, the last one of each shorter."""
+    return (text42 if kind == "text" else class4)(spark, sf_dir).cut(length, tail)

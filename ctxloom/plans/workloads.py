@@ -176,12 +176,12 @@ def clusters(spark: SparkSession, stream: Stream, spec, sizes: tuple[int, ...],
 
 def w8_clusters_text42(spark: SparkSession, sf_dir: str) -> DataFrame:
     stream = T.reads(spark, sf_dir)
-    return clusters(spark, Stream(stream.df, "text", 42, "text", ("doc_id",), 101), Previous(1), (1, 2, 4, 8), "lang")
+    return clusters(spark, Stream(stream.df, "text", 42, "text", ("doc_id",), 101, "keep"), Previous(1), (1, 2, 4, 8), "lang")
 
 
 def w9_clusters_class4(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = load(spark, sf_dir, "documents").join(load(spark, sf_dir, "labels").select("doc_id", "quality"), "doc_id", "left")
-    return clusters(spark, Stream(docs, "text", 4, "class", ("doc_id",), 101), Previous(1), (1, 2, 4, 8), "quality")
+    return clusters(spark, Stream(docs, "text", 4, "class", ("doc_id",), 101, "keep"), Previous(1), (1, 2, 4, 8), "quality")
 
 
 def w9_position_clusters(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -252,7 +252,7 @@ def cdf_path(spark: SparkSession, sf_dir: str, block: int = BLOCK) -> DataFrame:
 
 def w13_library(spark: SparkSession, sf_dir: str) -> DataFrame:
     """files, reads, model_bpv, total_bpv of 20 models trained on all reads and cut to a menu of four a file, for three kinds of file."""
-    stream = Stream(load(spark, sf_dir, "documents"), "text", 4, "class", ("doc_id", "lang", "source"), 101)
+    stream = Stream(load(spark, sf_dir, "documents"), "text", 4, "class", ("doc_id", "lang", "source"), 101, "keep")
     library = K.train_library(stream, Previous(2), 20, init="random", max_iter=4, seed=3)
     costs = materialise(K.read_costs(stream, Previous(2), library.bits()), "library")
     k, out = library.k, None
@@ -285,37 +285,47 @@ def w14_joint_gain(spark: SparkSession, sf_dir: str) -> DataFrame:
     return events.unionByName(lines)
 
 
-def w15_consensus(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """n, flag_bpv, replacement_bpv, bpv: near-copies coded against their group's consensus, beside independent coding.
+def similar_texts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """g, syms, shift: documents' texts that share a rare stretch with a different one, laid upon one another at that stretch."""
+    return materialise(X.similar_groups(T.text42(spark, sf_dir).frame(), 42), "similar")
 
-    Groups are the near-duplicate groups over whole texts that hold different texts; offsets are positional.
-    """
-    from ctxloom.llm import minhash
-
-    docs = load(spark, sf_dir, "documents")
-    groups = materialise(minhash.near_duplicates(docs).select(F.col("doc_id").alias("copy_id"), F.col("group_id").alias("g")).distinct(), "copies")
-    keyed = docs.join(groups, docs["doc_id"].eqNullSafe(groups["copy_id"])).select("g", "text")
-    keys = keyed.groupBy("g").agg(F.countDistinct("text").alias("d")).where("d > 1").select("g")
-    near = keyed.join(keys, "g", "left_semi")
-    stream = Stream(near, "text", 42, "text", ("g",))
-    frame = materialise(stream.frame(), "near")
-    cons = X.consensus(frame, "g")
-    coded = X.diff_rate(frame, cons, "g", 42).select(F.lit("consensus").alias("method"), "n", "bpv")
-    alone = R.rate(C.count_windows(array_stream(frame, "syms", 42), Previous(0))).select(F.lit("order 0").alias("method"), "n", "bpv")
-    one = R.rate(C.count_windows(array_stream(frame, "syms", 42), Previous(1, "pad"))).select(F.lit("order 1").alias("method"), "n", "bpv")
-    return coded.unionByName(alone).unionByName(one)
+
+def _alone(frame: DataFrame, spark: SparkSession) -> DataFrame:
+    """method, n, bpv of the same sequences coded without a partner."""
+    frame = frame.select("syms")
+    none = R.rate(C.count_windows(array_stream(frame, "syms", 42), Previous(0))).select(F.lit("order 0").alias("method"), "n", "bpv")
+    return none.unionByName(R.rate(C.count_windows(array_stream(frame, "syms", 42), Previous(1, "pad"))).select(F.lit("order 1").alias("method"), "n", "bpv"))
+
+
+def w15_consensus(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """method, n, bpv: near copies coded against their group's consensus, beside independent coding. Groups and their layout
+    come from shared stretches anywhere in the whole texts; insertions inside a text are not modelled."""
+    near = similar_texts(spark, sf_dir)
+    cons = materialise(X.consensus(near, "g", shift="shift"), "consensus")
+    coded = X.diff_rate(near, cons, "g", 42, shift="shift").select(F.lit("consensus").alias("method"), "n", "bpv")
+    return coded.unionByName(_alone(near, spark))
 
 
 def w15_reference(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """method, n, bpv: benchmark passages coded against themselves with one symbol in 50 changed, beside order 0: a reference
-    that is near, and one that is another passage."""
-    refs = Stream(load(spark, sf_dir, "benchmark"), "text", 42, "text", ("item_id",)).frame().select("item_id", "syms")
+    """sequences, method, n, bpv: consensus sequences of the groups, and all reads of all documents, that have a near benchmark
+    passage, coded against the nearest one as it lies, beside coding without it."""
+    passages = Stream(load(spark, sf_dir, "benchmark"), "text", 42, "text", ("item_id",))
+    refs = passages.frame().select(F.concat_ws("|", F.col("item_id").cast("string"), F.col("read_no").cast("string")).alias("reference"), "syms")
     refs = materialise(refs, "references")
-    changed = refs.select("item_id", F.transform("syms", lambda x, i: F.when((i + F.col("item_id")) % 50 == 0, (x + 7) % 42).otherwise(x).cast("int")).alias("syms"))
-    other = refs.select((F.col("item_id") + 1).alias("item_id"), "syms")
-    out = R.rate(C.count_windows(array_stream(changed, "syms", 42), Previous(0))).select(F.lit("order 0").alias("method"), "n", "bpv")
-    out = out.unionByName(X.diff_rate(changed, refs, "item_id", 42).select(F.lit("own reference").alias("method"), "n", "bpv"))
-    return out.unionByName(X.diff_rate(changed, other, "item_id", 42).select(F.lit("other reference").alias("method"), "n", "bpv"))
+    cons = materialise(X.consensus(similar_texts(spark, sf_dir), "g", shift="shift").select("g", "syms"), "consensus")
+    out = None
+    for name, stream in (("consensus", array_stream(cons, "syms", 42, ("g",)).cut(101, "keep")), ("reads", T.text42(spark, sf_dir).cut(101, "keep"))):
+        keys = [*stream.ids, "read_no"]
+        found = materialise(X.nearest_reference(stream, passages), "nearest")
+        frame = stream.frame()
+        same = F.lit(True)
+        for k in keys:
+            same = same & frame[k].eqNullSafe(found[k])
+        near = materialise(frame.join(found, same).select(frame["syms"], "reference", "shift"), "near")
+        coded = X.diff_rate(near, refs, "reference", 42, shift="shift").select(F.lit("nearest reference").alias("method"), "n", "bpv")
+        row = coded.unionByName(_alone(near, spark)).select(F.lit(name).alias("sequences"), "*")
+        out = row if out is None else out.unionByName(row)
+    return out
 
 
 def w16_read_order(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -127,21 +127,43 @@ def test_chain_is_the_window():
             assert state[i] == H.pack_codes(np.array(window), radices)
 
 
-@given(seqs)
-@settings(max_examples=40, deadline=None)
-def test_machines_and_chunks(sequences):
-    table = H.counter_transition(4, 3)
-    f = flat(*sequences)
-    got = H.run_machine(f, table)
-    i = 0
+WINDOW = H.chain_transition(H.Chain(4, np.array([0, 0, 1, 2]), [np.array([0, 1, 1])], [3, 2]))
+
+
+def states_by_hand(sequences, table):
+    out = []
     for s in sequences:
         state = 0
         for x in s:
-            assert got[i] == state
-            state = table[state, x]
-            i += 1
-        parts = [np.array(s[:3], int), np.array(s[3:7], int), np.array(s[7:], int)]
-        assert np.concatenate(H.run_long(parts, table)).tolist() == got[i - len(s) : i].tolist()
+            out.append(state)
+            state = int(table[state, x])
+    return out
+
+
+@pytest.mark.parametrize("piece", [2, 5, 2048])
+@pytest.mark.parametrize("table", [H.counter_transition(4, 3), WINDOW, np.zeros((1, 4), int), H.counter_transition(4, 20)], ids=["counter", "window", "none", "many"])
+@given(seqs)
+@settings(max_examples=20, deadline=None)
+def test_machines_and_pieces(table, piece, sequences):
+    before, H.PIECE = H.PIECE, piece
+    try:
+        assert H.run_machine(flat(*sequences), table).tolist() == states_by_hand(sequences, table)
+    finally:
+        H.PIECE = before
+
+
+def test_memory():
+    assert H.memory(WINDOW) == 2 and H.memory(np.zeros((1, 4), int)) == 0 and H.memory(H.counter_transition(4, 3)) is None
+
+
+@pytest.mark.parametrize("rate, contexts", [(4, 1), (8, 1), (8, 5), (5, 400)])
+def test_lanes_are_the_scan(rate, contexts):
+    r = np.random.default_rng(rate + contexts)
+    for codes in (r.choice(4, 30000, p=[0.6, 0.3, 0.09, 0.01]), np.repeat(r.integers(0, 4, 30), 1000)):
+        ctx = r.integers(0, contexts, len(codes))
+        want, _ = A.scan_cdfs(codes, ctx, 4, rate)
+        assert (A.lane_gaps(codes, ctx, 4, rate) == want).all()
+        assert (A.lane_gaps(codes, ctx, 4, rate, piece=300, halo=20) == want).all()  # most pieces are run again
 
 
 def test_product_transition():

@@ -19,9 +19,9 @@ from ctxloom.operators import nested as N
 from ctxloom.operators import rates as R
 from ctxloom.operators import contexts as X
 from ctxloom.operators.soft import SoftMachine, harden
-from ctxloom.operators.stream import text_stream
+from ctxloom.operators.stream import array_stream, text_stream
 from ctxloom.plans import streams as T
-from tests.helpers import markov, stream_of
+from tests.helpers import flat, markov, stream_of
 
 
 def rows(df, *cols):
@@ -238,6 +238,45 @@ def test_consensus(spark):
     assert d.n == 10 and d.bpv == pytest.approx(d.flag_bpv + d.replacement_bpv, abs=1e-5)
 
 
+def test_minimizers_by_hand():
+    r = np.random.default_rng(3)
+    f = flat(*[r.integers(0, 42, n) for n in (5, 24, 30, 39, 40, 100, 0, 300)])
+    h, inside = E.window_hashes(f, 24)
+    names = {}
+    for i in np.flatnonzero(inside):
+        w = tuple(f.codes[i : i + 24])
+        assert names.setdefault(w, h[i]) == h[i]
+    want = set()
+    for a, b in zip(f.starts[:-1], f.starts[1:]):
+        begins = list(range(a, b - 23))
+        for i in range(max(1, len(begins) - 15) if begins else 0):
+            part = begins[i : i + 16]
+            want.add(min(part, key=lambda j: (h[j], j)))
+    assert set(E._minimizers(f, 24, 16)[0].tolist()) == want
+
+
+def test_similar_groups_and_nearest_references(spark):
+    r = np.random.default_rng(4)
+    base, other, line = r.integers(0, 42, 400), [r.integers(0, 42, 300) for _ in range(3)], r.integers(0, 42, 30)
+    edited = base.copy()
+    edited[[50, 200]] += 1
+    edited %= 42
+    rows = [base, np.r_[r.integers(0, 42, 60), edited], np.r_[edited[30:], r.integers(0, 42, 5)], base, *[np.r_[line, o] for o in other]]
+    df = spark.createDataFrame([(i, x.tolist()) for i, x in enumerate(rows)], "id long, syms array<int>")
+    got = E.similar_groups(df, 42).collect()
+    assert sorted(len(x.syms) for x in got) == [375, 400, 400, 460]
+    stream = array_stream(df, "syms", 42, ("id",))
+    refs = array_stream(spark.createDataFrame([(7, edited.tolist()), (8, other[0].tolist()), (9, line.tolist())], "item long, syms array<int>"), "syms", 42, ("item",))
+    near = {x.id: (x.reference, x.shift) for x in E.nearest_reference(stream, refs).collect()}
+    assert near[0] == near[3] == ("7|0", 0) and near[1] == ("7|0", 60) and near[2] == ("7|0", -30) and near[4] == ("8|0", 30)
+    frame = stream.frame().join(E.nearest_reference(stream, refs), ["id", "read_no"]).where("id = 1 or id = 2")
+    table = refs.frame().select(F.concat_ws("|", "item", "read_no").alias("reference"), "syms")
+    assert E.diff_rate(frame, table, "reference", 42, shift="shift").first().n == 460 + 375
+    lone = [x for x in got if len(x.syms) == 460]
+    cons = E.consensus(spark.createDataFrame(got), "g", shift="shift")
+    assert sum(len(x.syms) for x in cons.collect()) >= 400 and lone[0].shift >= 60
+
+
 def test_runs(spark):
     s = stream_of(spark, [[0, 0, 1], [1, 1], []], 2)
     assert rows(B.run_lengths(s), "sym", "length", "n") == [(0, 2, 1), (1, 1, 1), (1, 2, 1)]
