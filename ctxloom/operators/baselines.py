@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import hashlib
 from collections.abc import Iterator
 
 import numpy as np
@@ -59,7 +60,11 @@ def range_bins(contexts: int, bins: int) -> np.ndarray:
 
 
 def random_bins(contexts: int, bins: int, seed: int = 0) -> np.ndarray:
-    return np.random.default_rng(seed).permutation(np.arange(contexts) % bins)
+    """Contexts dealt into bins in the order of a digest."""
+    order = sorted(range(contexts), key=lambda i: (hashlib.md5(f"{i}|{seed}".encode()).hexdigest(), i))
+    out = np.empty(contexts, np.int64)
+    out[order] = np.arange(contexts) % bins
+    return out
 
 
 def best_partition(table: np.ndarray, bins: int) -> float:
