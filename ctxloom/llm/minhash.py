@@ -286,7 +286,7 @@ def without_copies(docs: DataFrame, similarity: float = SIMILARITY) -> DataFrame
     marked = _marked(docs, F.col("doc_id").cast("long"), gone.select(F.col("gone_id").alias("id")))
     passed = marked.where("not __mark").select(*docs.columns)
     suspects = marked.where("__mark")
-    kept = suspects.join(gone, F.col("doc_id").eqNullSafe(F.col("gone_id")), "left_anti").select(*docs.columns)
+    kept = suspects.join(gone, suspects["doc_id"].eqNullSafe(gone["gone_id"]), "left_anti").select(*docs.columns)
     return passed.unionByName(kept)
 
 
