@@ -1,48 +1,38 @@
 """A training-data pipeline: language, quality, near duplicates, mixture, tokens.
 
 Each stage takes (spark, docs, sf_dir) and returns a DataFrame; it is written as Parquet and read again as the next stage's
-docs. Every stage works on all that its predecessor kept. All stages but the last return the columns of documents.
-Stages follow the null and empty rules of their operators: a null text has no language and goes in the first stage.
+docs. Every stage works on all that its predecessor kept. All stages but the last return the columns of documents, whatever
+these are. Filters decide each row by its own text, in place: texts are shuffled only where near copies are compared, and
+where a document may be one that goes. Stages follow the null and empty rules of their operators: a null text has no
+language and goes in the first stage. Repeated rows, and rows without an id, stay or go as the operators say.
 """
 
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
 from ctxloom.llm import bytebpe, langid, minhash, mixing, quality
 from ctxloom.session import load, materialise
 
 
-def _kept(docs: DataFrame, decisions: DataFrame) -> DataFrame:
-    """Documents with a row in ``decisions`` (doc_id). Rows that share a doc_id stay or go together; a null one is an id, too."""
-    ids = decisions.select(F.col("doc_id").alias("kept_id"))
-    return docs.join(ids, docs["doc_id"].eqNullSafe(ids["kept_id"]), "left_semi").select(*docs.columns)
-
-
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents in a language that the filters know: some filter has at least langid.KNOWN of the text's 4-grams. Those without letters go."""
-    found = langid.identify(docs, langid.train(docs))
-    return _kept(docs, found.where(f"lang_pred <> 'und' and share >= {langid.KNOWN}"))
+    return langid.known_language(docs, langid.train(docs))
 
 
 def good_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the quality classifier accepts."""
-    scored = quality.score(docs, quality.train(docs, load(spark, sf_dir, "labels")))
-    return _kept(docs, scored.where("predicted = 1"))
+    return quality.good(docs, quality.train(docs, load(spark, sf_dir, "labels")))
 
 
 def one_of_each(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The document with the least id of every near-duplicate group."""
-    return _kept(docs, minhash.near_duplicates(docs).where("keep"))
+    return minhash.without_copies(docs)
 
 
 def mixture(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents as often as the mix takes them: never, once or twice."""
-    copies = mixing.mix_documents(docs).groupBy(F.col("doc_id").alias("mixed_id")).agg(F.max("copies").alias("mixed_copies")).where("mixed_copies > 0")
-    columns = [docs[c] for c in docs.columns]
-    taken = docs.join(copies, docs["doc_id"].eqNullSafe(copies["mixed_id"])).select(*columns, F.sequence(F.lit(1), F.col("mixed_copies")).alias("mixed_copies"))
-    return taken.select(*docs.columns, F.explode("mixed_copies").alias("mixed_copy")).drop("mixed_copy")
+    return mixing.repeated(docs)
 
 
 def tokens(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
