@@ -113,3 +113,113 @@ ORACLES: dict[str, str] = {
       rt AS (SELECT p, used, sum(n * log2(n) - g) / (SELECT t FROM tot) AS bpv FROM (SELECT p, used, bin, sum(n) AS n, sum(n * log2(n)) AS g FROM cl GROUP BY ALL) GROUP BY ALL)
       SELECT k.k::INT AS bins, round(min(bpv) + 0.0, 6) AS bpv FROM rt, range(1, 6) k(k) WHERE used <= k.k GROUP BY k.k""",
 }
+
+
+def overfit(win: str, m: int, alpha: float, fold: str = "k % 2", by: str = "") -> str:
+    """n, training, held_out of windows (by, k, ctx, s)."""
+    comma, group = (f"{by}, ", f" GROUP BY {by}") if by else ("", "")
+    return f"""SELECT {comma}sum(n0 + n1)::BIGINT AS n, round(sum((n0 + n1) * log2((t0 + t1) / (n0 + n1))) / sum(n0 + n1) + 0.0, 6) AS training,
+        round(sum(n0 * log2((t1 + {alpha * m}) / (n1 + {alpha})) + n1 * log2((t0 + {alpha * m}) / (n0 + {alpha}))) / sum(n0 + n1), 6) AS held_out
+      FROM (SELECT *, sum(n0) OVER (PARTITION BY {comma}ctx) AS t0, sum(n1) OVER (PARTITION BY {comma}ctx) AS t1
+        FROM (SELECT {comma}ctx, s, count(*) FILTER ({fold} = 0) AS n0, count(*) FILTER ({fold} = 1) AS n1 FROM {win} GROUP BY ALL)){group}"""
+
+
+def null_controls() -> str:
+    parts, ctes = [], []
+    for name, source, m in (("ev5", EV5, 5), ("val42", VAL42, 42), ("qty50", QTY50, 50), ("wordlen16", WORDLEN, 16), ("text42", SYM42, 42)):
+        ctes.append(f"{name}_x AS (WITH {source} SELECT k, s, lag(s) OVER (PARTITION BY k ORDER BY pos) AS ctx, 0 AS none FROM sym), {name}_w AS (SELECT * FROM {name}_x WHERE ctx IS NOT NULL), {name}_z AS (SELECT k, s, 0 AS ctx FROM {name}_w)")
+        parts.append(f"SELECT '{name}' AS stream, b.n, a.training AS none_training, a.held_out AS none_held_out, b.training AS order1_training, b.held_out AS order1_held_out FROM ({overfit(f'{name}_z', m, 1.0)}) a, ({overfit(f'{name}_w', m, 1.0)}) b")
+    return f"WITH {', '.join(ctes)} {' UNION ALL '.join(parts)}"
+
+
+def page_positions() -> str:
+    """Positions, previous values and the hand-made context on first reads and on all reads of pages."""
+    ctes, parts = [], []
+    for name, reads in (("all", f"WITH {PAGES42} SELECT k, r, pos, s FROM rd"), ("first read only", f"WITH {PAGE42} SELECT k, 0 AS r, pos, s FROM sym")):
+        x = "a" if name == "all" else "f"
+        ctes.append(f"""{x}0 AS ({reads}), {x}1 AS (SELECT *, lag(s) OVER w AS p1, lag(s, 2) OVER w AS p2 FROM {x}0 WINDOW w AS (PARTITION BY k, r ORDER BY pos)),
+          {x}2 AS (SELECT *, coalesce(sum((p1 <> s)::INT) OVER (PARTITION BY k, r ORDER BY pos ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS ch FROM {x}1)""")
+        for context, size, code, start in (
+            ("none", 1, "0", 1), ("position", 101, "pos", 1), ("previous", 42, "p1", 1), ("both", 101 * 42, "pos + 101 * p1", 1),
+            ("handmade", 121 * 32, "(p1 >> 2) + 11 * (p2 >> 2) + 121 * least(pos // 16, 7) + 968 * least(ch // 8, 3)", 2),
+        ):
+            w = f"{x}_{context}"
+            ctes.append(f"{w} AS (SELECT k, s, {code} AS ctx FROM {x}2 WHERE pos >= {start})")
+            parts.append(f"SELECT '{name}' AS reads, '{context}' AS context, {size} AS contexts, * FROM ({overfit(w, 42, 0.1)})")
+    return f"WITH {', '.join(ctes)} {' UNION ALL '.join(parts)}"
+
+
+def position_bins() -> str:
+    ctes, parts = [], []
+    for name, x, reads in (("all", "a", f"WITH {PAGES42} SELECT pos AS ctx, s AS sym, count(*) AS n FROM rd GROUP BY ALL"), ("first read only", "f", f"WITH {PAGE42} SELECT pos AS ctx, s AS sym, count(*) AS n FROM sym GROUP BY ALL")):
+        ctes.append(f"{x}c AS ({reads}), {grown(x, f'{x}c', 42)}, {within_loss(f'{x}b', x, 0.01)}, {x}i AS (SELECT *, (bin IS DISTINCT FROM lag(bin) OVER (ORDER BY ctx))::INT AS new FROM {x}b)")
+        parts.append(f"SELECT '{name}' AS reads, bin::INT AS bin, min(ctx) AS first, max(ctx) AS last, count(*) AS members, sum(new)::BIGINT AS runs FROM {x}i GROUP BY bin")
+    return f"WITH RECURSIVE {', '.join(ctes)} {' UNION ALL '.join(parts)}"
+
+
+def joint(rows: str, a: str, b: str, name: str) -> str:
+    return f"""SELECT '{name}' AS pair, n, round(ha, 6) AS h_a, round(hb, 6) AS h_b, round(hab, 6) AS h_ab, round(ha + hb - hab, 6) AS gain
+      FROM (SELECT sum(n)::BIGINT AS n, log2(sum(n)) - sum(n * log2(na)) / sum(n) AS ha, log2(sum(n)) - sum(n * log2(nb)) / sum(n) AS hb, log2(sum(n)) - sum(n * log2(n)) / sum(n) AS hab
+        FROM (SELECT n, sum(n) OVER (PARTITION BY a) AS na, sum(n) OVER (PARTITION BY b) AS nb FROM (SELECT {a} AS a, {b} AS b, count(*) AS n FROM {rows} GROUP BY ALL)))"""
+
+
+def chain(x: str, m: int, sizes: list[int], one_tree: bool, windows: str = "lw") -> tuple[str, str, int]:
+    """CTEs that bin the value at each distance, the packed code of the bins, and the number of states. ``windows`` has p1, p2 ... and s."""
+    ctes, tables, code, base = [], [], [], 1
+    if one_tree:
+        ctes.append(f"{x}c AS (SELECT p1 AS ctx, s AS sym, count(*) AS n FROM {windows} WHERE p1 IS NOT NULL GROUP BY ALL), {grown(x, f'{x}c', m)}")
+        for j, size in enumerate(sizes, 1):
+            ctes.append(at_bins(f"{x}b{j}", x, size))
+    else:
+        for j, size in enumerate(sizes, 1):
+            inner = f"p{j}" if j == 1 else "bin"
+            join = "" if j == 1 else f" JOIN {x}b{j - 1} ON ctx0 = ctx"
+            raw = f"SELECT p{j} AS ctx0, s AS sym, count(*) AS n FROM {windows} WHERE p{j} IS NOT NULL GROUP BY ALL"
+            inner = "ctx0" if j == 1 else "bin"
+            ctes.append(f"{x}r{j} AS ({raw}), {x}c{j} AS (SELECT {inner} AS ctx, sym, sum(n) AS n FROM {x}r{j}{join} GROUP BY ALL), {grown(f'{x}t{j}', f'{x}c{j}', m, stop=size)}, {at_bins(f'{x}l{j}', f'{x}t{j}', size)}")
+            # value -> its bin at this level
+            ctes.append(f"{x}b{j} AS (SELECT ctx, bin FROM {x}l{j})" if j == 1 else f"{x}b{j} AS (SELECT b.ctx, l.bin FROM {x}b{j - 1} b JOIN {x}l{j} l ON l.ctx = b.bin)")
+    for j, size in enumerate(sizes, 1):
+        tables.append(f"JOIN {x}b{j} t{j} ON t{j}.ctx = p{j}")
+        code.append(f"t{j}.bin * {base}")
+        base *= size
+    ctes.append(f"{x}w AS (SELECT {' + '.join(code)} AS ctx, s AS sym, count(*) AS n FROM {windows} {' '.join(tables)} GROUP BY ALL)")
+    return ", ".join(ctes), f"{x}w", base
+
+
+def packed_windows() -> str:
+    lags = ", ".join(f"lag(s, {i}) OVER w AS p{i}" for i in range(1, 9))
+    ctes, parts = [f"lw AS (SELECT s, {lags} FROM sym WINDOW w AS (PARTITION BY k ORDER BY pos))"], []
+    for x, name, sizes, one in (("ca", "16-4-2-2", [16, 4, 2, 2], False), ("cb", "16-4-2-2 one tree", [16, 4, 2, 2], True), ("cc", "8-8-4", [8, 8, 4], False), ("cd", "2^8", [2] * 8, False)):
+        cte, cells, states = chain(x, 42, sizes, one)
+        ctes.append(cte)
+        parts.append(f"SELECT '{name}' AS machine, {states} AS states, n, bpv FROM ({rate_of(cells)})")
+    return f"WITH RECURSIVE {SYM42}, {', '.join(ctes)} {' UNION ALL '.join(parts)}"
+
+
+def counters() -> str:
+    ctes, cells, _ = chain("wi", 4, [4, 2], False, "lr")
+    parts = []
+    for name, code in (
+        ("none", "0"), ("last value", "p"), ("changes", "least(ch, 15) * 4 + p"), ("run length", "least(rl - 1, 3) * 4 + p"),
+        ("window", "a.bin + 4 * b.bin"), ("window x changes", "a.bin + 4 * b.bin + 8 * (least(ch, 7) * 4 + p)"),
+    ):
+        parts.append(f"SELECT '{name}' AS machine, {code} AS ctx, s AS sym, count(*) AS n FROM q JOIN wib1 a ON a.ctx = p1 JOIN wib2 b ON b.ctx = p2 WHERE pos >= 2 GROUP BY ALL")
+    return f"""WITH RECURSIVE {READS4}, lr AS (SELECT *, lag(s) OVER w AS p1, lag(s, 2) OVER w AS p2 FROM rd WINDOW w AS (PARTITION BY k, r ORDER BY pos)), {ctes},
+      q0 AS (SELECT *, coalesce(p1, 0) AS p, (s IS DISTINCT FROM coalesce(p1, 0))::INT AS f FROM lr),
+      q1 AS (SELECT *, sum(f) OVER (PARTITION BY k, r ORDER BY pos) AS run, coalesce(sum(f) OVER (PARTITION BY k, r ORDER BY pos ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS ch FROM q0),
+      q2 AS (SELECT *, row_number() OVER (PARTITION BY k, r, run ORDER BY pos) + (run = 0)::INT AS len FROM q1), q AS (SELECT *, lag(len, 1, 1) OVER (PARTITION BY k, r ORDER BY pos) AS rl FROM q2),
+      cl AS ({' UNION ALL '.join(parts)}) SELECT machine, n, contexts AS states, bpv FROM ({rate_of('cl', 'machine')})"""
+
+
+ORACLES |= {
+    "w17_null_controls": null_controls(),
+    "w3_position_previous": page_positions(),
+    "w3_position_bins": position_bins(),
+    "position_rates_pages": f"""WITH {PAGES42}, x AS (SELECT *, lag(s) OVER (PARTITION BY k, r ORDER BY pos) AS p FROM rd),
+      cl AS (SELECT 'position' AS context, pos AS ctx, s AS sym, count(*) AS n FROM x GROUP BY ALL UNION ALL SELECT 'position, previous', pos + 101 * p, s, count(*) FROM x WHERE pos >= 1 GROUP BY ALL UNION ALL SELECT 'coarse position', least(pos // 10, 7), s, count(*) FROM x GROUP BY ALL) {rate_of('cl', 'context')}""",
+    "w14_joint_gain": f"{joint('events', EV, VAL, 'event type, value')} UNION ALL {joint('lineitem', 'l_returnflag', 'l_linestatus', 'return flag, line status')}",
+    "w16_read_order": "SELECT n AS reads, round(lgamma(n + 1) / ln(2), 3) AS order_bits, round(lgamma(n + 1) / ln(2) / greatest(n, 1), 6) AS bits_per_read FROM (SELECT sum((length(text) + 100) // 101)::BIGINT AS n FROM documents)",
+    "w5_packed_windows": packed_windows(),
+    "w6_counters": counters(),
+}
