@@ -223,3 +223,117 @@ ORACLES |= {
     "w5_packed_windows": packed_windows(),
     "w6_counters": counters(),
 }
+
+
+def kmeans(x: str, k: int, m: int, contexts: int, alpha: float, rounds: int, tol: float, init: str = "spread", update: str = "joint", drop: bool = False, keys: tuple[str, ...] = ("k", "r"), names: tuple[str, ...] = ("k", "r"), seed: int = 0) -> str:
+    """CTEs of k-means over reads: <x>_a (keys, c, bits, n): the last assignment, and <x>_h (rounds). Expects cells rc (keys, ctx, sym, n) and
+    rl (keys, n, syms). Rounds are unrolled; the first whose total changes by at most ``tol`` is the last."""
+    key = ", ".join(keys)
+    grid = f"range({contexts}) a(i), range({m}) b(i)"
+    ctes = []
+
+    def models(out: str, pool: str, live: str) -> None:
+        ctes.append(f"{out} AS (SELECT c, ctx, sym, log2(sum(n) OVER (PARTITION BY c, ctx) / n) AS bits FROM (SELECT g.c, g.ctx, g.sym, coalesce(p.n, 0) + {alpha} AS n FROM (SELECT c.c, a.i AS ctx, b.i AS sym FROM ({live}) c, {grid}) g LEFT JOIN {pool} p ON p.c = g.c AND p.ctx = g.ctx AND p.sym = g.sym))")
+
+    order = f"{draw(list(names), seed)}, {key}" if init != "first" else key
+    ctes.append(f"{x}_seed AS (SELECT {key}, row_number() OVER (ORDER BY {order}) - 1 AS c FROM rl WHERE len(syms) > 0 QUALIFY c < {1 if init == 'spread' else k})")
+    cells = lambda chosen: f"SELECT c, ctx, sym, n::DOUBLE AS n FROM rc JOIN ({chosen}) USING ({key})"
+    if init == "spread":
+        ctes.append(f"{x}_p0 AS ({cells(f'SELECT {key}, c FROM {x}_seed')})")
+        for j in range(1, k):
+            models(f"{x}_s{j}", f"{x}_p{j - 1}", f"SELECT i.i AS c FROM range({j}) i(i)")
+            ctes.append(f"{x}_u{j} AS (SELECT {key}, round(min(b) / any_value(n), 9) AS c FROM (SELECT {key}, c, sum(n * bits) AS b FROM rc JOIN {x}_s{j} USING (ctx, sym) GROUP BY ALL) JOIN (SELECT {key}, n FROM rl) USING ({key}) GROUP BY {key})")
+            ctes.append(f"{x}_v{j} AS (SELECT arg_max(f, {{'c': c, 's': syms}}) AS f FROM (SELECT {{{', '.join(f'{q!r}: {q}' for q in keys)}}} AS f, u.c, syms FROM {x}_u{j} u JOIN rl USING ({key})))")
+            ctes.append(f"{x}_p{j} AS (SELECT * FROM {x}_p{j - 1} UNION ALL {cells(f'SELECT {', '.join(f'f.{q} AS {q}' for q in keys)}, {j} AS c FROM {x}_v{j}')})")
+        pool = f"{x}_p{k - 1}"
+    else:
+        ctes.append(f"{x}_p0 AS ({cells(f'SELECT {key}, c FROM {x}_seed')})")
+        pool = f"{x}_p0"
+    live = f"SELECT i.i AS c FROM range({k}) i(i)"
+    totals = []
+    for i in range(rounds + 1):
+        models(f"{x}_m{i}", pool, live)
+        ctes.append(f"{x}_a{i} AS (SELECT {key}, (min({{'b': b, 'c': c}})).c AS c, min(b) AS bits FROM (SELECT {key}, c, round(sum(n * bits), 9) AS b FROM rc JOIN {x}_m{i} USING (ctx, sym) GROUP BY ALL) GROUP BY {key})")
+        weight = "n" if update == "joint" else "n * w"
+        source = "rc" if update == "joint" else f"(SELECT rc.*, l.n / sum(rc.n) OVER (PARTITION BY {', '.join(f'rc.{q}' for q in keys)}, ctx) AS w FROM rc JOIN (SELECT {key}, sum(n) AS n FROM rc GROUP BY {key}) l USING ({key}))"
+        ctes.append(f"{x}_q{i} AS (SELECT c, ctx, sym, sum({weight})::DOUBLE AS n FROM {source} JOIN {x}_a{i} USING ({key}) GROUP BY ALL)")
+        totals.append(f"SELECT {i} AS i, sum(bits) AS t FROM {x}_a{i}")
+        pool = f"{x}_q{i}"
+        if drop:
+            live = f"SELECT DISTINCT c FROM {x}_a{i}"
+    stop = f"abs(lag(t) OVER (ORDER BY i) - t) <= {tol} * greatest(abs(t), 1e-12)"
+    ctes.append(f"{x}_t AS ({' UNION ALL '.join(totals[:-1])}), {x}_h AS (SELECT least(coalesce(min(i) FILTER (stop), {rounds}) + 1, {rounds}) AS rounds FROM (SELECT i, {stop} AS stop FROM {x}_t))")
+    last = " UNION ALL ".join(f"SELECT * FROM {x}_a{i} WHERE {i} = (SELECT rounds FROM {x}_h)" for i in range(1, rounds + 1))
+    pools = " UNION ALL ".join(f"SELECT * FROM {x}_m{i} WHERE {i} = (SELECT rounds FROM {x}_h)" for i in range(1, rounds + 1))
+    # reads without counted symbols go to the first model
+    ctes.append(f"{x}_a AS (SELECT {key}, coalesce(c, 0) AS c, coalesce(bits, 0) AS bits, n FROM (SELECT {key}, n FROM rl) LEFT JOIN ({last}) USING ({key})), {x}_m AS ({pools})")
+    return ", ".join(ctes)
+
+
+def read_cells(source: str, order: int = 1, m: int = 4) -> str:
+    """rc and rl of the reads rd (k, r, pos, s) under contexts of the previous values; n counts the symbols with a context."""
+    lags = "".join(f", lag(s, {i}) OVER w AS p{i}" for i in range(1, order + 1))
+    code = " + ".join(f"p{i} * {m ** (i - 1)}" for i in range(1, order + 1))
+    return f"""{source}, rw AS (SELECT k, r, pos, s, {code} AS ctx FROM (SELECT *{lags} FROM rd WINDOW w AS (PARTITION BY k, r ORDER BY pos)) WHERE pos >= {order}),
+      rc AS (SELECT k, r, ctx, s AS sym, count(*) AS n FROM rw GROUP BY ALL), rl AS (SELECT k, r, greatest(count(*) - {order}, 0) AS n, list(s ORDER BY pos) AS syms FROM rd GROUP BY k, r)"""
+
+
+def purity(assigned: str, label: str) -> str:
+    return f"(SELECT round(sum(top) / sum(n), 6) FROM (SELECT max(n) AS top, sum(n) AS n FROM (SELECT c, {label}, count(*) AS n FROM {assigned} GROUP BY ALL) GROUP BY c))"
+
+
+def clusters(source: str, m: int, label: str, labels: str) -> str:
+    ctes, parts = [], []
+    for k in (1, 2, 4, 8):
+        x = f"k{k}"
+        ctes.append(kmeans(x, k, m, m, 0.1, 8, 1e-3))
+        ctes.append(f"{x}_l AS (SELECT a.*, {label} AS lab FROM {x}_a a {labels})")
+        ctes.append(f"{x}_c AS (SELECT lab AS l, sum(count(*)) OVER w AS b, sum(count(*)) OVER () AS t FROM {x}_l GROUP BY lab WINDOW w AS (ORDER BY lab NULLS FIRST ROWS UNBOUNDED PRECEDING))")
+        ctes.append(f"{x}_s AS (SELECT k, r, c, (SELECT arg_min(l, b) FROM {x}_c q WHERE q.b > floor({draw(['k', 'r'])} * q.t)) AS lab FROM {x}_l)")
+        parts.append(f"""SELECT {k} AS k, count(*) AS reads, round(sum(bits) / sum(n), 6) AS model_bpv, round(count(*) * log2({k}) / sum(n), 6) AS flat_bpv,
+          (SELECT round((sum(v) * log2(sum(v)) - sum(v * log2(v))) / sum(s) + 0.0, 6) FROM (SELECT count(*) AS v, sum(n) AS s FROM {x}_l GROUP BY c)) AS entropy_bpv,
+          round((sum(bits) + count(*) * log2({k})) / sum(n), 6) AS total_bpv, {purity(f'{x}_l', 'lab')} AS purity, {purity(f'{x}_s', 'lab')} AS chance, (SELECT rounds FROM {x}_h)::INT AS rounds FROM {x}_l""")
+    return f"WITH {read_cells(source, 1, m)}, {', '.join(ctes)} {' UNION ALL '.join(parts)}"
+
+
+def class_switching() -> str:
+    """Header, mixture by forgotten bits, best so far, one model."""
+    step = lambda mix: (
+        "-log2(list_sum(list_transform(list_zip(past, cost), lambda z: exp2(list_min(past) - z[1]) * exp2(-z[2]))) / list_sum(list_transform(past, lambda z: exp2(list_min(past) - z))))"
+        if mix else "cost[list_position(past, list_min(past))]"
+    )
+    walk = lambda x, mix: f"""{x} AS (SELECT k, r, 0::BIGINT AS i, [0.0, 0.0, 0.0, 0.0]::DOUBLE[] AS past, 0.0::DOUBLE AS spent FROM rl WHERE len(syms) > 0
+      UNION ALL SELECT {x}.k, {x}.r, o.pos, list_transform(list_zip(past, cost), lambda z: 0.95::DOUBLE * z[1] + z[2]), spent + {step(mix)} FROM {x} JOIN o ON o.k = {x}.k AND o.r = {x}.r AND o.pos = {x}.i + 1)"""
+    total = lambda x: f"(SELECT round(sum(s) / (SELECT sum(n) FROM rl), 6) FROM (SELECT max_by(spent, i) AS s FROM {x} GROUP BY k, r))"
+    return f"""WITH RECURSIVE {read_cells(READS4)}, {kmeans('k4', 4, 4, 4, 0.1, 5, 1e-4)}, {kmeans('k1', 1, 4, 4, 0.1, 2, 1e-4, init='random')},
+      lists AS (SELECT ctx, sym, list(bits ORDER BY c) AS cost FROM k4_m GROUP BY ctx, sym), o AS (SELECT k, r, pos, cost FROM rw JOIN lists ON lists.ctx = rw.ctx AND lists.sym = rw.s), {walk('wm', True)}, {walk('wb', False)}
+      SELECT 'header' AS method, (SELECT round((sum(bits) + 2 * count(*)) / sum(n), 6) FROM k4_a) AS bpv UNION ALL SELECT 'mixture', {total('wm')} UNION ALL SELECT 'best so far', {total('wb')}
+      UNION ALL SELECT 'one model', (SELECT round(sum(bits) / sum(n), 6) FROM k1_a)"""
+
+
+def user_variants() -> str:
+    """Users' events clustered in several ways."""
+    users = f"{EV5}, rd AS (SELECT k, 0 AS r, pos, s FROM sym)"
+    ctes, parts = [], []
+    for x, name, options in (
+        ("vr", "random", {"init": "random"}), ("vs", "spread", {"init": "spread"}), ("vf", "first", {"init": "first"}),
+        ("vc", "conditional", {"init": "first", "update": "conditional"}), ("vd", "drop", {"init": "random", "drop": True}), ("v2", "seed 1", {"init": "random", "seed": 1}),
+    ):
+        ctes.append(kmeans(x, 3, 5, 5, 0.5, 3, -1, **options))
+        parts.append(f"SELECT '{name}' AS variant, c::INT AS cluster, count(*) AS reads, round(sum(bits), 4) AS bits FROM {x}_a GROUP BY c")
+    # the better of two starts, by the total of the last round before the final assignment
+    best = "(SELECT t FROM vr_t WHERE i = 2) <= (SELECT t FROM v2_t WHERE i = 2)"
+    parts.append(f"SELECT 'restarts', c::INT, count(*), round(sum(bits), 4) FROM (SELECT * FROM vr_a WHERE {best} UNION ALL SELECT * FROM v2_a WHERE NOT {best}) GROUP BY c")
+    return f"WITH {read_cells(users, 1, 5)}, {', '.join(ctes)} {' UNION ALL '.join(parts)}"
+
+
+_LABELS = "LEFT JOIN (SELECT doc_id, quality FROM labels) ON doc_id = k"
+ORACLES |= {
+    "w8_clusters_text42": clusters(READS42, 42, "lang", "LEFT JOIN (SELECT doc_id, lang FROM documents) ON doc_id = k"),
+    "w9_clusters_class4": clusters(READS4, 4, "quality", _LABELS),
+    "cluster_histogram": f"WITH {read_cells(READS42, 1, 42)}, {kmeans('h', 4, 42, 42, 0.1, 5, 1e-4)} SELECT c::INT AS cluster, round(floor(bits / n / 0.1) * 0.1, 6) AS bucket, count(*) AS reads FROM h_a WHERE n > 0 GROUP BY 1, 2",
+    "selector_context": f"""WITH {read_cells(READS4)}, {kmeans('h', 4, 4, 4, 0.1, 5, 1e-4)}, one AS (SELECT ctx, sym, sum(n) AS n FROM rc GROUP BY ALL), large AS (SELECT ctx + 4 * c AS ctx, sym, sum(n) AS n FROM rc JOIN (SELECT k, r, c FROM h_a) USING (k, r) GROUP BY ALL)
+      SELECT 'one' AS models, contexts, bpv FROM ({rate_of('one')}) UNION ALL SELECT 'selector', contexts, bpv FROM ({rate_of('large')}) UNION ALL SELECT 'four', 16, (SELECT round(sum(bits) / sum(n), 6) FROM h_a)""",
+    "soft_switching": class_switching(),
+    "cluster_variants_ev5": user_variants(),
+}

@@ -73,9 +73,26 @@ def best_partitions_ev5(s: SparkSession, d: str) -> DataFrame:
     return s.createDataFrame([(k, round(B.best_partition(table, k) + 0.0, 6)) for k in range(1, 6)], "bins int, bpv double")
 
 
+def cluster_variants_ev5(s: SparkSession, d: str) -> DataFrame:
+    """variant, cluster, reads, bits: users' events under three models after three rounds from random, spread and first seeds,
+    with length-weighted means of conditionals, with empty clusters dropped, and the better of two starts."""
+    stream = T.ev5(s, d)
+    stream = stream.with_df(materialise(stream.df, "users"))
+    common = {"tol": -1, "max_iter": 3, "alpha": 0.5, "empty": "keep"}
+    out = None
+    for name, options in (
+        ("random", {"init": "random"}), ("spread", {"init": "spread"}), ("first", {"init": "first"}), ("conditional", {"init": "first", "update": "conditional"}),
+        ("drop", {"init": "random", "empty": "drop"}), ("seed 1", {"init": "random", "seed": 1}), ("restarts", {"init": "random", "restarts": 2}),
+    ):
+        found = K.cluster_models(stream, Previous(1), 3, **{**common, **options})
+        row = found.assign(stream).groupBy("cluster").agg(F.count("*").alias("reads"), F.round(F.sum("bits"), 4).alias("bits")).select(F.lit(name).alias("variant"), "cluster", "reads", "bits")
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
 METHODS = {
     f.__name__: f
     for f in (
-        merge_steps_text42, merge_steps_heap, cuts_class4_order3, cut_levels_text42, trees_by_language, best_partitions_ev5,
+        merge_steps_text42, merge_steps_heap, cuts_class4_order3, cut_levels_text42, trees_by_language, best_partitions_ev5, cluster_variants_ev5,
     )
 }

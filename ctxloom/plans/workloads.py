@@ -171,13 +171,13 @@ def w7_soft_machine(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def clusters(spark: SparkSession, stream: Stream, spec, sizes: tuple[int, ...], label: str, alpha: float = 0.1) -> DataFrame:
-    """k, reads, model_bpv, header_flat, header_entropy, total_bpv, purity by label, chance (what shuffled labels give), rounds."""
+    """k, reads, model_bpv, header_flat, header_entropy, total_bpv, purity by label, chance (that of shuffled labels), rounds."""
     out = None
     for k in sizes:
         found = K.cluster_models(stream, spec, k, init="spread", alpha=alpha, max_iter=8, tol=1e-3)
         done = materialise(found.assign(stream).join(stream.df.select(*stream.ids, label), list(stream.ids), "left"), "assigned")
         row = (
-            R.total_bpv(done, k).crossJoin(R.header_bpv(done, k)).crossJoin(R.purity(done, label)).crossJoin(R.chance(done, label)).crossJoin(done.agg(F.count("*").alias("reads")))
+            R.total_bpv(done, k).crossJoin(R.header_bpv(done, k)).crossJoin(R.purity(done, label)).crossJoin(R.chance(done, label, [*stream.ids, "read_no"])).crossJoin(done.agg(F.count("*").alias("reads")))
             .select(F.lit(k).alias("k"), "reads", "model_bpv", "flat_bpv", "entropy_bpv", "total_bpv", "purity", "chance", F.lit(len(found.history)).alias("rounds"))
         )
         out = row if out is None else out.unionByName(row)
