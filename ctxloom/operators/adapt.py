@@ -17,7 +17,7 @@ from pyspark.sql import types as T
 
 from ctxloom.operators.contexts import Context, Previous
 from ctxloom.operators.counts import Model
-from ctxloom.operators.stream import Flat, Stream, pieces
+from ctxloom.operators.stream import Flat, Stream, array_stream, pieces
 from ctxloom.session import schema_with
 
 CDF_BITS = 15
@@ -372,24 +372,28 @@ def adaptive_vs_static(blocks: DataFrame, m: int, orders: list[int], rate: int =
     Static is the best stationary model of the whole sequence; adaptive restarts in each block.
     """
 
+    read = array_stream(None, "syms", m).flat
+
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for i in range(batch.num_rows):
-                codes = batch.column(1)[i].values.to_numpy().astype(np.int64)
-                f = Flat(codes, np.array([0, len(codes)]), np.zeros(1, np.int64), np.zeros(1, np.int64))
-                for some in (orders[j : j + 3] for j in range(0, len(orders), 3)):  # a few orders side by side
-                    ctxs = [c[v] for c, v in (Previous(l).codes(f, m) for l in some)]
-                    syms = [codes[len(codes) - len(c) :] for c in ctxs]
-                    offset = np.concatenate([[0], np.cumsum([m**l for l in some])])
-                    gaps = lane_gaps(np.concatenate(syms), np.concatenate([c + o for c, o in zip(ctxs, offset)]), m, rate)
-                    ends = np.cumsum([0] + [len(c) for c in ctxs])
-                    for l, ctx, sym, a, b in zip(some, ctxs, syms, ends[:-1], ends[1:]):  # noqa: E741
-                        key, n = np.unique(ctx * m + sym, return_counts=True)
-                        bits = np.zeros(len(key))
-                        bits[:1] = CDF_BITS * (b - a) - np.log2(gaps[a:b]).sum()
-                        yield pa.RecordBatch.from_arrays([pa.array([l] * len(key), pa.int32()), pa.array(key // m), pa.array(key % m, pa.int32()), pa.array(n.astype(np.int64)), pa.array(bits)], names=["ord", "ctx", "sym", "n", "bits"])
-
-    cells = blocks.select("block_no", "syms").mapInArrow(kernel, "ord int, ctx long, sym int, n long, bits double")
+        for batch in pieces(batches):  # short blocks side by side, a long one by itself
+            f = read(batch.column(0))
+            owner = f.owner()
+            for some in (orders[j : j + 3] for j in range(0, len(orders), 3)):  # and a few orders at a time
+                lanes, syms, ctxs, base = [], [], [], 0
+                for l in some:  # noqa: E741
+                    ctx, valid = Previous(l).codes(f, m)
+                    lanes.append(base + owner[valid] * m**l + ctx[valid])
+                    base += len(f.size) * m**l
+                    ctxs.append(ctx[valid]), syms.append(f.codes[valid])
+                gaps = lane_gaps(np.concatenate(syms), np.concatenate(lanes), m, rate)
+                ends = np.cumsum([0] + [len(c) for c in ctxs])
+                for l, ctx, sym, a, b in zip(some, ctxs, syms, ends[:-1], ends[1:]):  # noqa: E741
+                    key, n = np.unique(ctx * m + sym, return_counts=True)
+                    bits = np.zeros(len(key))
+                    bits[:1] = CDF_BITS * (b - a) - np.log2(gaps[a:b]).sum()
+                    yield pa.RecordBatch.from_arrays([pa.array([l] * len(key), pa.int32()), pa.array(key // m), pa.array(key % m, pa.int32()), pa.array(n.astype(np.int64)), pa.array(bits)], names=["ord", "ctx", "sym", "n", "bits"])
+
+    cells = blocks.select("syms").mapInArrow(kernel, "ord int, ctx long, sym int, n long, bits double")
     per = cells.groupBy("ord", "ctx", "sym").agg(F.sum("n").alias("n"), F.sum("bits").alias("bits"))
     x = lambda c: F.when(c > 0, c * F.log2(c)).otherwise(0.0)
     ctx = per.groupBy("ord", "ctx").agg(F.sum("n").alias("n"), F.sum(x(F.col("n"))).alias("g"), F.sum("bits").alias("bits"))

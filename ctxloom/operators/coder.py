@@ -145,6 +145,26 @@ def encode_adaptive(codes: list[int], ctx: list[int], m: int, rate: int) -> byte
     return encode_read(cells, CDF_BITS)
 
 
+def adaptive_round_trip(stream: Stream, spec: Context, order: int, rate: int) -> DataFrame:
+    """ids, read_no, syms, payload_bits: every sequence coded by itself under adaptive functions of Previous(order, 'pad')
+    contexts, and what the decoder makes of the bytes."""
+    m, flat, ids = stream.m, stream.flat, list(stream.ids)
+    schema = schema_with(_id_schema(stream), "read_no int, syms array<int>, payload_bits long")
+
+    def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in pieces(batches):
+            f = flat(batch.column(0))
+            ctx, _ = spec.codes(f, m)
+            back, bits = [], []
+            for a, b in zip(f.starts[:-1].tolist(), f.starts[1:].tolist()):
+                data = encode_adaptive(f.codes[a:b].tolist(), ctx[a:b].tolist(), m, rate)
+                back.append(decode_adaptive(data, b - a, order, m, rate)), bits.append(8 * len(data))
+            cols = [batch.column(k).take(pa.array(f.row)) for k in ids]
+            yield pa.RecordBatch.from_arrays([*cols, pa.array(f.nth, pa.int32()), pa.array(back, pa.list_(pa.int32())), pa.array(bits, pa.int64())], names=schema.names)
+
+    return stream.select(*ids).mapInArrow(kernel, schema)
+
+
 def decode_adaptive(data: bytes, n: int, order: int, m: int, rate: int) -> list[int]:
     from bisect import bisect_right
 

@@ -115,16 +115,18 @@ class State:
     table: tuple
     start: int = 0
     skip: int = 0
+    feed: tuple[int, int] | None = None  # (width, cap): the coarse position is put into the symbols that move the state
 
     def size(self, m: int) -> int:
         return len(self.table)
 
     def codes(self, f: Flat, m: int) -> tuple[np.ndarray, np.ndarray]:
-        return run_machine(f, np.asarray(self.table, np.int64), self.start), f.position() >= self.skip
+        moved = position_symbols(f, m, *self.feed) if self.feed else f
+        return run_machine(moved, np.asarray(self.table, np.int64), self.start), f.position() >= self.skip
 
 
-def machine(table: np.ndarray, start: int = 0, skip: int = 0) -> State:
-    return State(tuple(map(tuple, np.asarray(table).tolist())), start, skip)
+def machine(table: np.ndarray, start: int = 0, skip: int = 0, feed: tuple[int, int] | None = None) -> State:
+    return State(tuple(map(tuple, np.asarray(table).tolist())), start, skip, feed)
 
 
 def run_states(syms: Column, table: np.ndarray, start: int = 0) -> Column:

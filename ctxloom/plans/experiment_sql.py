@@ -289,7 +289,7 @@ def clusters(source: str, m: int, label: str, labels: str) -> str:
         ctes.append(kmeans(x, k, m, m, 0.1, 8, 1e-3))
         ctes.append(f"{x}_l AS (SELECT a.*, {label} AS lab FROM {x}_a a {labels})")
         ctes.append(f"{x}_c AS (SELECT lab AS l, sum(count(*)) OVER w AS b, sum(count(*)) OVER () AS t FROM {x}_l GROUP BY lab WINDOW w AS (ORDER BY lab NULLS FIRST ROWS UNBOUNDED PRECEDING))")
-        ctes.append(f"{x}_s AS (SELECT k, r, c, (SELECT arg_min(l, b) FROM {x}_c q WHERE q.b > floor({draw(['k', 'r'])} * q.t)) AS lab FROM {x}_l)")
+        ctes.append(f"{x}_s AS (SELECT k, r, c, (SELECT list(l ORDER BY b)[1] FROM {x}_c q WHERE q.b > floor({draw(['k', 'r'])} * q.t)) AS lab FROM {x}_l)")
         parts.append(f"""SELECT {k} AS k, count(*) AS reads, round(sum(bits) / sum(n), 6) AS model_bpv, round(count(*) * log2({k}) / sum(n), 6) AS flat_bpv,
           (SELECT round((sum(v) * log2(sum(v)) - sum(v * log2(v))) / sum(s) + 0.0, 6) FROM (SELECT count(*) AS v, sum(n) AS s FROM {x}_l GROUP BY c)) AS entropy_bpv,
           round((sum(bits) + count(*) * log2({k})) / sum(n), 6) AS total_bpv, {purity(f'{x}_l', 'lab')} AS purity, {purity(f'{x}_s', 'lab')} AS chance, (SELECT rounds FROM {x}_h)::INT AS rounds FROM {x}_l""")
@@ -299,7 +299,7 @@ def clusters(source: str, m: int, label: str, labels: str) -> str:
 def class_switching() -> str:
     """Header, mixture by forgotten bits, best so far, one model."""
     step = lambda mix: (
-        "-log2(list_sum(list_transform(list_zip(past, cost), lambda z: exp2(list_min(past) - z[1]) * exp2(-z[2]))) / list_sum(list_transform(past, lambda z: exp2(list_min(past) - z))))"
+        "-log2(list_sum(list_transform(list_zip(past, cost), lambda z: pow(2, list_min(past) - z[1]) * pow(2, -z[2]))) / list_sum(list_transform(past, lambda z: pow(2, list_min(past) - z))))"
         if mix else "cost[list_position(past, list_min(past))]"
     )
     walk = lambda x, mix: f"""{x} AS (SELECT k, r, 0::BIGINT AS i, [0.0, 0.0, 0.0, 0.0]::DOUBLE[] AS past, 0.0::DOUBLE AS spent FROM rl WHERE len(syms) > 0
@@ -337,3 +337,166 @@ ORACLES |= {
     "soft_switching": class_switching(),
     "cluster_variants_ev5": user_variants(),
 }
+
+
+def adaptive_reads(x: str, order: int, every: int = 1, rate: int = 8, source: str = "rd", m: int = 4) -> str:
+    """CTE <x> (k, r, bits, n): every read by itself under integer functions per context of the previous values."""
+    top, key = 1 << 15, "k, r"
+    lags = "".join(f", lag(s, {i}) OVER w AS p{i}" for i in range(1, order + 1))
+    code = " + ".join(f"p{i} * {m ** (i - 1)}" for i in range(1, order + 1)) or "0"
+    uniform = "[" + ", ".join(str((j << 15) // m) for j in range(m + 1)) + "]::BIGINT[]"
+    ctes = [f"{x}o AS (SELECT {key}, pos, s, {code} AS c FROM (SELECT *{lags} FROM {source} WINDOW w AS (PARTITION BY {key} ORDER BY pos)) WHERE pos >= {order})"]
+    ctes.append(f"{x}i AS (SELECT *, (row_number() OVER (PARTITION BY {key}, c ORDER BY pos) - 1) // {every} AS i FROM {x}o)")
+    # the symbols of a step, and where they draw the function: to one symbol's, or to the step's own distribution
+    if every == 1:
+        target = f"list_transform(range({m + 1}), lambda j: CASE WHEN j <= any_value(s) THEN j ELSE {top - m} + j END)"
+    else:
+        target = f"list_transform(range({m + 1}), lambda j: j + ({top - m} * list_sum(list_concat([0], list_transform(list(s), lambda v: (v < j)::INT)))::BIGINT) // {every})"
+    ctes.append(f"{x}g AS (SELECT {key}, c, i, list(s) AS ss, count(*) AS n, {target} AS t FROM {x}i GROUP BY {key}, c, i)")
+    cost = "list_sum(list_transform(g.ss, lambda v: 15 - log2((f.cdf[v + 2] - f.cdf[v + 1])::DOUBLE)))"
+    ctes.append(f"""{x}f AS (SELECT {key}, c, -1::BIGINT AS i, {uniform} AS cdf, 0.0::DOUBLE AS bits, 0::BIGINT AS n FROM (SELECT DISTINCT {key}, c FROM {x}g)
+      UNION ALL SELECT f.k, f.r, f.c, g.i, CASE WHEN g.n = {every} THEN list_transform(list_zip(f.cdf, g.t), lambda z: z[1] + ((z[2] - z[1]) >> {rate})) ELSE f.cdf END, f.bits + {cost}, f.n + g.n
+      FROM {x}f f JOIN {x}g g ON g.k = f.k AND g.r = f.r AND g.c = f.c AND g.i = f.i + 1)""")
+    ctes.append(f"{x} AS (SELECT {key}, sum(bits) AS bits, sum(n)::BIGINT AS n FROM (SELECT {key}, c, max_by(bits, i) AS bits, max(n) AS n FROM {x}f GROUP BY {key}, c) GROUP BY {key})")
+    return ", ".join(ctes)
+
+
+def adaptive_orders() -> str:
+    ctes, parts = [], []
+    for order in range(4):
+        x = f"ad{order}"
+        ctes.append(adaptive_reads(x, order))
+        ctes.append(f"{x}c AS (SELECT c AS ctx, s AS sym, count(*) AS n FROM {x}o GROUP BY ALL)")
+        parts.append(f"SELECT {order} AS ord, sum(n)::BIGINT AS n, round(sum(bits) / sum(n), 6) AS adaptive, (SELECT bpv FROM ({rate_of(f'{x}c')})) AS static FROM {x}")
+    return f"WITH RECURSIVE {READS4}, {', '.join(ctes)} {' UNION ALL '.join(parts)}"
+
+
+def sparse_updates() -> str:
+    ctes, parts = [], []
+    for every, rate in ((1, 8), (10, 5), (25, 2)):
+        ctes.append(adaptive_reads(f"sp{every}", 1, every, rate))
+        parts.append(f"SELECT {every} AS every, {rate} AS rate, sum(n)::BIGINT AS n, round(sum(bits) / sum(n), 6) AS bpv FROM sp{every}")
+    return f"WITH RECURSIVE {READS4}, {', '.join(ctes)} {' UNION ALL '.join(parts)}"
+
+
+ETAS = (0.8, 0.9, 0.95, 0.98, 0.99, 0.995)
+FREQUENCY_FLOOR = 1e-6
+
+
+def fitted_rates() -> str:
+    """The forgetting rate of a grid under which each user's events cost least."""
+    m, floor = 5, FREQUENCY_FLOOR
+    shifted = "list_transform(range(1, 6), lambda j: v[j] * eta + CASE WHEN j = o.s + 1 THEN 1 - eta ELSE 0 END)"
+    return f"""WITH RECURSIVE {EV5}, o AS (SELECT k, pos, s FROM sym), e AS (SELECT unnest([{', '.join(map(str, ETAS))}])::DOUBLE AS eta),
+      f AS (SELECT k, eta, -1::BIGINT AS i, [0.2, 0.2, 0.2, 0.2, 0.2]::DOUBLE[] AS v, 0.0::DOUBLE AS bits FROM (SELECT DISTINCT k FROM o), e
+        UNION ALL SELECT f.k, eta, o.pos, {shifted}, bits - log2((1 - {m} * {floor}::DOUBLE) * v[o.s + 1] + {floor}::DOUBLE) FROM f JOIN o ON o.k = f.k AND o.pos = f.i + 1),
+      z AS (SELECT k, eta, max(i) + 1 AS n, round(max_by(bits, i), 6) AS bits FROM f GROUP BY k, eta)
+      SELECT k AS block_no, n, eta, round(-1 / log2(eta), 6) AS half_life, round(bits / n, 6) AS bpv FROM z QUALIFY row_number() OVER (PARTITION BY k ORDER BY bits, eta) = 1"""
+
+
+def soft_objective() -> str:
+    """Sum of state-weighted log emissions, and of logs of the mixture, of a declared two-state machine."""
+    return f"""WITH RECURSIVE {EV5}, o AS (SELECT k, pos, s FROM sym), T AS (SELECT x.x AS x, a.a AS a, (1 + x.x) / (7.0 + a.a) AS p0 FROM range(5) x(x), range(2) a(a)),
+      D AS (SELECT x, (x + 1) / 15.0::DOUBLE AS e0, (5 - x) / 15.0::DOUBLE AS e1 FROM (SELECT x.x AS x FROM range(5) x(x))),
+      f AS (SELECT k, -1::BIGINT AS i, 1.0::DOUBLE AS q0, 0.0::DOUBLE AS q1, 0.0::DOUBLE AS nats, 0.0::DOUBLE AS mix FROM (SELECT DISTINCT k FROM o)
+        UNION ALL SELECT f.k, o.pos, q0 * t0.p0 + q1 * t1.p0, q0 * (1 - t0.p0) + q1 * (1 - t1.p0), nats + q0 * ln(e0) + q1 * ln(e1), mix - log2(q0 * e0 + q1 * e1)
+        FROM f JOIN o ON o.k = f.k AND o.pos = f.i + 1 JOIN T t0 ON t0.x = o.s AND t0.a = 0 JOIN T t1 ON t1.x = o.s AND t1.a = 1 JOIN D ON D.x = o.s),
+      z AS (SELECT max_by(nats, i) AS nats, max_by(mix, i) AS mix FROM f GROUP BY k) SELECT round(sum(nats), 4) AS objective, round(sum(mix), 4) AS mixture_bits FROM z"""
+
+
+def nestings() -> str:
+    """Nested binnings of the class stream over windows from place 4 on."""
+    lags = ", ".join(f"lag(s, {i}) OVER w AS p{i}" for i in range(1, 5))
+    base = f"{SYM4}, lw AS (SELECT k, pos, s, {lags} FROM sym WINDOW w AS (PARTITION BY k ORDER BY pos))"
+    count = lambda x, code, where, join="": f"{x}c AS (SELECT {code} AS ctx, s AS sym, count(*) AS n FROM lw {join} WHERE {where} GROUP BY ALL)"
+    near, far = "p1 + 4 * p2", "p3 + 4 * p4"
+    ctes = [base]
+    for bins in (6, 3):
+        ctes += [count(f"pr{bins}", near, "pos >= 2"), grown(f"pr{bins}", f"pr{bins}c", 4), at_bins(f"pr{bins}b", f"pr{bins}", bins)]
+    # symmetric: the pair table again, two places earlier; far values exist from place 4 on
+    ctes += [count("sy", "a.bin + 6 * b.bin", "pos >= 4", f"JOIN pr6b a ON a.ctx = {near} JOIN pr6b b ON b.ctx = {far}"), grown("sy", "syc", 4), at_bins("syb", "sy", 12)]
+    # asymmetric: the far pair by how it predicts the symbol
+    ctes += [count("fa", far, "pos >= 4"), grown("fa", "fac", 4), at_bins("fab", "fa", 3)]
+    # far bins as near bins without their last bit: near bins paired by how they predict from two places earlier
+    ctes += [count("ff", "b.bin", "pos >= 4", f"JOIN pr6b b ON b.ctx = {far}"), grown("ff", "ffc", 4, stop=6), at_bins("ffi", "ff", 6),
+             grown("fs", "ffc", 4, stop=3, capacity=2), numbered("fsg", "SELECT g, arg_max(live, step) AS live FROM fs_steps GROUP BY g"),
+             "ffb AS (SELECT ctx, bin AS grp, bin * 2 + row_number() OVER (PARTITION BY bin ORDER BY ctx) - 1 AS place FROM fsg)"]
+    # hierarchical: a tree of the far pair inside every near bin
+    ctes += [f"hic AS (SELECT a.bin AS near, {far} AS ctx, s AS sym, count(*) AS n FROM lw JOIN pr3b a ON a.ctx = {near} WHERE pos >= 4 GROUP BY ALL)", grown("hi", "hic", 4, by="near"), at_bins("hib", "hi", 2)]
+    # with another context: previous value and the place in words of four
+    ctes += [count("wi", "p1 + 4 * least(pos // 4, 3)", "pos >= 1"), grown("wi", "wic", 4), at_bins("wib", "wi", 5)]
+    n = f"JOIN pr6b a ON a.ctx = {near}"
+    final = [
+        ("pair", 6, 1, "a.bin", n), ("symmetric", 12, 2, "y.bin", f"{n} JOIN pr6b b ON b.ctx = {far} JOIN syb y ON y.ctx = a.bin + 6 * b.bin"),
+        ("asymmetric", 18, 2, "a.bin + 6 * f.bin", f"{n} JOIN fab f ON f.ctx = {far}"),
+        ("far_from_near", "6 * (SELECT (max(place) >> 1) + 1 FROM ffb)", 1, "x.place + 1000 * y.grp", f"{n} JOIN pr6b b ON b.ctx = {far} JOIN ffb x ON x.ctx = a.bin JOIN ffb y ON y.ctx = b.bin"),
+        ("hierarchical", "(SELECT count(*) FROM (SELECT DISTINCT g, bin FROM hib))", 2, "a.bin * 1000 + h.bin", f"JOIN pr3b a ON a.ctx = {near} JOIN hib h ON h.g = a.bin AND h.ctx = {far}"),
+        ("with", 5, 1, "w.bin", "JOIN wib w ON w.ctx = p1 + 4 * least(pos // 4, 3)"), ("complete", 256, 4, f"{near} + 16 * ({far})", ""),
+    ]
+    parts = []
+    for kind, states, lookups, code, join in final:
+        x = "z_" + kind
+        ctes.append(f"{x} AS (SELECT {code} AS ctx, s AS sym, count(*) AS n FROM lw {join} WHERE pos >= 4 GROUP BY ALL)")
+        parts.append(f"SELECT '{kind}' AS kind, ({states})::INT AS states, {lookups} AS lookups, n, bpv FROM ({rate_of(x)})")
+    return f"WITH RECURSIVE {', '.join(ctes)} {' UNION ALL '.join(parts)}"
+
+
+def prefix_codes() -> str:
+    """Total of the merged weights of a prefix code per context: lightest two first."""
+    return f"""WITH RECURSIVE {SYM42}, {before(1, 42)}, {COUNTS}, h AS (SELECT ctx, list_sort(list(n::BIGINT)) AS w, CASE WHEN count(*) = 1 THEN sum(n) ELSE 0 END::BIGINT AS cost FROM cnt GROUP BY ctx
+        UNION ALL SELECT ctx, list_sort(list_append(w[3:], w[1] + w[2])), cost + w[1] + w[2] FROM h WHERE len(w) > 1),
+      z AS (SELECT ctx, max(cost) AS cost FROM h GROUP BY ctx), i AS (SELECT sum(n * log2(t / n)) AS ideal, sum(n)::BIGINT AS n FROM (SELECT n, sum(n) OVER (PARTITION BY ctx) AS t FROM cnt))
+      SELECT n, round((SELECT sum(cost) FROM z) / n, 6) AS prefix_bpv, round(ideal / n + 0.0, 6) AS ideal_bpv FROM i"""
+
+
+def plain_codes() -> str:
+    """Order 0, raw, prefix, run lengths and block sorting of the class reads."""
+    return f"""WITH RECURSIVE {READS4}, c0 AS (SELECT 0 AS ctx, s AS sym, count(*) AS n FROM rd GROUP BY ALL), tot AS (SELECT sum(n)::BIGINT AS n FROM c0),
+      h AS (SELECT list_sort(list(n::BIGINT)) AS w, 0::BIGINT AS cost FROM c0 UNION ALL SELECT list_sort(list_append(w[3:], w[1] + w[2])), cost + w[1] + w[2] FROM h WHERE len(w) > 1),
+      f AS (SELECT *, (s IS DISTINCT FROM lag(s) OVER (PARTITION BY k, r ORDER BY pos))::INT AS new FROM rd), g AS (SELECT k, r, s, sum(new) OVER (PARTITION BY k, r ORDER BY pos) AS run FROM f),
+      q AS (SELECT s, len, count(*) AS n FROM (SELECT k, r, run, any_value(s) AS s, count(*) AS len FROM g GROUP BY k, r, run) GROUP BY s, len),
+      t AS (SELECT k, r, string_agg(s::VARCHAR, '' ORDER BY pos) AS x FROM rd GROUP BY k, r), ro AS (SELECT k, r, i, substr(x || x, i + 1, length(x)) AS y, substr(x || x, i + length(x), 1)::INT AS last FROM (SELECT k, r, x, unnest(range(length(x))) AS i FROM t)),
+      bw AS (SELECT last AS s, coalesce(lag(last) OVER (PARTITION BY k, r ORDER BY y, i), 4) AS ctx FROM ro), bc AS (SELECT ctx, s AS sym, count(*) AS n FROM bw GROUP BY ALL)
+      SELECT 'order 0' AS method, n, bpv FROM ({rate_of('c0')}) UNION ALL SELECT 'raw', n, 2.0 FROM tot UNION ALL SELECT 'prefix code', n, round((SELECT max(cost) FROM h) / n, 6) FROM tot
+      UNION ALL SELECT 'run lengths', sum(n * len)::BIGINT, round((sum(n) * log2(sum(n)) - sum(n * log2(n))) / sum(n * len) + 0.0, 6) FROM q UNION ALL SELECT 'block sorting, order 1', n, bpv FROM ({rate_of('bc')})"""
+
+
+def integer_frequencies() -> str:
+    parts = []
+    for b in (8, 10, 12, 14):
+        room = (1 << b) - 42
+        parts.append(f"""SELECT {b} AS bits, round(sum(CASE WHEN p > 0 THEN t * p * log2(p / (q / {1 << b})) ELSE 0 END) / sum(CASE WHEN sym = 0 THEN t ELSE 0 END), 6) AS loss_bpv FROM (
+          SELECT *, floor(p * {room}) + 1 + (row_number() OVER (PARTITION BY ctx ORDER BY floor(p * {room}) - p * {room}, sym) <= {room} - sum(floor(p * {room})) OVER (PARTITION BY ctx))::INT AS q FROM pr)""")
+    return f"""WITH {SYM42}, {before(1, 42)}, {COUNTS}, pr AS (SELECT c.ctx, i.i AS sym, t, coalesce(n, 0) / t AS p FROM (SELECT ctx, sum(n)::DOUBLE AS t FROM cnt GROUP BY ctx) c CROSS JOIN range(42) i(i) LEFT JOIN cnt ON cnt.ctx = c.ctx AND cnt.sym = i.i) {' UNION ALL '.join(parts)}"""
+
+
+ORACLES |= {
+    "adaptive_orders_reads": adaptive_orders(),
+    "sparse_updates_reads": sparse_updates(),
+    "fitted_rates_users": fitted_rates(),
+    "soft_objective_ev5": soft_objective(),
+    "nestings_class4": nestings(),
+    "prefix_rate_text42": prefix_codes(),
+    "baseline_codes": plain_codes(),
+    "integer_loss": integer_frequencies(),
+    "decoded_reads": f"WITH {READS4} SELECT k AS doc_id, r::INT AS read_no, count(*)::INT AS n, md5(string_agg(s::VARCHAR, '' ORDER BY pos)) AS digest FROM rd GROUP BY k, r",
+    "decoded_adaptive": f"WITH {EV5} SELECT k AS user_id, md5(string_agg(s::VARCHAR, '' ORDER BY pos)) AS digest FROM sym GROUP BY k",
+    "position_symbol_rate": f"WITH {SYM4}, x AS (SELECT *, lag(s) OVER (PARTITION BY k ORDER BY pos) AS p FROM sym), cl AS (SELECT p + 4 * least((pos - 1) // 16, 7) AS ctx, s AS sym, count(*) AS n FROM x WHERE pos >= 1 GROUP BY ALL) {rate_of('cl')}",
+    "long_machines": f"""WITH {SYM4}, a AS (SELECT row_number() OVER (ORDER BY k, pos) - 1 AS i, s FROM sym), b AS (SELECT i, s, lag(s) OVER w AS p1, lag(s, 2) OVER w AS p2 FROM a WINDOW w AS (ORDER BY i)),
+      f AS (SELECT *, (s IS DISTINCT FROM coalesce(p1, 0))::INT AS f FROM b), g AS (SELECT *, sum(f) OVER (ORDER BY i) AS run FROM f), h AS (SELECT *, row_number() OVER (PARTITION BY run ORDER BY i) + (run = 0)::INT AS len FROM g),
+      j AS (SELECT *, lag(len, 1, 1) OVER (ORDER BY i) AS rl FROM h),
+      cl AS (SELECT 'window' AS machine, p1 + 4 * (p2 >= 2)::INT AS ctx, s AS sym, count(*) AS n FROM j WHERE i >= 2 GROUP BY ALL UNION ALL SELECT 'run length', least(rl - 1, 3) * 4 + p1, s, count(*) FROM j WHERE i >= 2 GROUP BY ALL) {rate_of('cl', 'machine')}""",
+    "consensus_of_hosts": f"""WITH {PAGE42}, h AS (SELECT page_id, regexp_extract(url, '^[a-z]+://([^/]*)', 1) AS g FROM pages), x AS (SELECT g, k, pos, s FROM sym JOIN h ON page_id = k),
+      co AS (SELECT g, pos, (max({{'n': n, 'neg': -s}})).neg * -1 AS ref FROM (SELECT g, pos, s, count(*) AS n FROM x GROUP BY ALL) GROUP BY g, pos), d AS (SELECT s, (s <> ref)::INT AS miss FROM x JOIN co USING (g, pos)),
+      p AS (SELECT miss, s, count(*) AS n FROM d GROUP BY ALL), q AS (SELECT miss, sum(n) AS k, sum(n * log2(n)) AS g FROM p GROUP BY miss)
+      SELECT n, round(fb / n + 0.0, 6) AS flag_bpv, round(sb / n + 0.0, 6) AS replacement_bpv, round((fb + sb) / n + 0.0, 6) AS bpv FROM (SELECT sum(k)::BIGINT AS n, sum(k) * log2(sum(k)) - sum(k * log2(k)) AS fb, sum(CASE WHEN miss = 1 THEN k * log2(k) - g ELSE 0 END) AS sb FROM q)""",
+    "entropy_headers": f"""WITH {READS4}, rw AS (SELECT k, r, s, lag(s) OVER (PARTITION BY k, r ORDER BY pos) AS ctx FROM rd), rc AS (SELECT k, r, ctx, s AS sym, count(*) AS n FROM rw WHERE ctx IS NOT NULL GROUP BY ALL),
+      lc AS (SELECT lang, ctx, sym, sum(n) AS n FROM rc JOIN documents ON doc_id = k GROUP BY ALL), lg AS (SELECT lang, row_number() OVER (ORDER BY lang) - 1 AS c, (SELECT sum(n) FROM lc x WHERE x.lang = l.lang) AS w FROM (SELECT DISTINCT lang FROM lc) l),
+      md AS (SELECT c, w, a.i AS ctx, b.i AS sym, coalesce(lc.n, 0) + 0.5 AS n FROM lg CROSS JOIN range(4) a(i) CROSS JOIN range(4) b(i) LEFT JOIN lc ON lc.lang = lg.lang AND lc.ctx = a.i AND lc.sym = b.i),
+      mb AS (SELECT c, ctx, sym, log2(sum(n) OVER (PARTITION BY c, ctx) / n) AS bits FROM md), hd AS (SELECT c, -log2(w / sum(w) OVER ()) AS h FROM lg),
+      t AS (SELECT k, r, c, round(sum(n * bits) + any_value(h), 9) AS b FROM rc JOIN mb USING (ctx, sym) JOIN hd USING (c) GROUP BY ALL), best AS (SELECT k, r, min({{'b': b, 'c': c}}) AS x FROM t GROUP BY ALL)
+      SELECT x.c::INT AS cluster, count(*) AS reads, round(sum(x.b), 4) AS bits FROM best GROUP BY 1""",
+    "model_sizes": f"""WITH {SYM4}, l AS (SELECT s, pos, {', '.join(f'lag(s, {i}) OVER w AS p{i}' for i in range(1, 4))} FROM sym WINDOW w AS (PARTITION BY k ORDER BY pos)),
+      cl AS (SELECT 0 AS ord, 0 AS ctx, s AS sym, count(*) AS n FROM l GROUP BY ALL UNION ALL SELECT 1, p1, s, count(*) FROM l WHERE pos >= 1 GROUP BY ALL UNION ALL SELECT 2, p1 + 4 * p2, s, count(*) FROM l WHERE pos >= 2 GROUP BY ALL UNION ALL SELECT 3, p1 + 4 * p2 + 16 * p3, s, count(*) FROM l WHERE pos >= 3 GROUP BY ALL)
+      SELECT ord, pow(4, ord)::INT AS contexts, pow(4, ord + 1)::INT AS cells, pow(4, ord + 1)::INT * 2 AS bytes, round(2 / bpv, 6) AS ratio FROM ({rate_of('cl', 'ord')})""",
+}
