@@ -5,13 +5,16 @@ validator, which reads the structure (chunk lengths, checksums, end marks) and r
 blob's type is the valid format at offset 0 that spans it; other valid hits are embedded media, which can be carved out.
 
 Null blobs have type ``null``, empty ones ``empty``; unknown ones ``application/octet-stream``. Media inside media are
-listed with their parent, the smallest that holds them. Equal blobs give equal results.
+listed with their parent, the smallest that holds them. Equal blobs give equal results, so repeated rows do, too. Blobs are
+read whole, however long; marks that a format ends with are found in one pass for all hits of a blob. An empty table gives
+an empty result. Columns of the input that are named like a result column are replaced by it; others pass.
 """
 
 from __future__ import annotations
 
 import functools
 import hashlib
+import re
 import struct
 import zlib
 from collections.abc import Iterator
@@ -22,6 +25,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from ctxloom.session import load, schema_with
 
@@ -43,6 +47,9 @@ MAGIC = {
 }
 
 
+RIFF_KINDS = {b"WAVE": "audio/wav", b"WEBP": "image/webp", b"AVI ": "video/avi"}
+
+
 class Found(NamedTuple):
     kind: str
     start: int
@@ -69,20 +76,31 @@ def _png(d: bytes, at: int) -> tuple[str, int] | None:
     return None
 
 
+# The markers of JPEG frame headers.
+_FRAMES = frozenset(range(0xC0, 0xD0)) - {0xC4, 0xC8, 0xCC}
+
+
 def _jpeg(d: bytes, at: int) -> tuple[str, int] | None:
-    i = at + 2
+    """Segments by their lengths to the end mark; there must be a frame header with sides and components, and a scan after it."""
+    i, frame, scan = at + 2, False, False
     while i + 2 <= len(d) and d[i] == 0xFF:
         mark = d[i + 1]
         if mark == 0xD9:
-            return "image/jpeg", i + 2 - at
+            return ("image/jpeg", i + 2 - at) if scan else None
         if mark in (0x01, *range(0xD0, 0xD8)):
             i += 2
             continue
         size = struct.unpack_from(">H", d, i + 2)[0] if i + 4 <= len(d) else 0
-        if size < 2:
+        if size < 2 or mark == 0xDA and not frame:
             return None
+        if mark in _FRAMES:
+            parts = d[i + 9] if i + 9 < len(d) else 0
+            frame = size == 8 + 3 * parts and parts > 0 and struct.unpack_from(">H", d, i + 7)[0] > 0
+            if not frame:
+                return None
         i += 2 + size
-        if mark == 0xDA:  # entropy-coded data runs to the next real marker
+        if mark == 0xDA:
+            scan = True  # entropy-coded data runs to the next real marker
             while True:
                 i = d.find(b"\xff", i)
                 if i < 0 or i + 1 >= len(d):
@@ -123,8 +141,7 @@ def _bmp(d: bytes, at: int) -> tuple[str, int] | None:
 
 
 def _riff(d: bytes, at: int) -> tuple[str, int] | None:
-    kinds = {b"WAVE": "audio/wav", b"WEBP": "image/webp", b"AVI ": "video/avi"}
-    size, kind = _u32(d, at + 4), kinds.get(d[at + 8 : at + 12])
+    size, kind = _u32(d, at + 4), RIFF_KINDS.get(d[at + 8 : at + 12])
     if not kind or size < 4 or at + 8 + size > len(d):
         return None
     i, end, seen = at + 12, at + 8 + size, []
@@ -225,18 +242,51 @@ def _mp4(d: bytes, at: int) -> tuple[str, int] | None:
     return ("video/mp4", i - at) if {b"ftyp", b"moov"} <= boxes else None
 
 
-def _pdf(d: bytes, at: int) -> tuple[str, int] | None:
-    end = d.find(b"%%EOF", at)
-    return ("application/pdf", end + 5 - at) if end > 0 and d.find(b"startxref", at, end) > 0 else None
-
-
-def _zip(d: bytes, at: int) -> tuple[str, int] | None:
-    end = d.find(b"PK\x05\x06", at)
-    if end < 0 or end + 22 > len(d):
-        return None
-    size, start = _u32(d, end + 12), _u32(d, end + 16)
-    comment = struct.unpack_from("<H", d, end + 20)[0]
-    return ("application/zip", end + 22 + comment - at) if at + start + size == end else None
+class Marks:
+    """What the formats with a table at their end need to know of a blob, found once for all hits."""
+
+    def __init__(self, data: bytes):
+        self.data = data
+
+    @functools.cached_property
+    def zips(self) -> dict[int, int]:
+        """Start -> length of every archive whose end record names a central directory that is where it says."""
+        d, out, at = self.data, {}, self.data.find(b"PK\x05\x06")
+        while at >= 0:
+            if at + 22 <= len(d):
+                entries, size, start = struct.unpack_from("<HII", d, at + 10)
+                begin, comment = at - size - start, struct.unpack_from("<H", d, at + 20)[0]
+                named = entries and d[at - size : at - size + 4] == b"PK\x01\x02"
+                if begin >= 0 and named and at + 22 + comment <= len(d):
+                    out.setdefault(begin, at + 22 + comment - begin)
+            at = d.find(b"PK\x05\x06", at + 1)
+        return out
+
+    @functools.cached_property
+    def pdfs(self) -> dict[int, int]:
+        """Start -> length of every document. A document reaches from its header to the last end mark before the next header
+        whose cross-reference offset points at a table or an object of it; updates that were appended belong to it."""
+        d, out = self.data, {}
+        heads = [m.start() for m in re.finditer(rb"%PDF-", d)]
+        ends = [(m.start(1), int(m.group(1)), m.end()) for m in re.finditer(rb"startxref\s+(\d{1,12})\s+%%EOF", d)]
+        k = 0
+        for head, after in zip(heads, [*heads[1:], len(d)]):
+            while k < len(ends) and ends[k][0] < head:
+                k += 1
+            while k < len(ends) and ends[k][2] <= after:
+                place = head + ends[k][1]
+                if place < ends[k][0] and re.compile(rb"xref\b|\d+\s+\d+\s+obj\b").match(d, place):
+                    out[head] = ends[k][2] - head
+                k += 1
+        return out
+
+
+def _pdf(d: bytes, at: int, marks: Marks) -> tuple[str, int] | None:
+    return ("application/pdf", marks.pdfs[at]) if at in marks.pdfs else None
+
+
+def _zip(d: bytes, at: int, marks: Marks) -> tuple[str, int] | None:
+    return ("application/zip", marks.zips[at]) if at in marks.zips else None
 
 
 def _gzip(d: bytes, at: int) -> tuple[str, int] | None:
@@ -262,8 +312,9 @@ def _pgm(d: bytes, at: int) -> tuple[str, int] | None:
 
 VALIDATE = {
     "image/png": _png, "image/jpeg": _jpeg, "image/gif": _gif, "image/bmp": _bmp, "audio/wav": _riff, "audio/flac": _flac, "audio/ogg": _ogg,
-    "video/mp4": _mp4, "application/pdf": _pdf, "application/zip": _zip, "application/gzip": _gzip, "image/x-portable-graymap": _pgm,
+    "video/mp4": _mp4, "application/gzip": _gzip, "image/x-portable-graymap": _pgm,
 }
+VALIDATE_WITH_MARKS = {"application/pdf": _pdf, "application/zip": _zip}
 
 
 @functools.lru_cache(maxsize=1)
@@ -279,9 +330,10 @@ def automaton() -> ahocorasick.Automaton:
 def sniff(data: bytes | None) -> list[Found]:
     """All valid media in a blob, outermost first, in order of their start."""
     hits = set()
+    marks = Marks(data or b"")
     for last, (kind, size, offset) in automaton().iter((data or b"").decode("latin-1")):
         at = last + 1 - size - offset
-        if at >= 0 and (good := VALIDATE[kind](data, at)):
+        if at >= 0 and (good := VALIDATE_WITH_MARKS[kind](data, at, marks) if kind in VALIDATE_WITH_MARKS else VALIDATE[kind](data, at)):
             hits.add((at, -good[1], good[0]))
     found: list[Found] = []
     around: list[int] = []  # media that the place is in, outermost first
@@ -300,26 +352,34 @@ def true_type(data: bytes | None, found: list[Found]) -> str:
     return found[0].kind if found and found[0].start == 0 else UNKNOWN
 
 
+ADDED = ("media_type", "corrected", "media")
+
+
 def inspect(rows: DataFrame, data: str = "data", declared: str = "declared") -> DataFrame:
     """Adds to each blob: media_type (what it is), corrected (differs from the declared type), and media (kind, start, length and parent of all found)."""
-    schema = schema_with(rows.schema, "media_type string, corrected boolean, media array<struct<kind:string,start:long,length:long,parent:int>>")
+    kept = [c for c in rows.columns if c not in ADDED]
+    rows = rows.select(*kept, F.col(data).alias("__data"), F.col(declared).alias("__declared"))
+    # kinds cross as numbers: a batch without any medium would have an empty column of names, which not all readers take
+    names = sorted({*VALIDATE, *VALIDATE_WITH_MARKS, *RIFF_KINDS.values()})
+    schema = schema_with(T.StructType(rows.schema.fields[: len(kept)]), "media_type string, corrected boolean, media array<struct<kind:int,start:long,length:long,parent:int>>")
+    at, said_at = len(kept), len(kept) + 1
 
     def kernel(batches):
         for batch in batches:
-            blobs, said = batch.column(data), batch.column(declared).to_pylist()
+            blobs, said = batch.column(at), batch.column(said_at).to_pylist()
             hits = [sniff(b.as_py()) for b in blobs]
             kinds = [true_type(b.as_py(), h) for b, h in zip(blobs, hits)]
-            media = pa.array([[h._asdict() for h in hs] for hs in hits], pa.list_(pa.struct([("kind", pa.string()), ("start", pa.int64()), ("length", pa.int64()), ("parent", pa.int32())])))
-            yield pa.RecordBatch.from_arrays(
-                [*batch.columns, pa.array(kinds), pa.array([k != s for k, s in zip(kinds, said)]), media], names=[*batch.schema.names, "media_type", "corrected", "media"]
-            )
+            media = pa.array([[{**h._asdict(), "kind": names.index(h.kind)} for h in hs] for hs in hits], pa.list_(pa.struct([("kind", pa.int32()), ("start", pa.int64()), ("length", pa.int64()), ("parent", pa.int32())])))
+            yield pa.RecordBatch.from_arrays([*batch.columns[:at], pa.array(kinds, pa.string()), pa.array([k != s for k, s in zip(kinds, said)], pa.bool_()), media], names=schema.names)
 
-    return rows.mapInArrow(kernel, schema)
+    named = F.transform("media", lambda x: F.struct(F.get(F.lit(names), x["kind"]).alias("kind"), x["start"].alias("start"), x["length"].alias("length"), x["parent"].alias("parent")))
+    return rows.mapInArrow(kernel, schema).withColumn("media", named)
 
 
 def carve(rows: DataFrame, key: str, data: str = "data") -> DataFrame:
-    """One row per embedded medium: key, kind, start, bytes."""
-    name, kind = key, rows.schema[key].dataType.simpleString()
+    """One row per medium found: key, kind, start, bytes. A key that is named like one of the others is called ``key``."""
+    kind = rows.schema[key].dataType.simpleString()
+    name = "key" if key in ("kind", "start", "bytes") else key
 
     def kernel(batches):
         for batch in batches:
@@ -327,7 +387,7 @@ def carve(rows: DataFrame, key: str, data: str = "data") -> DataFrame:
             cols = list(zip(*out)) or [[], [], [], []]
             yield pa.RecordBatch.from_arrays([pa.array(cols[0], batch.schema.field(0).type), pa.array(cols[1], pa.string()), pa.array(cols[2], pa.int64()), pa.array(cols[3], pa.binary())], names=[name, "kind", "start", "bytes"])
 
-    return rows.select(name, data).mapInArrow(kernel, f"{name} {kind}, kind string, start long, bytes binary")
+    return rows.select(key, data).mapInArrow(kernel, f"`{name}` {kind}, kind string, start long, bytes binary")
 
 
 def wav_of(payload: bytes, rate: int = 8000) -> bytes:
@@ -351,7 +411,7 @@ def store_and_read(text: str | None) -> tuple:
     """Text to padded payload to stored medium, and everything that is then read back from the stored bytes alone."""
     raw = (text or "").encode()
     stored = wav_of(raw + bytes(-len(raw) % 64 if raw else 64))
-    found = sniff(stored)  # the stored bytes are read as an undeclared blob
+    found = sniff(stored)  # the stored bytes are read as a blob that is declared as unknown
     if not found or found[0].kind != "audio/wav":
         raise ValueError("the stored medium is not recognised")
     medium = stored[found[0].start : found[0].start + found[0].length]
@@ -359,15 +419,23 @@ def store_and_read(text: str | None) -> tuple:
     level = np.frombuffer(back, np.uint8)
     swing = np.count_nonzero((level[1:] < 128) != (level[:-1] < 128))
     feature = f"{found[0].kind};samples={len(back)};mean={level.mean():.6f};peak={int(level.max())};crossings={swing}"
-    return len(raw), len(back), hashlib.sha256(back).hexdigest(), zlib.crc32(back[-64:]), len(medium), hashlib.sha256(medium).hexdigest(), feature
+    kind = true_type(stored, found)
+    carved = [stored[f.start : f.start + f.length] for f in found[1:]]
+    return (
+        len(raw), len(back), hashlib.sha256(back).hexdigest(), zlib.crc32(back[-64:]), len(medium), hashlib.sha256(medium).hexdigest(), feature,
+        kind, kind != UNKNOWN, ",".join(f.kind for f in found[1:]), hashlib.sha256(b"".join(carved)).hexdigest() if carved else None,
+    )
 
 
-RESULT = "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string"
+RESULT = """doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string,
+  media_type string, corrected boolean, embedded string, embedded_sha256 string"""
 
 
-def op4_media_sniffing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    kinds = [pa.int64(), pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string()]
-    names = [c.split()[0] for c in RESULT.split(", ")]
+def stored_texts(docs: DataFrame) -> DataFrame:
+    """Each text as a stored medium: what is read back from it, its type (declared as unknown, corrected by its bytes), and
+    the kinds and digest of media that its payload carries and that were carved out. Null texts are empty ones."""
+    kinds = [pa.int64(), pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string(), pa.string(), pa.bool_(), pa.string(), pa.string()]
+    names = [c.split()[0] for c in RESULT.split(",")]
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -375,7 +443,11 @@ def op4_media_sniffing(spark: SparkSession, sf_dir: str) -> DataFrame:
             cols = list(zip(*rows)) or [[] for _ in kinds]
             yield pa.RecordBatch.from_arrays([batch.column(0), *[pa.array(c, k) for c, k in zip(cols, kinds)]], names=names)
 
-    return load(spark, sf_dir, "documents").select(F.col("doc_id").cast("long"), "text").mapInArrow(kernel, RESULT)
+    return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(kernel, RESULT)
+
+
+def op4_media_sniffing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return stored_texts(load(spark, sf_dir, "documents"))
 
 
 QUERIES = {"op4_media_sniffing": op4_media_sniffing}

@@ -34,7 +34,8 @@ def test_media_inside_media():
     p, stored = png(), io.BytesIO()
     with zipfile.ZipFile(stored, "w") as z:
         z.writestr("a.png", p)
-    pdf = b"%PDF-1.4\nstream\n" + p + b"\nstartxref\n0\n%%EOF"
+    body = b"%PDF-1.4\n1 0 obj\nstream\n" + p + b"\nendobj\n"
+    pdf = body + b"xref\n0 1\ntrailer<<>>\nstartxref\n%d\n%%%%EOF" % len(body)
     for outer, kind in ((pdf, "application/pdf"), (stored.getvalue(), "application/zip"), (media.wav_of(p + bytes(len(p) % 2)), "audio/wav")):
         assert [(h.kind, h.parent) for h in media.sniff(outer)] == [(kind, -1), ("image/png", 0)]
         inner = media.sniff(outer)[1]
