@@ -7,7 +7,8 @@ Search: with radius r the fingerprint is cut into r + EXTRA blocks; two fingerpr
 blocks, so one table per choice of EXTRA blocks, keyed by those blocks (the permuted table's prefix), meets every pair.
 
 Null and empty texts have no terms: fingerprint 0. Equal texts have equal fingerprints. An empty table gives an empty
-result; other input columns are not read. Likeness of two fingerprints is the share of equal bits.
+result; other input columns are not read. Likeness of two fingerprints is the share of equal bits. Rows of one doc_id follow
+each other in the order of their texts; rows without a doc_id come first.
 """
 
 from __future__ import annotations
@@ -18,12 +19,12 @@ from itertools import combinations
 
 import numpy as np
 import pyarrow as pa
-import xxhash
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ctxloom.llm import textkernel as K
+from ctxloom.llm.textkernel import may_match
 from ctxloom.session import load, materialise
 
 BITS = 128
@@ -55,6 +56,18 @@ def _votes(first: np.ndarray, starts: np.ndarray) -> np.ndarray:
     return 2 * total - size[:, None]
 
 
+def _three_grams(texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes of all character 3-grams, text after text, and the texts' starts. A text of one or two characters is one 3-gram
+    with zeros at its end."""
+    size = np.array([len(t) for t in texts], np.int64)
+    points = np.frombuffer("".join(t + "\0\0" for t in texts).encode("utf-32-le", "surrogatepass"), np.uint32).astype(np.uint64)
+    begins = np.concatenate([[0], np.cumsum(size + 2)])
+    count = np.where(size > 0, np.maximum(size - 2, 1), 0)
+    starts = np.concatenate([[0], np.cumsum(count)])
+    at = np.arange(starts[-1]) + np.repeat(begins[:-1] - starts[:-1], count)
+    return K.mix(points[at] | points[at + 1] << np.uint64(21) | points[at + 2] << np.uint64(42)), starts
+
+
 def fingerprints(texts: list[str]) -> np.ndarray:
     """One row of 16 bytes per text."""
     w = K.words(pa.array(texts, pa.string()))
@@ -63,8 +76,8 @@ def fingerprints(texts: list[str]) -> np.ndarray:
     size = np.diff(w.starts)
     short = np.flatnonzero(size < SHORT)
     if len(short):
-        grams = [np.array([xxhash.xxh64_intdigest(t[i : i + 3]) for i in range(max(len(t) - 2, 1 if t else 0))], np.uint64) for t in (texts[i].lower() for i in short)]
-        votes[short] = SHORT * votes[short] + (SHORT - size[short])[:, None] * _votes(np.concatenate(grams), np.concatenate([[0], np.cumsum([len(g) for g in grams])]))
+        grams, starts = _three_grams([texts[i].lower() for i in short])
+        votes[short] = SHORT * votes[short] + (SHORT - size[short])[:, None] * _votes(grams, starts)
     return np.packbits(votes > 0, axis=1)
 
 
@@ -198,8 +211,9 @@ def near_fingerprints(prints: DataFrame, queries: DataFrame, radius: int = 3) ->
         ]
         return df.withColumn("t", F.explode(F.array(*tables))).select("*", "t.table", "t.key").drop("t")
 
-    classes = keyed(prints.select("fingerprint").distinct())
-    asked = keyed(queries.select(F.col("fingerprint").alias("asked")).distinct().withColumn("fingerprint", F.col("asked")))
+    asked = materialise(keyed(queries.select(F.col("fingerprint").alias("asked")).distinct().withColumn("fingerprint", F.col("asked"))), "asked")
+    # only keys that may be asked for are shuffled: a bitmap of the asked keys goes to the tables' side first
+    classes = may_match(keyed(prints.select("fingerprint")), ["table", "key"], asked).distinct()
     halves = [(1, 16), (17, 16)]
 
     def differing(a: str, b: str):
@@ -216,8 +230,20 @@ def near_fingerprints(prints: DataFrame, queries: DataFrame, radius: int = 3) ->
     return queries.select(F.col("doc_id").alias("query_id"), F.col("fingerprint").alias("asked")).join(met, "asked").drop("asked")
 
 
+def with_near_rows(rows: DataFrame, radius: int = 3, every: int = 100) -> DataFrame:
+    """Adds near_rows: for documents whose id is divisible by ``every``, how many other rows' fingerprints lie within ``radius``
+    bits (null for other documents). The block tables find them; copies are counted by fingerprint, not paired."""
+    asked = materialise(rows.where(F.col("doc_id") % every == 0).select("doc_id", "fingerprint").distinct(), "queries")
+    found = materialise(near_fingerprints(rows, asked, radius), "near")
+    prints = found.select("fingerprint").distinct()
+    counts = rows.join(prints, "fingerprint").groupBy("fingerprint").agg(F.count("*").alias("rows"))
+    near = materialise(found.join(counts, "fingerprint").groupBy("query_id").agg((F.sum("rows") - 1).alias("near_rows")), "near")
+    # one row a query comes back; the planner sends it out if it is small
+    return rows.join(near, rows["doc_id"] == near["query_id"], "left").drop("query_id")
+
+
 def op2_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return with_edited(load(spark, sf_dir, "documents"))
+    return with_near_rows(materialise(with_edited(load(spark, sf_dir, "documents")), "prints"))
 
 
 QUERIES = {"op2_simhash": op2_simhash}
