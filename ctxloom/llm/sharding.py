@@ -2,18 +2,21 @@
 
 Every record hashes to one of a fixed number of virtual slots; only the slot-to-shard map decides where a slot lives.
 Bytes are summed per slot, and rebalancing edits the map: it takes slots from shards above the mean and gives them to
-shards below it, writing the result as the next version. Records never rehash.
+shards below it, writing the result as the next version. Records never rehash. A later run over the same table finds the
+last version in the shared folder and edits that.
 
-Null, empty and repeated rows: a null text has no bytes (size 1), equal rows share a slot, a null key hashes to one slot.
+Null, empty and repeated rows: a null text has no bytes (size 1), equal rows share a slot, a null key hashes by its text.
 An empty table gives an empty result. Columns of the input beyond the key and the text are not read.
 """
 
 from __future__ import annotations
 
+import hashlib
 import json
 from dataclasses import dataclass
 
 import numpy as np
+from pyspark.errors import AnalysisException
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -97,6 +100,21 @@ class SlotMap:
         where = np.array([s for _, s in pairs], np.int32)
         return SlotMap(where, int(where.max()) + 1, int(version))
 
+    @staticmethod
+    def current(spark: SparkSession, folder: str, shards: int, load_of: np.ndarray) -> SlotMap:
+        """The map for these loads: the last version of the folder (an even one where there is none yet), edited where shards
+        are out of balance. Every edit is kept as a version of its own."""
+        try:
+            last = SlotMap.load(spark, folder)
+        except AnalysisException:  # no version yet
+            last = SlotMap.even(shards, len(load_of))
+            last.save(spark, folder)
+        edited = last.rebalanced(load_of)
+        if (edited.shard_of == last.shard_of).all():
+            return last
+        edited.save(spark, folder)
+        return SlotMap.load(spark, folder, edited.version)
+
     def to_json(self) -> str:
         return json.dumps({"version": self.version, "shards": self.shards, "shard_of": self.shard_of.tolist()})
 
@@ -141,13 +159,10 @@ def op1_virtual_slot_shards(spark: SparkSession, sf_dir: str, shards: int = 8) -
         "doc_id",
         (F.octet_length(F.coalesce(F.col("text"), F.lit(""))) + 1).cast("long").alias("size"),
         F.crc32(text).alias("text_crc32"),
-        virtual_slot(F.col("doc_id")).alias("virtual_slot"),
+        F.when(F.col("doc_id").isNull(), virtual_slot(text)).otherwise(virtual_slot(F.col("doc_id"))).alias("virtual_slot"),
     )
-    folder = f"{shared_dir(spark)}/slot-map-{spark.sparkContext.applicationId}-{abs(hash(sf_dir))}"
-    even = SlotMap.even(shards)
-    even.save(spark, folder)
-    even.rebalanced(slot_loads(rows.select("virtual_slot", "size"))).save(spark, folder)
-    current = SlotMap.load(spark, folder, even.version + 1)
+    folder = f"{shared_dir(spark)}/slot-map-{hashlib.sha256(sf_dir.encode()).hexdigest()[:16]}-{shards}"
+    current = SlotMap.current(spark, folder, shards, slot_loads(rows.select("virtual_slot", "size")))
     return assign(rows, current).select(
         "doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", "slot",
         F.lit(None).cast("int").alias("grown_shard"), "virtual_slot", F.lit(current.version).alias("map_version"),
