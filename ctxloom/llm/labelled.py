@@ -9,7 +9,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ctxloom.llm.textkernel import slices
+from ctxloom.llm.textkernel import slices, tidy
 from ctxloom.session import materialise
 
 #: Most features of a training sample that reach the driver; rows beyond it, in order of a hash of doc_id, are left out of the sample.
@@ -58,7 +58,7 @@ def collect_features(rows: DataFrame, features: Featuriser, mark: str) -> tuple[
             ends = np.searchsorted(row, np.arange(n + 1))
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), pa.array([index[a:b].astype(np.uint32).tobytes() for a, b in zip(ends[:-1], ends[1:])], pa.binary())], names=["id", "mark", "f"])
 
-    made = rows.select(F.col("doc_id").cast("long"), "text", F.col(mark).cast("int").alias("mark")).mapInArrow(kernel, "id long, mark int, f binary")
+    made = rows.select(F.col("doc_id").cast("long"), "text", F.col(mark).cast("int").alias("mark")).mapInArrow(tidy(kernel), "id long, mark int, f binary")
     made = materialise(made, "features")
     sizes = made.select("id", (F.length("f") / 4).cast("long").alias("n"), F.xxhash64("id", F.lit(13)).alias("h")).toArrow()
     order = np.lexsort((sizes.column("id").to_numpy(), sizes.column("h").to_numpy()))
@@ -86,7 +86,7 @@ def keep_rows(docs: DataFrame, accept: Callable[[pa.Array], np.ndarray]) -> Data
         for batch in slices(batches, column=place):
             yield batch.filter(pa.array(accept(batch.column(place)), pa.bool_()))
 
-    return docs.mapInArrow(kernel, docs.schema)
+    return docs.mapInArrow(tidy(kernel), docs.schema)
 
 
 SCORED = "doc_id long, held_out boolean, score double, predicted int"
@@ -100,4 +100,4 @@ def score_with(docs: DataFrame, features: Featuriser, score: Callable[[np.ndarra
             s = score(*features(batch.column(1)))
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), pa.array(s, pa.float64()), pa.array((s >= threshold).astype(np.int32))], names=["doc_id", "held_out", "score", "predicted"])
 
-    return docs.select(F.col("doc_id").cast("long"), "text", (fold(F.col("doc_id"), folds) == out).alias("held_out")).mapInArrow(kernel, SCORED)
+    return docs.select(F.col("doc_id").cast("long"), "text", (fold(F.col("doc_id"), folds) == out).alias("held_out")).mapInArrow(tidy(kernel), SCORED)

@@ -26,7 +26,7 @@ from pyspark.sql import functions as F
 
 from ctxloom.llm import labelled as L
 from ctxloom.llm import textkernel as K
-from ctxloom.llm.textkernel import slices
+from ctxloom.llm.textkernel import slices, tidy
 from ctxloom.session import load
 
 SLOTS = 1 << 20
@@ -143,7 +143,7 @@ def train(docs: DataFrame) -> LanguageFilters:
                 key, n = np.unique(np.concatenate(parts), return_counts=True)
                 yield pa.RecordBatch.from_arrays([pa.array([name] * len(key), pa.string()), pa.array(key.astype(np.int64)), pa.array(n.astype(np.int64))], names=["lang", "gram", "n"])
 
-    counts = sample.mapInArrow(kernel, "lang string, gram long, n long").groupBy("lang", "gram").agg(F.sum("n").alias("n"))
+    counts = sample.mapInArrow(tidy(kernel), "lang string, gram long, n long").groupBy("lang", "gram").agg(F.sum("n").alias("n"))
     # the most frequent GRAMS of each language: at most that many rows a language reach the driver. A language whose 4-grams are all rare keeps them
     own = Window.partitionBy("lang")
     ranked = counts.withColumn("rank", F.row_number().over(own.orderBy(F.desc("n"), "gram"))).where(F.col("rank") <= GRAMS).withColumn("top", F.max("n").over(own))
@@ -174,7 +174,7 @@ def identify(docs: DataFrame, filters: LanguageFilters) -> DataFrame:
             names, score, share = sent.value.predict(batch.column(1))
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), pa.array(names, pa.string()), pa.array(score, pa.float64()), pa.array(share, pa.float64())], names=["doc_id", "held_out", "lang_pred", "score", "share"])
 
-    return docs.select(F.col("doc_id").cast("long"), "text", (L.fold(F.col("doc_id"), FOLDS) == HELD_OUT).alias("held_out")).mapInArrow(kernel, _SHARED)
+    return docs.select(F.col("doc_id").cast("long"), "text", (L.fold(F.col("doc_id"), FOLDS) == HELD_OUT).alias("held_out")).mapInArrow(tidy(kernel), _SHARED)
 
 
 def known_language(docs: DataFrame, filters: LanguageFilters) -> DataFrame:

@@ -44,7 +44,6 @@ BANDS, ROWS = 26, 5
 BLOCK_UNITS = 1_000_000  # shingle occurrences on one side of a block pair
 BLOCK_DOCS = 512
 LEADERS = 24  # about so many members of a bucket of several blocks are in all of them
-FILTER_BITS = 1 << 24
 
 
 def shingles(texts: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray, int]:
@@ -183,7 +182,13 @@ def _link(left: list[np.ndarray], right: list[np.ndarray] | None, similarity: fl
 
 
 def _verify(similarity: float):
+    seen = [0]
+
     def kernel(pdf: pd.DataFrame) -> pd.DataFrame:
+        seen[0] += len(pdf)
+        if seen[0] > 4 * BLOCK_DOCS:  # now and then, as most blocks are small
+            seen[0] = 0
+            K.release()
         pdf = pdf.drop_duplicates(["side", "id", "h"]).sort_values(["side", "id", "h"])
         sets = occurrence_sets(pa.array(pdf["text"], pa.string()))
         n, ids = int((pdf["side"] == 0).sum()), pdf["id"].to_numpy()
@@ -199,27 +204,12 @@ def _texts(docs: DataFrame) -> DataFrame:
 
 
 def sign(docs: DataFrame) -> DataFrame:
-    return _texts(docs).mapInArrow(_sign, SIGNED)
-
-
-def _marked(rows: DataFrame, id_: Column, wanted: DataFrame) -> DataFrame:
-    """Adds __mark: false only for ids that are not in ``wanted`` (id). The wanted ids' hashes are a bitmap of at most
-    FILTER_BITS / 64 rows, whatever the data."""
-    place = lambda c: F.pmod(F.xxhash64(c), F.lit(FILTER_BITS))
-    words = wanted.select(place(F.col("id")).alias("p")).groupBy(F.expr("p div 64").alias("__word")).agg(F.expr("bit_or(shiftleft(1L, cast(p % 64 as int)))").alias("__bits"))
-    met = rows.withColumn("__place", place(id_)).withColumn("__word", F.expr("__place div 64")).join(F.broadcast(words), "__word", "left")
-    return met.withColumn("__mark", F.expr("coalesce((shiftright(__bits, cast(__place % 64 as int)) & 1) = 1, false)")).drop("__place", "__word", "__bits")
-
-
-def _likely(rows: DataFrame, wanted: DataFrame) -> DataFrame:
-    """Rows whose id may be in ``wanted`` (id), by the bitmap, so that few others are shuffled for the exact join that
-    follows; a semi-join here would be moved below the bitmap by the optimiser."""
-    return _marked(rows, F.col("id"), wanted).where("__mark").select(*rows.columns)
+    return _texts(docs).mapInArrow(K.tidy(_sign), SIGNED)
 
 
 def _links(docs: DataFrame, spread: DataFrame, similarity: float) -> DataFrame:
     """(a, b) that connect the documents of each block or pair of blocks; ``spread`` has the block's key, side, id and h."""
-    texts = _likely(_texts(docs), spread.select("id").distinct()).dropDuplicates(["id", "h"])
+    texts = K.may_match(_texts(docs), ["id"], spread.select("id").distinct()).dropDuplicates(["id", "h"])
     return spread.join(texts, ["id", "h"]).groupBy("kind", "band", "bucket", "lo", "hi").applyInPandas(_verify(similarity), "a long, b long")
 
 
@@ -280,10 +270,10 @@ def near_duplicates(docs: DataFrame, similarity: float = SIMILARITY) -> DataFram
 def without_copies(docs: DataFrame, similarity: float = SIMILARITY) -> DataFrame:
     """The documents of every group's least id, with all their columns. Rows of one id, and rows without one, stay or go together.
 
-    Most documents stay, so texts are not shuffled to find out: a bitmap of the ids that go (FILTER_BITS bits) lets all
+    Most documents stay, so texts are not shuffled to find out: a bitmap of the ids that go (textkernel.FILTER_BITS bits) lets all
     others pass where they are, and only the few it marks are compared with the ids that go by an exact join."""
     gone = materialise(near_duplicates(docs, similarity).groupBy(F.col("doc_id").alias("gone_id")).agg(F.max("keep").alias("k")).where("not k").select("gone_id"), "gone")
-    marked = _marked(docs, F.col("doc_id").cast("long"), gone.select(F.col("gone_id").alias("id")))
+    marked = K.marked(docs, [F.col("doc_id").cast("long")], gone, ["gone_id"])
     passed = marked.where("not __mark").select(*docs.columns)
     suspects = marked.where("__mark")
     kept = suspects.join(gone, suspects["doc_id"].eqNullSafe(gone["gone_id"]), "left_anti").select(*docs.columns)

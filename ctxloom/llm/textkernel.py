@@ -7,13 +7,17 @@ Null texts count as empty. Long texts are hashed in pieces of a few MB that end
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+import ctypes
+from collections.abc import Callable, Iterator
 from typing import NamedTuple
 
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
+FILTER_BITS = 1 << 24
 PIECE = 1 << 21
 GOLD = np.uint64(0x9E3779B97F4A7C15)
 _M1, _M2 = np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
@@ -70,6 +74,31 @@ def slices(batches: Iterator[pa.RecordBatch], most: int = 3 << 20, column: int =
             a = b
 
 
+def release() -> None:
+    """Gives freed memory back to the system: Python workers are kept for later stages, and what they hold on to adds up."""
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):  # another C library
+        pass
+
+
+def tidy(kernel: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+    """The kernel, with memory given back after every batch and at its end."""
+
+    def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            yield batch
+            del batch
+            release()
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        yield from kernel(each(batches))
+        release()
+
+    return run
+
+
 def lower(texts: pa.Array) -> pa.Array:
     return pc.utf8_lower(texts.cast(pa.large_string()))
 
@@ -151,3 +180,18 @@ def counted(doc: np.ndarray, key: np.ndarray) -> tuple[np.ndarray, np.ndarray, n
     new[1:] = (key[1:] != key[:-1]) | (doc[1:] != doc[:-1])
     at = np.flatnonzero(new)
     return doc[at], key[at], np.diff(np.append(at, len(key)))
+
+
+def marked(rows: DataFrame, keys: list, wanted: DataFrame, wanted_keys: list) -> DataFrame:
+    """Adds __mark: false only for rows whose keys are not in ``wanted``. The wanted keys' hashes are a bitmap of at most
+    FILTER_BITS / 64 rows, whatever the data."""
+    place = lambda columns: F.pmod(F.xxhash64(*columns), F.lit(FILTER_BITS))
+    words_ = wanted.select(place(wanted_keys).alias("p")).groupBy(F.expr("p div 64").alias("__word")).agg(F.expr("bit_or(shiftleft(1L, cast(p % 64 as int)))").alias("__bits"))
+    met = rows.withColumn("__place", place(keys)).withColumn("__word", F.expr("__place div 64")).join(F.broadcast(words_), "__word", "left")
+    return met.withColumn("__mark", F.expr("coalesce((shiftright(__bits, cast(__place % 64 as int)) & 1) = 1, false)")).drop("__place", "__word", "__bits")
+
+
+def may_match(rows: DataFrame, keys: list[str], wanted: DataFrame) -> DataFrame:
+    """Rows whose keys may be in ``wanted``, by the bitmap, so that few others are shuffled for the exact join that follows; a
+    semi-join here would be moved below the bitmap by the optimiser."""
+    return marked(rows, keys, wanted, keys).where("__mark").select(*rows.columns)

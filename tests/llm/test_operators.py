@@ -108,6 +108,18 @@ def test_slot_maps(spark, tmp_path):
     assert sharding.SlotMap.even(4, 8).rebalanced(np.zeros(8)).shard_of.tolist() == [0, 1, 2, 3] * 2
 
 
+def test_maps_are_found_again(spark, tmp_path):
+    folder, r = str(tmp_path / "map"), np.random.default_rng(1)
+    loads = r.integers(1, 1000, 512).astype(float)
+    first = sharding.SlotMap.current(spark, folder, 4, loads)
+    again = sharding.SlotMap.current(spark, folder, 4, loads)
+    assert (again.shard_of == first.shard_of).all() and again.version == first.version == 2
+    loads[:100] *= 5
+    moved = sharding.SlotMap.current(spark, folder, 4, loads)
+    per = np.bincount(moved.shard_of, loads, 4)
+    assert moved.version == 3 and (moved.shard_of == first.shard_of).mean() > 0.7 and per.max() < 1.01 * per.min()
+
+
 def test_shards_of_odd_rows(odd, none):
     for df, n in ((odd, 12), (none, 0)):
         rows = df.select("doc_id", F.lit(1).cast("long").alias("size"), F.lit(0).cast("long").alias("text_crc32"), sharding.virtual_slot(F.col("doc_id")).alias("virtual_slot"))
@@ -152,6 +164,31 @@ def test_odd_fingerprints(odd, none, spark):
     assert one.edited_sha256 == hashlib.sha256(b"abcdefab").hexdigest() and one.near_next == 1
 
 
+def test_three_grams_by_hand():
+    texts = ["", "a", "ab", "abc", "🙂éx🙂", "aaaa"]
+    grams, starts = simhash._three_grams(texts)
+    assert np.diff(starts).tolist() == [0, 1, 1, 1, 2, 2]
+    names = {}
+    for t, a, b in zip(texts, starts[:-1], starts[1:]):
+        for g, x in zip(grams[a:b].tolist(), [t[i : i + 3] for i in range(max(len(t) - 2, 1))]):
+            assert names.setdefault(x, g) == g
+    assert len(set(names.values())) == len(names)
+
+
+def test_near_rows(spark, none):
+    r = random.Random(12)
+    texts = {i: " ".join(r.choice("abcdefgh") * 3 for _ in range(60)) for i in range(0, 400, 4)}
+    texts |= {1000 + i: texts[0] for i in range(7)} | {2001: texts[100] + " end", 500: texts[100]}
+    df = spark.createDataFrame(list(texts.items()), "doc_id long, text string")
+    prints = simhash.fingerprint_table(df)
+    got = {x.doc_id: x.near_rows for x in simhash.with_near_rows(prints).collect()}
+    bits = {x.doc_id: int(x.fingerprint, 16) for x in prints.collect()}
+    for i, b in bits.items():
+        assert got[i] == (sum((b ^ c).bit_count() <= 3 for j, c in bits.items() if j != i) if i % 100 == 0 else None)
+    assert got[0] == 6 or got[0] >= 6
+    assert simhash.with_near_rows(simhash.fingerprint_table(none)).count() == 0
+
+
 def test_near_fingerprints_are_complete(spark):
     r = random.Random(3)
     base = [r.getrandbits(128) for _ in range(20)]
@@ -206,6 +243,14 @@ def chunk(kind, data):
     return struct.pack(">I", len(data)) + kind + data + struct.pack(">I", zlib.crc32(kind + data))
 
 
+def pdf(body, updates=0):
+    out = b"%PDF-1.4\n" + body
+    for _ in range(1 + updates):
+        out += b"1 0 obj\n<<>>\nendobj\n"
+        out += b"xref\n0 1\n0000000000 65535 f \ntrailer<<>>\nstartxref\n%d\n%%%%EOF" % len(out)
+    return out
+
+
 def samples():
     png = b"\x89PNG\r\n\x1a\n" + chunk(b"IHDR", struct.pack(">IIBBBBB", 1, 1, 8, 0, 0, 0, 0)) + chunk(b"IDAT", zlib.compress(b"\0\0")) + chunk(b"IEND", b"")
     gif = b"GIF89a" + struct.pack("<HHBBB", 1, 1, 0x80, 0, 0) + b"\0" * 6 + b"," + struct.pack("<HHHHB", 0, 0, 1, 1, 0) + b"\x02\x02\x44\x01\x00;"
@@ -218,11 +263,12 @@ def samples():
     with zipfile.ZipFile(z, "w") as f:
         f.writestr("a.txt", "hello")
     mp4 = struct.pack(">I", 16) + b"ftypisom" + b"\0" * 4 + struct.pack(">I", 8) + b"moov"
-    jpeg = b"\xff\xd8\xff\xe0" + struct.pack(">H", 4) + b"JF" + b"\xff\xda" + struct.pack(">H", 4) + b"ab" + b"\x12\xff\x00\x34\xff\xd9"
+    frame = b"\xff\xc0" + struct.pack(">HBHHB", 11, 8, 1, 1, 1) + b"\x01\x11\x00"
+    jpeg = b"\xff\xd8\xff\xe0" + struct.pack(">H", 4) + b"JF" + frame + b"\xff\xda" + struct.pack(">H", 4) + b"ab" + b"\x12\xff\x00\x34\xff\xd9"
     flac = b"fLaC\x80" + (34).to_bytes(3, "big") + b"\0" * 34
     ogg = b"OggS\0\x06" + b"\0" * 20 + b"\x01\x03abc"
     return {"image/png": png, "image/gif": gif, "image/bmp": bmp, "application/gzip": gz.compress(b"x" * 50) + gz.flush(), "application/zip": z.getvalue(), "video/mp4": mp4, "image/jpeg": jpeg,
-            "audio/flac": flac, "audio/ogg": ogg, "audio/wav": media.wav_of(b"\x80" * 64), "application/pdf": b"%PDF-1.4\nstartxref\n0\n%%EOF", "image/x-portable-graymap": b"P5\n2 2\n255\nabcd"}
+            "audio/flac": flac, "audio/ogg": ogg, "audio/wav": media.wav_of(b"\x80" * 64), "application/pdf": pdf(b""), "image/x-portable-graymap": b"P5\n2 2\n255\nabcd"}
 
 
 def test_sniffing_and_validation():
@@ -238,6 +284,26 @@ def test_sniffing_and_validation():
     assert media.sniff(b"") == [] and media.true_type(None, []) == "null" and media.true_type(b"", []) == "empty"
 
 
+def test_ends_are_checked():
+    assert media.sniff(b"\xff\xd8\xff\xd9") == [] and media.sniff(b"%PDF-1.4\nstartxref\n0\n%%EOF") == []
+    twice = pdf(b"x", updates=2)
+    assert [(f.kind, f.start, f.length) for f in media.sniff(b"ab" + twice + b"tail" + pdf(b""))] == [("application/pdf", 2, len(twice)), ("application/pdf", 6 + len(twice), len(pdf(b"")))]
+    import time
+
+    began = time.perf_counter()
+    assert media.sniff(b"PK\x03\x04" * 200_000) == [] and media.sniff(b"%PDF-" * 200_000) == []
+    assert time.perf_counter() - began < 5
+
+
+def test_media_of_odd_rows(spark, odd, none):
+    got = media.stored_texts(odd).collect()
+    assert len(got) == 12 and media.stored_texts(none).count() == 0 and all(r.media_type == "audio/wav" and r.corrected for r in got)
+    assert {r.payload_bytes for r in got if r.doc_id in (3, 4)} == {64} and {r.n_bytes for r in got if r.doc_id == 7} == {70000}
+    clash = spark.createDataFrame([(b"x", "t", "mine", "kept")], "media binary, declared string, corrected string, kind string")
+    row = media.inspect(clash, "media").first()
+    assert row.kind == "kept" and row.corrected is True and row.media_type == media.UNKNOWN
+
+
 def test_media_columns(spark):
     s = samples()
     both = b"header " + s["image/png"] + b"--" + s["image/gif"]
