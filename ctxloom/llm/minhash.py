@@ -41,9 +41,9 @@ from ctxloom.session import load, materialise
 SHINGLE = 5
 SIMILARITY = 0.8
 BANDS, ROWS = 26, 5
-BLOCK_UNITS = 1_000_000  # shingle occurrences on one side of a block pair
+BLOCK_UNITS = 400_000  # shingle occurrences on one side of a block pair
 BLOCK_DOCS = 512
-LEADERS = 24  # about so many members of a bucket of several blocks are in all of them
+LEADERS = 24  # about so many members of a bucket of several blocks are in all of them, or a quarter of a block's occurrences
 
 
 def shingles(texts: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray, int]:
@@ -249,9 +249,10 @@ def near_duplicates(docs: DataFrame, similarity: float = SIMILARITY) -> DataFram
     ).where("n > 1")
     # buckets of the same members are searched once
     groups = buckets.groupBy("n", "x", "y", "first").agg(F.min(F.struct("band", "bucket", "load")).alias("s")).select("n", "s.*")
-    groups = groups.select("band", "bucket", _blocks(F.col("n"), F.col("load")).alias("parts"))
+    groups = groups.select("band", "bucket", "n", _blocks(F.col("n"), F.col("load")).alias("parts"))
     members = materialise(placed.join(groups, ["band", "bucket"]).withColumn("block", F.pmod(F.xxhash64("id", F.lit(5)), F.col("parts")).cast("int")), "members")
-    leads = (F.col("parts") > 1) & (F.pmod(F.xxhash64("id", F.lit(3)), F.col("parts").cast("long") * BLOCK_DOCS) < LEADERS)
+    share = F.least(F.lit(float(LEADERS)) / F.col("n"), F.lit(min(LEADERS, 0.25)) / F.col("parts"))
+    leads = (F.col("parts") > 1) & (F.pmod(F.xxhash64("id", F.lit(3)), F.lit(1 << 30)) < share * float(1 << 30))
     places = F.when(leads, F.sequence(F.lit(0), F.col("parts") - 1)).otherwise(F.array("block"))
     spread = members.select("id", "h", "band", "bucket", F.explode(places).alias("lo"))
     spread = spread.select("id", "h", F.lit(0).alias("kind"), "band", "bucket", "lo", F.col("lo").alias("hi"), F.lit(0).alias("side"))
