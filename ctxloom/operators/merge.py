@@ -50,7 +50,10 @@ def count_arrays(counts: DataFrame, m: int) -> DataFrame:
 
 
 def all_pair_costs(counts: DataFrame, m: int) -> DataFrame:
-    """ctx_a < ctx_b, delta for all pairs of contexts: a table for small context sets (its size is their number squared)."""
+    """ctx_a < ctx_b, delta for all pairs of contexts: a table for small context sets (its size is their number squared); more than
+    MAX_CONTEXTS are refused."""
+    if counts.select("ctx").distinct().limit(MAX_CONTEXTS + 1).count() > MAX_CONTEXTS:
+        raise ValueError(f"more than {MAX_CONTEXTS} contexts: their pairs are not listed")
     rows = count_arrays(counts, m)
     n = counts.agg(F.sum("n")).first()[0] or 1
     a, b = rows.select(F.col("ctx").alias("ctx_a"), F.col("row").alias("ra")), rows.select(F.col("ctx").alias("ctx_b"), F.col("row").alias("rb"))

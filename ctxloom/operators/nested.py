@@ -9,7 +9,7 @@ from __future__ import annotations
 from dataclasses import dataclass
 
 import numpy as np
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ctxloom.operators import counts as C
@@ -123,8 +123,16 @@ def nest_with(stream: Stream, a, b, bins: int) -> Nesting:
     return Nesting(spec, spec.bins, 1, "with")
 
 
-def compare_nestings(stream: Stream, nestings: list[Nesting], start: int) -> DataFrame:
-    """kind, states, lookups, bpv of each nesting over the same windows (those from place ``start`` on), in one scan."""
-    rated = R.rate(C.count_many(stream, [From(x.spec, start) for x in nestings]), "spec")
-    names = stream.df.sparkSession.createDataFrame([(i, x.kind, x.states, x.lookups) for i, x in enumerate(nestings)], "spec int, kind string, states int, lookups int")
-    return names.join(rated, "spec").select("kind", "states", "lookups", "n", "bpv")
+def compare_nestings(stream: Stream, nestings: list[Nesting], start: int, fold: Column | None = None) -> DataFrame:
+    """kind, states, lookups, n, bpv of each nesting over the same windows (those from place ``start`` on), in one scan. With a
+    ``fold`` (0 or 1, of the stream's rows) also held_out, where each fold is scored by the other's counts; a scan a nesting."""
+    spark = stream.df.sparkSession
+    names = spark.createDataFrame([(i, x.kind, x.states, x.lookups) for i, x in enumerate(nestings)], "spec int, kind string, states int, lookups int")
+    if fold is None:
+        rated = R.rate(C.count_many(stream, [From(x.spec, start) for x in nestings]), "spec")
+        return names.join(rated, "spec").select("kind", "states", "lookups", "n", "bpv")
+    out = None
+    for i, x in enumerate(nestings):
+        row = R.overfit(stream, From(x.spec, start), fold).select(F.lit(i).alias("spec"), "n", F.col("training").alias("bpv"), "held_out")
+        out = row if out is None else out.unionByName(row)
+    return names.join(out, "spec").select("kind", "states", "lookups", "n", "bpv", "held_out")

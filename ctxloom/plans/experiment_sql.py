@@ -198,18 +198,38 @@ def packed_windows() -> str:
 
 
 def counters() -> str:
-    ctes, cells, _ = chain("wi", 4, [4, 2], False, "lr")
-    parts = []
-    for name, code in (
-        ("none", "0"), ("last value", "p"), ("changes", "least(ch, 15) * 4 + p"), ("run length", "least(rl - 1, 3) * 4 + p"),
-        ("window", "a.bin + 4 * b.bin"), ("window x changes", "a.bin + 4 * b.bin + 8 * (least(ch, 7) * 4 + p)"),
-    ):
-        parts.append(f"SELECT '{name}' AS machine, {code} AS ctx, s AS sym, count(*) AS n FROM q JOIN wib1 a ON a.ctx = p1 JOIN wib2 b ON b.ctx = p2 WHERE pos >= 2 GROUP BY ALL")
-    return f"""WITH RECURSIVE {READS4}, lr AS (SELECT *, lag(s) OVER w AS p1, lag(s, 2) OVER w AS p2 FROM rd WINDOW w AS (PARTITION BY k, r ORDER BY pos)), {ctes},
-      q0 AS (SELECT *, coalesce(p1, 0) AS p, (s IS DISTINCT FROM coalesce(p1, 0))::INT AS f FROM lr),
-      q1 AS (SELECT *, sum(f) OVER (PARTITION BY k, r ORDER BY pos) AS run, coalesce(sum(f) OVER (PARTITION BY k, r ORDER BY pos ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS ch FROM q0),
-      q2 AS (SELECT *, row_number() OVER (PARTITION BY k, r, run ORDER BY pos) + (run = 0)::INT AS len FROM q1), q AS (SELECT *, lag(len, 1, 1) OVER (PARTITION BY k, r ORDER BY pos) AS rl FROM q2),
-      cl AS ({' UNION ALL '.join(parts)}) SELECT machine, n, contexts AS states, bpv FROM ({rate_of('cl', 'machine')})"""
+    """Machines by window functions: last value, changes, run length, two chained bins, and the bins with changes."""
+    outer, totals = [], []
+    for stream, source, m, x in (("class4", READS4, 4, "wi"), ("wordlen16", f"{WORDLEN}, rd AS (SELECT k, 0 AS r, pos, s FROM sym)", 16, "wl")):
+        ctes, _, _ = chain(x, m, [4, 2], False, f"{x}lr")
+        parts = []
+        for name, code in (
+            ("none", "0"), ("last value", "p"), ("changes", f"least(ch, 15) * {m} + p"), ("run length", f"least(rl - 1, 3) * {m} + p"),
+            ("window", "a.bin + 4 * b.bin"), ("window x changes", f"a.bin + 4 * b.bin + 8 * (least(ch, 7) * {m} + p)"),
+        ):
+            parts.append(f"SELECT '{name}' AS machine, {code} AS ctx, s AS sym, count(*) AS n FROM {x}q JOIN {x}b1 a ON a.ctx = p1 JOIN {x}b2 b ON b.ctx = p2 WHERE pos >= 2 GROUP BY ALL")
+        outer.append(f"""{x}rd AS (WITH {source} SELECT k, r, pos, s FROM rd), {x}lr AS (SELECT *, lag(s) OVER w AS p1, lag(s, 2) OVER w AS p2 FROM {x}rd WINDOW w AS (PARTITION BY k, r ORDER BY pos)), {ctes},
+          {x}q0 AS (SELECT *, coalesce(p1, 0) AS p, (s IS DISTINCT FROM coalesce(p1, 0))::INT AS f FROM {x}lr),
+          {x}q1 AS (SELECT *, sum(f) OVER (PARTITION BY k, r ORDER BY pos) AS run, coalesce(sum(f) OVER (PARTITION BY k, r ORDER BY pos ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS ch FROM {x}q0),
+          {x}q2 AS (SELECT *, row_number() OVER (PARTITION BY k, r, run ORDER BY pos) + (run = 0)::INT AS len FROM {x}q1), {x}q AS (SELECT *, lag(len, 1, 1) OVER (PARTITION BY k, r ORDER BY pos) AS rl FROM {x}q2),
+          {x}cl AS ({' UNION ALL '.join(parts)})""")
+        totals.append(f"SELECT '{stream}' AS stream, machine, n, contexts AS states, bpv FROM ({rate_of(f'{x}cl', 'machine')})")
+    return f"WITH RECURSIVE {', '.join(outer)} {' UNION ALL '.join(totals)}"
+
+
+def position_controls() -> str:
+    ctes, parts = [], []
+    sources = (
+        ("emb16", "e", f"WITH {EMB16} SELECT k, pos, s FROM sym", 33), ("first reads, text42", "t", f"WITH {SYM42} SELECT k, pos, s FROM sym WHERE pos < 101 AND k IN (SELECT doc_id FROM documents WHERE length(text) >= 101)", 42),
+        ("first reads, class4", "c", f"WITH {SYM4} SELECT k, pos, s FROM sym WHERE pos < 101 AND k IN (SELECT doc_id FROM documents WHERE length(text) >= 101)", 4),
+    )
+    for name, x, source, m in sources:
+        for context, code in (("none", "0"), ("position", "pos")):
+            w = f"{x}_{context}"
+            ctes.append(f"{w} AS (SELECT k, s, {code} AS ctx FROM ({source}))")
+            parts.append(f"SELECT '{name}' AS stream, '{context}' AS context, * FROM ({overfit(w, m, 0.1)})")
+    return f"WITH {', '.join(ctes)} {' UNION ALL '.join(parts)}"
+
 
 
 ORACLES |= {
@@ -220,6 +240,7 @@ ORACLES |= {
       cl AS (SELECT 'position' AS context, pos AS ctx, s AS sym, count(*) AS n FROM x GROUP BY ALL UNION ALL SELECT 'position, previous', pos + 101 * p, s, count(*) FROM x WHERE pos >= 1 GROUP BY ALL UNION ALL SELECT 'coarse position', least(pos // 10, 7), s, count(*) FROM x GROUP BY ALL) {rate_of('cl', 'context')}""",
     "w14_joint_gain": f"{joint('events', EV, VAL, 'event type, value')} UNION ALL {joint('lineitem', 'l_returnflag', 'l_linestatus', 'return flag, line status')}",
     "w16_read_order": "SELECT n AS reads, round(lgamma(n + 1) / ln(2), 3) AS order_bits, round(lgamma(n + 1) / ln(2) / greatest(n, 1), 6) AS bits_per_read FROM (SELECT sum((length(text) + 100) // 101)::BIGINT AS n FROM documents)",
+    "w3_position_controls": position_controls(),
     "w5_packed_windows": packed_windows(),
     "w6_counters": counters(),
 }
@@ -282,18 +303,18 @@ def purity(assigned: str, label: str) -> str:
     return f"(SELECT round(sum(top) / sum(n), 6) FROM (SELECT max(n) AS top, sum(n) AS n FROM (SELECT c, {label}, count(*) AS n FROM {assigned} GROUP BY ALL) GROUP BY c))"
 
 
-def clusters(source: str, m: int, label: str, labels: str) -> str:
+def clusters(cells: str, m: int, contexts: int, label: str, labels: str, sizes: tuple[int, ...] = (1, 2, 4, 8)) -> str:
     ctes, parts = [], []
-    for k in (1, 2, 4, 8):
+    for k in sizes:
         x = f"k{k}"
-        ctes.append(kmeans(x, k, m, m, 0.1, 8, 1e-3))
+        ctes.append(kmeans(x, k, m, contexts, 0.1, 8, 1e-3))
         ctes.append(f"{x}_l AS (SELECT a.*, {label} AS lab FROM {x}_a a {labels})")
         ctes.append(f"{x}_c AS (SELECT lab AS l, sum(count(*)) OVER w AS b, sum(count(*)) OVER () AS t FROM {x}_l GROUP BY lab WINDOW w AS (ORDER BY lab NULLS FIRST ROWS UNBOUNDED PRECEDING))")
         ctes.append(f"{x}_s AS (SELECT k, r, c, (SELECT list(l ORDER BY b)[1] FROM {x}_c q WHERE q.b > floor({draw(['k', 'r'])} * q.t)) AS lab FROM {x}_l)")
         parts.append(f"""SELECT {k} AS k, count(*) AS reads, round(sum(bits) / sum(n), 6) AS model_bpv, round(count(*) * log2({k}) / sum(n), 6) AS flat_bpv,
           (SELECT round((sum(v) * log2(sum(v)) - sum(v * log2(v))) / sum(s) + 0.0, 6) FROM (SELECT count(*) AS v, sum(n) AS s FROM {x}_l GROUP BY c)) AS entropy_bpv,
           round((sum(bits) + count(*) * log2({k})) / sum(n), 6) AS total_bpv, {purity(f'{x}_l', 'lab')} AS purity, {purity(f'{x}_s', 'lab')} AS chance, (SELECT rounds FROM {x}_h)::INT AS rounds FROM {x}_l""")
-    return f"WITH {read_cells(source, 1, m)}, {', '.join(ctes)} {' UNION ALL '.join(parts)}"
+    return f"WITH {cells}, {', '.join(ctes)} {' UNION ALL '.join(parts)}"
 
 
 def class_switching() -> str:
@@ -327,10 +348,12 @@ def user_variants() -> str:
     return f"WITH {read_cells(users, 1, 5)}, {', '.join(ctes)} {' UNION ALL '.join(parts)}"
 
 
+EMB_CELLS = f"{EMB16}, rc AS (SELECT k, 0 AS r, pos AS ctx, s AS sym, count(*) AS n FROM sym GROUP BY ALL), rl AS (SELECT k, 0 AS r, count(*) AS n, list(s ORDER BY pos) AS syms FROM sym GROUP BY k)"
 _LABELS = "LEFT JOIN (SELECT doc_id, quality FROM labels) ON doc_id = k"
 ORACLES |= {
-    "w8_clusters_text42": clusters(READS42, 42, "lang", "LEFT JOIN (SELECT doc_id, lang FROM documents) ON doc_id = k"),
-    "w9_clusters_class4": clusters(READS4, 4, "quality", _LABELS),
+    "w8_clusters_text42": clusters(read_cells(READS42, 1, 42), 42, 42, "lang", "LEFT JOIN (SELECT doc_id, lang FROM documents) ON doc_id = k"),
+    "w9_clusters_class4": clusters(read_cells(READS4, 1, 4), 4, 4, "quality", _LABELS),
+    "w9_position_clusters": clusters(EMB_CELLS, 33, 64, "label", "LEFT JOIN (SELECT vec_id, label FROM embeddings) ON vec_id = k", (10,)),
     "cluster_histogram": f"WITH {read_cells(READS42, 1, 42)}, {kmeans('h', 4, 42, 42, 0.1, 5, 1e-4)} SELECT c::INT AS cluster, round(floor(bits / n / 0.1) * 0.1, 6) AS bucket, count(*) AS reads FROM h_a WHERE n > 0 GROUP BY 1, 2",
     "selector_context": f"""WITH {read_cells(READS4)}, {kmeans('h', 4, 4, 4, 0.1, 5, 1e-4)}, one AS (SELECT ctx, sym, sum(n) AS n FROM rc GROUP BY ALL), large AS (SELECT ctx + 4 * c AS ctx, sym, sum(n) AS n FROM rc JOIN (SELECT k, r, c FROM h_a) USING (k, r) GROUP BY ALL)
       SELECT 'one' AS models, contexts, bpv FROM ({rate_of('one')}) UNION ALL SELECT 'selector', contexts, bpv FROM ({rate_of('large')}) UNION ALL SELECT 'four', 16, (SELECT round(sum(bits) / sum(n), 6) FROM h_a)""",
@@ -480,6 +503,13 @@ ORACLES |= {
     "baseline_codes": plain_codes(),
     "integer_loss": integer_frequencies(),
     "decoded_reads": f"WITH {READS4} SELECT k AS doc_id, r::INT AS read_no, count(*)::INT AS n, md5(string_agg(s::VARCHAR, '' ORDER BY pos)) AS digest FROM rd GROUP BY k, r",
+    "contingency_langs": f"""WITH {READS4}, rw AS (SELECT k, r, s, lag(s) OVER (PARTITION BY k, r ORDER BY pos) AS ctx FROM rd), rc AS (SELECT k, r, ctx, s AS sym, count(*) AS n FROM rw WHERE ctx IS NOT NULL GROUP BY ALL),
+      lc AS (SELECT lang, ctx, sym, sum(n) AS n FROM rc JOIN documents ON doc_id = k GROUP BY ALL), lg AS (SELECT lang, row_number() OVER (ORDER BY lang) - 1 AS c FROM (SELECT DISTINCT lang FROM lc)),
+      md AS (SELECT c, a.i AS ctx, b.i AS sym, coalesce(lc.n, 0) + 0.5 AS n FROM lg CROSS JOIN range(4) a(i) CROSS JOIN range(4) b(i) LEFT JOIN lc ON lc.lang = lg.lang AND lc.ctx = a.i AND lc.sym = b.i),
+      mb AS (SELECT c, ctx, sym, log2(sum(n) OVER (PARTITION BY c, ctx) / n) AS bits FROM md), t AS (SELECT k, r, c, round(sum(n * bits), 9) AS b FROM rc JOIN mb USING (ctx, sym) GROUP BY ALL), best AS (SELECT k, r, min({{'b': b, 'c': c}}) AS x FROM t GROUP BY ALL)
+      SELECT x.c::INT AS cluster, lang AS label, count(*) AS reads FROM best JOIN documents ON doc_id = k GROUP BY 1, 2""",
+    "read_file_rates": f"""WITH a AS (WITH {READS42} SELECT k, r, pos, s AS q FROM rd), b AS (WITH {READS4} SELECT k, r, pos, s AS b FROM rd), x AS (SELECT k, r, pos, q, b, lag(q) OVER w AS pq, lag(b) OVER w AS pb FROM a JOIN b USING (k, r, pos) WINDOW w AS (PARTITION BY k, r ORDER BY pos)),
+      cl AS (SELECT 'quality' AS symbols, pq AS ctx, q AS sym, count(*) AS n FROM x WHERE pos >= 1 GROUP BY ALL UNION ALL SELECT 'bases', pb, b, count(*) FROM x WHERE pos >= 1 GROUP BY ALL UNION ALL SELECT 'packed', (pq << 2) | pb, (q << 2) | b, count(*) FROM x WHERE pos >= 1 GROUP BY ALL) {rate_of('cl', 'symbols')}""",
     "decoded_adaptive": f"WITH {EV5} SELECT k AS user_id, md5(string_agg(s::VARCHAR, '' ORDER BY pos)) AS digest FROM sym GROUP BY k",
     "position_symbol_rate": f"WITH {SYM4}, x AS (SELECT *, lag(s) OVER (PARTITION BY k ORDER BY pos) AS p FROM sym), cl AS (SELECT p + 4 * least((pos - 1) // 16, 7) AS ctx, s AS sym, count(*) AS n FROM x WHERE pos >= 1 GROUP BY ALL) {rate_of('cl')}",
     "long_machines": f"""WITH {SYM4}, a AS (SELECT row_number() OVER (ORDER BY k, pos) - 1 AS i, s FROM sym), b AS (SELECT i, s, lag(s) OVER w AS p1, lag(s, 2) OVER w AS p2 FROM a WINDOW w AS (ORDER BY i)),

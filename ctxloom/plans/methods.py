@@ -3,6 +3,8 @@
 
 from __future__ import annotations
 
+import uuid
+
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -19,9 +21,10 @@ from ctxloom.operators import nested as N
 from ctxloom.operators import rates as R
 from ctxloom.operators.contexts import Position, Previous
 from ctxloom.operators.soft import SoftMachine
-from ctxloom.operators.stream import Stream
+from ctxloom.operators.stream import Stream, array_stream
 from ctxloom.plans import streams as T
-from ctxloom.session import load, materialise
+from ctxloom.session import load, materialise, shared_dir
+from ctxloom.sources import reads as Q
 
 
 def _tree_steps(s: SparkSession, tree: M.MergeTree) -> DataFrame:
@@ -200,6 +203,32 @@ def entropy_headers(s: SparkSession, d: str) -> DataFrame:
     return chosen.groupBy("cluster").agg(F.count("*").alias("reads"), F.round(F.sum("bits"), 4).alias("bits"))
 
 
+def contingency_langs(s: SparkSession, d: str) -> DataFrame:
+    """cluster, label, reads: which of the languages' models codes the reads of each language cheapest."""
+    stream = Stream(load(s, d, "documents"), "text", 4, "class", ("doc_id", "lang"), 101, "keep")
+    counted = materialise(C.count_windows(stream, Previous(1), ("lang",)), "counts")
+    langs = [r.lang for r in counted.select("lang").distinct().orderBy("lang").collect()]
+    tables = np.zeros((len(langs), 4, 4))
+    for r in counted.toLocalIterator():
+        tables[langs.index(r.lang), r.ctx, r.sym] = r.n
+    return R.contingency(K.Clustering(Previous(1), 4, 0.5, tables).assign(stream).where("n > 0"), "lang")
+
+
+def read_file_rates(s: SparkSession, d: str) -> DataFrame:
+    """symbols, n, contexts, bpv of a read file: all documents in reads whose bases are the letter classes and whose quality
+    scores are the letters, written in the four-line format, read back by the source, and rated as bases, scores and both in
+    one symbol, (score << 2) | base."""
+    folder = f"{shared_dir(s)}/ctxloom-reads-{uuid.uuid4().hex}"
+    Q.write_fastq(T.reads(s, d), folder)
+    rows = Q.read_fastq(s, folder).select("read_id", Q.quality_codes(F.col("quality")).alias("q"), Q.base_codes(F.col("bases")).alias("b"))
+    rows = materialise(rows.withColumn("both", F.zip_with("q", "b", lambda q, b: F.shiftleft(q, 2).bitwiseOR(b))), "reads")
+    out = None
+    for name, column, m in (("quality", "q", 42), ("bases", "b", 4), ("packed", "both", 168)):
+        row = R.rate(C.count_windows(array_stream(rows, column, m), Previous(1))).select(F.lit(name).alias("symbols"), "n", "contexts", "bpv")
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
 def model_sizes(s: SparkSession, d: str) -> DataFrame:
     """ord, contexts, cells, bytes of a stationary model's table, and the compression ratio it reaches."""
     rated = B.order_rates(T.class4(s, d), [0, 1, 2, 3])
@@ -213,6 +242,6 @@ METHODS = {
     for f in (
         merge_steps_text42, merge_steps_heap, cuts_class4_order3, cut_levels_text42, trees_by_language, best_partitions_ev5, cluster_variants_ev5, adaptive_orders_reads,
         sparse_updates_reads, fitted_rates_users, soft_objective_ev5, nestings_class4, prefix_rate_text42, decoded_reads, decoded_adaptive, position_symbol_rate, long_machines,
-        consensus_of_hosts, entropy_headers, model_sizes,
+        consensus_of_hosts, entropy_headers, contingency_langs, read_file_rates, model_sizes,
     )
 }

@@ -20,7 +20,7 @@ from ctxloom.operators import nested as N
 from ctxloom.operators import rates as R
 from ctxloom.operators.contexts import Binned, From, LowBits, Position, Previous, Product, handmade
 from ctxloom.operators.soft import SoftMachine, harden
-from ctxloom.operators.stream import Stream, array_stream
+from ctxloom.operators.stream import Stream, array_stream, text_stream
 from ctxloom.plans import streams as T
 from ctxloom.session import load, materialise
 
@@ -90,6 +90,17 @@ def w3_position_previous(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out
 
 
+def w3_position_controls(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """stream, context, n, training, held_out: position on streams that should gain little or nothing by it."""
+    first = lambda kind: text_stream(load(spark, sf_dir, "documents").where(F.length("text") >= 101).select("doc_id", F.substring("text", 1, 101).alias("head")), "head", kind)
+    out = None
+    for name, stream, key, places in (("emb16", T.emb16(spark, sf_dir), "vec_id", 64), ("first reads, text42", first("text"), "doc_id", 101), ("first reads, class4", first("class"), "doc_id", 101)):
+        for context, spec in (("none", Previous(0)), ("position", Position(1, places))):
+            row = R.overfit(stream, spec, F.col(key) % 2, 0.1).select(F.lit(name).alias("stream"), F.lit(context).alias("context"), "n", "training", "held_out")
+            out = row if out is None else out.unionByName(row)
+    return out
+
+
 def w3_position_previous_binned(spark: SparkSession, sf_dir: str) -> DataFrame:
     """reads, contexts, bins, training, held_out: position and previous value binned together into 64."""
     both = Product((Position(1, 101), Previous(1)))
@@ -113,14 +124,22 @@ def position_rates_pages(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def w4_nestings(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Nestings at 64 and 256 states over the windows from place 4 on, beside complete and truncated contexts."""
+    """kind, states, lookups, n, bpv, held_out of nestings at 64 and 256 states over the windows from place 4 on, beside complete
+    and truncated contexts."""
     stream = T.text42(spark, sf_dir)
     found = [
         N.pair_binning(stream, 64), N.pair_binning(stream, 256), N.nest_symmetric(stream, [64, 256]), N.nest_symmetric(stream, [64, 64]),
         N.nest_asymmetric(stream, 64, 4), N.far_from_near(stream, 64, 4), N.nest_hierarchical(stream, 64, 4),
         N.Nesting(LowBits(2, 3), 36, 1, "low bits, order 2"), N.Nesting(Previous(1), 42, 1, "complete, order 1"), N.Nesting(Previous(2), 1764, 1, "complete, order 2"),
     ]
-    return N.compare_nestings(stream, found, 4)
+    return N.compare_nestings(stream, found, 4, F.col("doc_id") % 2)
+
+
+def w4_order8_text42(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The symmetric ladder of the 42 symbols up to order 8: three lookups in place of 42^8 contexts."""
+    stream = T.text42(spark, sf_dir)
+    found = [N.nest_symmetric(stream, [64, 64, 256]), N.nest_symmetric(stream, [64, 64]), N.pair_binning(stream, 64), N.Nesting(Previous(1), 42, 1, "complete, order 1"), N.Nesting(Previous(0), 1, 0, "none")]
+    return N.compare_nestings(stream, found, 8, F.col("doc_id") % 2)
 
 
 def w4_order8(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -143,14 +162,18 @@ def w5_packed_windows(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def w6_counters(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Counter and run-length machines on the class stream's reads, valued in one pass."""
-    stream = T.reads(spark, sf_dir, "class")
-    chain = H.bin_chain(stream, [4, 2])
-    window = H.chain_transition(chain)
-    return H.search_machines(stream, {
-        "none": np.zeros((1, 4), int), "last value": np.tile(np.arange(4), (4, 1)), "changes": H.counter_transition(4, 16), "run length": H.run_length_transition(4, 4),
-        "window": window, "window x changes": H.product_transition(window, H.counter_transition(4, 8)),
-    }, skip=2)
+    """stream, machine, n, states, bpv: counter and run-length machines on the class stream's reads and on word lengths, each
+    stream's valued in one pass."""
+    out = None
+    for name, stream in (("class4", T.reads(spark, sf_dir, "class")), ("wordlen16", T.wordlen16(spark, sf_dir))):
+        m = stream.m
+        window = H.chain_transition(H.bin_chain(stream, [4, 2]))
+        row = H.search_machines(stream, {
+            "none": np.zeros((1, m), int), "last value": np.tile(np.arange(m), (m, 1)), "changes": H.counter_transition(m, 16), "run length": H.run_length_transition(m, 4),
+            "window": window, "window x changes": H.product_transition(window, H.counter_transition(m, 8)),
+        }, skip=2).select(F.lit(name).alias("stream"), "machine", "n", "states", "bpv")
+        out = row if out is None else out.unionByName(row)
+    return out
 
 
 def w7_soft_machine(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -163,7 +186,7 @@ def w7_soft_machine(spark: SparkSession, sf_dir: str) -> DataFrame:
         stream = stream.with_df(materialise(stream.df.select(stream.payload), "soft"))
         soft = SoftMachine(states, stream.m, seed=1, jitter=0.3).fit(stream, 25, 0.3)
         n = R.rate(C.count_windows(stream, Previous(0))).first()
-        table = harden(soft, stream, refit=1, per_round=max(1, states * stream.m // 4))
+        table = harden(soft, stream, refit=1)  # one transition a time
         hard = R.rate(H.count_states(stream, table)).first()["bpv"]
         one = R.rate(C.count_windows(stream, Previous(1, "pad"))).first()["bpv"]
         rows.append((name, states, round(-max(soft.history) / math.log(2) / n["n"], 6), hard, n["bpv"], one))
@@ -261,19 +284,26 @@ def cdf_path(spark: SparkSession, sf_dir: str, block: int = BLOCK) -> DataFrame:
 
 
 def w13_library(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """files, reads, model_bpv, total_bpv of 20 models trained on all reads and cut to a menu of four a file, for three kinds of file."""
+    """files, reads, model_bpv, total_bpv of 20 models trained on all reads and cut to a menu of four a file, for three kinds of
+    file; beside them four models for everything, and four models trained on each language by itself."""
     stream = Stream(load(spark, sf_dir, "documents"), "text", 4, "class", ("doc_id", "lang", "source"), 101, "keep")
     library = K.train_library(stream, Previous(2), 20, init="random", max_iter=4, seed=3)
     costs = materialise(K.read_costs(stream, Previous(2), library.bits()), "library")
     k, out = library.k, None
     every = costs.withColumn("every", F.lit("all"))
+    total = lambda df, name: df.agg(F.count("*").alias("reads"), F.round(F.sum("bits") / F.sum("n"), 6).alias("model_bpv"), F.round((F.sum("bits") + 2 * F.count("*")) / F.sum("n"), 6).alias("total_bpv")).select(F.lit(name).alias("files"), "*")
     for file in ("every", "lang", "source"):
         frame = every if file == "every" else costs
-        menus = K.choose_menu(frame, file, k, 4)
-        chosen = K.menu_costs(frame, menus, file)
-        row = chosen.agg(F.count("*").alias("reads"), F.round(F.sum("bits") / F.sum("n"), 6).alias("model_bpv"), F.round((F.sum("bits") + 2 * F.count("*")) / F.sum("n"), 6).alias("total_bpv")).select(F.lit(file).alias("files"), "*")
+        row = total(K.menu_costs(frame, K.choose_menu(frame, file, k, 4), file), file)
         out = row if out is None else out.unionByName(row)
-    return out
+    four = {"init": "random", "max_iter": 4, "seed": 3}
+    out = out.unionByName(total(K.cluster_models(stream, Previous(2), 4, **four).assign(stream), "four for all"))
+    own = None
+    for r in load(spark, sf_dir, "documents").select("lang").distinct().orderBy("lang").collect():  # a file a language
+        part = stream.where(F.col("lang").eqNullSafe(F.lit(r.lang)))
+        row = K.cluster_models(part, Previous(2), 4, **four).assign(part).select("bits", "n")
+        own = row if own is None else own.unionByName(row)
+    return out if own is None else out.unionByName(total(own, "four a language"))
 
 
 def soft_switching(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -421,7 +451,7 @@ def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
 WORKLOADS = {
     f.__name__: f
     for f in (
-        flagship, w1_binning_text42, w1_loss_curve, w2_binning_class4_order3, w3_position_bins, w3_position_previous, w3_position_previous_binned, position_rates_pages, w4_nestings, w4_order8, w5_packed_windows, w6_counters,
+        flagship, w1_binning_text42, w1_loss_curve, w2_binning_class4_order3, w3_position_bins, w3_position_previous, w3_position_previous_binned, w3_position_controls, position_rates_pages, w4_nestings, w4_order8, w4_order8_text42, w5_packed_windows, w6_counters,
         w7_soft_machine, w8_clusters_text42, w9_clusters_class4, w9_position_clusters, cluster_histogram, selector_context, w10_half_lives, w11_adaptive_orders,
         w12_sparse_updates, cdf_path, w13_library, soft_switching, w14_joint_gain, w15_consensus, w15_reference, w16_read_order, w17_null_controls, w18_round_trip, baseline_codes, two_level_bins, integer_loss,
     )

@@ -30,13 +30,16 @@ def local_session(cores: int = 8, **conf) -> SparkSession:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: spark.checkpoint.dir, or a local one where that is unset."""
+    """The folder that driver and executors share: spark.checkpoint.dir; where that is unset, a local one for a local session, and
+    a folder of the warehouse for a cluster."""
     named = spark.conf.get("spark.checkpoint.dir", None)
     if named:
         return named.rstrip("/")
     set_by_code = spark.sparkContext.getCheckpointDir()
     if set_by_code:
         return set_by_code.rstrip("/")
+    if not spark.sparkContext.master.startswith("local"):
+        return spark.conf.get("spark.sql.warehouse.dir").rstrip("/") + "/ctxloom-steps"
     spark.sparkContext.setCheckpointDir(LOCAL_CHECKPOINTS)
     return LOCAL_CHECKPOINTS
 
@@ -46,9 +49,23 @@ def materialise(df: DataFrame, name: str = "step") -> DataFrame:
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/ctxloom-{name}-{uuid.uuid4().hex}"
     df.write.parquet(path)
+    _steps.append(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
+_steps: list[str] = []
+
+
+def drop_steps(spark: SparkSession) -> int:
+    """Deletes the steps that this process has written, once nothing reads them any more; returns how many there were."""
+    hadoop, paths = spark.sparkContext._jsc.hadoopConfiguration(), list(_steps)
+    for path in paths:
+        where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+        where.getFileSystem(hadoop).delete(where, True)
+        _steps.remove(path)
+    return len(paths)
+
+
 def load(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{table}.parquet")
 

@@ -10,11 +10,16 @@ from __future__ import annotations
 import glob
 import os
 from collections.abc import Iterator
+from dataclasses import replace
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
 
+from ctxloom.operators.stream import Stream, pieces
+
 SPLIT = 64 << 20
 
 
@@ -147,6 +152,31 @@ def fastq_by_lines(spark: SparkSession, path: str) -> DataFrame:
     return rec.select(F.expr("substring(split(l[0], ' ')[0], 2)").alias("read_id"), F.col("l")[1].alias("bases"), F.col("l")[3].alias("quality"))
 
 
+def write_fastq(reads: Stream, path: str) -> None:
+    """A text stream's reads as four-line records: a base for each letter's class, a score for its code."""
+    scores, classes, ids = reads.flat, replace(reads, kind="class", m=4).flat, list(reads.ids)
+
+    def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in pieces(batches):
+            f, g = scores(batch.column(0)), classes(batch.column(0))
+            names = list(zip(*[batch.column(i + 1).to_pylist() for i in range(len(ids))]))
+            letters, marks = np.frombuffer(b"ACGT", np.uint8)[g.codes].tobytes().decode(), (f.codes + 33).astype(np.uint8).tobytes().decode()
+            values = [f"@{'.'.join(map(str, names[r]))}.{n}\n{letters[a:b]}\n+\n{marks[a:b]}" for r, n, a, b in zip(f.row, f.nth, f.starts[:-1], f.starts[1:])]
+            yield pa.RecordBatch.from_arrays([pa.array(values, pa.string())], names=["value"])
+
+    reads.select(*ids).mapInArrow(kernel, "value string").write.text(path)
+
+
+def read_fastq(spark: SparkSession, path: str) -> DataFrame:
+    """read_id, bases, quality of a folder of read files: by record-aligned splits where executors can open it by its path, by
+    Spark's own text reader elsewhere."""
+    scheme, _, local = path.rpartition("://") if "://" in path else ("file" if path.startswith("file:") else "", "", path.removeprefix("file:"))
+    if scheme in ("", "file"):
+        register(spark)
+        return spark.read.format("fastq").load(f"{local}/part-*")
+    return fastq_by_lines(spark, path)
+
+
 def json_lines(spark: SparkSession, path: str, schema: str) -> DataFrame:
     return spark.read.schema(schema).json(path)
 

@@ -28,6 +28,17 @@ def test_fastq_splits_are_record_aligned(spark, tmp_path):
     assert q.q == [0, 40] and q.b == [0, 3]
 
 
+def test_read_files_round_trip(spark, tmp_path):
+    texts = [(1, "Ab, c1 é" * 30), (2, ""), (3, None), (4, "@+" * 60)]
+    stream = T.text_stream(spark.createDataFrame(texts, "doc_id long, text string")).cut(101, "keep")
+    reads.write_fastq(stream, str(tmp_path / "reads"))
+    got = {r.read_id: r for r in reads.read_fastq(spark, str(tmp_path / "reads")).collect()}
+    assert set(got) == {"1.0", "1.1", "1.2", "4.0", "4.1"} and [len(got[f"1.{i}"].bases) for i in range(3)] == [101, 101, 38]
+    codes = {f"{r.doc_id}.{r.read_no}": r.syms for r in stream.frame().collect()}
+    assert all([ord(c) - 33 for c in r.quality] == codes[k] for k, r in got.items())
+    assert got["1.0"].bases[:8] == "ACTGCTGA"
+
+
 def test_fasta_chunks_have_halos(spark, tmp_path):
     (tmp_path / "g.fa").write_text(">s1 x\nACGTAC\nGTA\n>s2\nGGG\n")
     reads.register(spark)

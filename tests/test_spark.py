@@ -309,3 +309,82 @@ def test_moving_scale_and_regression(spark):
     rows_ = [(0, i, a.tolist(), float(a @ [2.0, -1.0])) for i, a in enumerate(X)]
     got = A.adaptive_regression(spark.createDataFrame(rows_, "k int, o int, x array<double>, y double"), "k", "o", "x", "y", 0.95).first()
     assert got.n == 200 and np.allclose(got.weights, [2, -1], atol=0.01)
+
+
+def test_chunks_of_long_sequences(spark):
+    r = np.random.default_rng(5)
+    seqs = {"a": r.integers(0, 4, 700), None: r.integers(0, 4, 95), "b": r.integers(0, 4, 3)}
+    window = H.chain_transition(H.Chain(4, np.array([0, 1, 2, 2]), [np.array([0, 0, 1])], [3, 2]))
+    for size in (100, 7, 1):
+        chunks = [(k, i // size, x[i : i + size].tolist()) for k, x in seqs.items() for i in range(0, len(x), size)]
+        df = spark.createDataFrame(chunks, "k string, no int, x array<int>").repartition(5)
+        for table in (window, H.counter_transition(4, 3), H.counter_transition(4, 40)):
+            got = {}
+            for row in H.run_chunks(df, "k", "no", "x", table, 1).collect():
+                got.setdefault(row.seq, []).append((row.chunk_no, row.states, row.syms))
+            for k, x in seqs.items():
+                state, want = 1, []
+                for v in x:
+                    want.append(state)
+                    state = int(table[state, v])
+                parts = sorted(got[k])
+                assert [s for _, states, _ in parts for s in states] == want and [s for *_, syms in parts for s in syms] == x.tolist()
+    run = H.run_chunks(df, "k", "no", "x", window)
+    assert H.rate_states(run, 2).first().n == sum(len(x) for x in seqs.values()) - 3  # heads of one symbol
+
+
+def test_blocks_of_rows_with_one_id(spark):
+    texts = [(1, "ab c1."), (1, "ab c1."), (1, "zz  99"), (None, "aeiou "), (5000, "bcdfg1")]
+    s = text_stream(spark.createDataFrame(texts, "doc_id long, text string"), kind="class")
+    blocks = {r.block_no: r.syms for r in A.long_blocks(s, 12, tail="keep").collect()}
+    assert {k: len(v) for k, v in blocks.items()} == {0: 12, 1: 12, 2: 6} and blocks[0][:6] == [0, 0, 0, 0, 0, 2] and blocks[2] == [1, 1, 1, 1, 1, 3]
+
+
+def test_chance_is_what_shuffled_labels_give(spark):
+    rows = [(i, i % 10, i % 5, 101) for i in range(5000)]
+    df = spark.createDataFrame(rows, "id long, cluster int, label int, n int")
+    assert R.purity(df, "label").first().purity == 1.0
+    drawn = R.shuffled(df, "label", ["id"])
+    shares = {r.label: r["count"] / 5000 for r in drawn.groupBy("label").count().collect()}
+    assert set(shares) == set(range(5)) and all(abs(v - 0.2) < 0.03 for v in shares.values())
+    few = df.where("id < 500")
+    assert R.chance(few, "label", ["id"]).first().chance > 0.22  # more than the largest label's share, by luck alone
+    nulls = df.withColumn("label", F.when(F.col("label") > 0, F.col("label")))
+    assert abs(R.shuffled(nulls, "label", ["id"]).where("label is null").count() / 5000 - 0.2) < 0.03
+
+
+def test_seeds_do_not_depend_on_partitions(spark):
+    r = np.random.default_rng(6)
+    rows = [(i % 40, r.integers(0, 3, 30).tolist()) for i in range(60)]  # some ids twice
+    for how in ("random", "first"):
+        picks = []
+        for parts in (1, 7):
+            s = array_stream(spark.createDataFrame(rows, "id long, syms array<int>").repartition(parts), "syms", 3, ("id",)).cut(8, "keep")
+            picks.append(K.pick_reads(s, X.Previous(1), 5, how, 3))
+            assert K.worst_read(s, X.Previous(1), np.full((1, 9), 1.5)).sum() > 0
+        assert picks[0].shape == (5, 3, 3) and (picks[0] == picks[1]).all()
+
+
+def test_count_tables_are_bounded(spark):
+    counts = spark.createDataFrame([(i, i % 3, 1) for i in range(50)], "ctx long, sym int, n long")
+    assert C.matrix(counts, 3)[1].sum() == 50
+    with pytest.raises(ValueError):
+        C.matrix(counts, 3, most=49)
+
+
+def test_adaptive_round_trip(spark):
+    r = np.random.default_rng(7)
+    seqs = [r.integers(0, 5, n).tolist() for n in (0, 1, 300)] + [None]
+    s = stream_of(spark, seqs, 5)
+    got = {x.id: x.syms for x in Z.adaptive_round_trip(s, X.Previous(1, "pad"), 1, 4).collect()}
+    assert got == {i: q or [] for i, q in enumerate(seqs)}
+
+
+def test_steps_are_dropped(spark):
+    from ctxloom import session
+
+    path = session.materialise(spark.range(3), "drop").inputFiles()[0]
+    assert session.drop_steps(spark) >= 1 and not session._steps
+    import os
+
+    assert not os.path.exists(path.removeprefix("file://"))
