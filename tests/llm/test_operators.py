@@ -386,6 +386,35 @@ def test_near_duplicates_of_odd_rows(odd, none):
     assert len(got) == 12 and got.keep.notna().all() and got[got.doc_id == 2].group_id.tolist() == [1] and minhash.near_duplicates(none).count() == 0
 
 
+def test_no_link_is_lost(spark):
+    """All documents of a larger table: the groups are those of all pairs that reach the similarity, found by an index."""
+    docs = {x.doc_id: x.text for x in load(spark, "/root/testdata/sf0.01", "documents").collect()}
+    bags = {i: shingle_bag(t) for i, t in docs.items()}
+    owners = collections.defaultdict(list)
+    for i, bag in bags.items():
+        for s in bag:
+            owners[s].append(i)
+    root = {i: i for i in docs}
+
+    def find(i):
+        while root[i] != i:
+            i = root[i]
+        return i
+
+    near = 0
+    for a, b in {(a, b) for ids in owners.values() for k, a in enumerate(ids) for b in ids[k + 1 :]}:
+        x, y = bags[a], bags[b]
+        if sum((x & y).values()) / sum((x | y).values()) >= 0.8 - 1e-9:
+            near += x != y
+            a, b = sorted((find(a), find(b)))
+            root[b] = a
+    for a, b in ((a, b) for a in docs for b in docs if a < b and not bags[a] and not bags[b] and (docs[a] or "").strip() == (docs[b] or "").strip()):
+        a, b = sorted((find(a), find(b)))
+        root[b] = a
+    got = {x.doc_id: x.group_id for x in minhash.near_duplicates(load(spark, "/root/testdata/sf0.01", "documents")).collect()}
+    assert near > 10 and got == {i: find(i) for i in docs}
+
+
 def test_one_id_with_several_texts(spark):
     a, b = " ".join(f"a{i}" for i in range(40)), " ".join(f"b{i}" for i in range(40))
     rows = [(1, a), (2, b), (5, a), (5, b), (7, " ".join(f"c{i}" for i in range(40))), (None, a), (None, "d e f g h i j")]
