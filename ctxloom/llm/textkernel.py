@@ -63,8 +63,8 @@ def flat_bytes(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return data, offsets - offsets[0]
 
 
-def slices(batches: Iterator[pa.RecordBatch], most: int = 3 << 20, column: int = 1) -> Iterator[pa.RecordBatch]:
-    """Batches cut so that each holds a few MB of text (in the given column), or one row."""
+def slices(batches: Iterator[pa.RecordBatch], most: int = 1 << 20, column: int = 1) -> Iterator[pa.RecordBatch]:
+    """Batches cut so that each holds about ``most`` bytes of text (in the given column), or one row."""
     for batch in batches:
         sizes = np.cumsum(pc.fill_null(pc.binary_length(batch.column(column)), 0).to_numpy(zero_copy_only=False) + 64)
         a = 0
