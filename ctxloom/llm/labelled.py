@@ -9,7 +9,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ctxloom.llm.textkernel import slices, tidy
+from ctxloom.llm.textkernel import slices, tidy, without
 from ctxloom.session import materialise
 
 #: Most features of a training sample that reach the driver; rows beyond it, in order of a hash of doc_id, are left out of the sample.
@@ -78,15 +78,20 @@ def row_sums(values: np.ndarray, starts: np.ndarray) -> np.ndarray:
 
 
 def keep_rows(docs: DataFrame, accept: Callable[[pa.Array], np.ndarray]) -> DataFrame:
-    """The documents whose text is accepted, each decided by its own text, with all their columns: one narrow pass, no shuffle."""
-    columns = docs.columns
-    place = columns.index("text")
+    """The documents whose text is accepted, each decided by its own text, with all their columns.
+
+    Texts go to the kernel and do not come back: it names the rows that go, by doc_id and a hash of the text, and all others
+    pass where they are (:func:`ctxloom.llm.textkernel.without`)."""
+    digest = F.xxhash64("text").alias("h")
+    kind = docs.schema["doc_id"].dataType.simpleString()
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in slices(batches, column=place):
-            yield batch.filter(pa.array(accept(batch.column(place)), pa.bool_()))
+        for batch in slices(batches):
+            gone = pa.array(~accept(batch.column(1)), pa.bool_())
+            yield pa.RecordBatch.from_arrays([batch.column(0).filter(gone), batch.column(2).filter(gone)], names=["doc_id", "h"])
 
-    return docs.mapInArrow(tidy(kernel), docs.schema)
+    gone = docs.select("doc_id", "text", digest).mapInArrow(tidy(kernel), f"doc_id {kind}, h long").distinct()
+    return without(docs, [F.col("doc_id"), F.xxhash64("text")], materialise(gone, "gone"))
 
 
 SCORED = "doc_id long, held_out boolean, score double, predicted int"

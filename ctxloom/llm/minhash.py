@@ -269,16 +269,9 @@ def near_duplicates(docs: DataFrame, similarity: float = SIMILARITY) -> DataFram
 
 
 def without_copies(docs: DataFrame, similarity: float = SIMILARITY) -> DataFrame:
-    """The documents of every group's least id, with all their columns. Rows of one id, and rows without one, stay or go together.
-
-    Most documents stay, so texts are not shuffled to find out: a bitmap of the ids that go (textkernel.FILTER_BITS bits) lets all
-    others pass where they are, and only the few it marks are compared with the ids that go by an exact join."""
-    gone = materialise(near_duplicates(docs, similarity).groupBy(F.col("doc_id").alias("gone_id")).agg(F.max("keep").alias("k")).where("not k").select("gone_id"), "gone")
-    marked = K.marked(docs, [F.col("doc_id").cast("long")], gone, ["gone_id"])
-    passed = marked.where("not __mark").select(*docs.columns)
-    suspects = marked.where("__mark")
-    kept = suspects.join(gone, suspects["doc_id"].eqNullSafe(gone["gone_id"]), "left_anti").select(*docs.columns)
-    return passed.unionByName(kept)
+    """The documents of every group's least id, with all their columns. Rows of one id, and rows without one, stay or go together."""
+    gone = near_duplicates(docs, similarity).groupBy(F.col("doc_id").alias("gone_id")).agg(F.max("keep").alias("k")).where("not k").select("gone_id")
+    return K.without(docs, [F.col("doc_id").cast("long")], materialise(gone, "gone"))
 
 
 def op5_bagminhash(spark: SparkSession, sf_dir: str) -> DataFrame:

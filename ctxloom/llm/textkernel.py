@@ -195,3 +195,18 @@ def may_match(rows: DataFrame, keys: list[str], wanted: DataFrame) -> DataFrame:
     """Rows whose keys may be in ``wanted``, by the bitmap, so that few others are shuffled for the exact join that follows; a
     semi-join here would be moved below the bitmap by the optimiser."""
     return marked(rows, keys, wanted, keys).where("__mark").select(*rows.columns)
+
+
+def without(docs: DataFrame, keys: list, gone: DataFrame) -> DataFrame:
+    """The documents whose keys (expressions) are not in ``gone`` (a column for each key, in order); null is a value.
+
+    Most documents stay, so texts are not shuffled to find out: the bitmap lets all but a few pass where they are, and only
+    those it marks are compared with ``gone`` by an exact join."""
+    names = gone.columns
+    met = marked(docs.select("*", *[k.alias(f"__key{i}") for i, k in enumerate(keys)]), [F.col(f"__key{i}") for i in range(len(keys))], gone, names)
+    passed = met.where("not __mark").select(*docs.columns)
+    suspects, named = met.where("__mark"), gone.select(*[F.col(n).alias(f"__gone{i}") for i, n in enumerate(names)])
+    same = F.lit(True)
+    for i in range(len(keys)):
+        same = same & F.col(f"__key{i}").eqNullSafe(F.col(f"__gone{i}"))
+    return passed.unionByName(suspects.join(named, same, "left_anti").select(*docs.columns))
