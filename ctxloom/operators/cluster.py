@@ -26,7 +26,8 @@ from ctxloom.session import schema_with
 def _cells(f: Flat, spec: Context, m: int) -> tuple[np.ndarray, np.ndarray]:
     """Model cell of each counted symbol, and its sequence."""
     ctx, valid = spec.codes(f, m)
-    return (ctx * m + f.codes)[valid], f.owner()[valid]
+    cell, owner = ctx * m + f.codes, f.owner()
+    return (cell, owner) if valid.all() else (cell[valid], owner[valid])
 
 
 def _costs(cell: np.ndarray, owner: np.ndarray, bits: np.ndarray, sequences: int) -> np.ndarray:

@@ -16,7 +16,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from ctxloom.operators.contexts import Context
-from ctxloom.operators.stream import Flat, Stream, pieces
+from ctxloom.operators.stream import SLICE_SYMBOLS, Flat, Stream, pieces, syms_array, syms_type
 from ctxloom.session import schema_with
 
 TOTAL_BITS = 14
@@ -73,6 +73,76 @@ class Decoder:
             self.at += 1
 
 
+def encode_reads(start: np.ndarray, freq: np.ndarray, offsets: np.ndarray, bits: int = TOTAL_BITS) -> pa.Array:
+    """What :func:`encode_read` makes of each of many reads, given end to end. All reads advance together, the longest first."""
+    start, freq, size = start.astype(np.uint32), freq.astype(np.uint32), np.diff(offsets)
+    order = np.argsort(-size, kind="stable")
+    last = offsets[1:][order] - 1
+    # a symbol gives two bytes at most, and a read's bytes are written from its end
+    room = np.concatenate([[0], np.cumsum(2 * size[order] + 4)])
+    out, at, state = np.empty(room[-1], np.uint8), room[1:].copy(), np.full(len(order), _LOW, np.uint32)
+    shift, mask = np.uint32((_LOW >> bits << 8).bit_length() - 1), np.uint32(0xFF)
+    for t, live in enumerate(_live(size[order])):
+        f, s, x = freq[last[:live] - t], start[last[:live] - t], state[:live]
+        limit = f << shift
+        full = np.flatnonzero(x >= limit)
+        while len(full):
+            at[full] -= 1
+            out[at[full]] = x[full] & mask
+            x[full] >>= np.uint32(8)
+            full = full[x[full] >= limit[full]]
+        q = x // f
+        state[:live] = (q << np.uint32(bits)) + (x - q * f) + s
+    for k in range(4):
+        at -= 1
+        out[at] = state >> np.uint32(8 * k) & mask
+    back = np.empty_like(order)
+    back[order] = np.arange(len(order))
+    length, at = (room[1:] - at)[back], at[back]
+    ends = np.concatenate([[0], np.cumsum(length)])
+    data = out[np.repeat(at - ends[:-1], length) + np.arange(ends[-1])]
+    return pa.Array.from_buffers(pa.binary(), len(order), [None, pa.py_buffer(ends.astype(np.int32)), pa.py_buffer(data)])
+
+
+def decode_reads(payload: pa.Array, model: np.ndarray, n: np.ndarray, order: int, m: int, freqs: np.ndarray, starts: np.ndarray, bits: int = TOTAL_BITS) -> np.ndarray:
+    """Symbols (int32, end to end) of reads of ``n`` symbols, coded under models with Previous(order, 'pad') contexts."""
+    payload = payload.cast(pa.large_binary())
+    ends = np.frombuffer(payload.buffers()[1], np.int64)[payload.offset : payload.offset + len(payload) + 1]
+    data = np.frombuffer(payload.buffers()[2] or b"", np.uint8)
+    contexts, begin, by_size = (m + 1) ** order, np.cumsum(n) - n, np.argsort(-n, kind="stable")
+    at, end, begin, row = ends[:-1][by_size], ends[1:][by_size], begin[by_size], model[by_size] * contexts
+    out, ctx, state = np.empty(int(n.sum()), np.int32), np.full(len(n), contexts - 1), np.zeros(len(n), np.int64)
+    for _ in range(4):
+        state, at = state << 8 | data[at], at + 1
+    # a symbol is found by halving; places beyond the last symbol begin beyond every slot
+    width = 1 << (m - 1).bit_length()
+    table = np.full((starts.shape[0] * contexts, width), 1 << bits, np.int64)
+    table[:, :m] = starts[..., :-1].reshape(-1, m)
+    table, freq = table.ravel(), freqs.reshape(-1)
+    for t, live in enumerate(_live(n[by_size])):
+        cell, s = row[:live] + ctx[:live], state[:live]
+        slot, x, step = s & ((1 << bits) - 1), np.zeros(live, np.int64), width >> 1
+        while step:
+            x += step * (table[cell * width + x + step] <= slot)
+            step >>= 1
+        s = freq[cell * m + x] * (s >> bits) + slot - table[cell * width + x]
+        short = np.flatnonzero((s < _LOW) & (at[:live] < end[:live]))
+        while len(short):
+            s[short] = s[short] << 8 | data[at[short]]
+            at[short] += 1
+            short = short[(s[short] < _LOW) & (at[short] < end[short])]
+        state[:live] = s
+        out[begin[:live] + t] = x
+        if order:
+            ctx[:live] = ctx[:live] * (m + 1) % contexts + x
+    return out
+
+
+def _live(size: np.ndarray) -> list[int]:
+    """How many reads, sorted from the longest, have a symbol at each place."""
+    return np.searchsorted(-size, -np.arange(int(size[0]) if len(size) else 0), "left").tolist()
+
+
 def _one(codes: list[int]) -> Flat:
     return Flat(np.array(codes, np.int64), np.array([0, len(codes)]), np.zeros(1, np.int64), np.zeros(1, np.int64))
 
@@ -89,7 +159,7 @@ def encode(stream: Stream, spec: Context, bits: np.ndarray, model_of: DataFrame
     m, flat, ids = stream.m, stream.flat, list(stream.ids)
     freqs = np.stack([quantize_freqs(2.0**-b) for b in bits])
     starts = np.concatenate([np.zeros((*freqs.shape[:2], 1), np.int64), np.cumsum(freqs, axis=2)], axis=2)
-    ideal = TOTAL_BITS - np.log2(freqs)
+    ideal, first = TOTAL_BITS - np.log2(freqs), starts[..., :-1].ravel()
     schema = schema_with(_id_schema(stream), "read_no int, model_id int, n int, payload binary")
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -98,37 +168,29 @@ def encode(stream: Stream, spec: Context, bits: np.ndarray, model_of: DataFrame
             ctx, valid = spec.codes(f, m)
             if not valid.all():
                 raise ValueError("this context leaves symbols without a distribution")
-            chosen, data = [], []
-            for a, b in zip(f.starts[:-1], f.starts[1:]):
-                c, x = ctx[a:b], f.codes[a:b]
-                j = int(np.round(ideal[:, c, x].sum(axis=1), 9).argmin())
-                chosen.append(j)
-                data.append(encode_read(list(zip(starts[j, c, x].tolist(), freqs[j, c, x].tolist()))))
+            owner, cell = f.owner(), ctx * m + f.codes
+            cost = np.stack([np.bincount(owner, table[cell], len(f.row)) for table in ideal.reshape(len(bits), -1)], axis=1)
+            chosen = np.round(cost, 9).argmin(axis=1)
+            cell += (chosen * freqs[0].size)[owner]
+            data = encode_reads(first[cell], freqs.ravel()[cell], f.starts)
             cols = [batch.column(k).take(pa.array(f.row)) for k in ids]
-            yield pa.RecordBatch.from_arrays([*cols, pa.array(f.nth, pa.int32()), pa.array(chosen, pa.int32()), pa.array(f.size, pa.int32()), pa.array(data, pa.binary())], names=schema.names)
+            yield pa.RecordBatch.from_arrays([*cols, pa.array(f.nth, pa.int32()), pa.array(chosen, pa.int32()), pa.array(f.size, pa.int32()), data], names=schema.names)
 
     return stream.select(*ids).mapInArrow(kernel, schema)
 
 
-def decode(container: DataFrame, ids: list[str], order: int, m: int, bits: np.ndarray) -> DataFrame:
-    """ids, read_no, syms of a container coded with Previous(order, 'pad') contexts."""
+def decode(container: DataFrame, ids: list[str], order: int, m: int, bits: np.ndarray, digits: bool = False) -> DataFrame:
+    """ids, read_no, syms of a container coded with Previous(order, 'pad') contexts; ``digits`` as in :meth:`Stream.frame`."""
     freqs = np.stack([quantize_freqs(2.0**-b) for b in bits])
     starts = np.concatenate([np.zeros((*freqs.shape[:2], 1), np.int64), np.cumsum(freqs, axis=2)], axis=2)
-    schema = schema_with(T.StructType([container.schema[c] for c in ids]), "read_no int, syms array<int>")
+    schema = schema_with(T.StructType([container.schema[c] for c in ids]), f"read_no int, syms {syms_type(m, digits)}")
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            out = []
-            for j, n, data in zip(*(batch.column(c).to_pylist() for c in ("model_id", "n", "payload"))):
-                d, past, syms = Decoder(data), [m] * order, []
-                for _ in range(n):
-                    c = sum(v * (m + 1) ** k for k, v in enumerate(past))
-                    x = int(np.searchsorted(starts[j, c], d.slot(TOTAL_BITS), "right")) - 1
-                    d.advance(int(starts[j, c, x]), int(freqs[j, c, x]), TOTAL_BITS)
-                    syms.append(x)
-                    past = [x, *past[:-1]] if order else past
-                out.append(syms)
-            yield pa.RecordBatch.from_arrays([*[batch.column(c) for c in ids], batch.column("read_no"), pa.array(out, pa.list_(pa.int32()))], names=schema.names)
+        for batch in pieces(batches, SLICE_SYMBOLS):
+            model, n = (batch.column(c).to_numpy().astype(np.int64) for c in ("model_id", "n"))
+            syms = decode_reads(batch.column("payload"), model, n, order, m, freqs, starts)
+            back = syms_array(syms, np.concatenate([[0], np.cumsum(n)]), digits)
+            yield pa.RecordBatch.from_arrays([*[batch.column(c) for c in ids], batch.column("read_no"), back], names=schema.names)
 
     return container.select(*ids, "read_no", "model_id", "n", "payload").mapInArrow(kernel, schema)
 

@@ -21,14 +21,24 @@ class Context(Protocol):
         """Context code of each symbol, and whether it counts."""
 
 
-def lagged(f: Flat, lag: int, fill: int = 0) -> tuple[np.ndarray, np.ndarray]:
-    """The value ``lag`` places before, and whether there is one in the same sequence."""
-    has = f.position() >= lag
+def heads(f: Flat, places: int) -> np.ndarray:
+    """Where the first ``places`` symbols of each sequence are (without a pass over all symbols)."""
+    size, begin = f.size, f.starts[:-1]
+    found = [begin[size > j] + j for j in range(min(places, int(size.max(initial=0))))]
+    return np.concatenate(found) if found else np.zeros(0, np.int64)
+
+
+def _shifted(f: Flat, lag: int, fill: int) -> np.ndarray:
     out = np.full(len(f.codes), fill, np.int64)
     if lag < len(f.codes):
         out[lag:] = f.codes[:-lag] if lag else f.codes
-    out[~has] = fill
-    return out, has
+    out[heads(f, lag)] = fill
+    return out
+
+
+def lagged(f: Flat, lag: int, fill: int = 0) -> tuple[np.ndarray, np.ndarray]:
+    """The value ``lag`` places before, and whether there is one in the same sequence."""
+    return _shifted(f, lag, fill), f.position() >= lag
 
 
 @dataclass(frozen=True)
@@ -47,15 +57,14 @@ class Previous:
 
     def codes(self, f: Flat, m: int) -> tuple[np.ndarray, np.ndarray]:
         base = m + 1 if self.head == "pad" else m
-        ctx, position = np.zeros(len(f.codes), np.int64), f.position()
+        ctx, valid = np.zeros(len(f.codes), np.int64), np.ones(len(f.codes), bool)
         for lag in range(1, self.order + 1):
-            value, _ = lagged(f, lag, m if self.head == "pad" else 0)
-            ctx += value * base ** (lag - 1)
-        valid = position >= self.start
-        if self.head == "skip":
-            valid &= position >= self.order
-        elif self.head == "backoff":
-            offset = m**self.order
+            value = _shifted(f, lag, m if self.head == "pad" else 0)
+            value *= base ** (lag - 1)
+            ctx += value
+        valid[heads(f, max(self.start, self.order if self.head == "skip" else 0))] = False
+        if self.head == "backoff":
+            offset, position = m**self.order, f.position()
             for k in range(self.order - 1, -1, -1):
                 ctx[position == k] += offset
                 offset += m**k

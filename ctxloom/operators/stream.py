@@ -104,22 +104,35 @@ class Stream:
         """Only what a kernel needs: the payload first, then the columns."""
         return self.df.select(self.payload, *[c for c in columns if c != self.payload])
 
-    def frame(self) -> DataFrame:
-        """One row a sequence: ids, read_no, syms array<int>."""
+    def frame(self, digits: bool = False) -> DataFrame:
+        """One row a sequence: ids, read_no, syms array<int>, or a string of one digit a symbol (a quarter of the bytes; for m up to 10)."""
         keep = [c for c in self.ids if c != self.payload]
-        schema = schema_with(T.StructType([self.df.schema[c] for c in keep]), "read_no int, syms array<int>")
+        schema = schema_with(T.StructType([self.df.schema[c] for c in keep]), f"read_no int, syms {syms_type(self.m, digits)}")
         flat = self.flat
 
         def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for batch in pieces(batches):
                 f = flat(batch.column(0))
-                syms = pa.ListArray.from_arrays(pa.array(f.starts, pa.int32()), pa.array(f.codes, pa.int32()))
+                syms = syms_array(f.codes, f.starts, digits)
                 cols = [batch.column(i + 1).take(pa.array(f.row)) for i in range(len(keep))]
                 yield pa.RecordBatch.from_arrays([*cols, pa.array(f.nth, pa.int32()), syms], names=[*keep, "read_no", "syms"])
 
         return self.select(*keep).mapInArrow(kernel, schema)
 
 
+def syms_type(m: int, digits: bool) -> str:
+    if digits and m > 10:
+        raise ValueError("digits stand for ten symbols at most")
+    return "string" if digits else "array<int>"
+
+
+def syms_array(codes: np.ndarray, starts: np.ndarray, digits: bool) -> pa.Array:
+    """Sequences, given end to end, as lists or as strings of digits."""
+    if digits:
+        return pa.StringArray.from_buffers(len(starts) - 1, pa.py_buffer(starts.astype(np.int32)), pa.py_buffer((codes + 48).astype(np.uint8)))
+    return pa.ListArray.from_arrays(pa.array(starts, pa.int32()), pa.array(codes, pa.int32()))
+
+
 def _cut(codes: np.ndarray, size: np.ndarray, length: int, keep_tail: bool) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     whole = size // length
     rest = size - whole * length

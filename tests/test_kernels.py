@@ -237,6 +237,35 @@ def test_coder_round_trip_and_size():
     assert Z.quantization_loss(p, np.ones(1)) < 0.001
 
 
+def test_reads_coded_in_step_give_the_same_bytes():
+    r = np.random.default_rng(6)
+    for m, order, models in ((4, 2, 2), (42, 1, 3), (5, 0, 2), (1, 1, 1)):
+        freqs = np.stack([Z.quantize_freqs(r.dirichlet(np.full(m, 0.3), (m + 1) ** order)) for _ in range(models)])
+        starts = np.concatenate([np.zeros((*freqs.shape[:2], 1), np.int64), np.cumsum(freqs, axis=2)], axis=2)
+        f, model = flat(*[r.integers(0, m, n).tolist() for n in (0, 101, 3, 101, 1, 700, 0)]), r.integers(0, models, 7)
+        ctx, _ = X.Previous(order, "pad").codes(f, m)
+        cell = np.repeat(model, f.size), ctx, f.codes
+        got = Z.encode_reads(starts[cell], freqs[cell], f.starts)
+        assert got.to_pylist() == [Z.encode_read(list(zip(starts[cell][a:b].tolist(), freqs[cell][a:b].tolist()))) for a, b in zip(f.starts, f.starts[1:])]
+        assert (Z.decode_reads(got, model, f.size, order, m, freqs, starts) == f.codes).all()
+        assert (Z.decode_reads(got.slice(2), model[2:], f.size[2:], order, m, freqs, starts) == f.codes[101:]).all()
+
+
+def test_many_reads_are_coded_faster_than_one_by_one():
+    import time
+
+    r = np.random.default_rng(7)
+    q = Z.quantize_freqs(r.dirichlet(np.full(4, 0.5), 5))
+    start, codes, offsets = np.cumsum(q, axis=1) - q, r.integers(0, 4, 404_000), np.arange(0, 404_001, 101)
+    began = time.perf_counter()
+    data = Z.encode_reads(start[0, codes], q[0, codes], offsets)
+    took = time.perf_counter() - began
+    one = [(int(start[0, x]), int(q[0, x])) for x in codes[:40_400]]
+    began = time.perf_counter()
+    assert [Z.encode_read(one[a : a + 101]) for a in range(0, 40_400, 101)] == data[:400].to_pylist()
+    assert took < 2 * (time.perf_counter() - began)  # ten times as many
+
+
 def test_adaptive_coder_mirrors():
     x = markov(np.random.default_rng(4), [[0.9, 0.1], [0.3, 0.7]], 2000)
     ctx, _ = X.Previous(1, "pad").codes(flat(x), 2)
