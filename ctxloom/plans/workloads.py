@@ -395,9 +395,9 @@ def w18_round_trip(spark: SparkSession, sf_dir: str) -> DataFrame:
     spec = Previous(2, "pad")
     found = K.cluster_models(stream, spec, 2, init="spread", max_iter=4)
     coded = materialise(Z.encode(stream, spec, found.bits()), "container")
-    back = Z.decode(coded, ["doc_id"], 2, 4, found.bits())
+    back = Z.decode(coded, ["doc_id"], 2, 4, found.bits(), True)
     side = lambda df, sign: df.select("doc_id", "read_no", "syms", F.lit(sign).alias("side"))
-    left = side(stream.frame(), 1).unionByName(side(back, -1)).groupBy("doc_id", "read_no", "syms").agg(F.sum(F.greatest("side", F.lit(0))).alias("reads"), F.sum("side").alias("over"))
+    left = side(stream.frame(digits=True), 1).unionByName(side(back, -1)).groupBy("doc_id", "read_no", "syms").agg(F.sum(F.greatest("side", F.lit(0))).alias("reads"), F.sum("side").alias("over"))
     total = lambda c: F.coalesce(F.sum(c), F.lit(0)).cast("long")
     wrong = left.agg(total("reads").alias("reads"), F.greatest(total(F.greatest("over", F.lit(0))), total(F.greatest(-F.col("over"), F.lit(0)))).alias("wrong"))
     size = coded.agg(F.sum(F.length("payload") * 8).alias("payload_bits"))

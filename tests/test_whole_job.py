@@ -29,6 +29,16 @@ def test_round_trip_codes_every_symbol(spark, tmp_path, monkeypatch):
     assert W.w18_round_trip(spark, sf).first().wrong == 1
 
 
+def test_round_trip_compares_short_strings(spark, tmp_path, monkeypatch):
+    sf = folder(spark, tmp_path, [(1, "ab c1 " * 50, "en"), (2, "tail 9", "en"), (2, "tail 8", "en")])
+    seen, decode = [], Z.decode
+    monkeypatch.setattr(Z, "decode", lambda *a: seen.append(decode(*a)) or seen[0])
+    assert W.w18_round_trip(spark, sf).first()[:2] == (5, 0)
+    assert dict(seen[0].dtypes)["syms"] == "string"  # not four bytes a symbol through the shuffle
+    digits = T.class4(spark, sf).cut(101, "keep").frame(digits=True).collect()
+    assert sorted(r.syms for r in digits) == sorted("".join(map(str, r.syms)) for r in T.class4(spark, sf).cut(101, "keep").frame().collect())
+
+
 def test_soft_machine_reads_the_whole_stream(spark, tmp_path):
     sf = folder(spark, tmp_path, [(i, ("aeiou " if i % 2 else "bcd 1 ") * 5 * (1 + i), "en") for i in range(8)], ("conversations", "events"))
     got = W.w7_soft_machine(spark, sf).where("stream = 'class4'").first()
