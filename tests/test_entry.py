@@ -32,6 +32,16 @@ def test_same_rows_as_sql(spark, name):
     assert sorted(got.columns) == sorted(want.columns) and plain(got) == plain(want)
 
 
+def test_half_lives_come_from_a_table(spark, tmp_path):
+    texts = ["x" * 9, "y" * 8, "é" * 7, "ab", "c", "", None]
+    spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    got = entry.queries()["half_life_table"](spark, str(tmp_path)).toPandas()
+    assert {(r.rate, r.docs) for r in got.itertuples()} == {(3, 2), (2, 1), (1, 1)} and got.half_life[got.rate == 1].tolist() == [1.0]
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW documents AS SELECT * FROM '{tmp_path}/documents.parquet/*.parquet'")
+    assert plain(con.execute(entry.oracle_sql()["half_life_table"]).df()) == plain(got)
+
+
 def test_sql_belongs_to_queries():
     assert set(entry.oracle_sql()) <= set(entry.queries())
 
