@@ -19,7 +19,7 @@ from ctxloom.operators import merge as M
 from ctxloom.operators import nested as N
 from ctxloom.operators import rates as R
 from ctxloom.operators.contexts import Binned, From, LowBits, Position, Previous, Product, handmade
-from ctxloom.operators.soft import SoftMachine, harden
+from ctxloom.operators.soft import SoftMachine, harden, sheets
 from ctxloom.operators.stream import Stream, array_stream, text_stream
 from ctxloom.plans import streams as T
 from ctxloom.session import load, materialise
@@ -179,14 +179,17 @@ def w6_counters(spark: SparkSession, sf_dir: str) -> DataFrame:
 def w7_soft_machine(spark: SparkSession, sf_dir: str) -> DataFrame:
     """stream, states, soft_bpv, hard_bpv, order0_bpv, order1_bpv: learnt machines on all class reads, a deterministic and a null stream."""
     whole = T.class4(spark, sf_dir)
-    # a small table may come as one partition: each pass is spread over all cores
-    whole = whole.with_df(whole.df.select(whole.payload).repartition(max(spark.sparkContext.defaultParallelism, whole.df.rdd.getNumPartitions()))).cut(101, "keep")
+    cores = spark.sparkContext.defaultParallelism
+    if whole.df.rdd.getNumPartitions() < cores:  # a small table may come as one partition: each pass is spread over all cores
+        whole = whole.with_df(whole.df.select(whole.payload).repartition(cores))
+    whole = whole.cut(101, "keep")
     rows = []
     for name, stream, states in (("class4", whole, 4), ("role3", T.role3(spark, sf_dir), 3), ("ev5", T.ev5(spark, sf_dir), 2)):
         stream = stream.with_df(materialise(stream.df.select(stream.payload), "soft"))
-        soft = SoftMachine(states, stream.m, seed=1, jitter=0.3).fit(stream, 25, 0.3)
+        words = sheets(stream)
+        soft = SoftMachine(states, stream.m, seed=1, jitter=0.3).fit(words, 25, 0.3)
         n = R.rate(C.count_windows(stream, Previous(0))).first()
-        table = harden(soft, stream, refit=1)  # one transition a time
+        table = harden(soft, words, refit=1)  # one transition a time
         hard = R.rate(H.count_states(stream, table)).first()["bpv"]
         one = R.rate(C.count_windows(stream, Previous(1, "pad"))).first()["bpv"]
         rows.append((name, states, round(-max(soft.history) / math.log(2) / n["n"], 6), hard, n["bpv"], one))

@@ -18,7 +18,7 @@ from ctxloom.operators import merge as M
 from ctxloom.operators import nested as N
 from ctxloom.operators import rates as R
 from ctxloom.operators import contexts as X
-from ctxloom.operators.soft import SoftMachine, harden
+from ctxloom.operators.soft import SoftMachine, harden, sheets
 from ctxloom.operators.stream import array_stream, text_stream
 from ctxloom.plans import streams as T
 from tests.helpers import flat, markov, stream_of
@@ -202,6 +202,20 @@ def test_soft_machine_learns_a_deterministic_successor(spark):
     assert SoftMachine(2, 3, emission="estimated", start="uniform").fit(s, 3).history[-1] <= 0
 
 
+def test_soft_machine_over_words(spark):
+    r = np.random.default_rng(9)
+    for m, states in ((4, 4), (3, 1), (42, 2)):
+        s = stream_of(spark, [r.integers(0, m, n).tolist() for n in (0, 101, 7, 8, 9, 1, 300, 16)] + [None], m).cut(101, "keep")
+        words = sheets(s)
+        for emission in ("free", "estimated"):
+            new = lambda: SoftMachine(states, m, emission, seed=3, jitter=0.7)
+            for got, want in zip(new().evaluate(words)[:3], new().evaluate(s)[:3]):
+                assert np.allclose(got, want, atol=1e-8)
+            assert np.isclose(new().evaluate(words, False)[0], new().evaluate(s)[0])
+            assert np.allclose(new().fit(words, 3).history, new().fit(s, 3).history)
+    assert sheets(s.where("id < 0")).df.count() == 0 and SoftMachine(2, 42).evaluate(sheets(s.where("id < 0")))[0] == 0
+
+
 def test_long_blocks(spark):
     s = stream_of(spark, [[0, 1, 2], [], [3, 3], [1, 1, 1, 1, 2]], 4)
     got = rows(A.long_blocks(s, 4, "id", 2), "block_no", "syms")
