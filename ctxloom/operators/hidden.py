@@ -26,6 +26,8 @@ from ctxloom.operators.stream import Flat, Stream, pieces
 PIECE = 2048
 #: Machines of at most so many states are run from all of them where they never forget where they began.
 MAP_STATES = 64
+#: The starts of at most so many chunks are sent to the chunks; of more, both are joined by a shuffle.
+FEW_CHUNKS = 1 << 20
 
 
 @functools.lru_cache(maxsize=64)
@@ -75,8 +77,27 @@ def _in_step(codes: np.ndarray, begin: np.ndarray, size: np.ndarray, state: np.n
     return back
 
 
-def run_machine(f: Flat, table: np.ndarray, start: int = 0) -> np.ndarray:
-    """State under which each symbol is coded. All sequences advance together, place by place.
+def _cut_pieces(f: Flat) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Owner, number, begin and length of the pieces of all sequences."""
+    n = np.maximum(1, -(-f.size // PIECE))
+    owner = np.repeat(np.arange(len(n)), n)
+    nth = np.arange(len(owner)) - np.repeat(np.cumsum(n) - n, n)
+    return owner, nth, f.starts[:-1][owner] + nth * PIECE, np.minimum(f.size[owner] - nth * PIECE, PIECE)
+
+
+def sequence_maps(f: Flat, table: np.ndarray) -> np.ndarray:
+    """(sequences, states): the state behind each sequence by the state before it."""
+    owner, nth, at, length = _cut_pieces(f)
+    maps = _in_step(f.codes, at, length, np.tile(np.arange(len(table)), (len(owner), 1)), table, None)
+    out = np.tile(np.arange(len(table)), (len(f.size), 1))
+    for k in range(int(nth.max(initial=-1)) + 1):
+        own = np.flatnonzero(nth == k)
+        out[owner[own]] = np.take_along_axis(maps[own], out[owner[own]], axis=1)
+    return out
+
+
+def run_machine(f: Flat, table: np.ndarray, start: int | np.ndarray = 0) -> np.ndarray:
+    """State under which each symbol is coded. All sequences advance together, place by place; ``start`` may be one a sequence.
 
     Long sequences are cut into pieces, so that the longest one does not set the pace: of a machine that forgets after d
     symbols a piece begins d symbols early; of another with few states all pieces are mapped from every state first, and
@@ -85,23 +106,21 @@ def run_machine(f: Flat, table: np.ndarray, start: int = 0) -> np.ndarray:
     table = np.ascontiguousarray(table, np.int64)
     out = np.zeros(len(f.codes), np.int64)
     size, begin = f.size, f.starts[:-1]
+    start = np.full(len(size), start, np.int64)
     if int(size.max(initial=0)) <= 2 * PIECE:
-        _in_step(f.codes, begin, size, np.full(len(size), start, np.int64), table, out)
+        _in_step(f.codes, begin, size, start, table, out)
         return out
     halo = memory(table)
     if halo is None and len(table) > MAP_STATES:
-        _in_step(f.codes, begin, size, np.full(len(size), start, np.int64), table, out)
+        _in_step(f.codes, begin, size, start, table, out)
         return out
-    n = np.maximum(1, -(-size // PIECE))
-    owner = np.repeat(np.arange(len(size)), n)
-    nth = np.arange(len(owner)) - np.repeat(np.cumsum(n) - n, n)
-    at, length = begin[owner] + nth * PIECE, np.minimum(size[owner] - nth * PIECE, PIECE)
+    owner, nth, at, length = _cut_pieces(f)
     if halo is not None:
         lead = np.minimum(nth * PIECE, halo)
-        _in_step(f.codes, at - lead, length + lead, np.full(len(owner), start, np.int64), table, out, lead)
+        _in_step(f.codes, at - lead, length + lead, start[owner], table, out, lead)
         return out
     maps = _in_step(f.codes, at, length, np.tile(np.arange(len(table)), (len(owner), 1)), table, None)
-    starts = np.full(len(owner), start, np.int64)
+    starts = start[owner]
     for i in np.flatnonzero(nth > 0):
         starts[i] = maps[i - 1, starts[i - 1]]
     _in_step(f.codes, at, length, starts, table, out)
@@ -144,31 +163,36 @@ def count_states(stream: Stream, table: np.ndarray, start: int = 0, skip: int =
     return C.count_windows(stream, Product((spec, extra)) if extra is not None else spec)
 
 
-def run_chunks(chunks: DataFrame, seq: str, chunk_no: str, syms: str, table: np.ndarray, start: int = 0) -> DataFrame:
-    """seq, chunk_no, syms, states for long sequences that lie in several rows, chunk after chunk. Null keys are keys.
-
-    A machine that forgets gets the end of the chunk before as a halo: only those few symbols move, by one window per
-    sequence. For another machine each chunk's map of all states goes to its sequence's group, which composes them in order
-    and returns a start a chunk; chunks then run from their true starts. Chunks shorter than the halo use maps, too.
-    """
-    table = np.ascontiguousarray(table, np.int64)
+def _chunk_starts(chunks: DataFrame, seq: str, chunk_no: str, syms: str, table: np.ndarray, start: int) -> DataFrame:
+    """seq, chunk_no, syms, lead (symbols to run through first), start. Only ends or maps of chunks meet in a sequence's task."""
     rows = chunks.select(F.col(seq).alias("seq"), F.col(chunk_no).cast("long").alias("chunk_no"), F.col(syms).alias("syms"))
+    kind, digits = rows.schema["seq"].dataType.simpleString(), _kind(rows) == "digits"
+    size, none = (F.length, F.lit("")) if digits else (F.size, F.array().cast("array<int>"))
+
+    few = rows.count() <= FEW_CHUNKS
+
+    def met(begins: DataFrame) -> DataFrame:
+        named = begins.withColumnsRenamed({"seq": "_seq", "chunk_no": "_no"})
+        named = F.broadcast(named) if few else named
+        return rows.join(named, rows["seq"].eqNullSafe(named["_seq"]) & rows["chunk_no"].eqNullSafe(named["_no"])).select("seq", "chunk_no", "syms", "lead", "start")
+
     halo, order = memory(table), Window.partitionBy("seq").orderBy("chunk_no")
     if halo is not None:
         # as many earlier chunks' ends as a window of ``halo`` symbols may need: one, where chunks are at least that long
-        shortest = rows.withColumn("last", F.lead("chunk_no").over(order).isNull()).where("not last").agg(F.min(F.size("syms"))).first()[0]
+        sizes = rows.select("seq", "chunk_no", size("syms").alias("n"))
+        shortest = sizes.withColumn("last", F.lead("chunk_no").over(order).isNull()).where("not last").agg(F.min("n")).first()[0]
         if shortest is None or shortest >= halo:
-            tail = F.slice("syms", F.greatest(F.lit(1), F.size("syms") - halo + 1), F.lit(max(halo, 1))) if halo else F.array().cast("array<int>")
-            rows = rows.withColumn("lead", F.coalesce(F.lag(tail).over(order), F.array().cast("array<int>"))).withColumn("start", F.lit(start))
-            return _run_rows(rows, table)
+            begin = F.greatest(F.lit(1), size("syms") - halo + 1)
+            end = none if not halo else F.substring("syms", begin, F.lit(halo)) if digits else F.slice("syms", begin, F.lit(halo))
+            ends = rows.select("seq", "chunk_no", end.alias("end"))
+            return met(ends.select("seq", "chunk_no", F.coalesce(F.lag("end").over(order), none).alias("lead"), F.lit(start).alias("start")))
     if len(table) > C.BROADCAST_CELLS >> 12:
         raise ValueError("too many states to map every chunk from all of them")
-    kind = rows.schema["seq"].dataType.simpleString()
+    read = Stream(None, "syms", table.shape[1], _kind(rows)).flat
 
     def to_maps(batches):
-        for batch in batches:
-            f = Stream(None, "syms", table.shape[1]).flat(batch.column(2))
-            maps = _in_step(f.codes, f.starts[:-1], f.size, np.tile(np.arange(len(table)), (len(f.size), 1)), table, None)
+        for batch in pieces(batches):
+            maps = sequence_maps(read(batch.column(2)), table)
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.ListArray.from_arrays(pa.array(np.arange(0, maps.size + 1, len(table)), pa.int32()), pa.array(maps.ravel().astype(np.int32)))], names=["seq", "chunk_no", "map"])
 
     def compose(pdf: pd.DataFrame) -> pd.DataFrame:
@@ -180,26 +204,59 @@ def run_chunks(chunks: DataFrame, seq: str, chunk_no: str, syms: str, table: np.
         return pd.DataFrame({"seq": pdf["seq"], "chunk_no": pdf["chunk_no"], "start": starts})
 
     begins = rows.mapInArrow(to_maps, f"seq {kind}, chunk_no long, map array<int>").groupBy("seq").applyInPandas(compose, f"seq {kind}, chunk_no long, start int")
-    begins = begins.select(F.col("seq").alias("_seq"), F.col("chunk_no").alias("_no"), "start")
-    met = rows.join(begins, rows["seq"].eqNullSafe(F.col("_seq")) & rows["chunk_no"].eqNullSafe(F.col("_no")))
-    return _run_rows(met.select("seq", "chunk_no", "syms", F.array().cast("array<int>").alias("lead"), "start"), table)
+    return met(begins.select("seq", "chunk_no", none.alias("lead"), "start"))
 
 
-def _run_rows(rows: DataFrame, table: np.ndarray) -> DataFrame:
-    kind = rows.schema["seq"].dataType.simpleString()
+def _kind(rows: DataFrame) -> str:
+    return "digits" if rows.schema["syms"].dataType.simpleString() == "string" else "array"
+
+
+def _states_of(batch: pa.RecordBatch, read, table: np.ndarray) -> tuple[Flat, np.ndarray]:
+    f, g = read(batch.column(2)), read(batch.column(3))
+    warm = _in_step(g.codes, g.starts[:-1], g.size, batch.column(4).to_numpy().astype(np.int64), table, None)
+    return f, run_machine(f, table, warm)
+
+
+def run_chunks(chunks: DataFrame, seq: str, chunk_no: str, syms: str, table: np.ndarray, start: int = 0) -> DataFrame:
+    """seq, chunk_no, syms, states for long sequences that lie in several rows, chunk after chunk. Null keys are keys.
+
+    A machine that forgets gets the end of the chunk before as a halo: only those few symbols move, by one window per
+    sequence. For another machine each chunk's map of all states goes to its sequence's group, which composes them in order
+    and returns a start a chunk; chunks then run from their true starts. Chunks shorter than the halo use maps, too.
+    Symbols are arrays or strings of digits (:meth:`Stream.frame`).
+    """
+    table = np.ascontiguousarray(table, np.int64)
+    rows = _chunk_starts(chunks, seq, chunk_no, syms, table, start)
+    kind, read = rows.schema["seq"].dataType.simpleString(), Stream(None, "syms", table.shape[1], _kind(rows)).flat
 
     def kernel(batches):
-        for batch in batches:
-            read = Stream(None, "syms", table.shape[1]).flat
-            f, g = read(batch.column(2)), read(batch.column(3))
-            warm = _in_step(g.codes, g.starts[:-1], g.size, batch.column(4).to_numpy().astype(np.int64), table, None)
-            out = np.zeros(len(f.codes), np.int64)
-            _in_step(f.codes, f.starts[:-1], f.size, warm, table, out)
+        for batch in pieces(batches):
+            f, out = _states_of(batch, read, table)
             states = pa.ListArray.from_arrays(pa.array(f.starts, pa.int32()), pa.array(out.astype(np.int32)))
             syms = pa.ListArray.from_arrays(pa.array(f.starts, pa.int32()), pa.array(f.codes.astype(np.int32)))
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), syms, states], names=["seq", "chunk_no", "syms", "states"])
 
-    return rows.select("seq", "chunk_no", "syms", "lead", "start").mapInArrow(kernel, f"seq {kind}, chunk_no long, syms array<int>, states array<int>")
+    return rows.mapInArrow(kernel, f"seq {kind}, chunk_no long, syms array<int>, states array<int>")
+
+
+def count_chunks(chunks: DataFrame, seq: str, chunk_no: str, syms: str, table: np.ndarray, start: int = 0, skip: int = 0) -> DataFrame:
+    """ctx (state), sym, n over :func:`run_chunks`, counted where the symbols are; the first ``skip`` places of chunks 0 do not count."""
+    table = np.ascontiguousarray(table, np.int64)
+    rows, m = _chunk_starts(chunks, seq, chunk_no, syms, table, start), table.shape[1]
+    read = Stream(None, "syms", m, _kind(rows)).flat
+
+    def kernel(batches):
+        total = np.zeros(table.size, np.int64)
+        for batch in pieces(batches):
+            f, out = _states_of(batch, read, table)
+            cell = out * m + f.codes
+            total += np.bincount(cell, minlength=table.size)
+            for i in np.flatnonzero(batch.column(1).to_numpy(zero_copy_only=False) == 0):
+                total -= np.bincount(cell[f.starts[i] : min(f.starts[i] + skip, f.starts[i + 1])], minlength=table.size)
+        at = np.flatnonzero(total)
+        yield pa.RecordBatch.from_arrays([pa.array(at // m), pa.array(at % m, pa.int32()), pa.array(total[at])], names=["ctx", "sym", "n"])
+
+    return rows.mapInArrow(kernel, "ctx long, sym int, n long").groupBy("ctx", "sym").agg(F.sum("n").alias("n"))
 
 
 def rate_states(run: DataFrame, skip: int = 0, head: str = "chunk_no = 0") -> DataFrame:

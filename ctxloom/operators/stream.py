@@ -56,6 +56,9 @@ class Reader:
             lists = payload.combine_chunks() if isinstance(payload, pa.ChunkedArray) else payload
             codes = lists.flatten().to_numpy(zero_copy_only=False).astype(np.int64)
             size = pc.fill_null(pc.list_value_length(lists), 0).to_numpy(zero_copy_only=False)
+        elif self.kind == "digits":
+            size = pc.fill_null(pc.binary_length(payload), 0).to_numpy(zero_copy_only=False).astype(np.int64)
+            codes = np.frombuffer(b"".join(x.as_buffer() for x in payload if x.is_valid), np.uint8).astype(np.int64) - 48
         else:
             texts = pc.fill_null(payload, "").to_pylist()
             points = np.frombuffer("".join(texts).encode("utf-32-le", "surrogatepass"), np.uint32)
@@ -75,7 +78,7 @@ class Stream:
     df: DataFrame
     payload: str
     m: int
-    kind: str = "array"  # or text, class
+    kind: str = "array"  # or text, class, digits (see frame)
     ids: tuple[str, ...] = ()
     read_length: int = 0
     tail: str = "drop"

@@ -174,12 +174,11 @@ def position_symbol_rate(s: SparkSession, d: str) -> DataFrame:
 def long_machines(s: SparkSession, d: str, block: int = 100_000) -> DataFrame:
     """machine, n, contexts, bpv over all documents end to end as one sequence in chunks: a packed window, which forgets, with
     halos, and run lengths, which may not, by composed maps."""
-    chunks = materialise(A.long_blocks(T.class4(s, d), block, tail="keep").withColumn("seq", F.lit(0)), "chunks")
+    chunks = materialise(A.long_blocks(T.class4(s, d), block, tail="keep", digits=True).withColumn("seq", F.lit(0)), "chunks")
     window = H.chain_transition(H.Chain(4, np.arange(4), [np.array([0, 0, 1, 1])], [4, 2]))
     out = None
     for name, table in (("window", window), ("run length", H.run_length_transition(4, 4))):
-        run = H.run_chunks(chunks, "seq", "block_no", "syms", table)
-        row = H.rate_states(run, 2).select(F.lit(name).alias("machine"), "n", "contexts", "bpv")
+        row = R.rate(H.count_chunks(chunks, "seq", "block_no", "syms", table, skip=2)).select(F.lit(name).alias("machine"), "n", "contexts", "bpv")
         out = row if out is None else out.unionByName(row)
     return out
 

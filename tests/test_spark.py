@@ -347,6 +347,25 @@ def test_chunks_of_long_sequences(spark):
     assert H.rate_states(run, 2).first().n == sum(len(x) for x in seqs.values()) - 3  # heads of one symbol
 
 
+def test_chunks_as_digits_are_counted_where_they_are(spark):
+    x = np.random.default_rng(8).integers(0, 4, 9000)
+    window = H.chain_transition(H.Chain(4, np.arange(4), [np.array([0, 0, 1, 1])], [4, 2]))
+    for size in (5000, 9000, 1):
+        part = x[:200] if size == 1 else x
+        rows_ = [(0, i // size, part[i : i + size].tolist()) for i in range(0, len(part), size)]
+        df = spark.createDataFrame(rows_, "k int, no int, x array<int>").repartition(3)
+        digits = df.withColumn("x", F.array_join(F.col("x").cast("array<string>"), ""))
+        for table in (window, H.run_length_transition(4, 4), H.counter_transition(4, 40)):
+            want = H.rate_states(H.run_chunks(df, "k", "no", "x", table), 2 if size > 1 else 0).collect()
+            assert R.rate(H.count_chunks(digits, "k", "no", "x", table, skip=2 if size > 1 else 0)).collect() == want
+    s = stream_of(spark, [[0, 1, 2], [], [3, 3], [1, 1, 1, 1, 2]], 4)
+    assert rows(A.long_blocks(s, 4, "id", 2, "keep", True), "block_no", "syms") == [(0, "0123"), (1, "3111"), (2, "12")]
+    # a machine that forgets moves ends of chunks through its one window, not the chunks
+    long = spark.createDataFrame([(0, i, x.tolist()) for i in range(3)], "k int, no int, x array<int>")
+    plan = H.run_chunks(long, "k", "no", "x", window)._jdf.queryExecution().optimizedPlan().toString()
+    assert "lag(end#" in next(line for line in plan.splitlines() if "Window [" in line)
+
+
 def test_blocks_of_rows_with_one_id(spark):
     texts = [(1, "ab c1."), (1, "ab c1."), (1, "zz  99"), (None, "aeiou "), (5000, "bcdfg1")]
     s = text_stream(spark.createDataFrame(texts, "doc_id long, text string"), kind="class")
